@@ -288,45 +288,133 @@ def _pivot_round(near: DataFrame, key: str, threshold: int) -> DataFrame:
     return checkpointed(first.unionByName(second).where("a is not null"))
 
 
+class _Merger:
+    """Union-find over component ids."""
+
+    def __init__(self) -> None:
+        self.up: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        while (y := self.up.get(x, x)) != x:
+            self.up[x] = self.up.get(y, y)
+            x = y
+        return x
+
+    def join(self, x: int, y: int) -> None:
+        x, y = self.find(x), self.find(y)
+        if x != y:
+            self.up[max(x, y)] = min(x, y)
+
+
+class _Postings:
+    """Which of a group's sets hold an element: an inverted index over arrays of hashes."""
+
+    def __init__(self, lists: list[np.ndarray]):
+        sizes = [len(x) for x in lists]
+        _, number = np.unique(np.concatenate(lists) if lists else np.empty(0, np.uint64), return_inverse=True)
+        self.own = np.split(number, np.cumsum(sizes)[:-1])
+        order = np.argsort(number, kind="stable")
+        self.rows = np.repeat(np.arange(len(lists)), sizes)[order]
+        self.at = np.concatenate([[0], np.cumsum(np.bincount(number))])
+        self.n = len(lists)
+
+    def meets(self, k: int) -> np.ndarray:
+        """How many elements of set k each set holds."""
+        mine = self.own[k]
+        begin, size = self.at[mine], self.at[mine + 1] - self.at[mine]
+        total = int(size.sum())
+        spots = np.repeat(begin - np.cumsum(size) + size, size) + np.arange(total)
+        return np.bincount(self.rows[spots], minlength=self.n)
+
+
+def _group_links(rep: np.ndarray, n: np.ndarray, component: np.ndarray, cell: np.ndarray, side: np.ndarray | None, toks: list[np.ndarray], rare: list[int], pre: list[list[np.ndarray]], threshold: int) -> Iterator[tuple[int, int]]:
+    """Links that join different components inside a group; with ``side``, only between its two sides.
+
+    Candidates of a set meet it in the prefixes of all three orders, keep the
+    length bound and are not in its component yet.  The largest component of each
+    cell needs no turn of its own: every pair has a member outside it.
+    """
+    merger = _Merger()
+    orders = [_Postings([t[:k] for t, k in zip(toks, rare)]), _Postings(pre[0]), _Postings(pre[1])]
+    whole = _Postings(toks)
+    names, where, many = np.unique(np.stack([cell, component], axis=1), axis=0, return_inverse=True, return_counts=True)
+    largest: dict[int, tuple[int, int]] = {}
+    for j, (c, _) in enumerate(names.tolist()):
+        largest[c] = max(largest.get(c, (0, 0)), (int(many[j]), j))
+    where = where.ravel()
+    turn = [k for k in range(len(rep)) if side is not None or largest[int(cell[k])][1] != where[k]]
+    if side is not None:  # the side with fewer sets takes the turns
+        fewer = int(side.sum() * 2 <= len(side))
+        turn = [k for k in turn if side[k] == fewer]
+    done = np.zeros(len(rep), dtype=bool)
+    for k in turn:
+        fits = (orders[0].meets(k) > 0) & (component != component[k]) & ~done
+        fits &= 100 * np.minimum(n, n[k]) >= threshold * np.maximum(n, n[k])
+        if side is not None:
+            fits &= side != side[k]
+        if fits.any():
+            for order in orders[1:]:
+                fits &= order.meets(k) > 0
+        done[k] = side is None
+        found = np.flatnonzero(fits)
+        if not len(found):
+            continue
+        overlap = whole.meets(k)[found]
+        for other in found[100 * overlap >= threshold * (n[k] + n[found] - overlap)].tolist():
+            a, b = int(component[k]), int(component[other])
+            if merger.find(a) != merger.find(b):
+                merger.join(a, b)
+                yield int(rep[k]), int(rep[other])
+
+
 def _cross_links(near: DataFrame, component: DataFrame, threshold: int) -> DataFrame:
-    """All links between classes of different components.
+    """Links between classes of different components, enough to join all that are linked.
 
-    A pair must share an n-gram of both rarest-first prefixes, keep the length
-    bound, and meet in the prefixes of the two other orders; then it is verified.
+    Classes that share n-grams of the rarest-first prefix, directly or through
+    others, form a cell; a pair can only link inside one.  Cells are dealt to
+    groups of bounded size and joined there, so each class's set travels once; a
+    larger cell is cut in parts, and its parts meet pairwise.
     """
+
     def prefix(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             take = batch.column("rare").to_pylist()
             lists = [_tokens(cell)[:k].astype(np.int64) for cell, k in zip(batch.column("toks"), take)]
             counts = [len(x) for x in lists]
             spread = lambda c: pa.array(np.repeat(batch.column(c).to_numpy(), counts))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(lists) if lists else np.empty(0, np.int64)), spread("rep"), spread("n"), spread("component")], ["tok", "rep", "n", "component"])
-
-    placed = near.join(component, near.rep == component.vertex, "left").select("rep", "n", "rare", "toks", F.coalesce("component", "rep").alias("component"))
-    postings = checkpointed(placed.mapInArrow(prefix, "tok long, rep long, n int, component long"))
-    mixed = postings.groupBy("tok").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("tok")
-    live = postings.join(mixed, "tok", "left_semi")
-    a = live.select("tok", F.col("rep").alias("a"), F.col("n").alias("na"), F.col("component").alias("ca"))
-    b = live.select("tok", F.col("rep").alias("b"), F.col("n").alias("nb"), F.col("component").alias("cb"))
-    pairs = checkpointed(a.join(b, "tok").where(f"ca < cb and 100L * least(na, nb) >= {threshold}L * greatest(na, nb)").select("a", "b").distinct())
-
-    def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            fine = [all(_overlap(np.frombuffer(batch.column(f"{p}a")[i].as_buffer(), np.uint32), np.frombuffer(batch.column(f"{p}b")[i].as_buffer(), np.uint32)) for p in ("pre2", "pre3")) for i in range(len(batch))]
-            yield batch.select(["a", "b"]).filter(pa.array(fine, pa.bool_()))
-
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            fine = [linked(n, m, _overlap(np.sort(_tokens(batch.column("ta")[i])), np.sort(_tokens(batch.column("tb")[i]))), threshold) for i, (n, m) in enumerate(zip(batch.column("na").to_pylist(), batch.column("nb").to_pylist()))]
-            yield batch.select(["a", "b"]).filter(pa.array(fine, pa.bool_()))
-
-    def with_sides(left: DataFrame, columns: dict[str, str]) -> DataFrame:
-        for side in "ab":
-            left = left.join(near.select(F.col("rep").alias(side), *[F.col(c).alias(f"{short}{side}") for c, short in columns.items()]), side)
-        return left
-
-    met = with_sides(pairs, {"pre2": "pre2", "pre3": "pre3"}).select("a", "b", "pre2a", "pre2b", "pre3a", "pre3b").mapInArrow(meet, "a long, b long")
-    return with_sides(checkpointed(met), {"toks": "t", "n": "n"}).select("a", "b", "ta", "tb", "na", "nb").mapInArrow(verify, "a long, b long")
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(lists) if lists else np.empty(0, np.int64)), spread("rep"), spread("component")], ["tok", "rep", "component"])
+
+    spark = near.sparkSession
+    placed = near.join(component, near.rep == component.vertex, "left").select("rep", "rare", "toks", F.coalesce("component", "rep").alias("component"))
+    postings = checkpointed(placed.mapInArrow(prefix, "tok long, rep long, component long"))
+    mixed = postings.groupBy("tok").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("rep").alias("head")).where("low < high").select("tok", "head")
+    ties = checkpointed(postings.join(mixed, "tok").select("rep", "component", "head").distinct())
+    # members of a component are in one cell with it, so cells are found over components
+    heads = ties.select("head").distinct().join(placed.select(F.col("rep").alias("head"), F.col("component").alias("head_component")), "head")
+    cells = connected_components(ties.join(heads, "head").select(F.col("component").alias("a"), F.col("head_component").alias("b")))
+    cells = cells.select(F.col("vertex").alias("component"), F.col("component").alias("cell"))
+    live = ties.select("rep", "component").distinct().join(cells, "component")
+    live = checkpointed(live.join(near.select("rep", "shared"), "rep"))
+    sizes = live.groupBy("cell").agg(F.sum("shared").alias("weight")).withColumn("parts", F.ceil(F.col("weight") / TOKENS_PER_RANGE).cast("int"))
+    total = sizes.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
+    buckets = max(partitions(spark), math.ceil(total / (TOKENS_PER_RANGE // 2)))
+    part = F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int")
+    others = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda o: F.struct(F.least(part, o).alias("i"), F.greatest(part, o).alias("j")))
+    dealt = live.join(sizes.select("cell", "parts"), "cell").select(
+        "rep", "component", "cell", part.alias("part"), F.when(F.col("parts") > 1, -1 - F.col("cell")).otherwise(F.pmod(F.xxhash64("cell"), F.lit(buckets)).cast("long")).alias("bucket"), F.explode(others).alias("meeting")
+    )
+    fields = near.select("rep", "n", "rare", "toks", "pre2", "pre3")
+    grouped = dealt.join(fields, "rep").select("bucket", F.col("meeting.i").alias("i"), F.col("meeting.j").alias("j"), "rep", "n", "component", "cell", "part", "rare", "toks", "pre2", "pre3")
+
+    def join(key: tuple, table: pa.Table) -> pa.Table:
+        i, j = key[1].as_py(), key[2].as_py()
+        column = lambda c: table.column(c).to_numpy().astype(np.int64)
+        lists = lambda c, kind: [np.frombuffer(x.as_buffer(), kind) for x in table.column(c)]
+        side = None if i == j else column("part") == i
+        links = list(_group_links(column("rep"), column("n"), column("component"), column("cell"), side, lists("toks", np.uint64), column("rare").tolist(), [lists("pre2", np.uint32), lists("pre3", np.uint32)], threshold))
+        return pa.table({"a": pa.array([x for x, _ in links], pa.int64()), "b": pa.array([y for _, y in links], pa.int64())})
+
+    return grouped.groupBy("bucket", "i", "j").applyInArrow(join, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD) -> DataFrame:

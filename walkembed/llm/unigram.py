@@ -37,6 +37,7 @@ MARKER = "▁"
 SEGMENT_CACHE = 500_000
 LONG = 200  # bytes; longer segments are solved alone
 BYTE_PENALTY = 6.0
+_LITERAL = f"{MARKER}\n"  # no segment is like this
 _SEGMENT = re.compile(f"\n|{MARKER}*[^{MARKER}\n]+|{MARKER}+")
 
 
@@ -97,24 +98,24 @@ class DoubleArrayTrie:
         taken = bytearray(size)
         taken[0] = 1
         place = [0] * len(children)
-        free, todo = 1, [0]
+        free, todo = [1, 1], [0]  # where to look next, for nodes of one child and of several
         for node in todo:  # grows breadth first
             keys = sorted(children[node])
             if not keys:
                 continue
-            while taken[free]:
-                free += 1
-            at = free
+            many = len(keys) > 1
+            at, tries = max(free[many], keys[0]), 0
             while True:
+                if at + 600 >= size:
+                    base, check, ends = np.concatenate([base, np.zeros(size, np.int32)]), np.concatenate([check, np.full(size, -1, np.int32)]), np.concatenate([ends, np.full(size, -1, np.int32)])
+                    taken.extend(bytes(size))
+                    size *= 2
                 start = at - keys[0]
-                if start >= 0 and start + keys[-1] < size - 256 and not any(taken[start + k] for k in keys):
+                if not taken[at] and not any(taken[start + k] for k in keys):
                     break
-                at += 1
-                if at >= size - 600:
-                    grow = size
-                    base, check, ends = np.concatenate([base, np.zeros(grow, np.int32)]), np.concatenate([check, np.full(grow, -1, np.int32)]), np.concatenate([ends, np.full(grow, -1, np.int32)])
-                    taken.extend(bytes(grow))
-                    size += grow
+                at, tries = at + 1, tries + 1
+            if tries > 40:  # a dense stretch: later nodes start behind it
+                free[many] = at - 8
             base[place[node]] = start
             for k in keys:
                 child = children[node][k]
@@ -238,10 +239,21 @@ class UnigramEncoder:
                 best[s + span], via[s + span], back[s + span] = best[s] + self.byte_score * span, -2, s
         return self._trace(data, via, back)
 
+    def _segments(self, text: str) -> list[str]:
+        if not text:
+            return []
+        if MARKER not in text:
+            return _SEGMENT.findall(MARKER + text.replace(" ", MARKER))
+        out: list[str] = []  # a marker of the text itself goes by its bytes, so that it comes back
+        for k, part in enumerate(text.split(MARKER)):
+            out += [_LITERAL] * (k > 0) + _SEGMENT.findall(MARKER * (k == 0) + part.replace(" ", MARKER))
+        return out
+
     def encode(self, texts: list[str]) -> list[bytes]:
         if len(self.cache) > SEGMENT_CACHE:
             self.cache.clear()
-        split = [_SEGMENT.findall(MARKER + t.replace(" ", MARKER)) if t else [] for t in texts]
+        self.cache[_LITERAL] = self.byte_id[list(MARKER.encode())].astype("<u4").tobytes()
+        split = [self._segments(t) for t in texts]
         missing = list(set().union(*split) - self.cache.keys())
         self.cache.update(zip(missing, self.solve(missing)))
         get = self.cache.__getitem__
