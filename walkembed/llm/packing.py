@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 from .wordcache import encoder
 
 LENGTH, END_ID = 2048, 1
-SENTENCE, MIDDLE, WINDOW, STRIDE = 3, 24, 12, 32
+SENTENCE, MIDDLE, WINDOW, STRIDE = 3, 24, 12, 48
 _BLOCK_TOKENS = 400_000
 _BLOCK_CHARS = 1_200_000
 
@@ -85,7 +85,7 @@ def best_cuts(at: np.ndarray, penalty: np.ndarray, length: int) -> list[int]:
             queue.popleft()
         value, i = queue[0]
         value += length - place
-        if i == j - 1 or len(queue) == 1 or place - places[i] < length:
+        if length - place + places[i] > 2 * WINDOW:  # else a power of two cannot win much
             for power in powers:
                 k = index.get(place - power)
                 if k is not None and cost[k] < value:

@@ -12,10 +12,11 @@ from __future__ import annotations
 import os
 import re
 from collections.abc import Iterable
+from itertools import filterfalse
 
 import numpy as np
 
-WORD_CACHE, CORE_CACHE = 400_000, 900_000
+WORD_CACHE, CORE_CACHE = 1_100_000, 1_200_000
 # Control characters that Python's split() takes for spaces and the tokenizer does not.
 _ODD = re.compile("[\x1c-\x1f]")
 _OUTER = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
@@ -62,7 +63,11 @@ class WordEncoder:
         if len(self.cores) > CORE_CACHE:
             self.cores.clear()
         split = [None if _ODD.search(t) else t.split() for t in texts]
-        missing = set().union(*(s for s in split if s)) - self.words.keys()
+        missing: set[str] = set()
+        known = self.words.__contains__
+        for s in split:
+            if s:
+                missing.update(filterfalse(known, s))
         if missing:
             self._resolve(missing)
         get = self.words.__getitem__
