@@ -213,3 +213,16 @@ def classify(docs: DataFrame, labels: DataFrame, held_out: tuple[int, int] | Non
     out = score_documents(docs, model)
     away = crc_bucket("doc_id", held_out[0]) == held_out[1] if held_out else F.lit(False)
     return out.select("doc_id", away.alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def keep(docs: DataFrame, model: Model, threshold: float = THRESHOLD, bits: int = BITS) -> DataFrame:
+    """The rows of ``docs`` that score at least ``threshold``, with all their columns, in one map."""
+    shared = docs.sparkSession.sparkContext.broadcast((model.weight.astype(np.float32), model.square.astype(np.float32), model.bias, model.slope, model.shift))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = Model(*shared.value)
+        for batch in batches:
+            fine = [own.score(ids) >= threshold for _, _, raw, offsets in text_slices(batch.column("text")) for ids in features(find_words(raw, offsets), bits)]
+            yield batch.filter(pa.array(fine, pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)

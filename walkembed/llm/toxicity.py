@@ -319,3 +319,16 @@ def classify(docs: DataFrame, labels: DataFrame, held_out: tuple[int, int] | Non
     lexicon = fit(*labelled_sample(docs, labels, "toxic", max_train_rows, held_out))
     away = crc_bucket("doc_id", held_out[0]) == held_out[1] if held_out else F.lit(False)
     return score_documents(docs, lexicon).select("doc_id", away.alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def keep(docs: DataFrame, lexicon: Lexicon, threshold: float = THRESHOLD) -> DataFrame:
+    """The rows of ``docs`` that score below ``threshold``, with all their columns, in one map."""
+    shared = docs.sparkSession.sparkContext.broadcast((Automaton(lexicon), lexicon.spared, lexicon.scale))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        automaton, spared, scale = shared.value
+        for batch in batches:
+            parts = [1 - np.exp(-scale * text_sums(find_words(raw, offsets), automaton, spared)) < threshold for _, _, raw, offsets in text_slices(batch.column("text"))]
+            yield batch.filter(pa.array(np.concatenate(parts) if parts else [], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
