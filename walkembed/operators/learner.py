@@ -58,7 +58,8 @@ def softmax_loglik(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
     v = vectors.select("node", "phi")
     contexts = pairs.select("context").distinct().join(v.select(F.col("node").alias("context"), F.col("phi").alias("a")), "context")
     scores = contexts.crossJoin(v.select("node", F.col("phi").alias("b"))).select("context", "node", dot("a", "b").alias("s"))
-    norm = scores.groupBy("context").agg((F.max("s") + F.ln(F.sum(F.exp(F.col("s") - F.lit(0.0))))).alias("x"), F.ln(F.sum(F.exp("s"))).alias("z")).select("context", "z")
+    top = scores.groupBy("context").agg(F.max("s").alias("top"))
+    norm = scores.join(top, "context").groupBy("context").agg((F.first("top") + F.ln(F.sum(F.exp(F.col("s") - F.col("top"))))).alias("z"))
     met = pairs.join(scores.withColumnRenamed("node", "target"), ["context", "target"]).join(norm, "context")
     return met.agg(F.count("*").alias("pairs"), F.sum(F.col("s") - F.col("z")).alias("loglik"))
 

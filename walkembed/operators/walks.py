@@ -34,6 +34,7 @@ from . import graph as G
 from .measures import entropy_step_many, r_squared_many
 
 MAX_TRIALS = 1000
+SECOND_BITS = 10  # of the second-order factors: degree * weight * 2^11 * 2^32 must stay below 2^63
 
 
 @dataclass(frozen=True)
@@ -112,11 +113,10 @@ def step_walks(edges: DataFrame, sources: DataFrame, kernel: Kernel = Kernel("un
         draw = draw_column(seed, F.col("round"), F.col("walk_id"), F.lit(hop), F.lit(0), F.lit(0))
         if kernel.name == "biased2" and hop > 1:
             last = F.element_at("path", -2)
-            scaled = F.transform("nbr", lambda v: F.when(v == last, F.lit(int(round(1 / kernel.p * (1 << G.BITS))))).when(F.array_contains("before", v), F.lit(1 << G.BITS)).otherwise(F.lit(int(round(1 / kernel.q * (1 << G.BITS))))).cast("long"))
+            scaled = F.transform("nbr", lambda v: F.when(v == last, F.lit(round((1 << SECOND_BITS) / kernel.p))).when(F.array_contains("before", v), F.lit(1 << SECOND_BITS)).otherwise(F.lit(round((1 << SECOND_BITS) / kernel.q))).cast("long"))
             met = met.withColumn("wq", F.zip_with(scaled, "q", lambda a, b: a * b))
             total = F.aggregate("wq", F.lit(0).cast("long"), lambda a, x: a + x)
-            # total < 2^51, so the product of the draw and it needs a decimal
-            x = F.floor(draw.cast("decimal(20,0)") * total.cast("decimal(17,0)") / F.lit(1 << 32)).cast("long")
+            x = F.shiftright(draw * total, 32)
             cum = F.transform(F.sequence(F.lit(1), F.size("wq")), lambda i: F.aggregate(F.slice("wq", F.lit(1), i), F.lit(0).cast("long"), lambda a, b: a + b))
             pick = F.size(F.filter(cum, lambda c: c <= x))
         else:
@@ -184,7 +184,7 @@ def draw_hop(block: Block, at: np.ndarray, walkers: dict[str, np.ndarray], kerne
                 t = walkers["prev"][i]
                 of = block.find(np.array([t]))[0]
                 near = block.nbr[block.begin[of] : block.begin[of + 1]] if of >= 0 else np.empty(0, np.int64)
-                q = q * np.where(nbr == t, round((1 << G.BITS) / kernel.p), np.where(np.isin(nbr, near), 1 << G.BITS, round((1 << G.BITS) / kernel.q)))
+                q = q * np.where(nbr == t, round((1 << SECOND_BITS) / kernel.p), np.where(np.isin(nbr, near), 1 << SECOND_BITS, round((1 << SECOND_BITS) / kernel.q)))
             cum = np.cumsum(q)
             x = int(draws[i]) * int(cum[-1]) >> 32
             out[i] = nbr[np.searchsorted(cum, x, side="right")]

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 
 TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "embeddings", "pages", "benchmark", "labels", "conversations")
@@ -12,13 +14,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def sql(spark: SparkSession, sf_dir: str, text: str, **frames: DataFrame) -> DataFrame:
-    """Runs ``text`` with the given tables (and further frames) under their names, without touching the catalog."""
-    import re
+    """Runs ``text`` with the given tables, and further frames, as temporary views.
 
-    named = dict(frames)
+    A query is analysed at once, so views that later calls replace don't reach it.
+    """
     for name in TABLES:
-        if name not in named and re.search(rf"\b{name}\b", text):
-            named[name] = table(spark, sf_dir, name)
-    for name in named:
-        text = re.sub(rf"(?<![\w.'{{]){name}(?![\w.'}}(])", "{" + name + "}", text)
-    return spark.sql(text, **named)
+        if name not in frames and re.search(rf"\b{name}\b", text):
+            table(spark, sf_dir, name).createOrReplaceTempView(name)
+    for name, frame in frames.items():
+        frame.createOrReplaceTempView(name)
+    return spark.sql(text)
