@@ -39,11 +39,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .runtime import checkpointed, partitions
+from .runtime import checkpointed, partitions, release_shuffles
 from .textkernel import distinct_shingles, find_words, mix64, text_slices
 
 WIDTH, THRESHOLD = 5, 80
-TOKENS_PER_RANGE = 2_000_000
+TOKENS_PER_RANGE, MIN_RANGES = 2_000_000, 16
 _TOKENS_PER_BLOCK = 2_000_000
 _PIVOTS = 8
 _GROUP_PART = 512
@@ -432,11 +432,14 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
         total, many, names = classes.agg(F.coalesce(F.sum(F.col("n").cast("long")), F.lit(0)), F.count("*"), F.count_distinct("f1")).first()
         if many == names:  # else two different sets share the first half of their fingerprints
             break
-    ranges = max(partitions(docs.sparkSession), math.ceil(total / TOKENS_PER_RANGE))
+    ranges = max(MIN_RANGES, math.ceil(total / TOKENS_PER_RANGE))
     shared = _shared_grams(_range_blobs(docs, width, seed, ranges), ranges)
     near = checkpointed(_survivors(shared, classes.select("f1", "n", "rep"), ranges, threshold))
+    del shared
+    release_shuffles(docs.sparkSession)
     links = _pivot_round(near, "k1", threshold).unionByName(_pivot_round(near, "k2", threshold))
     links = checkpointed(links)
+    release_shuffles(docs.sparkSession)
     component = connected_components(links)
     cross = checkpointed(_cross_links(near, component, threshold))
     component = connected_components(links.unionByName(cross)) if cross.limit(1).count() else component

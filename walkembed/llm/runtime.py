@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import os
 import tempfile
 
@@ -24,6 +25,16 @@ def checkpointed(frame: DataFrame) -> DataFrame:
     return frame.checkpoint(eager=True)
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Lets Spark delete shuffle files that nothing needs any more.
+
+    Its cleaner waits for the driver to collect garbage, which an idle driver
+    may not do for half an hour while later stages fill the disks.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
