@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -308,7 +309,7 @@ add("partition_scores_weighted", with_(prep("tri", _ASSIGN, CM, _SECOND)) + "SEL
     )
 )
 add("partition_balance_term", with_(prep("tri", _ASSIGN, "sizes AS (SELECT part, count(*) AS size FROM assign GROUP BY part)")) + "SELECT g::DOUBLE AS gamma, part, size, round(1 - size / (g * (SELECT avg(size) FROM sizes)), 6) AS tau FROM sizes, (VALUES (1.0::DOUBLE), (1.5), (2.0), (4.0)) t(g)")(
-    lambda spark, d: (lambda sizes: __import__("functools").reduce(DataFrame.unionByName, [P.balance_term(sizes, g).select(F.lit(g).alias("gamma"), "part", "size", F.round("tau", 6).alias("tau")) for g in (1.0, 1.5, 2.0, 4.0)]))(P.hash_partition(all_nodes(graph(spark, d, "tri")), 4).groupBy("part").agg(F.count("*").alias("size")))
+    lambda spark, d: (lambda sizes: reduce(DataFrame.unionByName, [P.balance_term(sizes, g).select(F.lit(g).alias("gamma"), "part", "size", F.round("tau", 6).alias("tau")) for g in (1.0, 1.5, 2.0, 4.0)]))(P.hash_partition(all_nodes(graph(spark, d, "tri")), 4).groupBy("part").agg(F.count("*").alias("size")))
 )
 add("stream_order_random", with_(prep("geo")) + f"SELECT node, row_number() OVER (ORDER BY {draw_sql(SEED, 'node')}, node) - 1 AS pos FROM deg")(lambda spark, d: P.stream_order(graph(spark, d, "geo"), "random", SEED))
 for _kind in ("bfs", "bfs_degree", "dfs", "dfs_degree"):

@@ -1,2 +1,164 @@
+"""Relational operators around the methods; one SQL text serves both engines unless a dialect differs."""
+
+from __future__ import annotations
+
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..operators import graph as G
+from ..sources import graphs as S
+from ..sources.tables import TABLES, sql, table
+
 QUERIES: dict = {}
-ORACLES: dict = {}
+ORACLES: dict[str, str] = {}
+
+
+def op(name: str, text: str, duck: str | None = None) -> None:
+    QUERIES[name] = lambda spark, d: sql(spark, d, text)
+    ORACLES[name] = duck or text
+
+
+for _t in TABLES:
+    QUERIES[f"scan_parquet_{_t}"] = lambda spark, d, t=_t: table(spark, d, t).agg(F.count("*").alias("n"))
+    ORACLES[f"scan_parquet_{_t}"] = f"SELECT count(*) AS n FROM {_t}"
+
+_COP2 = f"SELECT src, dst, w FROM (SELECT least(a, b) AS src, greatest(a, b) AS dst, count(*) AS w FROM ({S.RULES['cop']}) r GROUP BY 1, 2) e WHERE w >= 2"
+_ENDS = f"SELECT src AS node FROM ({_COP2}) x UNION ALL SELECT dst FROM ({_COP2}) y"
+
+# projections and filters
+op("proj_edge_ids", "SELECT o_custkey, o_orderkey, o_custkey + 1000000000000 AS node FROM orders")
+op("filter_in_list", "SELECT n_nationkey, n_name FROM nation WHERE n_regionkey IN (1, 3)")
+op("between_dates", "SELECT count(*) AS n FROM orders WHERE o_orderdate BETWEEN TIMESTAMP '1995-01-01 00:00:00' AND TIMESTAMP '1996-12-31 00:00:00'")
+op("like_part_name", "SELECT p_partkey, p_name FROM part WHERE p_name LIKE '%a%e%'")
+op("case_degree_band", "SELECT CASE WHEN d >= 20 THEN 'high' WHEN d >= 10 THEN 'mid' ELSE 'low' END AS band, count(*) AS n FROM (SELECT o_custkey, count(*) AS d FROM orders GROUP BY o_custkey) x GROUP BY 1")
+op("distinct_nodes", "SELECT DISTINCT l_partkey AS node FROM lineitem")
+op("filter_weight_ge2", f"SELECT src, dst, w FROM ({_COP2}) e")
+# joins
+op("op_join_inner", "SELECT r_name, count(*) AS customers FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name")
+op("op_join_broadcast", "SELECT /*+ BROADCAST(nation) */ n_name, count(*) AS customers FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
+for _k, _hint in (("sortmerge", "MERGE"), ("shuffle_hash", "SHUFFLE_HASH")):
+    op(f"op_join_{_k}", f"SELECT /*+ {_hint}(orders) */ o_orderstatus, count(*) AS n, round(sum(l_extendedprice), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderstatus")
+_DEG2 = f"SELECT node, count(*) AS deg FROM ({_ENDS}) e GROUP BY node"
+op("op_join_left", f"SELECT p_partkey, coalesce(deg, 0) AS deg FROM part LEFT JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey")
+op("op_join_right", f"SELECT p_partkey, coalesce(deg, 0) AS deg FROM ({_DEG2}) d RIGHT JOIN part ON d.node = 2000000000000 + p_partkey")
+op("op_join_full", "SELECT coalesce(a.k, b.k) AS k, a.n AS early, b.n AS late FROM (SELECT o_custkey AS k, count(*) AS n FROM orders WHERE o_orderdate < TIMESTAMP '1995-01-01 00:00:00' GROUP BY 1) a FULL JOIN (SELECT o_custkey AS k, count(*) AS n FROM orders WHERE o_orderdate >= TIMESTAMP '1997-01-01 00:00:00' GROUP BY 1) b ON a.k = b.k")
+op("op_join_semi", f"SELECT p_partkey FROM part LEFT SEMI JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey", f"SELECT p_partkey FROM part SEMI JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey")
+op("op_join_anti", f"SELECT p_partkey FROM part LEFT ANTI JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey", f"SELECT p_partkey FROM part ANTI JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey")
+op("op_join_cross", "SELECT a.r_name AS x, b.r_name AS y FROM region a CROSS JOIN region b")
+op("op_join_self", "SELECT count(*) AS pairs FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey AND a.l_partkey < b.l_partkey")
+op("op_join_theta", "SELECT a.s_suppkey, count(*) AS lower FROM supplier a JOIN supplier b ON a.s_nationkey = b.s_nationkey AND b.s_acctbal < a.s_acctbal GROUP BY a.s_suppkey")
+op("op_join_range", "WITH c AS (SELECT p_partkey, sum(p_size) OVER (ORDER BY p_partkey) AS hi, p_size FROM part) SELECT s_suppkey, p_partkey FROM supplier JOIN c ON s_suppkey * 7 >= hi - p_size AND s_suppkey * 7 < hi")
+op(
+    "op_join_asof",
+    "SELECT p.event_id, max_by(v.event_id, struct(v.ts, v.event_id)) AS view_id FROM events p JOIN events v ON v.user_id = p.user_id AND v.ts < p.ts WHERE p.event_type = 'purchase' AND v.event_type = 'view' GROUP BY p.event_id",
+    "SELECT p.event_id, v.event_id AS view_id FROM events p JOIN events v ON v.user_id = p.user_id AND v.ts < p.ts WHERE p.event_type = 'purchase' AND v.event_type = 'view' QUALIFY row_number() OVER (PARTITION BY p.event_id ORDER BY v.ts DESC, v.event_id DESC) = 1",
+)
+op("op_join_interval", "SELECT v.event_id AS view_id, c.event_id AS click_id FROM events v JOIN events c ON c.user_id = v.user_id AND c.ts > v.ts AND c.ts <= v.ts + INTERVAL '1' HOUR WHERE v.event_type = 'view' AND c.event_type = 'click'")
+op("op_join_multiway", "SELECT n_name, p_brand, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN part ON l_partkey = p_partkey GROUP BY 1, 2")
+op("op_join_null_safe", f"SELECT count(*) AS same FROM part LEFT JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey WHERE d.deg <=> NULL", f"SELECT count(*) AS same FROM part LEFT JOIN ({_DEG2}) d ON d.node = 2000000000000 + p_partkey WHERE d.deg IS NOT DISTINCT FROM NULL")
+
+
+def salted(spark: SparkSession, d: str, salts: int = 16) -> DataFrame:
+    """Customers per nation through a salted join: the hub side is spread over the salts, the other replicated."""
+    big = table(spark, d, "customer").withColumn("salt", F.pmod(F.xxhash64("c_custkey"), F.lit(salts)).cast("int"))
+    small = table(spark, d, "nation").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return big.join(small, (big.c_nationkey == small.n_nationkey) & (big.salt == small.salt)).groupBy("n_name").agg(F.count("*").alias("n"))
+
+
+QUERIES["op_join_skew_salted"], ORACLES["op_join_skew_salted"] = salted, "SELECT n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name"
+# aggregates
+op("op_agg_hash", "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey")
+op("op_agg_sort", "SELECT c_nationkey, min(c_name) AS lo, max(c_name) AS hi FROM customer GROUP BY c_nationkey")
+op("op_agg_distinct", "SELECT o_custkey, count(DISTINCT l_partkey) AS parts FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_custkey")
+op("op_agg_multi_distinct", "SELECT o_custkey, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_custkey")
+op("op_agg_approx_distinct", "SELECT abs(approx_count_distinct(l_partkey) - count(DISTINCT l_partkey)) <= 0.1 * count(DISTINCT l_partkey) AS near, count(DISTINCT l_partkey) AS exact FROM lineitem", "SELECT true AS near, count(DISTINCT l_partkey) AS exact FROM lineitem")
+op("op_agg_percentile", "SELECT p_brand, percentile(p_size, 0.5) AS median FROM part GROUP BY p_brand", "SELECT p_brand, quantile_cont(p_size, 0.5)::DOUBLE AS median FROM part GROUP BY p_brand")
+op("op_agg_grouping_sets", "SELECT r_name, c_mktsegment, grouping(r_name) AS g, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY GROUPING SETS ((r_name, c_mktsegment), (r_name), ())")
+op("op_agg_rollup", "SELECT r_name, n_name, round(sum(c_acctbal), 2) AS balance FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ROLLUP (r_name, n_name)")
+op("op_agg_cube", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY CUBE (l_returnflag, l_linestatus)")
+op("op_agg_pivot", "SELECT * FROM (SELECT o_orderstatus, o_orderpriority FROM orders) x PIVOT (count(*) FOR o_orderstatus IN ('F' AS f, 'O' AS o, 'P' AS p))", "SELECT o_orderpriority, nullif(count(*) FILTER (WHERE o_orderstatus = 'F'), 0) AS f, nullif(count(*) FILTER (WHERE o_orderstatus = 'O'), 0) AS o, nullif(count(*) FILTER (WHERE o_orderstatus = 'P'), 0) AS p FROM orders GROUP BY 1")
+op("op_agg_filter", "SELECT user_id, count(*) FILTER (WHERE event_type = 'view') AS views, count(*) FILTER (WHERE event_type = 'purchase') AS purchases FROM events GROUP BY user_id")
+op("op_agg_collect", "SELECT o_custkey, array_join(array_sort(collect_list(o_orderkey)), ',') AS listed FROM orders GROUP BY o_custkey", "SELECT o_custkey, string_agg(o_orderkey::VARCHAR, ',' ORDER BY o_orderkey) AS listed FROM orders GROUP BY o_custkey")
+op("op_agg_minmax_by", "SELECT p_brand, max_by(p_partkey, struct(p_retailprice, p_partkey)) AS dearest FROM part GROUP BY p_brand", "SELECT p_brand, p_partkey AS dearest FROM part QUALIFY row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey DESC) = 1")
+op("op_agg_stats", "SELECT l_returnflag, round(stddev_samp(l_quantity), 6) AS sd, round(var_pop(l_quantity), 6) AS var, round(corr(l_quantity, l_extendedprice), 6) AS r, round(regr_slope(l_extendedprice, l_quantity), 4) AS slope FROM lineitem GROUP BY l_returnflag")
+op("op_agg_bool", "SELECT user_id, bool_or(event_type = 'purchase') AS bought, bool_and(value >= 0) AS positive FROM events GROUP BY user_id")
+# windows
+op("op_win_rank", "SELECT c_custkey, rank() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC) AS rk, dense_rank() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC) AS dr, row_number() OVER (PARTITION BY c_nationkey ORDER BY c_acctbal DESC, c_custkey) AS rn FROM customer")
+op("op_win_ntile", "SELECT s_suppkey, ntile(10) OVER (PARTITION BY s_nationkey ORDER BY s_acctbal, s_suppkey) AS tile FROM supplier")
+op("op_win_cume", "SELECT s_suppkey, round(percent_rank() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal), 6) AS pr, round(cume_dist() OVER (PARTITION BY s_nationkey ORDER BY s_acctbal), 6) AS cd FROM supplier")
+op("op_win_lag_lead", "SELECT event_id, lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS after FROM events")
+op("op_win_first_last", "SELECT event_id, first_value(event_id) OVER w AS first_id, last_value(event_id) OVER w AS last_id FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
+op("op_win_nth", "SELECT o_orderkey, nth_value(o_orderkey, 2) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second_order FROM orders")
+op("op_win_running", "SELECT p_partkey, sum(p_size) OVER (PARTITION BY p_brand ORDER BY p_partkey ROWS UNBOUNDED PRECEDING) AS running FROM part", "SELECT p_partkey, (sum(p_size) OVER (PARTITION BY p_brand ORDER BY p_partkey ROWS UNBOUNDED PRECEDING))::BIGINT AS running FROM part")
+op("op_win_rows_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS around FROM events")
+op("op_win_range_frame", "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate RANGE BETWEEN INTERVAL '7' DAY PRECEDING AND CURRENT ROW), 2) AS week FROM orders")
+op("op_win_ratio", "SELECT s_suppkey, round(s_acctbal / sum(abs(s_acctbal)) OVER (PARTITION BY s_nationkey), 6) AS share FROM supplier")
+# order, limit, sets
+op("op_sort", "SELECT c_custkey, c_acctbal FROM customer ORDER BY c_acctbal DESC, c_custkey")
+op("op_topk", "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY n DESC, l_suppkey LIMIT 10")
+op("op_topk_group", "SELECT p_brand, p_partkey FROM (SELECT p_brand, p_partkey, row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) AS k FROM part) x WHERE k <= 3")
+op("op_offset", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 10")
+_OLD, _NEW = ("SELECT l_partkey, l_suppkey FROM lineitem WHERE l_shipdate < TIMESTAMP '1995-01-01 00:00:00'", "SELECT l_partkey, l_suppkey FROM lineitem WHERE l_shipdate >= TIMESTAMP '1995-01-01 00:00:00'")
+for _k, _w in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
+    op(f"op_{_k}", f"SELECT l_partkey, l_suppkey FROM (({_OLD}) {_w} ({_NEW})) x")
+# strings
+op("op_str_url", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) AS host, regexp_extract(url, '/(en|de|fr|es)/', 1) AS lang FROM pages")
+op("op_str_regex", "SELECT page_id, size(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS links FROM pages", "SELECT page_id, len(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))::INTEGER AS links FROM pages")
+op("op_str_tokens", "SELECT w, count(*) AS n FROM (SELECT explode(split(text, ' ')) AS w FROM conversations) x GROUP BY w", "SELECT w, count(*) AS n FROM (SELECT unnest(string_split(text, ' ')) AS w FROM conversations) x GROUP BY w")
+op("op_str_shingles", "SELECT item_id, size(array_distinct(transform(sequence(1, size(ws) - 4), i -> md5(array_join(slice(ws, i, 5), ' '))))) AS n FROM (SELECT item_id, split(text, ' ') AS ws FROM benchmark) x WHERE size(ws) >= 5", "SELECT item_id, len(list_distinct(list_transform(range(1, len(ws) - 3), lambda i: md5(array_to_string(ws[i:i+4], ' ')))))::INTEGER AS n FROM (SELECT item_id, string_split(text, ' ') AS ws FROM benchmark) x WHERE len(ws) >= 5")
+op("op_str_clean", "SELECT p_partkey, lower(trim(replace(p_name, 'a', 'e'))) AS clean, lpad(p_brand, 12, '*') AS padded, upper(substr(p_type, 1, 3)) AS head FROM part")
+op("op_str_similarity", "SELECT a.n_name AS x, b.n_name AS y, levenshtein(a.n_name, b.n_name) AS d FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey", "SELECT a.n_name AS x, b.n_name AS y, levenshtein(a.n_name, b.n_name)::INTEGER AS d FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey")
+op("op_str_hash", "SELECT n_nationkey, md5(n_name) AS m, sha2(n_name, 256) AS s FROM nation", "SELECT n_nationkey, md5(n_name) AS m, sha256(n_name) AS s FROM nation")
+# dates
+op("op_date_trunc", "SELECT CAST(year(o_orderdate) * 100 + month(o_orderdate) AS INT) AS ym, count(*) AS n FROM orders GROUP BY 1")
+op("op_date_diff", "SELECT l_orderkey, l_linenumber, datediff(l_shipdate, o_orderdate) AS delay FROM lineitem JOIN orders ON l_orderkey = o_orderkey", "SELECT l_orderkey, l_linenumber, datediff('day', o_orderdate, l_shipdate)::INTEGER AS delay FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+op("op_date_parts", "SELECT CAST(year(ts) AS INT) AS y, CAST(quarter(ts) AS INT) AS q, CAST(hour(ts) AS INT) AS h, count(*) AS n FROM events GROUP BY 1, 2, 3")
+op("op_date_arith", "SELECT count(*) AS n FROM orders WHERE o_orderdate + INTERVAL '30' DAY < TIMESTAMP '1995-06-01 00:00:00'")
+# numbers
+op("op_math_transcendental", "SELECT s_suppkey, round(tanh(s_acctbal / 10000), 6) AS t, round(log2(abs(s_acctbal) + 1), 6) AS l, round(exp(s_acctbal / 10000), 6) AS e, round(sqrt(abs(s_acctbal)), 6) AS q FROM supplier")
+op("op_math_integer", "SELECT s_suppkey, s_suppkey % 7 AS m, greatest(s_suppkey, 50) AS g, least(s_suppkey, 50) AS l, s_suppkey & 5 AS a, abs(s_suppkey - 50) AS d FROM supplier")
+# arrays, maps, json
+_EV = "SELECT user_id, collect_list(value) AS v, collect_set(event_type) AS t FROM events GROUP BY user_id"
+_EVD = "SELECT user_id, list(value) AS v, list_distinct(list(event_type)) AS t FROM events GROUP BY user_id"
+op("op_array_sort", f"SELECT user_id, array_join(array_sort(t), ',') AS types FROM ({_EV}) x", f"SELECT user_id, array_to_string(list_sort(t), ',') AS types FROM ({_EVD}) x")
+op("op_array_filter", f"SELECT user_id, size(filter(v, y -> y > 50)) AS large, size(v) AS n FROM ({_EV}) x", f"SELECT user_id, len(list_filter(v, lambda y: y > 50))::INTEGER AS large, len(v)::INTEGER AS n FROM ({_EVD}) x")
+op("op_array_aggregate", f"SELECT user_id, round(aggregate(v, CAST(0 AS DOUBLE), (a, y) -> a + y), 4) AS total FROM ({_EV}) x", f"SELECT user_id, round(list_sum(v), 4) AS total FROM ({_EVD}) x")
+op("op_array_dot", "SELECT vec_id, round(aggregate(zip_with(embedding, embedding, (a, b) -> CAST(a AS DOUBLE) * b), CAST(0 AS DOUBLE), (s, y) -> s + y), 6) AS dot FROM embeddings", "SELECT vec_id, round(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[]), 6) AS dot FROM embeddings")
+op("op_array_overlap", "SELECT a.conv_id, size(array_intersect(split(a.text, ' '), split(b.text, ' '))) AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = 0 AND b.turn = 1", "SELECT a.conv_id, len(list_intersect(list_distinct(string_split(a.text, ' ')), string_split(b.text, ' ')))::INTEGER AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = 0 AND b.turn = 1")
+op("op_array_posexplode", "SELECT label, i, round(avg(x), 6) AS mean FROM (SELECT label, posexplode(embedding) AS (i, x) FROM embeddings) e GROUP BY label, i", "SELECT label, (i - 1)::INTEGER AS i, round(avg(embedding[i]::DOUBLE), 6) AS mean FROM embeddings, range(1, 65) t(i) GROUP BY 1, 2")
+op("op_map_histogram", "SELECT user_id, k, v FROM (SELECT user_id, explode(map_from_entries(collect_list(struct(event_type, n)))) AS (k, v) FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) c GROUP BY user_id) x", "SELECT user_id, event_type AS k, count(*) AS v FROM events GROUP BY 1, 2")
+op("op_json_field", "SELECT event_type, sum(CAST(get_json_object(props, '$.k') AS BIGINT)) AS total FROM events GROUP BY event_type", "SELECT event_type, sum((props->>'$.k')::BIGINT)::BIGINT AS total FROM events GROUP BY event_type")
+op("op_cond", "SELECT s_suppkey, coalesce(nullif(s_nationkey, 3), -1) AS nation, CASE WHEN s_acctbal < 0 THEN 'debt' ELSE 'credit' END AS side FROM supplier")
+op("op_subquery_exists", "SELECT count(*) AS n FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)")
+op("op_subquery_scalar", "SELECT count(*) AS n FROM part WHERE p_retailprice > (SELECT avg(p_retailprice) FROM part)")
+op("op_subquery_in", "SELECT count(*) AS n FROM supplier WHERE s_nationkey IN (SELECT n_nationkey FROM nation WHERE n_regionkey = 2)")
+op("op_cte_recursive", "WITH RECURSIVE reach AS (SELECT CAST(r_regionkey AS BIGINT) + 5000000000000 AS node, 0 AS hops FROM region UNION ALL SELECT e.a, hops + 1 FROM reach JOIN (" + S.RULES["geo"] + ") e ON e.b = node WHERE hops < 3) SELECT hops, count(*) AS n FROM reach GROUP BY hops")
+op("op_sample_hash", "SELECT o_orderkey FROM orders WHERE conv(substr(md5(CAST(o_orderkey AS STRING)), 1, 4), 16, 10) % 10 = 0", "SELECT o_orderkey FROM orders WHERE ('0x' || substr(md5(o_orderkey::VARCHAR), 1, 4))::BIGINT % 10 = 0")
+
+
+def round_trip(form: str):
+    """Edges written in a format and read again."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        from ..streaming.streams import folder
+
+        edges = G.normalize_edges(S.raw_pairs(spark, d, "geo"))
+        where = f"{folder(spark)}-{form}"
+        if form == "text":
+            edges.select(F.concat_ws(" ", "src", "dst", "w").alias("value")).write.text(where)
+            part = F.split("value", " ")
+            return spark.read.text(where).select(part[0].cast("long").alias("src"), part[1].cast("long").alias("dst"), part[2].cast("double").alias("w"))
+        if form == "parquet_partitioned":
+            edges.withColumn("kind", F.floor(F.col("src") / 10**12).cast("int")).write.partitionBy("kind").parquet(where)
+            return spark.read.parquet(where).select("src", "dst", "w")
+        edges.write.format(form).save(where)
+        return spark.read.schema(edges.schema).format(form).load(where)
+
+    return run
+
+
+_GEO = f"SELECT least(a, b) AS src, greatest(a, b) AS dst, count(*)::DOUBLE AS w FROM ({S.RULES['geo']}) WHERE a <> b GROUP BY 1, 2"
+for _f in ("csv", "json", "orc", "text", "parquet_partitioned"):
+    QUERIES[f"io_roundtrip_{_f}"], ORACLES[f"io_roundtrip_{_f}"] = round_trip(_f), _GEO
