@@ -7,6 +7,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.rng import draw_column
 from . import graph as G
 from .evaluate import f1_scores
@@ -44,9 +45,9 @@ def relational_embed(typed: DataFrame, dims: int = 32, buckets: int = 2, epochs:
     """
     spark = typed.sparkSession
     bucket = lambda c: F.pmod(F.xxhash64(c), F.lit(buckets)).cast("int")
-    edges = typed.select("src", "dst", "rel", bucket("src").alias("i"), bucket("dst").alias("j")).checkpoint()
+    edges = typed.select("src", "dst", "rel", bucket("src").alias("i"), bucket("dst").alias("j")).transform(durable)
     nodes = edges.select(F.explode(F.array("src", "dst")).alias("node")).distinct()
-    phi = nodes.select("node", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: draw_column(seed, F.col("node"), k) / F.lit(2.0**32) - 0.5).alias("phi")).checkpoint()
+    phi = nodes.select("node", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: draw_column(seed, F.col("node"), k) / F.lit(2.0**32) - 0.5).alias("phi")).transform(durable)
 
     def run(key: tuple, rows: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
         if not len(rows):
@@ -75,7 +76,7 @@ def relational_embed(typed: DataFrame, dims: int = 32, buckets: int = 2, epochs:
         dealt = phi.select("node", "phi", b.alias("b")).select("node", "phi", "b.i", "b.j")
         parts = edges.groupBy("i", "j").cogroup(dealt.groupBy("i", "j")).applyInPandas(run, "node long, phi array<double>")
         spread = parts.select("node", F.posexplode("phi").alias("k", "x")).groupBy("node", "k").agg(F.avg("x").alias("x"))
-        phi = spread.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "x"))), lambda s: s["x"]).alias("phi")).checkpoint()
+        phi = spread.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "x"))), lambda s: s["x"]).alias("phi")).transform(durable)
     return phi.select("node", F.round(F.sqrt(F.aggregate("phi", F.lit(0.0), lambda a, v: a + v * v)), 6).alias("norm"))
 
 
@@ -96,7 +97,7 @@ def logistic_f1(vectors: DataFrame, labels: DataFrame, ratio: float, seed: int =
     from pyspark.ml.classification import LogisticRegression, OneVsRest
     from pyspark.ml.functions import array_to_vector
 
-    rows = vectors.join(labels, "node").select("node", array_to_vector("phi").alias("features"), F.col("label").cast("double").alias("label"), (draw_column(seed, F.col("node")) < F.lit(int(ratio * (1 << 32)))).alias("train")).checkpoint()
+    rows = vectors.join(labels, "node").select("node", array_to_vector("phi").alias("features"), F.col("label").cast("double").alias("label"), (draw_column(seed, F.col("node")) < F.lit(int(ratio * (1 << 32)))).alias("train")).transform(durable)
     model = OneVsRest(classifier=LogisticRegression(regParam=0.01, maxIter=30)).fit(rows.where("train"))
     out = model.transform(rows.where("not train"))
     per = out.select(F.explode(F.array_distinct(F.array("label", "prediction"))).alias("k"), "label", "prediction").select(F.col("k").alias("label"), (F.col("label") == F.col("k")).cast("int").alias("y_true"), (F.col("prediction") == F.col("k")).cast("int").alias("y_pred"))

@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from . import graph as G
 
 
@@ -104,14 +105,14 @@ def bfs_levels(edges2: DataFrame, max_levels: int = 1000) -> DataFrame:
     label = deg.select("node", F.struct((-F.col("deg")).alias("nd"), F.col("node").alias("id")).alias("best"))
     while True:  # the best root of each component spreads by minimum
         near = edges2.join(label.withColumnRenamed("node", "v"), "v").groupBy(F.col("u").alias("node")).agg(F.min("best").alias("other"))
-        new = label.join(near, "node").select("node", F.least("best", "other").alias("best"), (F.col("other") < F.col("best")).alias("moved")).checkpoint()
+        new = label.join(near, "node").select("node", F.least("best", "other").alias("best"), (F.col("other") < F.col("best")).alias("moved")).transform(durable)
         label = new.select("node", "best")
         if not new.where("moved").limit(1).count():
             break
-    found = label.where("best.id = node").select("node", F.lit(0).alias("level")).checkpoint()
+    found = label.where("best.id = node").select("node", F.lit(0).alias("level")).transform(durable)
     frontier = found
     for k in range(1, max_levels):
-        near = edges2.join(frontier.withColumnRenamed("node", "u"), "u").select(F.col("v").alias("node")).distinct().join(found, "node", "left_anti").select("node", F.lit(k).alias("level")).checkpoint()
+        near = edges2.join(frontier.withColumnRenamed("node", "u"), "u").select(F.col("v").alias("node")).distinct().join(found, "node", "left_anti").select("node", F.lit(k).alias("level")).transform(durable)
         if not near.limit(1).count():
             break
         found, frontier = found.unionByName(near), near
@@ -135,7 +136,7 @@ def stream_order(edges: DataFrame, kind: str = "dfs_degree", seed: int = 42) ->
     label = deg.select("node", F.struct((-F.col("deg")).alias("nd"), F.col("node").alias("id")).alias("best"))
     while True:
         near = edges2.join(label.withColumnRenamed("node", "v"), "v").groupBy(F.col("u").alias("node")).agg(F.min("best").alias("other"))
-        new = label.join(near, "node").select("node", F.least("best", "other").alias("best"), (F.col("other") < F.col("best")).alias("moved")).checkpoint()
+        new = label.join(near, "node").select("node", F.least("best", "other").alias("best"), (F.col("other") < F.col("best")).alias("moved")).transform(durable)
         label = new.select("node", "best")
         if not new.where("moved").limit(1).count():
             break
@@ -146,7 +147,7 @@ def stream_order(edges: DataFrame, kind: str = "dfs_degree", seed: int = 42) ->
         return pd.DataFrame({"node": nodes, "nd": rows["nd"].iloc[0], "root": rows["root"].iloc[0], "at": range(len(nodes))})
 
     members = edges2.select("u", "v").join(label.select(F.col("node").alias("u"), F.col("best.nd").alias("nd"), F.col("best.id").alias("root")), "u")
-    ordered = members.groupBy("root").applyInPandas(order, "node long, nd long, root long, at long").checkpoint()
+    ordered = members.groupBy("root").applyInPandas(order, "node long, nd long, root long, at long").transform(durable)
     sizes = ordered.groupBy("root", "nd").agg(F.count("*").alias("n"))
     before = sizes.withColumn("before", F.sum("n").over(Window.orderBy("nd", "root")) - F.col("n"))
     return ordered.join(before.select("root", "before"), "root").select("node", (F.col("before") + F.col("at")).cast("long").alias("pos"))
@@ -231,7 +232,7 @@ def multilevel_partition(edges: DataFrame, m: int = 4, coarse: int = 200, slack:
     Matching rounds are joins over all edges; the coarsest graph (bounded by
     ``coarse`` nodes or ten rounds) is placed in one task and projected back.
     """
-    now = edges.select("src", "dst", "w").checkpoint()
+    now = edges.select("src", "dst", "w").transform(durable)
     maps: list[DataFrame] = []
     for _ in range(10):
         e2 = G.both_directions(now)
@@ -240,14 +241,14 @@ def multilevel_partition(edges: DataFrame, m: int = 4, coarse: int = 200, slack:
         best = e2.groupBy("u").agg(F.max(F.struct("w", F.expr("-hash(least(u, v), greatest(u, v))").alias("t"), "v")).alias("b")).select("u", F.col("b.v").alias("v"))
         mutual = best.alias("x").join(best.alias("y"), F.expr("x.v = y.u and x.u = y.v")).select(F.col("x.u").alias("node"), F.least(F.col("x.u"), F.col("x.v")).alias("super"))
         nodes = e2.select(F.col("u").alias("node")).distinct()
-        level = nodes.join(mutual, "node", "left").select("node", F.coalesce("super", "node").alias("super")).checkpoint()
+        level = nodes.join(mutual, "node", "left").select("node", F.coalesce("super", "node").alias("super")).transform(durable)
         maps.append(level)
         moved = now.join(level.select(F.col("node").alias("src"), F.col("super").alias("a")), "src").join(level.select(F.col("node").alias("dst"), F.col("super").alias("b")), "dst")
-        now = G.normalize_edges(moved.select("a", "b", "w"), weighted=True).checkpoint()
+        now = G.normalize_edges(moved.select("a", "b", "w"), weighted=True).transform(durable)
     weight = None
     for level in maps:
         w = level if weight is None else level.join(weight, "node").select("node", "super", "k")
-        weight = (w.withColumn("k", F.lit(1)) if weight is None else w).groupBy(F.col("super").alias("node")).agg(F.sum("k").alias("k")).checkpoint()
+        weight = (w.withColumn("k", F.lit(1)) if weight is None else w).groupBy(F.col("super").alias("node")).agg(F.sum("k").alias("k")).transform(durable)
     top = G.adjacency(G.both_directions(now), "w")
     top = top.withColumn("k", F.lit(1)) if weight is None else top.join(weight, "node", "right").select("node", F.coalesce("nbr", F.array().cast("array<bigint>")).alias("nbr"), F.coalesce("w", F.array().cast("array<double>")).alias("w"), "k")
 
@@ -271,7 +272,7 @@ def multilevel_partition(edges: DataFrame, m: int = 4, coarse: int = 200, slack:
                 size[p] += mass[n]
         return pd.DataFrame({"node": list(where), "part": list(where.values())})
 
-    assign = top.withColumn("all", F.lit(1)).groupBy("all").applyInPandas(lambda rows: place(rows), "node long, part int").checkpoint()
+    assign = top.withColumn("all", F.lit(1)).groupBy("all").applyInPandas(lambda rows: place(rows), "node long, part int").transform(durable)
     for level in reversed(maps):
         assign = level.join(assign.withColumnRenamed("node", "super"), "super").select("node", "part")
     return assign

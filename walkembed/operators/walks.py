@@ -29,6 +29,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.rng import draw_column, draw_many
 from . import graph as G
 from .measures import entropy_step_many, r_squared_many
@@ -127,7 +128,7 @@ def step_walks(edges: DataFrame, sources: DataFrame, kernel: Kernel = Kernel("un
         met = met.withColumn("nxt", nxt)
         now = met.select("round", "walk_id", F.coalesce("nxt", "node").alias("node"), F.when(F.col("nxt").isNotNull(), F.concat("path", F.array("nxt"))).otherwise(F.col("path")).alias("path"), F.col("nbr").alias("before"))
         if checkpoint_every and hop % checkpoint_every == 0:
-            now = now.checkpoint()
+            now = now.transform(durable)
     return now.select("round", "walk_id", F.posexplode("path").alias("at", "node")).select("round", "walk_id", (F.col("at") + 1).alias("step"), "node")
 
 
@@ -329,7 +330,7 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     assigned part all the same and ends walks there.
     """
     spark = edges.sparkSession
-    placed = edges.join(assign.withColumnRenamed("node", "u"), "u").select("part", "u", "v", "hi", "p_accept").checkpoint()
+    placed = edges.join(assign.withColumnRenamed("node", "u"), "u").select("part", "u", "v", "hi", "p_accept").transform(durable)
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
     begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", F.lit(round_).alias("round"), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
 
@@ -371,7 +372,7 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
 
     state, hops = begin, []
     for _ in range(max_supersteps):
-        done = state.groupBy("part").cogroup(placed.groupBy("part")).applyInPandas(superstep, _OUT).checkpoint()
+        done = state.groupBy("part").cogroup(placed.groupBy("part")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
         moving = done.where("kind = 1").drop("part").join(assign, "node")
         live = moving.select("walk_id").distinct()
@@ -385,12 +386,17 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     return result
 
 
+def parts_for(edges: DataFrame, edges_a_part: int = 5_000_000) -> int:
+    """Parts of bounded adjacency: what fits a task decides, not the number of cores."""
+    return max(1, -(-edges.count() // edges_a_part))
+
+
 def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False) -> tuple[DataFrame, list[float]]:
     """All rounds until the corpus's divergence settles (or ``fixed_rounds``); the corpus and the divergences.
 
     One scalar a round reaches the driver.
     """
-    table = kernel_edges(edges, kernel, directed).checkpoint()
+    table = kernel_edges(edges, kernel, directed).transform(durable)
     deg = table.groupBy(F.col("u").alias("node")).agg(F.count("*").alias("deg"))
     total = deg.agg(F.sum("deg")).first()[0] or 1
     counted, corpus, trace = None, None, []
@@ -398,7 +404,7 @@ def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel()
         steps = burst_round(table, assign, assign.select("node"), kernel, stop, r, seed, rng)
         corpus = steps if corpus is None else corpus.unionByName(steps)
         new = steps.groupBy("node").agg(F.count("*").alias("ocn"))
-        counted = (new if counted is None else counted.unionByName(new).groupBy("node").agg(F.sum("ocn").alias("ocn"))).checkpoint()
+        counted = (new if counted is None else counted.unionByName(new).groupBy("node").agg(F.sum("ocn").alias("ocn"))).transform(durable)
         all_ocn = counted.agg(F.sum("ocn")).first()[0]
         p = F.col("deg") / F.lit(float(total))
         trace.append(float(deg.join(counted, "node").agg(F.sum(p * F.log2(p * F.lit(float(all_ocn)) / F.col("ocn")))).first()[0] or 0.0))

@@ -215,13 +215,14 @@ def biased_sql(length: int, p: float = 0.5, q: float = 2.0) -> str:
 add("walk_biased2_exact", biased_sql(8) + STEPS_OUT)(lambda spark, d: walk(spark, d, "knn", W.Kernel("biased2", p=0.5, q=2.0), 8))
 
 
-def burst(spark: SparkSession, d: str, name: str, kernel: W.Kernel, stop: W.Stop, m: int = 2, rng: str = "portable") -> DataFrame:
-    edges = graph(spark, d, name)
+def burst(spark: SparkSession, d: str, name: str, kernel: W.Kernel, stop: W.Stop, m: int | None = None, rng: str = "portable") -> DataFrame:
+    edges = graph(spark, d, name).checkpoint()
     nodes = all_nodes(edges)
+    m = m or W.parts_for(edges)
     return W.burst_round(W.kernel_edges(edges, kernel), P.hash_partition(nodes, m), nodes, kernel, stop, 1, SEED, rng).select("round", "walk_id", "step", "node")
 
 
-add("walk_burst_uniform", walk_sql("knn", "1", "edges2", 10) + STEPS_OUT)(lambda spark, d: burst(spark, d, "knn", W.Kernel("uniform"), W.Stop.fixed(10)))
+add("walk_burst_uniform", walk_sql("knn", "1", "edges2", 5) + STEPS_OUT)(lambda spark, d: burst(spark, d, "knn", W.Kernel("uniform"), W.Stop.fixed(5), m=3))
 
 
 def info_sql(mu: float) -> str:

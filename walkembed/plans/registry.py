@@ -17,7 +17,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(walk_id, length, entropy): one round of information-stopped hybrid walks over the purchase graph."""
     from ..operators.measures import walk_entropy
 
-    steps = graph_queries.burst(spark, sf_dir, "tri", W.Kernel("hybrid"), W.Stop.calibrated(), m=2, rng="native")
+    steps = graph_queries.burst(spark, sf_dir, "tri", W.Kernel("hybrid"), W.Stop.calibrated(), rng="native")
     return walk_entropy(steps).select("walk_id", "length", F.round("entropy", 6).alias("entropy"))
 
 
