@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.rng import draw_column, draw_sql
 from ..operators import evaluate as E
 from ..operators import graph as G
@@ -216,7 +217,7 @@ add("walk_biased2_exact", biased_sql(8) + STEPS_OUT)(lambda spark, d: walk(spark
 
 
 def burst(spark: SparkSession, d: str, name: str, kernel: W.Kernel, stop: W.Stop, m: int | None = None, rng: str = "portable") -> DataFrame:
-    edges = graph(spark, d, name).checkpoint()
+    edges = graph(spark, d, name).transform(durable)
     nodes = all_nodes(edges)
     m = m or W.parts_for(edges)
     return W.burst_round(W.kernel_edges(edges, kernel), P.hash_partition(nodes, m), nodes, kernel, stop, 1, SEED, rng).select("round", "walk_id", "step", "node")
@@ -269,8 +270,8 @@ _UNI = walk_sql("knn", "1", "edges2", 10, rounds=5)
 
 
 def uniform_corpus(spark: SparkSession, d: str, rounds: int = 5, length: int = 10) -> tuple[DataFrame, DataFrame]:
-    edges = graph(spark, d, "knn")
-    return edges, W.step_walks(edges, all_nodes(edges), W.Kernel("uniform"), length, rounds, SEED)
+    edges = graph(spark, d, "knn").transform(durable)
+    return edges, W.step_walks(edges, all_nodes(edges), W.Kernel("uniform"), length, rounds, SEED).transform(durable)
 
 
 add("corpus_occurrences", _UNI + " SELECT node, count(*) AS ocn FROM steps GROUP BY node")(lambda spark, d: uniform_corpus(spark, d)[1].groupBy("node").agg(F.count("*").alias("ocn")))

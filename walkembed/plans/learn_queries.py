@@ -99,7 +99,7 @@ def gradient_step(spark: SparkSession, d: str, rate: float = 0.05) -> DataFrame:
 add(
     "sgns_gradient_step",
     with_(prep("knn"), _PHI, "pull AS (SELECT src, b.phi AS b, 0.05::DOUBLE / (1 + exp(list_dot_product(a.phi, b.phi))) AS g FROM edges JOIN phi a ON a.node = src JOIN phi b ON b.node = dst)", "dx AS (SELECT src, i, sum(g * b[i]) AS dx FROM pull, range(1, 65) t(i) GROUP BY 1, 2)")
-    + "SELECT node, round(sqrt(sum((phi[i] + coalesce(dx, 0)) ** 2)), 6) AS norm FROM phi CROSS JOIN range(1, 65) t(i) LEFT JOIN dx ON dx.src = node AND dx.i = t.i GROUP BY node",
+    + "SELECT node, round(sqrt(sum((phi[t.i] + coalesce(dx.dx, 0)) ** 2)), 6) AS norm FROM phi CROSS JOIN range(1, 65) t(i) LEFT JOIN dx ON dx.src = node AND dx.i = t.i GROUP BY node",
 )(gradient_step)
 
 
