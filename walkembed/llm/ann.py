@@ -157,7 +157,7 @@ def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarr
 def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RERANK, max_train_rows: int = MAX_TRAIN_ROWS) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k nearest of all other rows."""
     spark = vectors.sparkSession
-    fine = usable(vectors)
+    fine = usable(vectors).transform(lambda v: v.select(F.col("vec_id").alias("vec_id"), F.col("embedding").alias("embedding")))
     common = fine.groupBy(F.size("embedding").alias("dims")).agg(F.count("*").alias("rows"), F.count(F.when(is_query, 1)).alias("queries")).orderBy(F.desc("rows"), F.desc("dims")).first()
     schema = "query_id long, vec_id long, score double"
     if common is None or not common["queries"]:

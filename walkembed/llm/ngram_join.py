@@ -41,6 +41,7 @@ from pyspark.sql import functions as F
 from .components import connected_components
 from .runtime import checkpointed, partitions, release_shuffles
 from .textkernel import distinct_shingles, find_words, mix64, text_slices
+from .workers import take_over
 
 WIDTH, THRESHOLD = 5, 80
 TOKENS_PER_RANGE, MIN_RANGES = 2_000_000, 16
@@ -69,6 +70,7 @@ def shingle_profile(docs: DataFrame, width: int = WIDTH, seed: int = 0) -> DataF
     """(doc_id, n_shingles, f1, f2): set size and a 128-bit fingerprint of each set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("join")
         for batch in batches:
             size, f1, f2 = [], [], []
             for _, _, raw, offsets in text_slices(batch.column("text")):
@@ -105,6 +107,7 @@ def _range_blobs(docs: DataFrame, width: int, seed: int, ranges: int) -> DataFra
         yield pa.RecordBatch.from_arrays([pa.array(present.astype(np.int32)), pa.array(out, pa.binary())], ["rid", "blob"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("join")
         keys: list[int] = []
         sets: list[np.ndarray] = []
         seen: set[int] = set()
@@ -256,6 +259,7 @@ def _star_links(near: DataFrame, key: list[str], threshold: int) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("join")
         now, pivots = None, []
         for batch in batches:
             a, b = [], []

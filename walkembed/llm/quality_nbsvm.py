@@ -29,6 +29,7 @@ from pyspark.sql import functions as F
 
 from .runtime import crc_bucket, labelled_sample
 from .textkernel import Words, find_words, mix64, text_slices, windows
+from .workers import take_over
 
 BITS = 18
 MAX_TRAIN_ROWS = 3000
@@ -199,6 +200,7 @@ def score_documents(docs: DataFrame, model: Model, bits: int = BITS) -> DataFram
     shared = docs.sparkSession.sparkContext.broadcast((model.weight.astype(np.float32), model.square.astype(np.float32), model.bias, model.slope, model.shift))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("quality")
         own = Model(*shared.value)
         for batch in batches:
             out = [own.score(ids) for _, _, raw, offsets in text_slices(batch.column("text")) for ids in features(find_words(raw, offsets), bits)]
@@ -220,6 +222,7 @@ def keep(docs: DataFrame, model: Model, threshold: float = THRESHOLD, bits: int
     shared = docs.sparkSession.sparkContext.broadcast((model.weight.astype(np.float32), model.square.astype(np.float32), model.bias, model.slope, model.shift))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("quality")
         own = Model(*shared.value)
         for batch in batches:
             fine = [own.score(ids) >= threshold for _, _, raw, offsets in text_slices(batch.column("text")) for ids in features(find_words(raw, offsets), bits)]

@@ -25,6 +25,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .workers import take_over
+
 # The base kinds in their order, the least lengths, and the patterns.
 KINDS = ("assign", "access", "hex", "model")
 MIN_ASSIGN, MIN_ACCESS, MIN_HEX, MIN_MODEL = 12, 18, 16, 20
@@ -147,6 +149,7 @@ def joined(spans: list[Span]) -> str:
 
 def _scan(docs: DataFrame, schema: str | T.StructType, make: Callable[[pa.RecordBatch, list], pa.RecordBatch]) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("secrets")
         model = MarkovRatio()
         for batch in batches:
             yield make(batch, [find_spans(t, model) if t else ([], []) for t in (x.as_py() for x in batch.column("text"))])

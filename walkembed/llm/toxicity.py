@@ -33,6 +33,7 @@ from pyspark.sql import functions as F
 
 from .runtime import crc_bucket, labelled_sample
 from .textkernel import Words, find_words, text_slices
+from .workers import take_over
 
 MAX_TRAIN_ROWS = 2000
 THRESHOLD = 0.7
@@ -306,6 +307,7 @@ def score_documents(docs: DataFrame, lexicon: Lexicon) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast((Automaton(lexicon), lexicon.spared, lexicon.scale))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("toxicity")
         automaton, spared, scale = shared.value
         for batch in batches:
             out = [1 - np.exp(-scale * text_sums(find_words(raw, offsets), automaton, spared)) for _, _, raw, offsets in text_slices(batch.column("text"))]
@@ -326,6 +328,7 @@ def keep(docs: DataFrame, lexicon: Lexicon, threshold: float = THRESHOLD) -> Dat
     shared = docs.sparkSession.sparkContext.broadcast((Automaton(lexicon), lexicon.spared, lexicon.scale))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("toxicity")
         automaton, spared, scale = shared.value
         for batch in batches:
             parts = [1 - np.exp(-scale * text_sums(find_words(raw, offsets), automaton, spared)) < threshold for _, _, raw, offsets in text_slices(batch.column("text"))]

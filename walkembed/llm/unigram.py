@@ -33,6 +33,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .workers import keep_cache, take_over
+
 MARKER = "▁"
 SEGMENT_CACHE = 500_000
 LONG = 200  # bytes; longer segments are solved alone
@@ -276,8 +278,10 @@ _encoders: dict[str, UnigramEncoder] = {}
 
 
 def _worker_encoder(path: str, shared) -> UnigramEncoder:
+    take_over("pieces")
     if path not in _encoders:
         _encoders[path] = UnigramEncoder(*shared.value)
+    keep_cache("pieces", _encoders.clear)
     return _encoders[path]
 
 

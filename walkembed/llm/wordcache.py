@@ -16,6 +16,8 @@ from itertools import filterfalse
 
 import numpy as np
 
+from .workers import keep_cache, take_over
+
 WORD_CACHE, CORE_CACHE = 1_100_000, 1_200_000
 # Control characters that Python's split() takes for spaces and the tokenizer does not.
 _ODD = re.compile("[\x1c-\x1f]")
@@ -88,6 +90,8 @@ _encoders: dict[str, WordEncoder] = {}
 
 def encoder(path: str) -> WordEncoder:
     """One encoder a worker process and file, so its caches outlive a task."""
+    take_over("packing")
     if path not in _encoders:
         _encoders[path] = WordEncoder(path)
+    keep_cache("packing", _encoders.clear)
     return _encoders[path]
