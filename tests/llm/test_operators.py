@@ -305,7 +305,8 @@ def test_neighbours_recall_and_ties(spark):
 
     frame = read_table(spark, SF, "embeddings").select("vec_id", "embedding")
     odd = spark.createDataFrame([(9001, None), (9002, [0.0] * 64), (9003, [float("nan")] * 64), (9004, [None] * 64), (9005, [1.0] * 3), (None, [1.0] * 64)], "vec_id long, embedding array<float>")
-    copies = spark.range(20_001, 20_061).select(F.col("id").alias("vec_id")).crossJoin(frame.where("vec_id = 7").select("embedding"))
+    seventh = frame.where("vec_id = 7").first()["embedding"]
+    copies = spark.createDataFrame([(k, seventh) for k in range(20_001, 20_061)], "vec_id long, embedding array<float>")
     every = frame.unionByName(copies)
     ids, x = zip(*[(r["vec_id"], r["embedding"]) for r in every.collect()])
     ids, x = np.array(ids), np.array(x, dtype=float)

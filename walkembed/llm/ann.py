@@ -157,7 +157,7 @@ def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarr
 def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RERANK, max_train_rows: int = MAX_TRAIN_ROWS) -> DataFrame:
     """(query_id, rank, vec_id, score): each query's k nearest of all other rows."""
     spark = vectors.sparkSession
-    fine = usable(vectors).transform(lambda v: v.select(F.col("vec_id").alias("vec_id"), F.col("embedding").alias("embedding")))
+    fine = usable(vectors)
     common = fine.groupBy(F.size("embedding").alias("dims")).agg(F.count("*").alias("rows"), F.count(F.when(is_query, 1)).alias("queries")).orderBy(F.desc("rows"), F.desc("dims")).first()
     schema = "query_id long, vec_id long, score double"
     if common is None or not common["queries"]:
@@ -168,12 +168,12 @@ def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RER
     blocks, query_blocks = math.ceil(common["rows"] / BLOCK_ROWS), math.ceil(common["queries"] / QUERY_ROWS)
     each = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
     rows = fine.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")).withColumn("query_block", each(query_blocks))
-    asked = fine.where(is_query).withColumn("query_block", F.pmod(F.xxhash64("vec_id"), F.lit(query_blocks)).cast("int")).withColumn("block", each(blocks))
+    asked = fine.where(is_query).withColumn("query_block", F.pmod(F.xxhash64("vec_id"), F.lit(query_blocks)).cast("int")).select(F.col("vec_id").alias("asked_id"), F.col("embedding").alias("asked"), "query_block", each(blocks).alias("block"))
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if not len(left) or not len(right):
             return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-        found = _block_search(left.column("vec_id").to_numpy(), _matrix(left.column("embedding")), right.column("vec_id").to_numpy(), _matrix(right.column("embedding")), shared.value, k, rerank)
+        found = _block_search(left.column("asked_id").to_numpy(), _matrix(left.column("asked")), right.column("vec_id").to_numpy(), _matrix(right.column("embedding")), shared.value, k, rerank)
         return pa.table(dict(zip(("query_id", "vec_id", "score"), (pa.array(c) for c in found))))
 
     found = asked.groupBy("query_block", "block").cogroup(rows.groupBy("query_block", "block")).applyInArrow(run, schema)
