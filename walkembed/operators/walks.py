@@ -330,7 +330,7 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     assigned part all the same and ends walks there.
     """
     spark = edges.sparkSession
-    placed = edges.join(assign.withColumnRenamed("node", "u"), "u").select("part", "u", "v", "hi", "p_accept").transform(durable)
+    placed = edges.join(assign.withColumnRenamed("node", "u"), "u").select(F.col("part").alias("home"), "u", "v", "hi", "p_accept").transform(durable)
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
     begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", F.lit(round_).alias("round"), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
 
@@ -372,7 +372,7 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
 
     state, hops = begin, []
     for _ in range(max_supersteps):
-        done = state.groupBy("part").cogroup(placed.groupBy("part")).applyInPandas(superstep, _OUT).transform(durable)
+        done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
         moving = done.where("kind = 1").drop("part").join(assign, "node")
         live = moving.select("walk_id").distinct()
