@@ -143,7 +143,7 @@ def hybrid(spark: SparkSession, d: str, name: str, weighted: bool = False) -> Da
     return G.hybrid_weight(G.common_neighbours(graph(spark, d, name)), weighted)
 
 
-add("hybrid_alpha", with_(prep("tri", hybrid_sql())) + "SELECT u, v, round(alpha, 6) AS alpha FROM hyb")(lambda spark, d: hybrid(spark, d, "tri").select("u", "v", F.round("alpha", 6).alias("alpha")))
+add("hybrid_alpha", with_(prep("tri", hybrid_sql())) + "SELECT u, v, round(alpha, 12) AS alpha FROM hyb")(lambda spark, d: hybrid(spark, d, "tri").select("u", "v", F.round("alpha", 12).alias("alpha")))
 add("hybrid_accept", with_(prep("knn", hybrid_sql())) + "SELECT u, v, round(p_accept, 6) AS p_accept FROM hyb")(lambda spark, d: hybrid(spark, d, "knn").select("u", "v", F.round("p_accept", 6).alias("p_accept")))
 add("hybrid_accept_complete", with_(prep("ss", hybrid_sql())) + "SELECT count(*) AS pairs, round(avg(p_accept), 6) AS mean_p FROM hyb")(lambda spark, d: hybrid(spark, d, "ss").agg(F.count("*").alias("pairs"), F.round(F.avg("p_accept"), 6).alias("mean_p")))
 add("hybrid_accept_weighted", with_(prep("cop2", hybrid_sql(True))) + "SELECT u, v, round(p_accept, 6) AS p_accept FROM hyb")(lambda spark, d: hybrid(spark, d, "cop2", True).select("u", "v", F.round("p_accept", 6).alias("p_accept")))
