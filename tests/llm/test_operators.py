@@ -324,6 +324,22 @@ def test_neighbours_recall_and_ties(spark):
     assert ann.search(every.where("vec_id in (0, 1)"), F.col("vec_id") % 100 == 0).count() == 1
 
 
+def test_neighbours_among_near_copies():
+    rng = np.random.default_rng(5)
+    n, k = 6000, 10
+    x = rng.normal(size=(n, 64))
+    x[::3] = x[0] + 0.01 * rng.normal(size=(n // 3, 64))
+    ids = rng.permutation(n)
+    asked = np.r_[0:90:3, 1:60:3]
+    query, vec, score = ann._block_search(ids[asked], x[asked], ids, x, ann.Quantiser(x[:1024]), k, ann.RERANK)
+    for i in asked.tolist():
+        d = np.sqrt(((x - x[i]) ** 2).sum(1))
+        near = np.lexsort((ids, d))
+        near = near[near != i][:k]
+        assert vec[query == ids[i]].tolist() == ids[near].tolist()
+        assert np.allclose(score[query == ids[i]], d[near], rtol=0, atol=1e-12)
+
+
 def test_unigram_is_optimal_and_lossless(awkward, docs):
     vocabulary = unigram.load_vocabulary(unigram.default_model())
     trie = unigram.DoubleArrayTrie(vocabulary)

@@ -8,12 +8,16 @@ subspaces, centres by weighted least squares.
 
 Scanning adds table entries: per query a table of its inner products with all
 centres, per vector two codes a byte.  The best of each block are reranked by
-exact distance in double precision.  Vectors with equal components collapse
-inside a block first, so a crowd of copies takes one place and still returns its
-smallest ids.
+exact distance in double precision.  A vector is at least as far from the query
+as the query is from the vector's centres, less the vector's own distance from
+them; where this bound does not put it behind the k-th found, it is looked at as
+well.  So a block's answer is exact, also where codes cannot order the vectors
+(near copies).  Vectors with equal components collapse inside a block first, so a
+crowd of copies takes one place and still returns its smallest ids.
 
 Queries and vectors meet in blocks of bounded size; the quantiser is fitted on a
-bounded sample (``max_train_rows``), every vector is encoded and scanned.
+bounded sample (``max_train_rows``), every vector is encoded and scanned.  The
+sample only steers how much has to be looked at, not the answer.
 
 Defined results: null, zero and non-finite vectors, null ids and vectors of
 another length than the most common take no part; repeated rows count once each;
@@ -24,6 +28,7 @@ are ignored.
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -33,6 +38,7 @@ from pyspark.sql import functions as F
 MAX_TRAIN_ROWS = 4096
 K, RERANK = 10, 160
 BLOCK_ROWS, QUERY_ROWS = 16_384, 1024
+_SLICE = 128  # queries whose products with a block are held at a time
 CENTRES = 16
 
 
@@ -90,6 +96,10 @@ class Quantiser:
             along[:, s] = ((p - self.centres[s][own]) * u).sum(1)
             total = others + along[:, s]
 
+    def decode(self, codes: np.ndarray) -> np.ndarray:
+        """(n, subspaces, 2): the centres that the codes name."""
+        return self.centres[np.arange(codes.shape[1]), codes]
+
     def tables(self, queries: np.ndarray) -> np.ndarray:
         """(subspaces, 16, queries): inner products of each query's parts with the centres."""
         return np.einsum("qsd,scd->scq", self._parts(queries), self.centres).astype(np.float32)
@@ -124,6 +134,41 @@ def _matrix(column: pa.ChunkedArray) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
 
 
+def _lower_bounds(heads: np.ndarray, q: np.ndarray, quantiser: Quantiser, codes: np.ndarray, tables: np.ndarray, scores: np.ndarray) -> np.ndarray:
+    """(n, queries) distances that the exact ones cannot fall below."""
+    centres = quantiser.decode(codes)
+    own = np.sqrt(((quantiser._parts(heads) - centres) ** 2).sum((1, 2)))
+    spread = (centres**2).sum((1, 2))
+    rounding = (len(tables) + 2) * 2.0**-23 * np.abs(tables).max(1).sum(0, dtype=np.float64)  # of sums of single-precision entries
+    out = np.empty(scores.shape, dtype=np.float32)
+    for lo in range(0, len(q), _SLICE):
+        own_q = (q[lo : lo + _SLICE] ** 2).sum(1)
+        square = spread[:, None] + (own_q - 2 * rounding[lo : lo + _SLICE])[None] - 2.0 * scores[:, lo : lo + _SLICE]
+        far = np.sqrt(np.maximum(square, 0))
+        out[:, lo : lo + _SLICE] = far - own[:, None] - 1e-6 * (far + own[:, None])
+    return out
+
+
+def _widened(heads: np.ndarray, q: np.ndarray, best: np.ndarray, bounds: np.ndarray, k: int) -> Iterator[np.ndarray]:
+    """For each query ``best`` and whatever else may be as near as its k-th other head."""
+    length = np.sqrt((heads**2).sum(1))
+    for lo in range(0, len(q), _SLICE):
+        asked, some = q[lo : lo + _SLICE], best[:, lo : lo + _SLICE]
+        limit = np.full(len(asked), np.inf)
+        if len(some) > k:
+            for j in range(len(asked)):
+                limit[j] = np.partition(np.sqrt(((heads[some[:, j]] - asked[j]) ** 2).sum(1)), k)[k]
+        opened = ~(bounds[:, lo : lo + _SLICE] > limit)  # what cannot be compared stays open
+        np.put_along_axis(opened, some, False, axis=0)
+        rows = np.flatnonzero(opened.any(1))
+        own_q = np.sqrt((asked**2).sum(1))
+        square = (length[rows] ** 2)[:, None] + (own_q**2)[None] - 2 * (heads[rows] @ asked.T)
+        slack = 8 * (heads.shape[1] + 8) * np.finfo(float).eps * (length[rows][:, None] + own_q[None]) ** 2  # of the products' rounding
+        opened[rows] &= ~(square - slack > limit**2)
+        for j in range(len(asked)):
+            yield np.concatenate([some[:, j], np.flatnonzero(opened[:, j])])
+
+
 def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, quantiser: Quantiser, k: int, rerank: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query, vector, distance) of the nearest of one block."""
     order = np.argsort(ids, kind="stable")
@@ -133,13 +178,16 @@ def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarr
     by = np.argsort(member, kind="stable")  # ids ascending inside each group of copies
     begin = np.concatenate([[0], np.cumsum(np.bincount(member))])
     heads = x[first]
-    scores = scan_scores(pack_codes(quantiser.encode(heads)), quantiser.tables(q))
+    codes = quantiser.encode(heads)
+    tables = quantiser.tables(q)
+    scores = scan_scores(pack_codes(codes), tables)
+    bounds = _lower_bounds(heads, q, quantiser, codes, tables, scores)
     scores -= ((heads**2).sum(1) / 2).astype(np.float32)[:, None]
     m = min(rerank, len(heads))
     best = np.argpartition(-scores, m - 1, axis=0)[:m] if m < len(heads) else np.broadcast_to(np.arange(len(heads))[:, None], scores.shape)
+    del scores
     out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-    for j, name in enumerate(q_ids.tolist()):
-        picked = best[:, j]
+    for j, (name, picked) in enumerate(zip(q_ids.tolist(), _widened(heads, q, best, bounds, k))):
         exact = np.sqrt(((heads[picked] - q[j]) ** 2).sum(1))
         near = np.argsort(exact, kind="stable")
         if len(near) > k + 1:
