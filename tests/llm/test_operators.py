@@ -190,6 +190,23 @@ def test_toxicity_context_and_spelling():
     assert score('They called it "idiot" in the report.') < 0.7 and score("a calm day by the sea") == 0
 
 
+def test_toxicity_of_a_lone_misspelling():
+    assert score("My neighbour is a complete morron.") >= 0.7 and score("What a ztupid plan.") >= 0.7
+    assert score("The crash of the crown, a closer regard for the laser, apathetic and discussing a lower reward.") == 0
+    assert score('They called him a "morron" in the report.') < 0.7
+    plain = ["a day by the sea %d" % k for k in range(8)]
+    lexicon = toxicity.fit(["what an idiot he is"] * 8 + plain, [1] * 8 + [0] * 8)
+    assert score("he is a complete morron", lexicon) >= 0.7
+    # spared are words near a term in clean rows, also by the first letter, and they do not hide a text from the stems
+    texts = ["the tidiot gronkle went %s" % w for w in ("home", "out", "there", "by")]
+    lexicon = toxicity.fit(texts + plain + ["a tidiot bird"] * 4, [1] * 4 + [0] * 12)
+    assert any("gronkle".startswith(t) for t in lexicon.stems) and score("a tidiot bird", lexicon) == 0 and score("gronkle", lexicon) >= 0.7
+    # labels move the scale up as well as down
+    quoted = ['they called him "idiot" again'] * 8
+    assert toxicity.fit(quoted + plain, [1] * 8 + [0] * 8).scale > toxicity.SCALE and score(quoted[0], toxicity.fit(quoted + plain, [1] * 8 + [0] * 8)) >= 0.7
+    assert toxicity.fit(["you idiot and moron", *plain, "a clown"], [1] + [0] * 9).scale < toxicity.SCALE
+
+
 def edit_distance(a, b):
     row = list(range(len(b) + 1))
     for i, x in enumerate(a, 1):

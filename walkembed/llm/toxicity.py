@@ -3,13 +3,16 @@
 The lexicon (given terms, plus word stems learned from labelled rows) is a trie.
 Its product with a Levenshtein automaton is made deterministic, so one table
 look-up a byte follows every word of a batch at once; most words die after a few
-bytes.  Terms of 5 letters allow one edit, of 9 two; the first letter must stand;
-look-alike digits and signs share their letter's class.  Learned stems match
-exactly and accept any ending.
+bytes.  Terms of 5 letters allow one edit, of 9 two, anywhere in the word;
+look-alike digits and signs share their letter's class.  Ordinary words a few
+edits from a term, and such words of clean labelled rows, are spared.  Learned
+stems match exactly and accept any ending.
 
 Each hit is weighed in its context window: inside quotation marks or beside words
 of reporting it counts little, beside second-person words more.  A text's score
-is 1 - exp(-scale * sum), with the scale fitted on the labelled rows.
+is 1 - exp(-scale * sum).  At the default scale one plain hit with one edit
+decides a text; labelled rows move the scale either way where another cut serves
+them better.
 
 Fitting uses at most ``max_train_rows`` labelled rows a class (documented bound);
 scoring is one map over all texts.
@@ -42,12 +45,19 @@ TERMS = (
     "idiot", "moron", "stupid", "trash", "loser", "clown", "scum", "pathetic", "worthless", "disgusting",
     "imbecile", "bastard", "asshole", "retard", "dumbass", "scumbag", "bitch",
 )
+# Ordinary words and names within the edits of a default term.
+ORDINARY = frozenset(
+    "aitch apathetic batch bathetic birch blown boron botch brash butch closer crash crown dastard degusting digesting discussing disguising disrupting ditch"
+    " doser fitch flown hitch idiom itch laser loger loner looser lose losen loses lover lower loyer mirthless mitch moon moran mormon morn morton oser petard"
+    " pitch poser rash regard reward thrash trish witch wordless".split()
+)
 # Words of reporting and of address.
 REPORTING = ("said", "says", "called", "calling", "quote", "quoted", "quoting", "word", "term", "wrote", "writes", "replied", "insult", "slur", "phrase")
 ADDRESS = ("you", "your", "you're", "youre", "u", "ur", "yourself")
 WINDOW = 6
-FUZZY, QUOTED, ADDRESSED = 0.6, 0.25, 1.3
+FUZZY, QUOTED, ADDRESSED = 0.81, 0.25, 1.3  # SCALE * FUZZY reaches THRESHOLD
 SCALE = 1.5
+DEFAULT_CUT = float(-np.log(1 - THRESHOLD) / SCALE)
 _LOOKALIKE = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "a", "$": "s", "!": "i"}
 _OPEN, _CLOSE = ('"', "'", "“", "‘", "«", "„", "`"), ('"', "'", "”", "’", "»", "“", "`")
 
@@ -62,7 +72,7 @@ class Lexicon:
 
     terms: dict[str, float] = field(default_factory=lambda: {t: 1.0 for t in TERMS})
     stems: dict[str, float] = field(default_factory=dict)
-    spared: frozenset[str] = frozenset()
+    spared: frozenset[str] = ORDINARY
     scale: float = SCALE
 
 
@@ -101,7 +111,7 @@ class Automaton:
             work = list(items.items())
             while work:
                 node, e = work.pop()
-                if node and e == items.get(node):
+                if e == items.get(node):
                     for child in children[node].values():  # a letter of the term left out
                         if e + 1 <= reach[child] and e + 1 < items.get(child, 99):
                             items[child] = e + 1
@@ -112,7 +122,8 @@ class Automaton:
             found = [(entries[i][1] * FUZZY**e, i, e) for node, e in state for i in ends[node] if not entries[i][3] and e <= entries[i][2]]
             return max(found, default=(0.0, -1, 0))
 
-        start = frozenset({(0, 0)})
+        reach[0] = max((e[2] for e in entries), default=0)
+        start = closed({0: 0})
         names = {frozenset(): 0, start: 1}
         rows: list[np.ndarray] = [np.zeros(classes, dtype=np.int32)]
         weights, edits, sinks = [0.0], [0], [False]
@@ -134,10 +145,9 @@ class Automaton:
                         for letter, child in children[node].items():
                             if letter == c:
                                 put(child, e)
-                            elif node:
+                            else:
                                 put(child, e + 1)
-                        if node:
-                            put(node, e + 1)
+                        put(node, e + 1)
                     reached = closed(target)
                     if reached not in names:
                         names[reached] = len(names)
@@ -236,8 +246,8 @@ def text_sums(words: Words, automaton: Automaton, spared: frozenset[str]) -> np.
 _LETTERS = re.compile(r"[^\W\d_]+")
 
 
-def learn_stems(texts: list[str], labels: list[int], known: Automaton, most: int = 64) -> dict[str, float]:
-    """Word beginnings that mark toxic texts which the given terms miss: greedy cover by precise prefixes."""
+def learn_stems(texts: list[str], labels: list[int], known: Automaton, spared: frozenset[str], most: int = 64) -> dict[str, float]:
+    """Word beginnings that mark toxic texts which the given terms do not decide: greedy cover by precise prefixes."""
 
     def prefixes(text: str) -> Counter:
         """How many distinct words of the text begin so."""
@@ -247,7 +257,7 @@ def learn_stems(texts: list[str], labels: list[int], known: Automaton, most: int
     for text, label in zip(texts, labels):
         if label:
             [(_, _, raw, offsets)] = list(text_slices(pa.array([text], pa.large_string())))
-            if text_sums(find_words(raw, offsets), known, frozenset())[0] == 0:
+            if text_sums(find_words(raw, offsets), known, spared)[0] < DEFAULT_CUT:
                 toxic.append(prefixes(text))
         else:
             clean.update(prefixes(text).keys())
@@ -274,31 +284,30 @@ def fit(texts: list[str], labels: list[int], terms: tuple[str, ...] = TERMS) ->
         return lexicon
     y = np.array(labels)
     first = Automaton(lexicon)
-    if y.any():
-        lexicon.stems = learn_stems(texts, labels, first)
-    automaton = Automaton(lexicon)
     near: Counter = Counter()
-    sums = np.zeros(len(texts))
-    for lo, hi, raw, offsets in text_slices(pa.array(texts, pa.large_string())):
+    for lo, _, raw, offsets in text_slices(pa.array(texts, pa.large_string())):
         words = find_words(raw, offsets)
-        sums[lo:hi] = text_sums(words, automaton, frozenset())
         if len(words.start):
             a, b = trimmed(words)
-            index, _, edits = automaton.match(words.raw, a, b)
+            index, _, edits = first.match(words.raw, a, b)
             docs = np.searchsorted(words.first, index, side="right") - 1
             for k, e, d in zip(index.tolist(), edits.tolist(), docs.tolist()):
                 if e and not y[lo + d]:
                     near[words.raw[a[k] : b[k]].tobytes().decode("utf-8", "replace").lower()] += 1
-    lexicon.spared = frozenset(w for w, _ in near.most_common(10_000))
+    lexicon.spared |= {w for w, _ in near.most_common(10_000)}
+    if y.any():
+        lexicon.stems = learn_stems(texts, labels, first, lexicon.spared)
     if y.any() and not y.all():
-        # the cut with the best F1, and the scale that puts it at the threshold
+        # the cut with the best F1, of equal ones the nearest to the default, and the scale that puts it at the threshold
+        automaton = Automaton(lexicon)
+        sums = np.zeros(len(texts))
         for lo, hi, raw, offsets in text_slices(pa.array(texts, pa.large_string())):
             sums[lo:hi] = text_sums(find_words(raw, offsets), automaton, lexicon.spared)
-        cuts = np.unique(np.clip(sums[sums > 0], 0.25, 3.0))
-        f1 = [2 * (y[sums >= c].sum()) / max(1, (sums >= c).sum() + y.sum()) for c in cuts]
-        if len(cuts):
-            cut = cuts[int(np.argmax(f1))]
-            lexicon.scale = float(min(SCALE, -np.log(1 - THRESHOLD) / max(cut * 0.999, 0.25)) if cut >= 1 else SCALE)
+        cuts = np.append(np.unique(np.clip(sums[sums > 0], 0.25, 3.0)), DEFAULT_CUT)
+        f1 = np.array([2 * (y[sums >= c].sum()) / max(1, (sums >= c).sum() + y.sum()) for c in cuts])
+        best = cuts[f1 == f1.max()]
+        cut = best[np.argmin(np.abs(best - DEFAULT_CUT))]
+        lexicon.scale = SCALE if cut == DEFAULT_CUT else float(-np.log(1 - THRESHOLD) / (cut * 0.999))
     return lexicon
 
 
