@@ -165,6 +165,27 @@ def test_cuts_are_optimal():
         assert cuts[-1] == 200 and cost == best[200]
 
 
+@pytest.mark.parametrize("length", [20, 32, 64, 100, 256])
+def test_cuts_are_optimal_with_powers_of_two(length):
+    rng = np.random.default_rng(2)
+    for _ in range(20):
+        at = np.unique(np.concatenate([rng.integers(1, 600, 60), np.arange(16, 600, 16), [600]]))
+        penalty = rng.integers(0, 25, len(at))
+        cuts = packing.best_cuts(at, penalty, length)
+        pen = dict(zip(at.tolist(), penalty.tolist()))
+        pad = lambda size: packing.padding(size, length) if size >= 32 else length - size
+        best = {0: 0}
+        for p in at.tolist():
+            best[p] = min(c + pad(p - q) + pen[p] + packing.WINDOW for q, c in best.items() if p - q <= length)
+        assert cuts[-1] == 600 and max(np.diff([0, *cuts])) <= length
+        assert sum(pad(b - a) + pen[b] + packing.WINDOW for a, b in zip([0, *cuts], cuts)) == best[600]
+
+
+def test_long_sentences_offer_cuts():
+    at, _ = packing.cut_candidates(1000, np.array([1000]), np.array([400]), 2048)
+    assert max(np.diff([0, *at])) <= 32
+
+
 def test_quality_on_held_out(spark, docs, labels):
     rows = quality_nbsvm.classify(docs, labels).join(labels, "doc_id").where("held_out").collect()
     assert all(0 <= r["score"] <= 1 and r["predicted"] == (r["score"] >= 0.7) for r in rows)

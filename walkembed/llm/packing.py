@@ -7,10 +7,11 @@ shortest path over candidate cuts:
 * document borders cost nothing, sentence borders ``SENTENCE`` and other places
   ``MIDDLE`` (offered every ``STRIDE`` tokens inside longer sentences);
 * a window costs ``WINDOW`` plus its padding: up to ``length``, or none if its
-  size is a power of two.
+  size is a power of two of at least ``LEAST_POWER``.
 
 The padding of a window is linear in its size, so the best predecessor within
-reach is the front of a monotone queue and every candidate costs amortised O(1).
+reach is the front of a monotone queue and every candidate costs amortised O(1),
+besides the candidates that lie a power of two before it, which are all tried.
 The stream is solved in blocks; each block's last window is carried over, so
 memory is bounded and only a partition's last window is cut short.  There is no
 shuffle: each input partition packs itself, a replayed task repeats its rows.
@@ -37,7 +38,8 @@ from pyspark.sql import functions as F
 from .wordcache import encoder
 
 LENGTH, END_ID = 2048, 1
-SENTENCE, MIDDLE, WINDOW, STRIDE = 3, 24, 12, 48
+SENTENCE, MIDDLE, WINDOW, STRIDE = 3, 24, 12, 32
+LEAST_POWER = 32
 _BLOCK_TOKENS = 400_000
 _BLOCK_CHARS = 1_200_000
 
@@ -74,8 +76,13 @@ def cut_candidates(total: int, doc_ends: np.ndarray, sentence_ends: np.ndarray,
 def best_cuts(at: np.ndarray, penalty: np.ndarray, length: int) -> list[int]:
     """Cuts of the cheapest partition of [0, at[-1]); the last cut is at[-1]."""
     places = [0, *at.tolist()]
-    index = {p: i for i, p in enumerate(places)}
-    powers = [1 << k for k in range(5, length.bit_length()) if 1 << k <= length]
+    index = np.full(places[-1] + 1, -1, dtype=np.int64)
+    index[places] = np.arange(len(places))
+    before = at[:, None] - np.array([1 << k for k in range(LEAST_POWER.bit_length() - 1, length.bit_length())], dtype=np.int64)
+    before = np.where(before >= 0, index[np.maximum(before, 0)], -1)
+    exact = before[before >= 0].tolist()  # candidates a power of two before, place by place
+    upto = np.cumsum((before >= 0).sum(1)).tolist()
+    done = 0
     cost = [0] * len(places)
     back = [0] * len(places)
     queue: deque[tuple[int, int]] = deque([(0, 0)])  # (cost + place, index), cost + place ascending
@@ -85,11 +92,10 @@ def best_cuts(at: np.ndarray, penalty: np.ndarray, length: int) -> list[int]:
             queue.popleft()
         value, i = queue[0]
         value += length - place
-        if length - place + places[i] > 2 * WINDOW:  # else a power of two cannot win much
-            for power in powers:
-                k = index.get(place - power)
-                if k is not None and cost[k] < value:
-                    value, i = cost[k], k
+        for k in exact[done : upto[j - 1]]:
+            if cost[k] < value:
+                value, i = cost[k], k
+        done = upto[j - 1]
         cost[j] = value = value + extra + WINDOW
         back[j] = i
         value += place
