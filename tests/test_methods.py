@@ -1,6 +1,7 @@
 """Identities, invariants and closed forms of the methods."""
 
 import math
+import re
 
 import numpy as np
 import pandas as pd
@@ -212,3 +213,17 @@ def test_costs():
     assert E.message_bytes("fullpath", 80) == 664 and E.message_bytes("incremental", 80) == 80
     assert E.sync_cost("full", 1e8, 128, 4) == 102.4e9
     assert E.walk_cost("fullpath", 7, 26, 10, 1, 0, 1) > E.walk_cost("incremental", 7, 26, 10, 1, 0, 1)
+
+
+def test_document_edges_without_a_bound(spark, tmp_path):
+    from walkembed.plans.graph_queries import QUERIES
+
+    shared = "one very common line of words "
+    texts = ["copied text that many rows hold word for word"] * 60 + [shared + f"then row {k} goes on its own way" for k in range(55)] + ["too short", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    unit = 7 * 10**12
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in (re.split(r"\s+", t or "") for t in texts)]
+    want = {(unit + a, unit + b): round(len(x & y) / len(x | y), 6) for a, x in enumerate(sets) for b, y in enumerate(sets) if a < b and x & y}
+    rows = QUERIES["graph_doc_edges_all"](spark, str(tmp_path)).collect()
+    assert len(rows) == len(want) and {(r["src"], r["dst"]): r["w"] for r in rows} == want
+    assert QUERIES["graph_doc_edges"](spark, str(tmp_path)).count() < len(want)

@@ -81,6 +81,7 @@ both_ AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS common FROM live x JO
 SELECT {S.DOCUMENT}*{S.UNIT} + a AS src, {S.DOCUMENT}*{S.UNIT} + b AS dst, round(common::DOUBLE / (p.n + q.n - common), 6) AS w
 FROM both_ JOIN size p ON p.doc_id = a JOIN size q ON q.doc_id = b""",
 )(lambda spark, d: S.document_pairs(spark, d))
+add("graph_doc_edges_all")(lambda spark, d: S.all_document_pairs(spark, d))
 
 add("synthetic_degree10", f"WITH raw AS (SELECT i AS a, (i + j*j + j) % 1000 AS b FROM range(1000) t(i), range(1, 6) u(j)) SELECT least(a,b)::BIGINT AS src, greatest(a,b)::BIGINT AS dst, count(*)::DOUBLE AS w FROM raw WHERE a <> b GROUP BY 1, 2")(
     lambda spark, d: G.normalize_edges(S.synthetic_pairs(spark, 1000))

@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from .tables import sql, table
 
 UNIT = 1_000_000_000_000
@@ -98,11 +99,19 @@ def page_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "pages").select("page_id", href.alias("href")).select((F.col("page_id") + PAGE * UNIT).alias("a"), (key + TOKEN * UNIT).alias("b"))
 
 
-def document_pairs(spark: SparkSession, sf_dir: str, width: int = 5, most: int = 50) -> DataFrame:
-    """Documents that share a word shingle found in 2 to ``most`` documents; w = their Jaccard similarity."""
+def document_shingles(spark: SparkSession, sf_dir: str, width: int = 5) -> DataFrame:
+    """(doc_id, g): the md5 of every distinct word shingle of a document."""
     words = F.split("text", r"\s+")
     grams = F.when(F.size("ws") >= width, F.transform(F.sequence(F.lit(1), F.size("ws") - width + 1), lambda i: F.md5(F.array_join(F.slice("ws", i, width), " ").cast("binary"))))
-    held = table(spark, sf_dir, "documents").select("doc_id", words.alias("ws")).select("doc_id", F.explode(F.array_distinct(grams)).alias("g"))
+    return table(spark, sf_dir, "documents").select("doc_id", words.alias("ws")).select("doc_id", F.explode(F.array_distinct(grams)).alias("g"))
+
+
+def document_pairs(spark: SparkSession, sf_dir: str, width: int = 5, most: int = 50) -> DataFrame:
+    """Documents that share a word shingle found in 2 to ``most`` documents; w counts these shingles alone in the intersection.
+
+    ``all_document_pairs`` has no such bound.
+    """
+    held = document_shingles(spark, sf_dir, width)
     rare = held.groupBy("g").agg(F.count("*").alias("df")).where(F.col("df").between(2, most))
     live = held.join(rare, "g").select("g", "doc_id")
     size = held.groupBy("doc_id").agg(F.count("*").alias("n"))
@@ -111,6 +120,26 @@ def document_pairs(spark: SparkSession, sf_dir: str, width: int = 5, most: int =
     return sized.select((F.col("a") + DOCUMENT * UNIT).alias("src"), (F.col("b") + DOCUMENT * UNIT).alias("dst"), F.round(F.col("common") / (F.col("na") + F.col("nb") - F.col("common")), 6).alias("w"))
 
 
+def all_document_pairs(spark: SparkSession, sf_dir: str, width: int = 5) -> DataFrame:
+    """Documents that share any word shingle; w = the Jaccard similarity of all their shingles.
+
+    Documents of equal shingle sets are one class; classes meet, and their members
+    are paired at the end, so copies cost only the rows that they return.
+    """
+    sets = document_shingles(spark, sf_dir, width).where("doc_id is not null").groupBy("doc_id").agg(F.array_sort(F.collect_set("g")).alias("gs"))
+    named = sets.select("doc_id", F.sha2(F.array_join("gs", ""), 256).alias("key"), "gs")
+    members = named.select("doc_id", "key").transform(durable)
+    classes = named.groupBy("key").agg(F.first("gs").alias("gs"))
+    size = classes.select("key", F.size("gs").alias("n")).transform(durable)
+    live = classes.select("key", F.explode("gs").alias("g"))
+    both = live.alias("x").join(live.alias("y"), F.expr("x.g = y.g and x.key < y.key")).groupBy(F.col("x.key").alias("a"), F.col("y.key").alias("b")).agg(F.count("*").alias("common"))
+    sized = both.join(size.select(F.col("key").alias("a"), F.col("n").alias("na")), "a").join(size.select(F.col("key").alias("b"), F.col("n").alias("nb")), "b")
+    met = sized.select("a", "b", F.round(F.col("common") / (F.col("na") + F.col("nb") - F.col("common")), 6).alias("w"))
+    met = met.unionByName(size.select(F.col("key").alias("a"), F.col("key").alias("b"), F.lit(1.0).alias("w")))
+    pairs = met.join(members.select(F.col("key").alias("a"), F.col("doc_id").alias("i")), "a").join(members.select(F.col("key").alias("b"), F.col("doc_id").alias("j")), "b").where("a <> b or i < j")
+    return pairs.select((F.least("i", "j") + DOCUMENT * UNIT).alias("src"), (F.greatest("i", "j") + DOCUMENT * UNIT).alias("dst"), "w")
+
+
 def synthetic_pairs(spark: SparkSession, n: int, half: int = 5) -> DataFrame:
     """A graph of degree 2 * half from arithmetic alone: i meets (i + j*j + j) mod n."""
     return spark.range(n).select(F.col("id").alias("a"), F.explode(F.sequence(F.lit(1), F.lit(half))).alias("j")).select("a", F.pmod(F.col("a") + F.col("j") * F.col("j") + F.col("j"), F.lit(n)).alias("b"))
