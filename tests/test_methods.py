@@ -227,3 +227,42 @@ def test_document_edges_without_a_bound(spark, tmp_path):
     rows = QUERIES["graph_doc_edges_all"](spark, str(tmp_path)).collect()
     assert len(rows) == len(want) and {(r["src"], r["dst"]): r["w"] for r in rows} == want
     assert QUERIES["graph_doc_edges"](spark, str(tmp_path)).count() < len(want)
+
+
+def test_whole_prefix_r2_of_every_step(spark):
+    rng = np.random.default_rng(3)
+    paths = {1: rng.integers(0, 6, 50).tolist(), 2: [9] * 10, 3: list(range(35))}
+    steps = spark.createDataFrame([(1, w, i, int(v)) for w, p in paths.items() for i, v in enumerate(p, 1)], "round int, walk_id long, step int, node long")
+    rows = W.fullpath_r2(steps).collect()
+    assert len(rows) == sum(map(len, paths.values()))
+    for r in rows:
+        h = [M.path_entropy(paths[r["walk_id"]][:k]) for k in range(1, r["step"] + 1)]
+        want = np.corrcoef(h, np.arange(1, len(h) + 1))[0, 1] ** 2 if np.var(h) > 1e-12 else 0.0
+        assert abs(r["r2"] - want) < 1e-8
+
+
+def test_blocked_softmax_equals_brute_force(spark):
+    rng = np.random.default_rng(6)
+    x = 3 * rng.normal(size=(70, 8))
+    pairs = [(int(a), int(b)) for a, b in rng.integers(0, 70, (200, 2))]
+    vectors = spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(x)], "node long, phi array<double>")
+    s = x @ x.T
+    want = sum(s[b, a] - np.log(np.exp(s[b]).sum()) for a, b in pairs)
+    frame = spark.createDataFrame(pairs, "target long, context long")
+    for block in (16, 2048):
+        row = L.softmax_loglik_blocked(frame, vectors, block).first()
+        assert row["pairs"] == 200 and abs(row["loglik"] - want) < 1e-6
+    assert abs(L.softmax_loglik(frame, vectors).first()["loglik"] - want) < 1e-6
+
+
+def test_whole_queries_cover_every_source(spark):
+    from walkembed.plans import graph_queries, learn_queries
+
+    d = "/root/testdata/sf0.001"
+    walks = graph_queries.QUERIES["walk_hybrid_direct_all"](spark, d).persist()
+    nodes = graph_queries.all_nodes(graph_queries.graph(spark, d, "tri"))
+    assert walks.select("walk_id").distinct().count() == nodes.count()
+    assert graph_queries.QUERIES["walk_hybrid_direct"](spark, d).exceptAll(walks.select("round", "walk_id", "step", "node")).count() == 0
+    assert graph_queries.QUERIES["walk_r2_prefix_all"](spark, d).count() == graph_queries.natural(spark, d).where("step >= 3").count()
+    row = learn_queries.QUERIES["softmax_loglik_all"](spark, d).first()
+    assert row["pairs"] == graph_queries.graph(spark, d, "knn").count()

@@ -7,6 +7,8 @@ columns of targets and shared negatives.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -64,6 +66,29 @@ def softmax_loglik(pairs: DataFrame, vectors: DataFrame) -> DataFrame:
     return met.agg(F.count("*").alias("pairs"), F.sum(F.col("s") - F.col("z")).alias("loglik"))
 
 
+def softmax_loglik_blocked(pairs: DataFrame, vectors: DataFrame, block: int = 2048) -> DataFrame:
+    """``softmax_loglik`` by blocks: each block of contexts meets each block of vectors in one matrix product."""
+    v = vectors.select("node", F.col("phi").cast("array<double>").alias("phi"))
+    blocks = max(1, math.ceil(v.count() / block))
+    mine = F.pmod(F.xxhash64("node"), F.lit(blocks)).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    left = pairs.select(F.col("context").alias("node")).distinct().join(v, "node").select("node", "phi", mine.alias("q"), every.alias("r"))
+    right = v.select(F.col("phi").alias("other"), mine.alias("r2"), every.alias("q2"))
+
+    def sums(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        if not len(a) or not len(b):
+            return pd.DataFrame({"context": np.array([], dtype=np.int64), "top": np.array([]), "mass": np.array([])})
+        s = np.stack(a["phi"]) @ np.stack(b["other"]).T
+        top = s.max(1)
+        return pd.DataFrame({"context": a["node"].to_numpy(), "top": top, "mass": np.exp(s - top[:, None]).sum(1)})
+
+    parts = left.groupBy("q", "r").cogroup(right.groupBy("q2", "r2")).applyInPandas(sums, "context long, top double, mass double")
+    parts = parts.withColumn("highest", F.max("top").over(Window.partitionBy("context")))
+    norm = parts.groupBy("context").agg((F.first("highest") + F.ln(F.sum(F.col("mass") * F.exp(F.col("top") - F.col("highest"))))).alias("z"))
+    met = pairs.join(v.select(F.col("node").alias("context"), F.col("phi").alias("a")), "context").join(v.select(F.col("node").alias("target"), F.col("phi").alias("b")), "target").join(norm, "context")
+    return met.agg(F.count("*").alias("pairs"), F.sum(dot("a", "b") - F.col("z")).alias("loglik"))
+
+
 # --- in-task training ---------------------------------------------------------
 
 

@@ -140,6 +140,15 @@ def fullpath_measures(steps: DataFrame) -> DataFrame:
     return counts.groupBy("round", "walk_id", "step").agg(F.sum(-share * F.log2(share)).alias("entropy"))
 
 
+def fullpath_r2(steps: DataFrame) -> DataFrame:
+    """(round, walk_id, step, r2): the correlation of entropy and length recomputed over every whole prefix; 0 where a series is constant."""
+    h = fullpath_measures(steps)
+    upto = h.alias("p").join(h.alias("q"), F.expr("p.round = q.round and p.walk_id = q.walk_id and q.step <= p.step"))
+    x, y = F.col("q.step").cast("double"), F.col("q.entropy")
+    moving = (F.var_pop(x) > 1e-12) & (F.var_pop(y) > 1e-12)
+    return upto.groupBy(F.col("p.round").alias("round"), F.col("p.walk_id").alias("walk_id"), F.col("p.step").alias("step")).agg(F.when(moving, F.pow(F.covar_pop(x, y), F.lit(2.0)) / (F.var_pop(x) * F.var_pop(y))).otherwise(F.lit(0.0)).alias("r2"))
+
+
 # --- lockstep engine ----------------------------------------------------------
 
 

@@ -191,6 +191,7 @@ _SAMPLE = f"SELECT node FROM (SELECT DISTINCT u AS node FROM edges2) WHERE {draw
 add("walk_hybrid_direct", walk_sql("tri", QUANT, "hyb", 10, hybrid_sql(), sources=_SAMPLE) + STEPS_OUT)(
     lambda spark, d: (lambda e: W.step_walks(e, all_nodes(e).where(draw_column(SEED, F.col("node")) < (1 << 32) // 10), W.Kernel("hybrid"), 10, seed=SEED))(graph(spark, d, "tri"))
 )
+add("walk_hybrid_direct_all")(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
 add(
     "walk_directed",
     f"WITH RECURSIVE edges AS ({edges_sql('usr_directed')}), edges2 AS (SELECT src AS u, dst AS v, w FROM edges), {cdf_sql('w', 'edges2')}, sources AS (SELECT DISTINCT src AS node FROM edges), steps AS (SELECT 1 AS round, node AS walk_id, 1 AS step, node FROM sources UNION ALL SELECT w.round, w.walk_id, w.step + 1, c.v FROM steps w JOIN cdf c ON c.u = w.node WHERE w.step < 8 AND ({draw_sql(SEED, 'w.round', 'w.walk_id', 'w.step', '0', '0')} * c.total) >> 32 >= c.hi - c.q AND ({draw_sql(SEED, 'w.round', 'w.walk_id', 'w.step', '0', '0')} * c.total) >> 32 < c.hi)"
@@ -263,6 +264,7 @@ add(
 )(
     lambda spark, d: M.prefix_measures(natural(spark, d)).where("step >= 3 and step <= 30").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2"))
 )
+add("walk_r2_prefix_all")(lambda spark, d: W.fullpath_r2(natural(spark, d)).where("step >= 3").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2")))
 add("walk_r2_as_printed", f"SELECT count(*) AS prefixes, 0.0::DOUBLE AS largest FROM events")(lambda spark, d: M.prefix_measures(natural(spark, d)).agg(F.count("*").alias("prefixes"), F.max("r2_as_printed").alias("largest")))
 add("walk_fullpath_equals_incremental", "SELECT 0::BIGINT AS different, count(*) AS total FROM events")(
     lambda spark, d: (lambda s: M.prefix_measures(s).select("walk_id", "step", F.col("entropy").alias("x")).join(W.fullpath_measures(s), ["walk_id", "step"]).agg(F.sum((F.abs(F.col("x") - F.col("entropy")) > 1e-9).cast("long")).alias("different"), F.count("*").alias("total")))(natural(spark, d))
