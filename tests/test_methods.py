@@ -266,3 +266,13 @@ def test_whole_queries_cover_every_source(spark):
     assert graph_queries.QUERIES["walk_r2_prefix_all"](spark, d).count() == graph_queries.natural(spark, d).where("step >= 3").count()
     row = learn_queries.QUERIES["softmax_loglik_all"](spark, d).first()
     assert row["pairs"] == graph_queries.graph(spark, d, "knn").count()
+
+
+def test_fennel_counts_the_edges_at_hand(spark, monkeypatch):
+    from walkembed.plans import graph_queries
+
+    seen, score = [], P.fennel_score
+    monkeypatch.setattr(P, "fennel_score", lambda *a, **kw: (seen.append(kw["n_edges"]), score(*a, **kw))[1])
+    d = "/root/testdata/sf0.1"
+    assert graph_queries.QUERIES["partition_fennel"](spark, d).count() == 2000
+    assert seen == [graph_queries.graph(spark, d, "knn").count()]

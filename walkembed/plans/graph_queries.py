@@ -348,7 +348,13 @@ add("partition_proximity_seg")(lambda spark, d: proximity(spark, d, "knn", P.pro
 add("partition_proximity_dfs_degree")(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4))
 add("partition_proximity_seg_bfs_degree")(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4, order="bfs_degree", segments=4))
 add("partition_ldg")(lambda spark, d: proximity(spark, d, "knn", P.ldg_score()))
-add("partition_fennel")(lambda spark, d: proximity(spark, d, "knn", P.fennel_score(n_edges=2974)))
+def fennel(spark: SparkSession, d: str, name: str) -> DataFrame:
+    edges = graph(spark, d, name).transform(durable)
+    edges_cm = G.common_neighbours(edges)
+    return P.streamed_partition(edges_cm, 4, P.stream_order(edges_cm, "random", SEED), P.fennel_score(n_edges=edges.count()))
+
+
+add("partition_fennel")(lambda spark, d: fennel(spark, d, "knn"))
 add("partition_multilevel")(lambda spark, d: P.multilevel_partition(graph(spark, d, "knn"), 4))
 add(
     "partition_quality",
