@@ -276,3 +276,29 @@ def test_fennel_counts_the_edges_at_hand(spark, monkeypatch):
     d = "/root/testdata/sf0.1"
     assert graph_queries.QUERIES["partition_fennel"](spark, d).count() == 2000
     assert seen == [graph_queries.graph(spark, d, "knn").count()]
+
+
+@pytest.mark.parametrize("name", ["embed_info", "embed_fullpath", "embed_routine", "linkpred_info_pipeline"])
+def test_profiles_are_registered_whole(monkeypatch, name):
+    import inspect
+
+    from walkembed.plans import learn_queries, pipelines
+
+    class Asked(Exception):
+        pass
+
+    def asked(original):
+        def stop(*a, **kw):
+            bound = inspect.signature(original).bind(*a, **kw)
+            bound.apply_defaults()
+            raise Asked({**bound.arguments, **bound.arguments.get("swap", {})})
+
+        return stop
+
+    monkeypatch.setattr(learn_queries, "graph", lambda *a: None)
+    for f in ("embed", "link_prediction"):
+        monkeypatch.setattr(pipelines, f, asked(getattr(pipelines, f)))
+    with pytest.raises(Asked) as e:
+        learn_queries.QUERIES[name](None, "")
+    used = e.value.args[0]
+    assert used["max_rounds"] == 10 and used["dims"] == 64 and used.get("m", 2) >= 2

@@ -230,13 +230,13 @@ add("message_size_table", "SELECT l::INTEGER AS length, 80::BIGINT AS incrementa
 # --- pipelines and baselines --------------------------------------------------
 
 for _profile in ("info", "fullpath", "routine"):
-    add(f"embed_{_profile}")(lambda spark, d, p=_profile: pipelines.embed(graph(spark, d, "knn"), p, dims=16, m=1, max_rounds=2).select("node", "rank", "n_updates"))
+    add(f"embed_{_profile}")(lambda spark, d, p=_profile: pipelines.embed(graph(spark, d, "knn"), p).select("node", "rank", "n_updates"))
 add("relational_embed")(lambda spark, d: B.relational_embed(pipelines.typed_edges(graph(spark, d, "geo")), dims=16))
 add("gnn_embed")(lambda spark, d: B.gnn_embed(graph(spark, d, "knn"), dims=16))
 add("mllib_word2vec")(lambda spark, d: B.word2vec(corpus(spark, d), dims=16))
 _PICK = draw_sql(SEED, "u", "v")
 add("gnn_neighbour_sample", with_(prep("knn"), f"r AS (SELECT u, v, row_number() OVER (PARTITION BY u ORDER BY {_PICK}, v) AS k FROM edges2)") + "SELECT u, v FROM r WHERE k <= 5")(lambda spark, d: B.sample_neighbours(G.both_directions(graph(spark, d, "knn")), 5, SEED))
-add("linkpred_info_pipeline")(lambda spark, d: pipelines.link_prediction(graph(spark, d, "knn"), "info", dims=32, max_rounds=3, m=1))
+add("linkpred_info_pipeline")(lambda spark, d: pipelines.link_prediction(graph(spark, d, "knn"), "info", max_rounds=10))
 
 # --- the worked example -------------------------------------------------------
 
