@@ -3,23 +3,29 @@
 Two texts link when the Jaccard similarity of their sets of distinct word
 n-grams reaches a threshold t.  A linked pair must share, under *every* total
 order of the n-grams, one of the first ``n - ceil(t*n) + 1`` n-grams of both
-sets.  Three orders are used: rarest first, and two that put n-grams found in a
-single text first and the rest by independent hashes.  Pairs come from the first
-order, must also meet in the prefixes of the other two, and are then verified
-exactly.
+sets.  Four orders are used: a hash order to find the classes that can have a
+partner at all; among those, rarest first and two more hash orders.  Pairs come
+from the rarest-first order, must also meet in the prefixes of the other two, and
+are then verified exactly.
 
 How it scales
 -------------
 * Texts with equal sets form a class; only classes are joined (a hash aggregate).
-* N-grams travel in compact binary blobs, dealt by hash range, once.  A range
-  counts in how many classes each n-gram occurs and returns only those found in
-  two or more: an n-gram of a single class cannot match, and a class with fewer
-  than ``ceil(t*n)`` shared n-grams cannot have a partner at all.
-* Groups of near copies first collapse around pivots (classes with the same
-  smallest hash are compared with a few pivots, large groups in salted parts).
-  Later only pairs of classes in *different* components are generated, so a
-  group of copies is never expanded into its pairs, yet every link that joins
-  two components is found: the components are exact.
+* Of each class only a prefix of about a quarter of its n-grams is dealt by hash
+  range, and a block of texts sends an n-gram once however many of its texts hold
+  it, so a very common n-gram is a row a block.  Classes that share too few
+  n-grams of their prefix with others are done.
+* The whole sets of the remaining classes are counted over the same kind of
+  blocks; an n-gram of a single class cannot match, and a class with fewer than
+  ``ceil(t*n)`` shared n-grams cannot have a partner.
+* Groups of near copies collapse around pivots (classes with the same smallest
+  hash are compared with a few pivots, large groups in salted parts).  Later only
+  pairs of classes in *different* components are generated, so a group of copies
+  is never expanded into its pairs, yet every link that joins two components is
+  found: the components are exact.
+* Classes that could still link across components form cells; a large cell is cut
+  in parts of bounded rows and n-grams that meet pairwise, but the parts of its
+  largest component don't meet each other.
 * Nothing but scalars reaches the driver; every step is a checkpointed table.
 
 Defined results: null text and texts without words have an empty set and link
@@ -31,7 +37,7 @@ columns are ignored.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -39,15 +45,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import connected_components
-from .runtime import checkpointed, partitions, release_shuffles
+from .runtime import checkpointed, lookup, partitions, release_shuffles
 from .textkernel import distinct_shingles, find_words, mix64, text_slices
 from .workers import take_over
 
 WIDTH, THRESHOLD = 5, 80
 TOKENS_PER_RANGE, MIN_RANGES = 2_000_000, 16
 _TOKENS_PER_BLOCK = 2_000_000
+_TOKENS_PER_SET_BLOCK = 500_000
 _PIVOTS = 8
 _GROUP_PART = 512
+_CELL_ROWS, _CELL_TOKENS = 256, 1_000_000
+_FIRST_ORDER = np.uint64(0xA54FF53A5F1D36F1)
 _SEEDS = [np.uint64(s) for s in (0x6A09E667F3BCC909, 0xBB67AE8584CAA73B, 0x3C6EF372FE94F82B)]
 
 
@@ -56,6 +65,15 @@ def need(n: int, threshold: int) -> int:
     return -(-threshold * n // 100)
 
 
+def spare(n: int) -> int:
+    """N-grams by which the dealt prefix of a set of n is longer than one match would take.
+
+    A linked pair's first common n-grams lie in both prefixes, as many as the
+    smaller of their spares: a class must share at least ``spare(need(n))``.
+    """
+    return 1 + n // 20
+
+
 def linked(n1: int, n2: int, overlap: int, threshold: int) -> bool:
     return 100 * overlap >= threshold * (n1 + n2 - overlap)
 
@@ -82,167 +100,203 @@ def shingle_profile(docs: DataFrame, width: int = WIDTH, seed: int = 0) -> DataF
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long")
 
 
-def _range_blobs(docs: DataFrame, width: int, seed: int, ranges: int) -> DataFrame:
-    """(rid, blob): the n-grams of all texts dealt over ``ranges`` hash ranges.
+def _blocks(batches: Iterator[pa.RecordBatch], width: int, seed: int, limit: int, pick: Callable[[np.ndarray], np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray, list[np.ndarray]]]:
+    """(class names, set sizes, picked n-grams) of the distinct classes of ``limit`` n-grams' worth of texts.
 
-    A blob holds a block's class keys, and per n-gram the class's place in that
-    table and the n-gram's low 48 bits: about eight bytes an n-gram.
+    With a column ``f1``, rows of other classes than it says are left out.
     """
+    names: list[int] = []
+    sizes: list[int] = []
+    sets: list[np.ndarray] = []
+    seen: set[int] = set()
+    held = 0
+    for batch in batches:
+        wanted = batch.column("f1").to_pylist() if "f1" in batch.schema.names else None
+        for first, _, raw, offsets in text_slices(batch.column("text")):
+            for row, grams in enumerate(distinct_shingles(find_words(raw, offsets), width), first):
+                if not len(grams):
+                    continue
+                name = _signature(grams, seed)[0]
+                if name in seen or (wanted and wanted[row] != name):
+                    continue
+                seen.add(name), names.append(name), sizes.append(len(grams)), sets.append(pick(grams))
+                held += len(sets[-1])
+                if held >= limit:
+                    yield np.array(names, np.int64), np.array(sizes, np.int64), sets
+                    names, sizes, sets, held = [], [], [], 0
+                    seen.clear()
+    if names:
+        yield np.array(names, np.int64), np.array(sizes, np.int64), sets
 
-    def blobs(keys: list[int], sets: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
-        table = np.array(keys, dtype=np.int64)
-        grams = np.concatenate(sets)
-        owner = np.repeat(np.arange(len(sets), dtype=np.uint16), [len(s) for s in sets])
-        rid = (((grams >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)).astype(np.int64)
-        order = np.argsort(rid.astype(np.uint16) if ranges <= 65536 else rid, kind="stable")
-        grams, owner = grams[order], owner[order]
-        bounds = np.concatenate([[0], np.cumsum(np.bincount(rid, minlength=ranges))])
-        present = np.flatnonzero(np.diff(bounds))
-        out = []
-        for r in present:
-            lo, hi = bounds[r], bounds[r + 1]
-            used, place = np.unique(owner[lo:hi], return_inverse=True)
-            g = grams[lo:hi]
-            out.append(b"".join([np.array([len(used), hi - lo], dtype=np.uint32).tobytes(), table[used].tobytes(), place.astype(np.uint16).tobytes(), g.astype(np.uint32).tobytes(), (g >> np.uint64(32)).astype(np.uint16).tobytes()]))
-        yield pa.RecordBatch.from_arrays([pa.array(present.astype(np.int32)), pa.array(out, pa.binary())], ["rid", "blob"])
+
+def _ranges(tokens: np.ndarray, ranges: int) -> np.ndarray:
+    return (((tokens >> np.uint64(32)) * np.uint64(ranges)) >> np.uint64(32)).astype(np.int64)
+
+
+def _words64(data: pa.Buffer, count: int, at: int, kind: type = np.uint64) -> np.ndarray:
+    """``count`` values at byte ``at`` of a buffer that need not be aligned."""
+    return np.frombuffer(np.frombuffer(data, np.uint8, count * np.dtype(kind).itemsize, at).tobytes(), kind)
+
+
+def _prefix_counts(docs: DataFrame, width: int, seed: int, ranges: int, threshold: int) -> DataFrame:
+    """(f1, shared): of the classes that share prefix n-grams with others, how many at most.
+
+    Inside a block shared n-grams are counted at once and sent on as one entry
+    without a name; an n-gram of one class of the block is sent with that name.
+    """
+
+    def pick(grams: np.ndarray) -> np.ndarray:
+        n = len(grams)
+        take = n - need(n, threshold) + spare(n)
+        if take >= n:
+            return grams
+        order = mix64(grams ^ _FIRST_ORDER)
+        return grams[np.argpartition(order, take - 1)[:take]]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         take_over("join")
-        keys: list[int] = []
-        sets: list[np.ndarray] = []
-        seen: set[int] = set()
-        held = 0
-        for batch in batches:
-            for _, _, raw, offsets in text_slices(batch.column("text")):
-                for grams in distinct_shingles(find_words(raw, offsets), width):
-                    if not len(grams):
-                        continue
-                    key = _signature(grams, seed)[0]
-                    if key in seen:
-                        continue
-                    seen.add(key), keys.append(key), sets.append(grams)
-                    held += len(grams)
-                    if held >= _TOKENS_PER_BLOCK or len(keys) >= 65_000:
-                        yield from blobs(keys, sets)
-                        keys, sets, held = [], [], 0
-                        seen.clear()
-        if keys:
-            yield from blobs(keys, sets)
-
-    return docs.where("doc_id is not null").select(F.col("text").cast("string").alias("text")).mapInArrow(run, "rid int, blob binary")
-
-
-def _shared_grams(blobs: DataFrame, groups: int) -> DataFrame:
-    """(qid, blob): per class the n-grams found in other classes too, with a rarity class."""
+        for names, _, sets in _blocks(batches, width, seed, _TOKENS_PER_BLOCK, pick):
+            tokens = np.concatenate(sets)
+            owner = np.repeat(np.arange(len(sets), dtype=np.int32), [len(s) for s in sets])
+            order = np.argsort(tokens)
+            tokens, owner = tokens[order], owner[order]
+            edge = np.flatnonzero(np.concatenate([[True], tokens[1:] != tokens[:-1]]))
+            many = np.diff(np.append(edge, len(tokens)))
+            counted = np.bincount(owner[np.repeat(many > 1, many)], minlength=len(sets))
+            common, single = tokens[edge[many > 1]], edge[many == 1]
+            tokens, owner = tokens[single], owner[single]
+            bounds = np.searchsorted(_ranges(tokens, ranges), np.arange(ranges + 1))
+            limits = np.searchsorted(_ranges(common, ranges), np.arange(ranges + 1))
+            known = np.flatnonzero(counted)
+            home = int(names[0]) % ranges
+            rids, out = [], []
+            for r in range(ranges):
+                lo, hi = bounds[r], bounds[r + 1]
+                by = np.argsort(owner[lo:hi], kind="stable")  # runs of one name compress well
+                own = known if r == home else known[:0]
+                if hi > lo or limits[r + 1] > limits[r] or len(own):
+                    rids.append(r)
+                    out.append(b"".join([np.array([hi - lo, limits[r + 1] - limits[r], len(own)], np.uint32).tobytes(), names[owner[lo:hi]][by].tobytes(), tokens[lo:hi][by].tobytes(), common[limits[r] : limits[r + 1]].tobytes(), names[own].tobytes(), counted[own].astype(np.int64).tobytes()]))
+            yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int32()), pa.array(out, pa.binary())], ["rid", "blob"])
 
     def count(key: tuple, table: pa.Table) -> pa.Table:
-        rid = int(key[0].as_py())
-        toks, owners = [], []
+        names, tokens, common, known, counted = [], [], [], [], []
         for piece in table.column("blob"):
-            buf = piece.as_buffer()
-            m, t = np.frombuffer(buf, np.uint32, 2).tolist()
-            at = 8
-            names = np.frombuffer(buf, np.int64, m, at)
-            at += 8 * m
-            place = np.frombuffer(buf, np.uint16, t, at)
-            at += 2 * t
-            low = np.frombuffer(buf, np.uint32, t, at)
-            high = np.frombuffer(buf, np.uint16, t, at + 4 * t)
-            owners.append(names[place])
-            toks.append(low.astype(np.uint64) | (high.astype(np.uint64) << np.uint64(32)))
-        tok, owner = np.concatenate(toks), np.concatenate(owners)
-        del toks, owners
-        order = np.argsort(tok)
-        tok, owner = tok[order], owner[order]
-        edge = np.flatnonzero(np.concatenate([[True], tok[1:] != tok[:-1]]))
-        often = np.repeat(np.diff(np.append(edge, len(tok))) > 1, np.diff(np.append(edge, len(tok))))
-        tok, owner = tok[often], owner[often]
-        order = np.lexsort((owner, tok))
-        tok, owner = tok[order], owner[order]
-        if len(tok):  # a class may come from several blocks
-            new = np.concatenate([[True], (tok[1:] != tok[:-1]) | (owner[1:] != owner[:-1])])
-            tok, owner = tok[new], owner[new]
-        edge = np.flatnonzero(np.concatenate([[True], tok[1:] != tok[:-1]])) if len(tok) else np.empty(0, np.int64)
-        df = np.diff(np.append(edge, len(tok)))
-        df = np.repeat(df, df)
-        keep = df > 1
-        tok, owner, df = tok[keep], owner[keep], df[keep]
-        rare = np.minimum(255, np.log2(np.maximum(df, 1)) * 8).astype(np.uint8)
-        qid = owner % groups
-        order = np.lexsort((owner, qid))
-        tok, owner, rare, qid = tok[order], owner[order], rare[order], qid[order]
-        present, begin = np.unique(qid, return_index=True)
-        stop = np.append(begin[1:], len(qid))
-        out = []
-        for lo, hi in zip(begin, stop):
-            names, sizes = np.unique(owner[lo:hi], return_counts=True)
-            t = tok[lo:hi]
-            out.append(b"".join([np.array([rid, len(names), hi - lo], dtype=np.uint32).tobytes(), names.tobytes(), sizes.astype(np.uint32).tobytes(), t.astype(np.uint32).tobytes(), (t >> np.uint64(32)).astype(np.uint16).tobytes(), rare[lo:hi].tobytes()]))
-        return pa.table({"qid": pa.array(present.astype(np.int32), pa.int32()), "blob": pa.array(out, pa.binary())})
-
-    return blobs.groupBy("rid").applyInArrow(count, "qid int, blob binary")
-
-
-_NEAR = "rep long, n int, shared int, rare int, toks binary, pre2 binary, pre3 binary, k1 long, k2 long"
-
-
-def _survivors(shared: DataFrame, classes: DataFrame, groups: int, threshold: int) -> DataFrame:
-    """Classes that can have a partner, with their shared n-grams.
-
-    ``toks`` are 64-bit n-gram ids, rarest first; ``rare`` of them are the prefix
-    under that order; ``pre2``/``pre3`` the prefixes under the two hash orders;
-    ``k1``/``k2`` smallest hashes, by which near copies meet.
+            data = piece.as_buffer()
+            one, two, three = _words64(data, 3, 0, np.uint32).tolist()
+            at = 12
+            for into, size, kind in ((names, one, np.int64), (tokens, one, np.uint64), (common, two, np.uint64), (known, three, np.int64), (counted, three, np.int64)):
+                into.append(_words64(data, size, at, kind))
+                at += 8 * size
+        name, token = np.concatenate(names), np.concatenate(tokens)
+        del names, tokens
+        order = np.argsort(token)
+        name, token = name[order], token[order]
+        edge = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]])) if len(token) else np.empty(0, np.int64)
+        many = np.diff(np.append(edge, len(token)))
+        shared = np.isin(token[edge], np.concatenate(common))
+        if len(edge):
+            shared |= np.minimum.reduceat(name, edge) != np.maximum.reduceat(name, edge)
+        found = np.concatenate([name[np.repeat(shared, many)], *known])
+        weight = np.concatenate([np.ones(int(many[shared].sum()), np.int64), *counted])
+        f1, place = np.unique(found, return_inverse=True)
+        return pa.table({"f1": pa.array(f1, pa.int64()), "shared": pa.array(np.bincount(place, weight, len(f1)).astype(np.int64))})
+
+    dealt = docs.where("doc_id is not null").select(F.col("text").cast("string").alias("text")).mapInArrow(run, "rid int, blob binary")
+    return dealt.groupBy("rid").applyInArrow(count, "f1 long, shared long").groupBy("f1").agg(F.sum("shared").alias("shared"))
+
+
+def _set_blocks(docs: DataFrame, live: DataFrame, count: int, width: int, seed: int) -> DataFrame:
+    """(block, blob): the whole sets of the classes in ``live``, about half a million n-grams a block.
+
+    A blob holds the classes' names, sizes and n-grams.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("join")
+        for names, sizes, sets in _blocks(batches, width, seed, _TOKENS_PER_SET_BLOCK, lambda grams: grams):
+            blob = b"".join([np.array([len(names)], np.int64).tobytes(), names.tobytes(), sizes.tobytes(), np.concatenate(sets).tobytes()])
+            yield pa.RecordBatch.from_arrays([pa.array([blob], pa.binary())], ["blob"])
+
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    texts = lookup(texts, live.select(F.col("rep").alias("doc_id"), "f1"), "doc_id", count, "inner")
+    return texts.select("text", "f1").mapInArrow(run, "blob binary").select(F.monotonically_increasing_id().alias("block"), "blob")
+
+
+def _block(blob: pa.Scalar) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    data = blob.as_buffer()
+    (m,) = _words64(data, 1, 0, np.int64).tolist()
+    sizes = _words64(data, m, 8 + 8 * m, np.int64)
+    return _words64(data, m, 8, np.int64), sizes, _words64(data, int(sizes.sum()), 8 + 16 * m)
+
+
+def _rarities(blocks: DataFrame, ranges: int) -> DataFrame:
+    """(block, rid, rare): for the sorted distinct n-grams of a block in a range, how common each is.
+
+    0 marks an n-gram of one class, else it is a byte that grows with the count.
+    """
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        take_over("join")
+        for batch in batches:
+            for block, blob in zip(batch.column("block").to_pylist(), batch.column("blob")):
+                tokens, counts = np.unique(_block(blob)[2], return_counts=True)
+                bounds = np.searchsorted(_ranges(tokens, ranges), np.arange(ranges + 1))
+                rids = np.flatnonzero(np.diff(bounds))
+                out = [tokens[bounds[r] : bounds[r + 1]].tobytes() + counts[bounds[r] : bounds[r + 1]].astype(np.uint32).tobytes() for r in rids]
+                yield pa.RecordBatch.from_arrays([pa.array(rids, pa.int32()), pa.array([block] * len(rids), pa.int64()), pa.array(out, pa.binary())], ["rid", "block", "blob"])
+
+    def count(key: tuple, table: pa.Table) -> pa.Table:
+        pieces = [piece.as_buffer() for piece in table.column("blob")]
+        sizes = [p.size // 12 for p in pieces]
+        token = np.concatenate([_words64(p, n, 0) for p, n in zip(pieces, sizes)])
+        many = np.concatenate([_words64(p, n, 8 * n, np.uint32) for p, n in zip(pieces, sizes)]).astype(np.int64)
+        names, place = np.unique(token, return_inverse=True)
+        total = np.bincount(place, many, len(names))
+        rare = np.where(total > 1, np.minimum(255, np.log2(np.maximum(total, 1)) * 8), 0).astype(np.uint8)[place]
+        out = [x.tobytes() for x in np.split(rare, np.cumsum(sizes)[:-1])]
+        return pa.table({"block": table.column("block"), "rid": pa.array([key[0].as_py()] * len(sizes), pa.int32()), "rare": pa.array(out, pa.binary())})
+
+    return blocks.mapInArrow(deal, "rid int, block long, blob binary").groupBy("rid").applyInArrow(count, "block long, rid int, rare binary")
+
+
+def _survivors(blocks: DataFrame, rarities: DataFrame, threshold: int) -> DataFrame:
+    """(cls, n, toks, k1, k2): classes that can have a partner, with their shared n-grams, rarest first.
+
+    ``k1``/``k2`` are smallest hashes, by which near copies meet.
     """
 
     def gather(left: pa.Table, right: pa.Table) -> pa.Table:
-        names, toks, rares = [], [], []
-        for piece in left.column("blob"):
-            buf = piece.as_buffer()
-            rid, m, t = np.frombuffer(buf, np.uint32, 3).tolist()
-            at = 12
-            name = np.frombuffer(np.frombuffer(buf, np.uint8, 8 * m, at).tobytes(), np.int64)
-            at += 8 * m
-            names.append(np.repeat(name, np.frombuffer(buf, np.uint32, m, at)))
-            at += 4 * m
-            tok = np.frombuffer(buf, np.uint32, t, at).astype(np.uint64)
-            at += 4 * t
-            tok |= np.frombuffer(np.frombuffer(buf, np.uint8, 2 * t, at).tobytes(), np.uint16).astype(np.uint64) << np.uint64(32)
-            # the range and the low bits together name the n-gram
-            toks.append(mix64(tok | (np.uint64(rid & 0xFFFF) << np.uint64(48))))
-            rares.append(np.frombuffer(buf, np.uint8, t, at + 2 * t))
-        columns: list[list] = [[] for _ in range(9)]
-        if names and len(right):
-            name, tok, rare = np.concatenate(names), np.concatenate(toks), np.concatenate(rares)
-            order = np.argsort(name, kind="stable")
-            name, tok, rare = name[order], tok[order], rare[order]
-            keys, begin = np.unique(name, return_index=True)
-            stop = np.append(begin[1:], len(name))
-            f1, size, rep = (right.column(c).to_numpy() for c in ("f1", "n", "rep"))
-            at = np.searchsorted(keys, f1)
-            for row in np.flatnonzero((at < len(keys)) & (keys[np.minimum(at, len(keys) - 1)] == f1)):
-                lo, hi, n = begin[at[row]], stop[at[row]], int(size[row])
-                s = hi - lo
-                room = s - need(n, threshold) + 1  # of the prefix, what reaches beyond n-grams of a single class
-                if room < 1:
+        columns: list[list] = [[] for _ in range(5)]
+        for blob in left.column("blob"):  # one row: a block
+            names, sizes, tokens = _block(blob)
+            answers = right.sort_by("rid").column("rare")
+            known = np.unique(tokens)
+            rare = np.concatenate([np.frombuffer(x.as_buffer(), np.uint8) for x in answers])[np.searchsorted(known, tokens)]
+            stop = np.cumsum(sizes)
+            for name, n, lo, hi in zip(names.tolist(), sizes.tolist(), (stop - sizes).tolist(), stop.tolist()):
+                r = rare[lo:hi]
+                t, r = tokens[lo:hi][r > 0], r[r > 0]
+                if len(t) < need(n, threshold):
                     continue
-                t = tok[lo:hi]
-                by = np.lexsort((t, rare[lo:hi]))
                 h2, h3 = mix64(t ^ _SEEDS[0]), mix64(t ^ _SEEDS[1])
-                pre2 = np.sort(np.partition(h2, room - 1)[:room] if room < s else h2)
-                pre3 = np.sort(np.partition(h3, room - 1)[:room] if room < s else h3)
-                values = (int(rep[row]), n, int(s), int(room), t[by].tobytes(), (pre2 >> np.uint64(32)).astype(np.uint32).tobytes(), (pre3 >> np.uint64(32)).astype(np.uint32).tobytes(), int(h2.min().astype(np.int64)), int(h3.min().astype(np.int64)))
-                for column, value in zip(columns, values):
+                for column, value in zip(columns, (name, n, t[np.lexsort((t, r))].tobytes(), int(h2.min().astype(np.int64)), int(h3.min().astype(np.int64)))):
                     column.append(value)
-        kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64()]
-        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=[c.split()[0] for c in _NEAR.split(", ")])
+        kinds = [pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.int64()]
+        return pa.table([pa.array(c, k) for c, k in zip(columns, kinds)], names=["cls", "n", "toks", "k1", "k2"])
 
-    return shared.groupBy("qid").cogroup(classes.withColumn("qid", F.pmod("f1", F.lit(groups)).cast("int")).groupBy("qid")).applyInArrow(gather, _NEAR)
+    return blocks.groupBy("block").cogroup(rarities.groupBy("block")).applyInArrow(gather, "cls long, n int, toks binary, k1 long, k2 long")
 
 
 def _tokens(cell: pa.Scalar) -> np.ndarray:
     return np.frombuffer(cell.as_buffer(), np.uint64)
 
 
+def _rare_prefix(n: int, shared: int, threshold: int) -> int:
+    """Length of the rarest-first prefix that reaches beyond n-grams of a single class."""
+    return shared - need(n, threshold) + 1
+
+
 def _overlap(a: np.ndarray, b: np.ndarray) -> int:
     """Size of the intersection of two sorted arrays of distinct values."""
     if len(a) > len(b):
@@ -252,44 +306,42 @@ def _overlap(a: np.ndarray, b: np.ndarray) -> int:
     return int((b[np.minimum(np.searchsorted(b, a), len(b) - 1)] == a).sum())
 
 
-def _star_links(near: DataFrame, key: list[str], threshold: int) -> DataFrame:
-    """(a, b, pivot): verified links with the pivots of each key's group, and the pivots themselves (a is null).
+def _pivot_round(near: DataFrame, key: str, threshold: int) -> DataFrame:
+    """Links (a, b) with the pivots of each key's group, and as (cls, n, toks, k2) the classes left.
 
-    The group streams through in order of its key; only its pivots are held.
+    Large groups go in salted parts.  A group streams through in order of its
+    key; only its pivots are held.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         take_over("join")
         now, pivots = None, []
         for batch in batches:
-            a, b = [], []
-            keys = list(zip(*(batch.column(c).to_pylist() for c in key)))
-            for i, (rep, n) in enumerate(zip(batch.column("rep").to_pylist(), batch.column("n").to_pylist())):
-                if keys[i] != now:
-                    now, pivots = keys[i], []
+            a, b, left = [], [], []
+            groups = list(zip(batch.column("key").to_pylist(), batch.column("part").to_pylist()))
+            for i, (name, n) in enumerate(zip(batch.column("cls").to_pylist(), batch.column("n").to_pylist())):
+                if groups[i] != now:
+                    now, pivots = groups[i], []
                 mine = np.sort(_tokens(batch.column("toks")[i]))
                 for other, m, theirs in pivots:
                     if 100 * min(n, m) >= threshold * max(n, m) and linked(n, m, _overlap(mine, theirs), threshold):
-                        a.append(rep), b.append(other)
+                        a.append(name), b.append(other)
                         break
                 else:
                     if len(pivots) < _PIVOTS:
-                        pivots.append((rep, n, mine))
-                    a.append(None), b.append(rep)
-            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
-
-    ordered = near.select(*key, "rep", "n", "toks").repartition(partitions(near.sparkSession), *key).sortWithinPartitions(*key, "n", "rep")
-    return ordered.mapInArrow(run, "a long, b long")
+                        pivots.append((name, n, mine))
+                    left.append(i)
+            head = batch.select(["cls", "n", "toks", "k2"]).take(pa.array(left, pa.int64()))
+            none = pa.nulls(len(left), pa.int64())
+            yield pa.RecordBatch.from_arrays([none, none, *head.columns], ["a", "b", "cls", "n", "toks", "k2"])
+            empty = [pa.nulls(len(a), kind) for kind in (pa.int64(), pa.int32(), pa.binary(), pa.int64())]
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), *empty], ["a", "b", "cls", "n", "toks", "k2"])
 
-
-def _pivot_round(near: DataFrame, key: str, threshold: int) -> DataFrame:
-    """Links (a, b) inside the groups of one key; large groups in salted parts, then their pivots."""
-    sizes = near.groupBy(key).agg(F.count("*").alias("members")).where("members > 1").withColumn("parts", F.ceil(F.col("members") / _GROUP_PART))
-    grouped = near.select(key, "rep", "n", "toks").join(sizes, key).withColumn("part", F.pmod(F.xxhash64("rep"), F.col("parts")))
-    first = checkpointed(_star_links(grouped, [key, "part"], threshold))
-    heads = near.join(sizes.where("parts > 1").select(key), key, "left_semi").join(first.where("a is null").select(F.col("b").alias("rep")), "rep", "left_semi")
-    second = _star_links(heads, [key], threshold)
-    return checkpointed(first.unionByName(second).where("a is not null"))
+    hot = checkpointed(near.groupBy(key).agg(F.count("*").alias("members")).where(F.col("members") > _GROUP_PART).select(F.col(key).alias("key"), F.ceil(F.col("members") / _GROUP_PART).alias("parts")).coalesce(1))
+    keyed = lookup(near.select(F.col(key).alias("key"), "cls", "n", "toks", "k2"), hot, "key", hot.count(), "left")
+    salted = keyed.withColumn("part", F.coalesce(F.pmod(F.xxhash64("cls"), F.col("parts")), F.lit(0))).drop("parts")
+    ordered = salted.repartition(partitions(near.sparkSession), "key", "part").sortWithinPartitions("key", "part", "n", "cls")
+    return checkpointed(ordered.mapInArrow(run, "a long, b long, cls long, n int, toks binary, k2 long"))
 
 
 class _Merger:
@@ -374,51 +426,71 @@ def _group_links(rep: np.ndarray, n: np.ndarray, component: np.ndarray, cell: np
 def _cross_links(near: DataFrame, component: DataFrame, threshold: int) -> DataFrame:
     """Links between classes of different components, enough to join all that are linked.
 
-    Classes that share n-grams of the rarest-first prefix, directly or through
-    others, form a cell; a pair can only link inside one.  Cells are dealt to
-    groups of bounded size and joined there, so each class's set travels once; a
-    larger cell is cut in parts, and its parts meet pairwise.
+    Components whose classes share n-grams of the rarest-first prefix, directly or
+    through others, form a cell; a pair can only link inside one.  Small cells are
+    dealt to groups of bounded size, so each class's set travels once.  A large
+    cell is cut in parts: those outside its largest component meet all parts.
     """
 
     def prefix(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            take = batch.column("rare").to_pylist()
-            lists = [_tokens(cell)[:k].astype(np.int64) for cell, k in zip(batch.column("toks"), take)]
-            counts = [len(x) for x in lists]
-            spread = lambda c: pa.array(np.repeat(batch.column(c).to_numpy(), counts))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(lists) if lists else np.empty(0, np.int64)), spread("rep"), spread("component")], ["tok", "rep", "component"])
+            sizes = batch.column("n").to_pylist()
+            sets = [_tokens(cell) for cell in batch.column("toks")]
+            lists = [t[: _rare_prefix(n, len(t), threshold)].astype(np.int64) for n, t in zip(sizes, sets)]
+            spread = lambda c: pa.array(np.repeat(batch.column(c).to_numpy(), [len(x) for x in lists]))
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(lists) if lists else np.empty(0, np.int64)), spread("cls"), spread("component"), pa.array(np.repeat([len(t) for t in sets], [len(x) for x in lists]).astype(np.int64))], ["tok", "cls", "component", "weight"])
 
     spark = near.sparkSession
-    placed = near.join(component, near.rep == component.vertex, "left").select("rep", "rare", "toks", F.coalesce("component", "rep").alias("component"))
-    postings = checkpointed(placed.mapInArrow(prefix, "tok long, rep long, component long"))
-    mixed = postings.groupBy("tok").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.min("rep").alias("head")).where("low < high").select("tok", "head")
-    ties = checkpointed(postings.join(mixed, "tok").select("rep", "component", "head").distinct())
-    # members of a component are in one cell with it, so cells are found over components
-    heads = ties.select("head").distinct().join(placed.select(F.col("rep").alias("head"), F.col("component").alias("head_component")), "head")
-    cells = connected_components(ties.join(heads, "head").select(F.col("component").alias("a"), F.col("head_component").alias("b")))
+    members = checkpointed(component.select(F.col("vertex").alias("cls"), "component"))
+    placed = lookup(near.select("cls", "n", "toks"), members, "cls", members.count(), "left").withColumn("component", F.coalesce("component", "cls"))
+    postings = checkpointed(placed.mapInArrow(prefix, "tok long, cls long, component long, weight long"))
+    mixed = postings.groupBy("tok").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("tok", "low")
+    ties = checkpointed(postings.join(mixed, "tok").select("cls", "component", "weight", "low").distinct())
+    cells = connected_components(ties.select(F.col("component").alias("a"), F.col("low").alias("b")).distinct())
     cells = cells.select(F.col("vertex").alias("component"), F.col("component").alias("cell"))
-    live = ties.select("rep", "component").distinct().join(cells, "component")
-    live = checkpointed(live.join(near.select("rep", "shared"), "rep"))
-    sizes = live.groupBy("cell").agg(F.sum("shared").alias("weight")).withColumn("parts", F.ceil(F.col("weight") / TOKENS_PER_RANGE).cast("int"))
-    total = sizes.agg(F.coalesce(F.sum("weight"), F.lit(0))).first()[0]
-    buckets = max(partitions(spark), math.ceil(total / (TOKENS_PER_RANGE // 2)))
-    part = F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int")
-    others = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda o: F.struct(F.least(part, o).alias("i"), F.greatest(part, o).alias("j")))
-    dealt = live.join(sizes.select("cell", "parts"), "cell").select(
-        "rep", "component", "cell", part.alias("part"), F.when(F.col("parts") > 1, -1 - F.col("cell")).otherwise(F.pmod(F.xxhash64("cell"), F.lit(buckets)).cast("long")).alias("bucket"), F.explode(others).alias("meeting")
+    live = checkpointed(ties.select("cls", "component", "weight").distinct().join(cells, "component"))
+    pieces = live.groupBy("cell", "component").agg(F.count("*").alias("rows"), F.sum("weight").alias("weight"))
+    cut = lambda rows, weight: F.greatest(F.lit(1), F.ceil(F.col(rows) / _CELL_ROWS), F.ceil(F.col(weight) / _CELL_TOKENS)).cast("int")
+    large = pieces.groupBy("cell").agg(F.sum("rows").alias("all_rows"), F.sum("weight").alias("all_weight"), F.max(F.struct("rows", "weight", "component")).alias("top"))
+    large = large.withColumn("rest_rows", F.col("all_rows") - F.col("top.rows")).withColumn("rest_weight", F.col("all_weight") - F.col("top.weight"))
+    large = large.where((F.col("all_rows") > 2 * _CELL_ROWS) | (F.col("all_weight") > 2 * _CELL_TOKENS))
+    large = checkpointed(large.select("cell", F.col("top.component").alias("top"), cut("top.rows", "top.weight").alias("top_parts"), cut("rest_rows", "rest_weight").alias("rest_parts")))
+    dealt = lookup(live, large, "cell", large.count(), "left")
+    total, rows = live.agg(F.coalesce(F.sum("weight"), F.lit(0)), F.count("*")).first()
+    buckets = max(partitions(spark), math.ceil(total / _CELL_TOKENS), math.ceil(rows / (2 * _CELL_ROWS)))
+    # meetings (top, i, j): two parts outside the largest component (0), or one of them and one of its parts (1)
+    whole, inside = F.col("top").isNull(), F.col("component") == F.col("top")
+    part = lambda parts: F.pmod(F.xxhash64("cls"), F.col(parts)).cast("int")
+    meeting = lambda top, i, j: F.struct(F.lit(top).alias("top"), i.alias("i"), j.alias("j"))
+    rest = F.sequence(F.lit(0), F.col("rest_parts") - 1)
+    alone = F.array(meeting(0, F.lit(0), F.lit(0)))
+    of_top = F.transform(rest, lambda o: meeting(1, o, part("top_parts")))
+    of_rest = F.concat(
+        F.transform(rest, lambda o: meeting(0, F.least(part("rest_parts"), o), F.greatest(part("rest_parts"), o))),
+        F.transform(F.sequence(F.lit(0), F.col("top_parts") - 1), lambda o: meeting(1, part("rest_parts"), o)),
+    )
+    dealt = checkpointed(
+        dealt.select(
+            "cls", "component", "cell", F.when(whole, F.pmod(F.xxhash64("cell"), F.lit(buckets)).cast("long")).otherwise(-1 - F.col("cell")).alias("bucket"), F.when(inside, -1).otherwise(F.coalesce(part("rest_parts"), F.lit(0))).alias("side"), F.explode(F.when(whole, alone).when(inside, of_top).otherwise(of_rest)).alias("at")
+        )
     )
-    fields = near.select("rep", "n", "rare", "toks", "pre2", "pre3")
-    grouped = dealt.join(fields, "rep").select("bucket", F.col("meeting.i").alias("i"), F.col("meeting.j").alias("j"), "rep", "n", "component", "cell", "part", "rare", "toks", "pre2", "pre3")
+    grouped = lookup(near.select("cls", "n", "toks"), dealt, "cls", dealt.count(), "inner").select("bucket", "at", "cls", "n", "component", "cell", "side", "toks")
 
     def join(key: tuple, table: pa.Table) -> pa.Table:
-        i, j = key[1].as_py(), key[2].as_py()
+        at = key[1].as_py()
         column = lambda c: table.column(c).to_numpy().astype(np.int64)
-        lists = lambda c, kind: [np.frombuffer(x.as_buffer(), kind) for x in table.column(c)]
-        side = None if i == j else column("part") == i
-        links = list(_group_links(column("rep"), column("n"), column("component"), column("cell"), side, lists("toks", np.uint64), column("rare").tolist(), [lists("pre2", np.uint32), lists("pre3", np.uint32)], threshold))
+        side = column("side") == at["i"] if at["top"] or at["i"] != at["j"] else None
+        n = column("n")
+        toks = [_tokens(x) for x in table.column("toks")]
+        room = [_rare_prefix(int(k), len(t), threshold) for k, t in zip(n, toks)]
+        pre = []
+        for seed in _SEEDS[:2]:
+            hashes = [mix64(t ^ seed) for t in toks]
+            pre.append([np.partition(h, k - 1)[:k] if k < len(h) else h for h, k in zip(hashes, room)])
+        links = list(_group_links(column("cls"), n, column("component"), column("cell"), side, toks, room, pre, threshold))
         return pa.table({"a": pa.array([x for x, _ in links], pa.int64()), "b": pa.array([y for _, y in links], pa.int64())})
 
-    return grouped.groupBy("bucket", "i", "j").applyInArrow(join, "a long, b long")
+    return grouped.groupBy("bucket", "at").applyInArrow(join, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD) -> DataFrame:
@@ -429,6 +501,7 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
     """
     if not 0 < threshold <= 100:
         raise ValueError("threshold is a percentage above 0")
+    spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     for seed in range(8):
         profile = checkpointed(shingle_profile(docs, width, seed))
@@ -436,18 +509,26 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
         total, many, names = classes.agg(F.coalesce(F.sum(F.col("n").cast("long")), F.lit(0)), F.count("*"), F.count_distinct("f1")).first()
         if many == names:  # else two different sets share the first half of their fingerprints
             break
-    ranges = max(MIN_RANGES, math.ceil(total / TOKENS_PER_RANGE))
-    shared = _shared_grams(_range_blobs(docs, width, seed, ranges), ranges)
-    near = checkpointed(_survivors(shared, classes.select("f1", "n", "rep"), ranges, threshold))
-    del shared
-    release_shuffles(docs.sparkSession)
-    links = _pivot_round(near, "k1", threshold).unionByName(_pivot_round(near, "k2", threshold))
-    links = checkpointed(links)
-    release_shuffles(docs.sparkSession)
-    component = connected_components(links)
-    cross = checkpointed(_cross_links(near, component, threshold))
-    component = connected_components(links.unionByName(cross)) if cross.limit(1).count() else component
-    named = classes.join(component, classes.rep == component.vertex, "left").select("f1", "rep", F.coalesce("component", "rep").alias("component"))
+    else:
+        raise RuntimeError("two different sets share half a fingerprint under every seed")
+    ranges = lambda tokens: max(MIN_RANGES, math.ceil(tokens / TOKENS_PER_RANGE))
+    counts = _prefix_counts(docs, width, seed, ranges(total // 4), threshold)
+    least = F.lit(1) + F.expr(f"(({threshold} * n + 99) div 100) div 20")  # spare(need(n))
+    live = checkpointed(counts.join(classes, "f1").where(F.col("shared") >= least).select("f1", "rep", "n"))
+    left, tokens = live.agg(F.count("*"), F.coalesce(F.sum(F.col("n").cast("long")), F.lit(0))).first()
+    release_shuffles(spark)
+    blocks = checkpointed(_set_blocks(docs, live, left, width, seed))
+    near = checkpointed(_survivors(blocks, _rarities(blocks, ranges(tokens)), threshold))
+    first = _pivot_round(near, "k1", threshold)
+    second = _pivot_round(first.where("cls is not null"), "k2", threshold)
+    links = first.unionByName(second).where("a is not null").select("a", "b")
+    release_shuffles(spark)
+    cross = checkpointed(_cross_links(near, connected_components(links), threshold))
+    component = connected_components(links.unionByName(cross))
+    # components are named by their smallest class; documents by their smallest id
+    members = checkpointed(component.join(classes.select(F.col("f1").alias("vertex"), "rep"), "vertex"))
+    roots = members.groupBy("component").agg(F.min("rep").alias("root"))
+    named = classes.join(members.join(roots, "component").select(F.col("vertex").alias("f1"), "root"), "f1", "left").select("f1", "rep", F.coalesce("root", "rep").alias("component"))
     out = profile.join(named, "f1", "left")
     own = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
     return out.select("doc_id", "n_shingles", F.when(own, F.col("rep")).otherwise(F.col("doc_id")).alias("class_id"), F.when(own, F.col("component")).otherwise(F.col("doc_id")).alias("component_id"))

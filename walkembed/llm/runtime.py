@@ -35,6 +35,14 @@ def release_shuffles(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+BROADCAST_ROWS = 1_000_000
+
+
+def lookup(rows: DataFrame, table: DataFrame, key: str, size: int, how: str) -> DataFrame:
+    """Joins a table of ``size`` narrow rows: sent to all where that is proven small, else joined by shuffle."""
+    return rows.join(F.broadcast(table) if size <= BROADCAST_ROWS else table, key, how)
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
