@@ -422,3 +422,41 @@ def test_pipeline_equals_its_operators(spark):
     rows = cp.run(spark, SF).collect()
     assert {r["doc_id"] for r in rows} == set(want)
     check_pack(rows, want)
+
+
+def test_word_ids_equal_the_tokenizer():
+    """Random strings of awkward characters, contractions, folds that grow, special tokens and joined plain words."""
+    words = encoder(packing.default_tokenizer())
+    rng = np.random.default_rng(9)
+    alphabet = [*"abstdeSTİIßéÉÜǅ'\".,!?-_(<|>) \t\n\x0b\x1c\x1f\x85\xa0 ̇́Σσς字ﬁ12٣", "'s", "'ll ", "<|endoftext|>", "İ.", " 'tis ", "Word,", "'d. "]
+    texts = ["", "'tis", "'S.", "''t", "('s)", "İ.", "(İ)", "aİ,", "x<|endoftext|>y", "'twas, don't \"'em\"", "Plain Words, here."]
+    texts += ["".join(rng.choice(alphabet, rng.integers(1, 30))) for _ in range(4000)]
+    ids, sizes = words.encode(pa.array([*texts, None], pa.large_string()))
+    assert sizes[-1] == 0
+    stop = np.cumsum(sizes)
+    for text, lo, hi in zip(texts, stop - sizes, stop):
+        assert ids[lo:hi].tolist() == words.tokenizer.encode(text, add_special_tokens=False).ids, repr(text)
+    again, _ = words.encode(pa.array(texts, pa.string()))
+    assert np.array_equal(ids, again)
+
+
+def test_long_texts_are_encoded_in_pieces(monkeypatch):
+    words = encoder(packing.default_tokenizer())
+    texts = pa.array(["a b", "word, " * 400 + "x" * 300 + " end", None, "tail", "y" * 500], pa.string())
+    whole = words.encode(texts)
+    monkeypatch.setattr(packing, "_BLOCK_CHARS", 50)
+    parts = list(packing._encoded(words, texts, [len(t or "") for t in texts.to_pylist()]))
+    assert [lo for lo, *_ in parts][1:] == [hi for _, hi, *_ in parts][:-1] and parts[-1][1] == 5
+    assert np.array_equal(np.concatenate([p[2] for p in parts]), whole[0]) and np.array_equal(np.concatenate([p[3] for p in parts]), whole[1])
+
+
+def test_cuts_at_the_contract_length_try_every_power_of_two():
+    rng = np.random.default_rng(5)
+    for _ in range(6):
+        at, penalty = packing.cut_candidates(9000, np.unique(np.append(rng.integers(1, 9000, 40), 9000)), rng.integers(1, 9000, 500), 2048)
+        cuts = packing.best_cuts(at, penalty, 2048, 1)
+        pen = dict(zip(at.tolist(), penalty.tolist()))
+        best = {0: 0}
+        for p in at.tolist():
+            best[p] = min(c + packing.padding(p - q, 2048) + pen[p] + packing.WINDOW for q, c in best.items() if p - q <= 2048)
+        assert sum(packing.padding(b - a, 2048) + pen[b] + packing.WINDOW for a, b in zip([0, *cuts], cuts)) == best[9000]

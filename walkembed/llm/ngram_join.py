@@ -50,7 +50,7 @@ from .textkernel import distinct_shingles, find_words, mix64, text_slices
 from .workers import take_over
 
 WIDTH, THRESHOLD = 5, 80
-TOKENS_PER_RANGE, MIN_RANGES = 2_000_000, 16
+TOKENS_PER_RANGE, MIN_RANGES = 500_000, 16
 _TOKENS_PER_BLOCK = 2_000_000
 _TOKENS_PER_SET_BLOCK = 500_000
 _PIVOTS = 8
