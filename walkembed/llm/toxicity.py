@@ -2,11 +2,11 @@
 
 The lexicon (given terms, plus word stems learned from labelled rows) is a trie.
 Its product with a Levenshtein automaton is made deterministic, so one table
-look-up a byte follows every word of a batch at once; most words die after a few
-bytes.  Terms of 5 letters allow one edit, of 9 two, anywhere in the word;
-look-alike digits and signs share their letter's class.  Ordinary words a few
-edits from a term, and such words of clean labelled rows, are spared.  Learned
-stems match exactly and accept any ending.
+look-up a character follows every word of a batch at once; most words die after a
+few.  Terms of 5 letters allow one edit, of 9 two, anywhere in the word; letters
+with marks, look-alike digits and signs share their base letter's class.  Ordinary
+words a few edits from a term, and such words of clean labelled rows, are spared.
+Learned stems match exactly and accept any ending.
 
 Each hit is weighed in its context window: inside quotation marks or beside words
 of reporting it counts little, beside second-person words more.  A text's score
@@ -14,8 +14,8 @@ is 1 - exp(-scale * sum).  At the default scale one plain hit with one edit
 decides a text; labelled rows move the scale either way where another cut serves
 them better.
 
-Fitting uses at most ``max_train_rows`` labelled rows a class (documented bound);
-scoring is one map over all texts.
+Fitting uses at most ``max_train_rows`` labelled rows a class and learns at most
+``max_stems`` stems (documented bounds); scoring is one map over all texts.
 
 Defined results: null, empty and clean texts score 0; repeated rows score alike;
 null ids are returned; without toxic labels the given lexicon and the default
@@ -25,6 +25,7 @@ scale serve; extra columns are ignored.
 from __future__ import annotations
 
 import re
+import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -38,7 +39,7 @@ from .runtime import crc_bucket, labelled_sample
 from .textkernel import Words, find_words, text_slices
 from .workers import take_over
 
-MAX_TRAIN_ROWS = 2000
+MAX_TRAIN_ROWS, MAX_STEMS = 2000, 64
 THRESHOLD = 0.7
 # The default lexicon.
 TERMS = (
@@ -62,6 +63,14 @@ _LOOKALIKE = {"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "@": "
 _OPEN, _CLOSE = ('"', "'", "“", "‘", "«", "„", "`"), ('"', "'", "”", "’", "»", "“", "`")
 
 
+# for lead bytes 0xC3 to 0xC9 and the byte behind, the ASCII base letter of a letter with marks
+_BASE_LETTER = np.zeros(0x250, dtype=np.uint8)
+for _code in range(0xC0, 0x250):
+    _letter = unicodedata.normalize("NFD", chr(_code))[0]
+    _BASE_LETTER[_code] = ord(_letter.lower()) if _letter.isascii() and _letter.isalpha() else 0
+_SKIP = -1
+
+
 def edits_allowed(term: str) -> int:
     return 0 if len(term) < 5 else 1 if len(term) < 9 else 2
 
@@ -157,13 +166,32 @@ class Automaton:
         self.table = np.stack(rows)
         self.weight, self.edits, self.sink = np.array(weights), np.array(edits), np.array(sinks)
 
+    def classes(self, raw: np.ndarray) -> np.ndarray:
+        """The class of every character at its first byte; combining marks and later bytes are skipped."""
+        out = self.byte_class[raw]
+        high = np.flatnonzero(raw >= 0x80)
+        if not len(high):
+            return out
+        byte = raw[high].astype(np.int64)
+        out[high[byte < 0xC0]] = _SKIP
+        pair = (byte >= 0xC2) & (byte <= 0xCD) & (high + 1 < len(raw))
+        at, lead = high[pair], byte[pair]
+        code = ((lead & 0x1F) << 6) | (raw[at + 1] & 0x3F)
+        letter = code < 0x250
+        base = _BASE_LETTER[code[letter]]
+        out[at[letter]] = np.where(base > 0, self.byte_class[base], 0)
+        out[at[(code >= 0x300) & (code < 0x370)]] = _SKIP
+        return out
+
     def match(self, raw: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(word index, weight, edits) of the words that the lexicon accepts."""
         at = np.flatnonzero(end > start)
         place, state = start[at], np.ones(len(at), dtype=np.int64)
         found: list[tuple[np.ndarray, np.ndarray]] = []
+        classes = self.classes(raw)
         while len(at):
-            state = self.table[state, self.byte_class[raw[place]]]
+            letter = classes[place]
+            state = np.where(letter == _SKIP, state, self.table[state, np.maximum(letter, 0)])
             place = place + 1
             over = (place == end[at]) | self.sink[state]
             hit = over & (self.weight[state] > 0)
@@ -235,8 +263,6 @@ def text_sums(words: Words, automaton: Automaton, spared: frozenset[str]) -> np.
     index, weight, edits = automaton.match(words.raw, lo, hi)
     docs = np.searchsorted(words.first, index, side="right") - 1
     for k, w, e, d in zip(index.tolist(), weight.tolist(), edits.tolist(), docs.tolist()):
-        if out[d] > 50:
-            continue  # the score is 1 to the last digit
         if e and words.raw[lo[k] : hi[k]].tobytes().decode("utf-8", "replace").lower() in spared:
             continue
         out[d] += w * _context(words, k, int(words.first[d]), int(words.first[d + 1]))
@@ -246,7 +272,7 @@ def text_sums(words: Words, automaton: Automaton, spared: frozenset[str]) -> np.
 _LETTERS = re.compile(r"[^\W\d_]+")
 
 
-def learn_stems(texts: list[str], labels: list[int], known: Automaton, spared: frozenset[str], most: int = 64) -> dict[str, float]:
+def learn_stems(texts: list[str], labels: list[int], known: Automaton, spared: frozenset[str], most: int = MAX_STEMS) -> dict[str, float]:
     """Word beginnings that mark toxic texts which the given terms do not decide: greedy cover by precise prefixes."""
 
     def prefixes(text: str) -> Counter:
@@ -278,13 +304,13 @@ def learn_stems(texts: list[str], labels: list[int], known: Automaton, spared: f
     return stems
 
 
-def fit(texts: list[str], labels: list[int], terms: tuple[str, ...] = TERMS) -> Lexicon:
+def fit(texts: list[str], labels: list[int], terms: tuple[str, ...] = TERMS, max_stems: int = MAX_STEMS) -> Lexicon:
     lexicon = Lexicon({t: 1.0 for t in terms})
     if not texts:
         return lexicon
     y = np.array(labels)
     first = Automaton(lexicon)
-    near: Counter = Counter()
+    near: set[str] = set()
     for lo, _, raw, offsets in text_slices(pa.array(texts, pa.large_string())):
         words = find_words(raw, offsets)
         if len(words.start):
@@ -293,10 +319,10 @@ def fit(texts: list[str], labels: list[int], terms: tuple[str, ...] = TERMS) ->
             docs = np.searchsorted(words.first, index, side="right") - 1
             for k, e, d in zip(index.tolist(), edits.tolist(), docs.tolist()):
                 if e and not y[lo + d]:
-                    near[words.raw[a[k] : b[k]].tobytes().decode("utf-8", "replace").lower()] += 1
-    lexicon.spared |= {w for w, _ in near.most_common(10_000)}
+                    near.add(words.raw[a[k] : b[k]].tobytes().decode("utf-8", "replace").lower())
+    lexicon.spared |= near
     if y.any():
-        lexicon.stems = learn_stems(texts, labels, first, lexicon.spared)
+        lexicon.stems = learn_stems(texts, labels, first, lexicon.spared, max_stems)
     if y.any() and not y.all():
         # the cut with the best F1, of equal ones the nearest to the default, and the scale that puts it at the threshold
         automaton = Automaton(lexicon)
