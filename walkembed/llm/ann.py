@@ -15,14 +15,17 @@ well.  So a block's answer is exact, also where codes cannot order the vectors
 (near copies).  Vectors with equal components collapse inside a block first, so a
 crowd of copies takes one place and still returns its smallest ids.
 
-Queries and vectors meet in blocks of bounded size; the quantiser is fitted on a
-bounded sample (``max_train_rows``), every vector is encoded and scanned.  The
-sample only steers how much has to be looked at, not the answer.
+Queries and vectors meet in blocks of bounded size, dealt by id and components, so
+no repeated id fills one; a block of vectors is encoded once for up to
+``QUERY_ROWS`` queries.  The quantiser is fitted on a bounded sample
+(``max_train_rows``), every vector is encoded and scanned.  The sample only steers
+how much has to be looked at, not the answer.
 
 Defined results: null, zero and non-finite vectors, null ids and vectors of
-another length than the most common take no part; repeated rows count once each;
-with fewer candidates than k all are returned; an empty table gives no rows; extra columns
-are ignored.
+another length than the most common take no part; an id of several rows is one
+candidate, as near as its nearest row, and one query, whose rows all ask; with
+fewer candidates than k all are returned; an empty table gives no rows; extra
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -37,8 +40,9 @@ from pyspark.sql import functions as F
 
 MAX_TRAIN_ROWS = 4096
 K, RERANK = 10, 160
-BLOCK_ROWS, QUERY_ROWS = 16_384, 1024
+BLOCK_ROWS, QUERY_ROWS = 16_384, 16_384
 _SLICE = 128  # queries whose products with a block are held at a time
+_SCANNED = 1024  # queries whose scores of a block are held at a time
 CENTRES = 16
 
 
@@ -122,8 +126,8 @@ def scan_scores(packed: np.ndarray, tables: np.ndarray) -> np.ndarray:
 
 
 def usable(vectors: DataFrame) -> DataFrame:
-    """(vec_id, embedding as doubles): the rows that take part."""
-    v = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
+    """(vec_id, embedding): the rows that take part."""
+    v = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding")
     fine = F.forall("embedding", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("embedding", lambda x: x != 0)
     v = v.where(F.col("vec_id").isNotNull() & F.col("embedding").isNotNull() & F.coalesce(fine, F.lit(False)))
     return v
@@ -131,7 +135,7 @@ def usable(vectors: DataFrame) -> DataFrame:
 
 def _matrix(column: pa.ChunkedArray) -> np.ndarray:
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1)
+    return column.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(column), -1)
 
 
 def _lower_bounds(heads: np.ndarray, q: np.ndarray, quantiser: Quantiser, codes: np.ndarray, tables: np.ndarray, scores: np.ndarray) -> np.ndarray:
@@ -170,15 +174,24 @@ def _widened(heads: np.ndarray, q: np.ndarray, best: np.ndarray, bounds: np.ndar
 
 
 def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, quantiser: Quantiser, k: int, rerank: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query, vector, distance) of the nearest of one block."""
+    """(query, vector, distance) of the nearest of one block, each id once a query row."""
     order = np.argsort(ids, kind="stable")
     ids, x = ids[order], x[order]
+    wanted, k = k, k + len(ids) - len(np.unique(ids))  # rows of one id may take several places
     rows = np.ascontiguousarray(x + 0.0)  # no negative zeros
     _, first, member = np.unique(rows.view(np.dtype((np.void, rows.shape[1] * 8))).ravel(), return_index=True, return_inverse=True)
     by = np.argsort(member, kind="stable")  # ids ascending inside each group of copies
     begin = np.concatenate([[0], np.cumsum(np.bincount(member))])
     heads = x[first]
     codes = quantiser.encode(heads)
+    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+    for lo in range(0, len(q), _SCANNED):
+        out += _scan_block(q_ids[lo : lo + _SCANNED], q[lo : lo + _SCANNED], ids, heads, codes, by, begin, quantiser, k, wanted, rerank)
+    return tuple(np.concatenate([o[i] for o in out]) for i in range(3))  # type: ignore[return-value]
+
+
+def _scan_block(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, heads: np.ndarray, codes: np.ndarray, by: np.ndarray, begin: np.ndarray, quantiser: Quantiser, k: int, wanted: int, rerank: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+    """For each query the ``wanted`` nearest ids of a block; row ``by[begin[h] : begin[h + 1]]`` are the copies of head h."""
     tables = quantiser.tables(q)
     scores = scan_scores(pack_codes(codes), tables)
     bounds = _lower_bounds(heads, q, quantiser, codes, tables, scores)
@@ -186,7 +199,6 @@ def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarr
     m = min(rerank, len(heads))
     best = np.argpartition(-scores, m - 1, axis=0)[:m] if m < len(heads) else np.broadcast_to(np.arange(len(heads))[:, None], scores.shape)
     del scores
-    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     for j, (name, picked) in enumerate(zip(q_ids.tolist(), _widened(heads, q, best, bounds, k))):
         exact = np.sqrt(((heads[picked] - q[j]) ** 2).sum(1))
         near = np.argsort(exact, kind="stable")
@@ -197,9 +209,9 @@ def _block_search(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarr
         dist = np.concatenate([np.full(len(s), exact[i]) for s, i in zip(some, near)])
         other = vec != name
         vec, dist = vec[other], dist[other]
-        top = np.lexsort((vec, dist))[:k]
-        out.append((np.full(len(top), name), vec[top], dist[top]))
-    return tuple(np.concatenate([o[i] for o in out]) for i in range(3))  # type: ignore[return-value]
+        top = np.lexsort((vec, dist))
+        top = top[np.sort(np.unique(vec[top], return_index=True)[1])][:wanted]  # the nearest row of each id
+        yield np.full(len(top), name), vec[top], dist[top]
 
 
 def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RERANK, max_train_rows: int = MAX_TRAIN_ROWS) -> DataFrame:
@@ -215,8 +227,8 @@ def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RER
     shared = spark.sparkContext.broadcast(Quantiser(_matrix(sample.column("embedding"))))
     blocks, query_blocks = math.ceil(common["rows"] / BLOCK_ROWS), math.ceil(common["queries"] / QUERY_ROWS)
     each = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    rows = fine.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")).withColumn("query_block", each(query_blocks))
-    asked = fine.where(is_query).withColumn("query_block", F.pmod(F.xxhash64("vec_id"), F.lit(query_blocks)).cast("int")).select(F.col("vec_id").alias("asked_id"), F.col("embedding").alias("asked"), "query_block", each(blocks).alias("block"))
+    rows = fine.withColumn("block", F.pmod(F.xxhash64("vec_id", "embedding"), F.lit(blocks)).cast("int")).withColumn("query_block", each(query_blocks))
+    asked = fine.where(is_query).withColumn("query_block", F.pmod(F.xxhash64("vec_id", "embedding"), F.lit(query_blocks)).cast("int")).select(F.col("vec_id").alias("asked_id"), F.col("embedding").alias("asked"), "query_block", each(blocks).alias("block"))
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
         if not len(left) or not len(right):
@@ -225,5 +237,6 @@ def search(vectors: DataFrame, is_query: F.Column, k: int = K, rerank: int = RER
         return pa.table(dict(zip(("query_id", "vec_id", "score"), (pa.array(c) for c in found))))
 
     found = asked.groupBy("query_block", "block").cogroup(rows.groupBy("query_block", "block")).applyInArrow(run, schema)
-    ranked = found.withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id")))
+    # an id's rows lie in several blocks, a query's answers come from all
+    ranked = found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score")).withColumn("rank", F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id")))
     return ranked.where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
