@@ -1,10 +1,12 @@
 """Secret scan: fixed patterns, and character Markov models compared by log-likelihood ratio.
 
 Three base patterns give spans of their own.  Beyond them, every long run of
-token characters with letters and digits is scored by two order-2 character
-models, of random strings and of ordinary identifiers, trained from labelled
-samples; runs whose log-likelihood ratio a character passes a cut calibrated on
-the samples become spans of kind ``model`` unless a base span covers them.
+token characters is scored by two order-2 character models, of random strings and
+of ordinary identifiers, trained from labelled samples.  Where the mean
+log-likelihood ratio a character of a window of ``MIN_MODEL`` characters passes a
+cut calibrated on the samples, the part of the windows that stands out most, in
+whole words of letters and digits, becomes a span of kind ``model`` unless a base
+span meets it.
 
 Every base match of the access and hex kinds lies inside a run of token
 characters, so one pass finds the runs and the rest looks only inside them.
@@ -57,17 +59,24 @@ WORDS = (
     "information developpement gouvernement changement nouvelle mouvement quelque universite "
     "desarrollo informacion gobierno generalmente comunidad rapidamente nacional estacion"
 ).split()
+# Syllables of the languages that texts are written in.
+SYLLABLES = (
+    "the ion tion an er re th ing st en ti on es or ha nd ou ed at to is ble le ly ea de ment os ado che ver ung keit lich heit schaft ein ge sch "
+    "pf tz dampf schiff fahrt werk haus land stadt rechts que eur euse elle ique aux ant cia dad mente cion ria que ando ista ness ful able inter con "
+    "pro com per ana tri uni mono graph logie"
+).split()
 
 
 def labelled_samples(seed: int = 17) -> list[tuple[str, int]]:
     """(string, 1 for random or 0 for ordinary), made by rule from a fixed seed."""
     rng = np.random.default_rng(seed)
-    alphabets = ["0123456789abcdef", "0123456789ABCDEF", "ABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/", "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789_-"]
+    lower, upper, digits = "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "0123456789"
+    alphabets = [digits + "abcdef", digits + "ABCDEF", upper + digits, upper + lower + digits, upper + lower + digits + "+/", upper + lower + digits + "_-", lower, upper + lower, lower + digits]
     out = [("".join(rng.choice(list(alphabets[k % len(alphabets)]), int(rng.integers(MIN_MODEL, 48)))), 1) for k in range(1500)]
     for k in range(1500):
         picked = rng.choice(WORDS, int(rng.integers(2, 6))).tolist()
         tail = ["", "", str(rng.integers(0, 100)), str(rng.integers(1990, 2030)), f"v{rng.integers(1, 9)}"][k % 5]
-        style = k % 6
+        style = k % 8
         if style == 0:
             text = "_".join([*picked, *([tail] if tail else [])])
         elif style == 1:
@@ -78,8 +87,15 @@ def labelled_samples(seed: int = 17) -> list[tuple[str, int]]:
             text = "/".join([*picked, *([tail] if tail else [])])
         elif style == 4:
             text = "_".join(picked).upper() + ("_" + tail.upper() if tail else "")
-        else:
+        elif style == 5:
             text = "".join(picked) + tail
+        elif style == 6:  # words as languages compound them
+            text = "".join(rng.choice(SYLLABLES, int(rng.integers(6, 14))))
+            text = text.title() if k % 3 else text
+        elif k % 16 < 8:  # rules
+            text = str(rng.choice(list("-=_+/x0"))) * int(rng.integers(MIN_MODEL, 60))
+        else:  # dates and numbers
+            text = "-/_"[k % 3].join(str(n) for n in rng.integers(1, 2030, 8))
         out.append((text, 0))
     return out
 
@@ -107,16 +123,48 @@ class MarkovRatio:
             lower = pair / pair.sum(1, keepdims=True)
             tables.append(np.log((triple + smooth * lower[None]) / (triple.sum(2, keepdims=True) + smooth)))
         self.ratio = (tables[0] - tables[1]).astype(np.float32)
-        scores = [(self(text), label) for text, label in samples]
+        scores = [(self(text), label) for text, label in samples if len(text) >= MIN_MODEL]
         random, plain = np.array([s for s, k in scores if k]), np.array([s for s, k in scores if not k])
         # between almost all ordinary and almost all random samples
         self.cut = max(0.0, float((np.quantile(plain, 0.999) + np.quantile(random, 0.01)) / 2)) if len(random) and len(plain) else np.inf
 
-    def __call__(self, text: str) -> float:
+    def windows(self, text: str) -> np.ndarray:
+        """The mean ratio of every window of ``MIN_MODEL`` characters; of the whole text, if it is shorter."""
         c = _CODE[np.frombuffer(text.encode(), dtype=np.uint8)]
         if len(c) < 3:
-            return -np.inf
-        return float(self.ratio[c[:-2], c[1:-1], c[2:]].mean())
+            return np.full(1, -np.inf)
+        run = np.concatenate([[0.0], np.cumsum(self.ratio[c[:-2], c[1:-1], c[2:]], dtype=np.float64)])
+        size = min(MIN_MODEL - 2, len(run) - 1)
+        return (run[size:] - run[:-size]) / size
+
+    def __call__(self, text: str) -> float:
+        return float(self.windows(text).max())
+
+    def spans(self, text: str) -> list[tuple[int, int]]:
+        """The random parts of a run: of joined windows above the cut the part that stands out most, in whole words."""
+        joined: list[list[int]] = []
+        for lo in np.flatnonzero(self.windows(text) > self.cut).tolist():
+            if joined and lo <= joined[-1][1]:
+                joined[-1][1] = lo + MIN_MODEL
+            else:
+                joined.append([lo, lo + MIN_MODEL])
+        out: list[tuple[int, int]] = []
+        for lo, hi in joined:
+            c = _CODE[np.frombuffer(text[lo:hi].encode(), dtype=np.uint8)]
+            run = np.concatenate([[0.0], np.cumsum(self.ratio[c[:-2], c[1:-1], c[2:]] - self.cut)])
+            low = np.minimum.accumulate(run)
+            stop = int((run - low).argmax())
+            begin = int(run[: stop + 1].argmin())
+            begin, stop = lo + begin + 2 * (begin > 0), lo + stop + 2  # a ratio is about the third of its characters
+            while begin and text[begin - 1].isalnum():
+                begin -= 1
+            while stop < len(text) and text[stop].isalnum():
+                stop += 1
+            if out and begin < out[-1][1]:
+                out[-1] = out[-1][0], max(stop, out[-1][1])
+            else:
+                out.append((begin, stop))
+        return out
 
 
 def base_spans(text: str, runs: list[tuple[int, int]]) -> list[Span]:
@@ -129,17 +177,15 @@ def base_spans(text: str, runs: list[tuple[int, int]]) -> list[Span]:
     return sorted(spans, key=lambda s: (s[0], KINDS.index(s[2])))
 
 
-_MIXED = re.compile(r"(?=[^0-9]*[0-9])(?=[^A-Za-z]*[A-Za-z])")
-
-
 def find_spans(text: str, model: MarkovRatio) -> tuple[list[Span], list[Span]]:
     """(base spans, all spans) of a text, each sorted by start and kind."""
     runs = [m.span() for m in _RUN.finditer(text)]
     base = base_spans(text, runs)
     more = []
     for lo, hi in runs:
-        if hi - lo >= MIN_MODEL and _MIXED.match(text, lo, hi) and not any(a < hi and lo < b for a, b, _ in base) and model(text[lo:hi]) > model.cut:
-            more.append((lo, hi, "model"))
+        if hi - lo >= MIN_MODEL:
+            near = [(a, b) for a, b, _ in base if a < hi and lo < b]
+            more += [(lo + a, lo + b, "model") for a, b in model.spans(text[lo:hi]) if not any(c < lo + b and lo + a < d for c, d in near)]
     return base, sorted(base + more, key=lambda s: (s[0], KINDS.index(s[2])))
 
 
