@@ -2,6 +2,12 @@
 
 Each stage takes the documents that its predecessor kept and returns a frame,
 which is written as Parquet and read again as the next one's documents.
+
+Defined results: null and empty texts are judged like texts without words and
+keep what columns they have; rows with a null id are kept by the join; of rows
+that repeat an id and a text one is kept; rows that repeat an id with texts that
+don't link all stay; empty tables give no rows; extra columns of ``documents``
+come along up to packing, which ignores them whatever their names.
 """
 
 from __future__ import annotations
@@ -9,15 +15,9 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from walkembed.llm import ngram_join, packing, quality_nbsvm, secrets, toxicity
-from walkembed.llm.runtime import read_table
-
-
-def _kept(docs: DataFrame, verdicts: DataFrame) -> DataFrame:
-    """The rows of ``docs`` whose id ``verdicts`` holds; rows with a null id go."""
-    return docs.join(verdicts.select("doc_id").distinct(), "doc_id", "left_semi").select(*docs.columns)
+from walkembed.llm.runtime import ensure_checkpoint_dir, read_table, remove_folder
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,8 +34,7 @@ def toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group: the one with the smallest id."""
-    groups = ngram_join.near_duplicates(docs)
-    return _kept(docs, groups.where(F.col("doc_id") == F.col("component_id")))
+    return ngram_join.distinct_documents(docs)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -60,13 +59,17 @@ ORACLE_SQL = None  # the classifiers and the tokenizer are beyond SQL; tests hol
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``; intermediate tables lie in the shared checkpoint folder."""
-    from walkembed.llm.runtime import ensure_checkpoint_dir
+    """All stages over ``documents``.
 
+    Each stage's table lies in the shared checkpoint folder until the next one is
+    written; the last one stays for the caller.
+    """
     ensure_checkpoint_dir(spark)
     folder = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/pipeline-{uuid.uuid4().hex}"
     docs = read_table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:
+            remove_folder(spark, f"{folder}/{k - 1}")
     return docs

@@ -460,3 +460,103 @@ def test_cuts_at_the_contract_length_try_every_power_of_two():
         for p in at.tolist():
             best[p] = min(c + packing.padding(p - q, 2048) + pen[p] + packing.WINDOW for q, c in best.items() if p - q <= 2048)
         assert sum(packing.padding(b - a, 2048) + pen[b] + packing.WINDOW for a, b in zip([0, *cuts], cuts)) == best[9000]
+
+
+def test_neighbours_of_repeated_ids(spark):
+    from pyspark.sql import functions as F
+
+    frame = read_table(spark, SF, "embeddings").select("vec_id", "embedding").where("vec_id < 120")
+    moved = frame.where("vec_id in (100, 5)").withColumn("embedding", F.transform("embedding", lambda v: v + F.lit(0.25).cast("float")))
+    every = frame.unionByName(frame.where("vec_id in (0, 3)")).unionByName(moved).unionByName(frame.where("vec_id = 7").crossJoin(spark.range(30)).select("vec_id", "embedding"))
+    rows = [(r["vec_id"], np.array(r["embedding"], dtype=float)) for r in every.collect()]
+    want = []
+    for q in (0, 100):
+        best: dict = {}
+        for name, x in rows:
+            for _, asked in [r for r in rows if r[0] == q and name != q]:
+                best[name] = min(best.get(name, np.inf), float(np.sqrt(((x - asked) ** 2).sum())))
+        want += [(q, k, v) for k, (v, _) in enumerate(sorted(best.items(), key=lambda p: (p[1], p[0]))[:10], 1)]
+    got = [(r["query_id"], r["rank"], r["vec_id"]) for r in ann.search(every, F.col("vec_id") % 100 == 0).orderBy("query_id", "rank").collect()]
+    assert got == want
+
+
+def test_toxicity_of_letters_with_marks():
+    assert score("What an \u00efdi\u00f6t.") >= 0.7 and score("a real mo\u0308ron") >= 0.7 and score("such a l\u00f8s\u00e9r") >= 0.7
+    assert score("caf\u00e9 na\u00efve \u00fcber 字字字字字") == 0
+    text = "you idiot " * 200  # no limit of hits
+    [(_, _, raw, offsets)] = list(quality_nbsvm.text_slices(pa.array([text])))
+    lexicon = toxicity.Lexicon()
+    assert toxicity.text_sums(quality_nbsvm.find_words(raw, offsets), toxicity.Automaton(lexicon), lexicon.spared)[0] > 200
+
+
+def test_toxicity_on_held_out(docs, labels):
+    rows = toxicity.classify(docs, labels).join(labels, "doc_id").where("held_out").collect()
+    assert all(r["predicted"] == (r["score"] >= 0.7) and (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) == r["held_out"] for r in rows)
+    assert np.mean([r["predicted"] == r["toxic"] for r in rows]) >= 0.9
+
+
+def test_markov_spans_of_parts_and_letters():
+    model = secrets.MarkovRatio()
+    spans = lambda t: secrets.find_spans(t, model)[1]
+    assert spans("see qwhzkvjxmpbtrlcnqwhzkv now") == [(4, 26, "model")]
+    assert spans("usr/local/share/docs/x8Fk2PqLm9Zr7TnVb3Wc") == [(21, 41, "model")]
+    for plain in ("-" * 40, "=" * 30, "_" * 25, "Donaudampfschifffahrtsgesellschaft", "internationalization_of_everything", "https/www/example/com/articles/2020/10/11"):
+        assert spans(plain) == []
+
+
+def test_samples_of_repeated_ids_are_the_same_on_every_run(spark):
+    from walkembed.llm.runtime import labelled_sample
+
+    docs = spark.createDataFrame([(1, "b"), (1, "a"), (2, "c"), (3, None), (None, "d")] * 3, "doc_id long, text string")
+    marks = spark.createDataFrame([(1, 1), (2, 0), (2, 1), (3, 1), (None, 1), (9, None)], "doc_id long, quality int")
+    assert labelled_sample(docs.repartition(7), marks, "quality", 10) == (["a", "c"], [1, 0])
+
+
+def test_distinct_documents(spark):
+    base = [f"w{k}" for k in range(60)]
+    near = " ".join([*base[:59], "other"])
+    rows = [(5, " ".join(base), 1), (5, near, 2), (5, "quite another text that links with nothing at all", 3), (3, " ".join(base), 4), (3, " ".join(base), 4), (None, "a b", 5), (None, "a b", 5), (8, None, 6), (8, "", 7), (9, None, 6), (7, near.upper(), 8)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string, near_duplicate_text int")
+    kept = sorted((r["doc_id"] or -1, r["text"] or "", r["near_duplicate_text"]) for r in ngram_join.distinct_documents(frame).collect())
+    assert kept == sorted([(3, " ".join(base), 4), (5, rows[2][1], 3), (-1, "a b", 5), (-1, "a b", 5), (8, "", 6), (8, "", 7), (9, "", 6)])
+    assert ngram_join.distinct_documents(frame.where("false")).count() == 0
+
+
+def test_pipeline_stages_on_awkward_rows(spark, awkward):
+    """Every stage takes nulls, empty and long texts, repeats, clashing columns and empty tables, and keeps the columns."""
+    import corpus_pipeline as cp
+
+    docs = awkward.withColumnRenamed("score", "ids").withColumnRenamed("n_words", "sequence_id")
+    for table in (docs, docs.where("false")):
+        for name, stage in cp.STAGES:
+            out = stage(spark, table, SF)
+            if name != "packing":
+                assert out.columns == table.columns
+            rows = out.collect()
+            if name == "n-gram Jaccard join":
+                assert len(rows) == max(0, table.count() - 1)  # one row repeats an id and its text
+            if name == "secret scans":
+                assert len(rows) == table.count()
+            if name == "packing":
+                assert len({r["doc_id"] for r in rows}) == len({r["doc_id"] for r in table.collect()})
+
+
+def test_pieces_meet_in_salted_groups_and_large_cells(spark, monkeypatch):
+    """A family whose members mostly don't link to its pivots, with groups and cells cut small and many edge parts."""
+    from walkembed.llm import components
+
+    rng = np.random.default_rng(11)
+    rows = []
+    for family in range(2):
+        base = [f"f{family}w{k}" for k in range(90)]
+        for n in range(70):
+            words = list(base)
+            for p in rng.choice(90, 1 + n % 5, replace=False):
+                words[p] = f"x{rng.integers(10_000)}"
+            rows.append((1000 * family + n, " ".join(words)))
+    for name, value in (("_GROUP_PART", 10), ("_CELL_ROWS", 8), ("TOKENS_PER_RANGE", 500), ("_TOKENS_PER_BLOCK", 700), ("_TOKENS_PER_SET_BLOCK", 600), ("_PIVOTS", 1)):
+        monkeypatch.setattr(ngram_join, name, value)
+    monkeypatch.setattr(components.connected_components, "__defaults__", (60, 20))
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.near_duplicates(frame).collect()}
+    assert got == brute_components(rows)

@@ -31,7 +31,7 @@ How it scales
 Defined results: null text and texts without words have an empty set and link
 with nothing; rows with a null id are returned with a null component; repeated
 ids are one document per row with the same component if their texts link; extra
-columns are ignored.
+columns are ignored, but those named in ``carry`` come along.
 """
 
 from __future__ import annotations
@@ -84,8 +84,9 @@ def _signature(grams: np.ndarray, seed: int) -> tuple[int, int]:
         return int(mixed.sum(dtype=np.uint64).astype(np.int64)), int(np.bitwise_xor.reduce(mix64(mixed + np.uint64(len(grams)))).astype(np.int64))
 
 
-def shingle_profile(docs: DataFrame, width: int = WIDTH, seed: int = 0) -> DataFrame:
-    """(doc_id, n_shingles, f1, f2): set size and a 128-bit fingerprint of each set."""
+def shingle_profile(docs: DataFrame, width: int = WIDTH, seed: int = 0, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_shingles, f1, f2): set size and a 128-bit fingerprint of each set, and the columns to carry."""
+    kept = ["doc_id", *carry]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         take_over("join")
@@ -95,9 +96,11 @@ def shingle_profile(docs: DataFrame, width: int = WIDTH, seed: int = 0) -> DataF
                 for grams in distinct_shingles(find_words(raw, offsets), width):
                     a, b = _signature(grams, seed) if len(grams) else (0, 0)
                     size.append(len(grams)), f1.append(a), f2.append(b)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(size, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64())], ["doc_id", "n_shingles", "f1", "f2"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(size, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64())], [*kept, "n_shingles", "f1", "f2"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, n_shingles long, f1 long, f2 long")
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *carry, F.col("text").cast("string").alias("text"))
+    made = "n_shingles long, f1 long, f2 long"
+    return texts.mapInArrow(run, ", ".join([*(f"`{c}` {kind}" for c, kind in texts.dtypes if c in kept), made]))
 
 
 def _blocks(batches: Iterator[pa.RecordBatch], width: int, seed: int, limit: int, pick: Callable[[np.ndarray], np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray, list[np.ndarray]]]:
@@ -493,18 +496,40 @@ def _cross_links(near: DataFrame, component: DataFrame, threshold: int) -> DataF
     return grouped.groupBy("bucket", "at").applyInArrow(join, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD) -> DataFrame:
-    """(doc_id, n_shingles, class_id, component_id), a row for each input row.
+def distinct_documents(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD) -> DataFrame:
+    """The rows of ``docs``, one of each group: the one with the smallest id, of several such rows one.
+
+    Rows with a null id and rows without words have no group and stay.
+    """
+    mark = "near_duplicate_text"
+    while mark in docs.columns:
+        mark += "_"
+    marked = docs.withColumn(mark, F.xxhash64("text"))
+    groups = checkpointed(near_duplicates(marked, width, threshold, (mark,)).where("group is not null").select("doc_id", mark, "group"))
+    first = groups.groupBy("group").agg(F.min(F.struct("doc_id", mark)).alias("first"))
+    lost = groups.join(first, "group").where((F.col("doc_id") != F.col("first.doc_id")) | (F.col(mark) != F.col(f"first.{mark}"))).select("doc_id", mark).distinct()
+    lost = checkpointed(lost)
+    rest = lookup(marked, lost, ["doc_id", mark], lost.count(), "left_anti")
+    # rows that repeat an id and its text
+    again = checkpointed(groups.groupBy("doc_id", mark).agg(F.count("*").alias("rows")).where("rows > 1").select("doc_id", mark))
+    repeats = again.count()
+    if repeats:
+        rest = lookup(rest, again, ["doc_id", mark], repeats, "left_anti").unionByName(lookup(rest, again, ["doc_id", mark], repeats, "left_semi").dropDuplicates(["doc_id", mark]))
+    return rest.select(*(F.col(f"`{c}`") for c in docs.columns))
+
+
+def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_shingles, class_id, component_id, group), a row for each input row.
 
     ``class_id`` is the smallest id with exactly the same set, ``component_id``
-    the smallest id reachable by links.
+    the smallest id reachable by links.  Components of repeated ids may share it;
+    ``group`` names the component, and is null where there is nothing to link.
     """
     if not 0 < threshold <= 100:
         raise ValueError("threshold is a percentage above 0")
     spark = docs.sparkSession
-    docs = docs.select("doc_id", "text")
     for seed in range(8):
-        profile = checkpointed(shingle_profile(docs, width, seed))
+        profile = checkpointed(shingle_profile(docs, width, seed, carry))
         classes = checkpointed(profile.where("n_shingles > 0 and doc_id is not null").groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").cast("int").alias("n")))
         total, many, names = classes.agg(F.coalesce(F.sum(F.col("n").cast("long")), F.lit(0)), F.count("*"), F.count_distinct("f1")).first()
         if many == names:  # else two different sets share the first half of their fingerprints
@@ -528,7 +553,8 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
     # components are named by their smallest class; documents by their smallest id
     members = checkpointed(component.join(classes.select(F.col("f1").alias("vertex"), "rep"), "vertex"))
     roots = members.groupBy("component").agg(F.min("rep").alias("root"))
-    named = classes.join(members.join(roots, "component").select(F.col("vertex").alias("f1"), "root"), "f1", "left").select("f1", "rep", F.coalesce("root", "rep").alias("component"))
+    named = classes.join(members.join(roots, "component").select(F.col("vertex").alias("f1"), "root", F.col("component").alias("group")), "f1", "left")
+    named = named.select("f1", "rep", F.coalesce("root", "rep").alias("component"), F.coalesce("group", "f1").alias("group"))
     out = profile.join(named, "f1", "left")
     own = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
-    return out.select("doc_id", "n_shingles", F.when(own, F.col("rep")).otherwise(F.col("doc_id")).alias("class_id"), F.when(own, F.col("component")).otherwise(F.col("doc_id")).alias("component_id"))
+    return out.select("doc_id", *carry, "n_shingles", F.when(own, F.col("rep")).otherwise(F.col("doc_id")).alias("class_id"), F.when(own, F.col("component")).otherwise(F.col("doc_id")).alias("component_id"), F.when(own, F.col("group")).alias("group"))

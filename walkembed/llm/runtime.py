@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import os
+import re
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,11 +12,13 @@ from pyspark.sql import functions as F
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Uses the cluster's ``spark.checkpoint.dir``; only where it is unset (tests) a local folder."""
+    """Uses the cluster's ``spark.checkpoint.dir``; only a local master (tests) may leave it unset."""
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isDefined():
         return
     folder = context.getConf().get("spark.checkpoint.dir")
+    if not folder and not re.fullmatch(r"local(\[.*\])?", context.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the cluster shares")
     context.setCheckpointDir(folder or os.path.join(tempfile.gettempdir(), "walkembed-checkpoints"))
 
 
@@ -35,10 +38,16 @@ def release_shuffles(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def remove_folder(spark: SparkSession, folder: str) -> None:
+    """Deletes a folder of whatever file system holds it."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
 BROADCAST_ROWS = 1_000_000
 
 
-def lookup(rows: DataFrame, table: DataFrame, key: str, size: int, how: str) -> DataFrame:
+def lookup(rows: DataFrame, table: DataFrame, key: str | list[str], size: int, how: str) -> DataFrame:
     """Joins a table of ``size`` narrow rows: sent to all where that is proven small, else joined by shuffle."""
     return rows.join(F.broadcast(table) if size <= BROADCAST_ROWS else table, key, how)
 
@@ -61,17 +70,15 @@ def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, max_row
     Rows are chosen by hash from the labels table alone; the chosen ids (a bound
     set by the parameter) are broadcast into one scan of ``documents``, so no
     text is shuffled.  ``held_out`` = (modulus, remainder) leaves out the rows
-    whose crc32 of the id gives that remainder.  Returns (texts, labels); null
-    labels, ids and texts are left out, and repeated ids are used once.
+    whose crc32 of the id gives that remainder.  Returns (texts, labels) by id;
+    null labels, ids and texts are left out.  Of repeated ids the smallest text and
+    label serve, picked before anything reaches the driver.
     """
     chosen = labels.select("doc_id", F.col(label).cast("int").alias("label")).where(F.col("doc_id").isNotNull() & F.col("label").isin(0, 1))
     if held_out:
         chosen = chosen.where(crc_bucket("doc_id", held_out[0]) != held_out[1])
     per_class = [chosen.where(F.col("label") == k).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows) for k in (0, 1)]
     picked = per_class[0].unionByName(per_class[1])
-    rows = documents.select("doc_id", "text").where(F.col("text").isNotNull()).join(F.broadcast(picked), "doc_id").collect()
-    seen: dict = {}
-    for row in rows:
-        seen.setdefault(row["doc_id"], row)
-    kept = sorted(seen.values(), key=lambda r: r["doc_id"])
+    rows = documents.select("doc_id", "text").where(F.col("text").isNotNull()).join(F.broadcast(picked), "doc_id")
+    kept = sorted(rows.groupBy("doc_id").agg(F.min("text").alias("text"), F.min("label").alias("label")).collect(), key=lambda r: r["doc_id"])
     return [r["text"] for r in kept], [r["label"] for r in kept]
