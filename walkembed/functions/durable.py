@@ -3,16 +3,20 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
 
 from pyspark.sql import DataFrame
 
 
 def ensure_checkpoint_dir(frame: DataFrame) -> None:
-    """Uses the session's ``spark.checkpoint.dir``; sets a local folder only where it is unset, as in tests."""
+    """Uses the session's ``spark.checkpoint.dir``; only a local master, as in tests, may leave it unset."""
     context = frame.sparkSession.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or os.path.join(tempfile.gettempdir(), "walkembed-checkpoints"))
+        folder = context.getConf().get("spark.checkpoint.dir")
+        if not folder and not re.fullmatch(r"local(\[.*\])?", context.master):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the cluster shares")
+        context.setCheckpointDir(folder or os.path.join(tempfile.gettempdir(), "walkembed-checkpoints"))
 
 
 def durable(frame: DataFrame) -> DataFrame:

@@ -54,6 +54,13 @@ def _oriented(edges: DataFrame) -> DataFrame:
     return placed.select(F.when(forward, F.col("src")).otherwise(F.col("dst")).alias("lo"), F.when(forward, F.col("dst")).otherwise(F.col("src")).alias("hi"))
 
 
+def triangles(edges: DataFrame) -> DataFrame:
+    """(n1, n2, n3): each triangle once, from its lowest corner by degree (E^1.5 work)."""
+    out = _oriented(edges)
+    wedges = out.alias("x").join(out.alias("y"), F.expr("x.lo = y.lo and x.hi < y.hi")).select(F.col("x.lo").alias("n1"), F.col("x.hi").alias("n2"), F.col("y.hi").alias("n3"))
+    return wedges.join(edges.select(F.col("src").alias("n2"), F.col("dst").alias("n3")), ["n2", "n3"]).select("n1", "n2", "n3")
+
+
 def common_neighbours(edges: DataFrame, method: str = "wedge") -> DataFrame:
     """(src, dst, w, cm): how many neighbours the ends of each edge share.
 
@@ -63,12 +70,8 @@ def common_neighbours(edges: DataFrame, method: str = "wedge") -> DataFrame:
     ``sketch`` estimates from theta sketches, for hubs beyond exact counting.
     """
     if method == "wedge":
-        out = _oriented(edges)
-        wedges = out.alias("x").join(out.alias("y"), F.expr("x.lo = y.lo and x.hi < y.hi")).select(F.col("x.lo").alias("n1"), F.col("x.hi").alias("n2"), F.col("y.hi").alias("n3"))
-        closing = edges.select(F.col("src").alias("n2"), F.col("dst").alias("n3"))
-        triangles = wedges.join(closing, ["n2", "n3"])
         sides = F.array(*[F.struct(F.least(a, b).alias("src"), F.greatest(a, b).alias("dst")) for a, b in (("n1", "n2"), ("n1", "n3"), ("n2", "n3"))])
-        counts = triangles.select(F.explode(sides).alias("s")).groupBy("s.src", "s.dst").agg(F.count("*").cast("int").alias("cm"))
+        counts = triangles(edges).select(F.explode(sides).alias("s")).groupBy("s.src", "s.dst").agg(F.count("*").cast("int").alias("cm"))
         return edges.join(counts, ["src", "dst"], "left").select("src", "dst", "w", F.coalesce("cm", F.lit(0)).alias("cm"))
     edges2 = both_directions(edges)
     if method == "sketch":

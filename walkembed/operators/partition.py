@@ -8,6 +8,7 @@ receive their slice of the stream and hold only part sizes and a node -> part ma
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import count
 
 import numpy as np
 import pandas as pd
@@ -99,7 +100,7 @@ def _walk_order(adj: dict[int, list[int]], kind: str) -> list[int]:
     return out
 
 
-def bfs_levels(edges2: DataFrame, max_levels: int = 1000) -> DataFrame:
+def bfs_levels(edges2: DataFrame) -> DataFrame:
     """(node, level): distance from its component's root (highest degree, then smallest id), by frontier joins."""
     deg = G.degrees(edges2)
     label = deg.select("node", F.struct((-F.col("deg")).alias("nd"), F.col("node").alias("id")).alias("best"))
@@ -111,7 +112,7 @@ def bfs_levels(edges2: DataFrame, max_levels: int = 1000) -> DataFrame:
             break
     found = label.where("best.id = node").select("node", F.lit(0).alias("level")).transform(durable)
     frontier = found
-    for k in range(1, max_levels):
+    for k in count(1):
         near = edges2.join(frontier.withColumnRenamed("node", "u"), "u").select(F.col("v").alias("node")).distinct().join(found, "node", "left_anti").select("node", F.lit(k).alias("level")).transform(durable)
         if not near.limit(1).count():
             break
@@ -192,34 +193,59 @@ def fennel_score(power: float = 1.5, n_edges: int = 0, slack: float = 1.1) -> Sc
 
 def place_stream(stream: pd.DataFrame, m: int, score: Score, n_total: int, seed_parts: bool = False) -> pd.DataFrame:
     """One pass: each node goes to the best part; ties to the smaller part, then the smaller number."""
-    where: dict[int, int] = {}
-    sizes = np.zeros(m)
-    parts = []
     rows = stream.sort_values("pos")
-    for k, (node, nbr, cm, w) in enumerate(zip(rows["node"].tolist(), rows["nbr"], rows["cm"], rows["w"])):
-        first, second = np.zeros(m), np.zeros(m)
-        for v, c, x in zip(nbr.tolist(), cm.tolist(), w.tolist()):
-            p = where.get(v)
-            if p is not None:
-                first[p] += x
-                second[p] += c * x
+    nodes = rows["node"].to_numpy()
+    begin = np.concatenate([[0], np.cumsum([len(x) for x in rows["nbr"]])]).astype(int)
+    flat = lambda c: np.concatenate([*rows[c], np.empty(0)])
+    w = flat("w")
+    both = flat("cm") * w
+    # neighbours as places in the stream; those of other segments are never placed here
+    by = np.argsort(nodes)
+    at = np.minimum(np.searchsorted(nodes[by], flat("nbr")), max(len(nodes) - 1, 0))
+    near = np.where(nodes[by][at] == flat("nbr"), by[at], len(nodes)) if len(nodes) else np.empty(0, int)
+    parts, sizes = np.full(len(nodes) + 1, m), np.zeros(m)
+    for k in range(len(nodes)):
+        own = slice(begin[k], begin[k + 1])
+        where = parts[near[own]]
+        first, second = (np.bincount(where, x[own], m + 1)[:m] for x in (w, both))
         value = np.round(score(first, second, sizes, n_total), 9)
         p = k if seed_parts and k < m else int(np.lexsort((np.arange(m), sizes, -value))[0])
-        where[node] = p
+        parts[k] = p
         sizes[p] += 1
-        parts.append(p)
-    return pd.DataFrame({"node": rows["node"].to_numpy(), "part": parts})
+    return pd.DataFrame({"node": nodes, "part": parts[:-1]})
 
 
-def streamed_partition(edges_cm: DataFrame, m: int, order: DataFrame, score: Score, segments: int = 1, weighted: bool = False, seed_parts: bool = False) -> DataFrame:
-    """(node, part) of a one-pass placement over ``order``, in independent contiguous segments."""
+def streamed_partition(edges_cm: DataFrame, m: int, order: DataFrame, score: Score, segments: int = 1, weighted: bool = False, seed_parts: bool = False, align: bool = False) -> DataFrame:
+    """(node, part) of a one-pass placement over ``order``, in independent contiguous segments.
+
+    Part i of every segment is part i of the whole; ``align`` instead gives each
+    segment's parts the numbers of those parts of the first segment that most of
+    their edges lead to.
+    """
     weight = F.col("w") if weighted else F.lit(1.0)
     edges2 = G.both_directions(edges_cm.select("src", "dst", F.struct(weight.alias("x"), "cm").alias("w")))
     adj = G.adjacency(edges2.select("u", "v", F.col("w.cm").alias("cm"), F.col("w.x").alias("w")), "cm", "w")
     n = order.count()
     stream = adj.join(order, "node").withColumn("seg", F.floor(F.col("pos") * segments / F.lit(max(n, 1))).cast("int"))
     per = -(-n // segments)
-    return stream.groupBy("seg").applyInPandas(lambda rows: place_stream(rows, m, score, per, seed_parts), "node long, part int")
+    placed = stream.groupBy("seg").applyInPandas(lambda rows: place_stream(rows, m, score, per, seed_parts).assign(seg=rows["seg"].iloc[0]), "node long, part int, seg int")
+    if not align or segments == 1:
+        return placed.select("node", "part")
+    placed = placed.transform(durable)
+    ends = G.both_directions(edges_cm.select("src", "dst", "w")).join(placed.where("seg = 0").select(F.col("node").alias("v"), F.col("part").alias("goal")), "v")
+    links = ends.join(placed.where("seg > 0").withColumnRenamed("node", "u"), "u").groupBy("seg", "part", "goal").agg(F.count("*").alias("n"))
+
+    def number(rows: pd.DataFrame) -> pd.DataFrame:  # at most m * m rows a segment
+        free, left, out = set(range(m)), set(range(m)), {}
+        for _, part, goal in sorted(zip(-rows["n"], rows["part"], rows["goal"])):
+            if part in left and goal in free:
+                out[part] = goal
+                left.remove(part), free.remove(goal)
+        out |= dict(zip(sorted(left), sorted(free)))
+        return pd.DataFrame({"seg": rows["seg"].iloc[0], "part": list(out), "goal": list(out.values())})
+
+    names = links.groupBy("seg").applyInPandas(number, "seg int, part int, goal int")
+    return placed.join(names, ["seg", "part"], "left").select("node", F.coalesce("goal", "part").alias("part"))
 
 
 def proximity_partition(edges_cm: DataFrame, m: int = 4, gamma: float = 2.0, order: str = "dfs_degree", segments: int = 1, weighted: bool = False, seed_parts: bool = False) -> DataFrame:

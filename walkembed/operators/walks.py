@@ -12,7 +12,8 @@ Engines
 ``burst``  walkers go to the part of their node and advance there, all of a part
            in lockstep, until they leave or stop; supersteps are bounded by part
            crossings, not by length.  Counts of a walk stay where they were made;
-           a walker travels as ten fields.
+           a walker travels as ten fields.  ``fullpath_round`` is the baseline
+           whose walkers carry their paths instead.
 ``local``  one part on the driver: the sequential oracle of the others.
 
 Draws depend on (seed, round, walk, step, trial) alone: engines agree hop by hop
@@ -21,6 +22,7 @@ and a replayed task repeats its rows.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -63,6 +65,7 @@ class Stop:
     mu: float = 0.85
     min_length: int = 3
     max_length: int = 80
+    window: int | None = None  # only the last so many prefixes enter R^2; needs the whole path
 
     @staticmethod
     def fixed(length: int = 80) -> "Stop":
@@ -140,6 +143,17 @@ def fullpath_measures(steps: DataFrame) -> DataFrame:
     return counts.groupBy("round", "walk_id", "step").agg(F.sum(-share * F.log2(share)).alias("entropy"))
 
 
+def fullpath_regression(steps: DataFrame) -> DataFrame:
+    """(round, walk_id, step, r2): the regression of entropy on length over every whole prefix, in the library's own form.
+
+    As in the SQL standard a constant entropy gives 1 and a single step null; the
+    stop rule takes 0 for both (``fullpath_r2``).
+    """
+    h = fullpath_measures(steps)
+    upto = h.alias("p").join(h.alias("q"), F.expr("p.round = q.round and p.walk_id = q.walk_id and q.step <= p.step"))
+    return upto.groupBy(F.col("p.round").alias("round"), F.col("p.walk_id").alias("walk_id"), F.col("p.step").alias("step")).agg(F.regr_r2("q.entropy", F.col("q.step").cast("double")).alias("r2"))
+
+
 def fullpath_r2(steps: DataFrame) -> DataFrame:
     """(round, walk_id, step, r2): the correlation of entropy and length recomputed over every whole prefix; 0 where a series is constant."""
     h = fullpath_measures(steps)
@@ -154,19 +168,41 @@ def fullpath_r2(steps: DataFrame) -> DataFrame:
 
 @dataclass
 class Block:
-    """Adjacency of one part as flat arrays: node ids ascending, and each node's slice of neighbours and running sums."""
+    """Adjacency of one part as flat arrays: node ids ascending, and each node's slice of neighbours and running sums.
+
+    ``names`` and ``pairs`` are what the second-order rule asks for: which ids are
+    linked, among the part's own edges and those between neighbours of its nodes
+    (rows without a running sum).
+    """
 
     nodes: np.ndarray
     begin: np.ndarray
     nbr: np.ndarray
     hi: np.ndarray
     accept: np.ndarray
+    names: np.ndarray
+    pairs: np.ndarray
 
     @staticmethod
-    def of(frame: pd.DataFrame) -> "Block":
-        f = frame.sort_values(["u", "v"], kind="stable")
-        nodes, begin = np.unique(f["u"].to_numpy(), return_index=True)
-        return Block(nodes, np.append(begin, len(f)), f["v"].to_numpy(), f["hi"].to_numpy(), f["p_accept"].to_numpy())
+    def of(frame: pd.DataFrame, second_order: bool = False) -> "Block":
+        u, v = frame["u"].to_numpy(np.int64), frame["v"].to_numpy(np.int64)
+        names, pairs = np.empty(0, np.int64), np.empty(0, np.int64)
+        if second_order:
+            names = np.unique(np.concatenate([u, v]))
+            pairs = np.unique(np.searchsorted(names, u) * len(names) + np.searchsorted(names, v))
+        own = frame[frame["hi"].notna()] if frame["hi"].hasnans else frame
+        f = own.sort_values(["u", "v"], kind="stable")
+        nodes, begin = np.unique(f["u"].to_numpy(np.int64), return_index=True)
+        return Block(nodes, np.append(begin, len(f)), f["v"].to_numpy(np.int64), f["hi"].to_numpy(np.int64), f["p_accept"].to_numpy(), names, pairs)
+
+    def linked(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Whether the edges (a, b) exist."""
+        if not len(self.pairs):
+            return np.zeros(len(a), dtype=bool)
+        i, j = (np.minimum(np.searchsorted(self.names, x), len(self.names) - 1) for x in (a, b))
+        code = i * len(self.names) + j
+        at = np.minimum(np.searchsorted(self.pairs, code), len(self.pairs) - 1)
+        return (self.pairs[at] == code) & (self.names[i] == a) & (self.names[j] == b)
 
     def find(self, ids: np.ndarray) -> np.ndarray:
         """Positions of ids, -1 where the part has none of their edges."""
@@ -179,61 +215,66 @@ class Block:
 WALKER = ["round", "walk_id", "steps", "node", "H", "L", "EH", "EL", "EHL", "EH2", "EL2", "prev", "trials"]
 
 
-def draw_hop(block: Block, at: np.ndarray, walkers: dict[str, np.ndarray], kernel: Kernel, seed: int, rng: str) -> tuple[np.ndarray, np.ndarray]:
-    """(next node, trials) of walkers whose nodes stand at positions ``at`` of the block."""
+def _drawn(block: Block, at: np.ndarray, walkers: dict[str, np.ndarray], kernel: Kernel, draws: np.ndarray) -> np.ndarray:
+    """The next node of walkers at positions ``at`` by one draw from the kernel's weights."""
     begin, end = block.begin[at], block.begin[at + 1]
+    if kernel.name != "biased2":
+        x = draws * block.hi[end - 1] >> 32
+        # running sums of all nodes in one ascending array: one search serves every walker
+        base = np.concatenate([[0], np.cumsum(block.hi[block.begin[1:] - 1])])
+        flat = block.hi + np.repeat(base[:-1], np.diff(block.begin))
+        return block.nbr[np.searchsorted(flat, base[at] + x, side="right")]
+    size = end - begin
+    owner = np.repeat(np.arange(len(at)), size)
+    spot = np.repeat(begin - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+    v, t = block.nbr[spot], walkers["prev"][owner]
+    weight = block.hi[spot] - np.where(spot > begin[owner], block.hi[np.maximum(spot - 1, 0)], 0)
+    unit = 1 << SECOND_BITS
+    factor = np.where(v == t, round(unit / kernel.p), np.where(block.linked(t, v), unit, round(unit / kernel.q)))
+    weight = weight * np.where(walkers["steps"][owner] > 1, factor, 1)
+    run = np.cumsum(weight)
+    last = np.cumsum(size) - 1
+    before = run[last - size + 1] - weight[last - size + 1]
+    x = draws * (run[last] - before) >> 32
+    return v[np.searchsorted(run, before + x, side="right")]
+
+
+def draw_hop(block: Block, at: np.ndarray, walkers: dict[str, np.ndarray], kernel: Kernel, seed: int, rng: str) -> tuple[np.ndarray, np.ndarray]:
+    """(next node, trials) of walkers whose nodes stand at positions ``at`` of the block.
+
+    An ``accept`` walker that was refused ``MAX_TRIALS`` times takes one draw from
+    the same law, so the limit changes no probability.
+    """
     walk, steps = walkers["walk_id"], walkers["steps"]
-    key = walk * 1 if rng == "portable" else walk
     round_ = int(walkers["round"][0]) if len(walk) else 1
-    if kernel.name == "biased2" and kernel.method == "direct":
-        out = np.empty(len(at), dtype=np.int64)
-        draws = draw_many(rng, seed, round_, key, steps)
-        for i, (a, b) in enumerate(zip(begin.tolist(), end.tolist())):
-            nbr, q = block.nbr[a:b], np.diff(block.hi[a:b], prepend=0)
-            if steps[i] > 1:
-                t = walkers["prev"][i]
-                of = block.find(np.array([t]))[0]
-                near = block.nbr[block.begin[of] : block.begin[of + 1]] if of >= 0 else np.empty(0, np.int64)
-                q = q * np.where(nbr == t, round((1 << SECOND_BITS) / kernel.p), np.where(np.isin(nbr, near), 1 << SECOND_BITS, round((1 << SECOND_BITS) / kernel.q)))
-            cum = np.cumsum(q)
-            x = int(draws[i]) * int(cum[-1]) >> 32
-            out[i] = nbr[np.searchsorted(cum, x, side="right")]
-        return out, np.ones(len(at), dtype=np.int64)
-    if kernel.method == "accept":
-        out, trials = np.full(len(at), -1, dtype=np.int64), np.zeros(len(at), dtype=np.int64)
-        open_, t = np.arange(len(at)), 0
-        while len(open_):
-            pick = begin[open_] + (draw_many(rng, seed, round_, key[open_], steps[open_], t, 1) * (end - begin)[open_] >> 32)
-            chance = block.accept[pick]
-            if kernel.name == "biased2":
-                chance = _biased_chance(block, walkers, open_, pick, kernel)
-            height = draw_many(rng, seed, round_, key[open_], steps[open_], t, 2) / 2.0**32
-            trials[open_] += 1
-            fine = (height < chance) | (t >= MAX_TRIALS)
-            out[open_[fine]] = block.nbr[pick[fine]]
-            open_, t = open_[~fine], t + 1
-        return out, trials
-    total = block.hi[end - 1]
-    x = draw_many(rng, seed, round_, key, steps) * total >> 32
-    # running sums of all nodes in one ascending array: one search serves every walker
-    base = np.concatenate([[0], np.cumsum(block.hi[block.begin[1:] - 1])])
-    flat = block.hi + np.repeat(base[:-1], np.diff(block.begin))
-    return block.nbr[np.searchsorted(flat, base[at] + x, side="right")], np.ones(len(at), dtype=np.int64)
+    if kernel.method != "accept":
+        return _drawn(block, at, walkers, kernel, draw_many(rng, seed, round_, walk, steps)), np.ones(len(at), dtype=np.int64)
+    begin, end = block.begin[at], block.begin[at + 1]
+    out, trials = np.full(len(at), -1, dtype=np.int64), np.zeros(len(at), dtype=np.int64)
+    open_, t = np.arange(len(at)), 0
+    while len(open_) and t < MAX_TRIALS:
+        pick = begin[open_] + (draw_many(rng, seed, round_, walk[open_], steps[open_], t, 1) * (end - begin)[open_] >> 32)
+        chance = block.accept[pick]
+        if kernel.name == "biased2":
+            chance = _biased_chance(block, walkers, open_, pick, kernel)
+        height = draw_many(rng, seed, round_, walk[open_], steps[open_], t, 2) / 2.0**32
+        trials[open_] += 1
+        fine = height < chance
+        out[open_[fine]] = block.nbr[pick[fine]]
+        open_, t = open_[~fine], t + 1
+    if len(open_):
+        some = {c: x[open_] for c, x in walkers.items()}
+        out[open_] = _drawn(block, at[open_], some, kernel, draw_many(rng, seed, round_, walk[open_], steps[open_], MAX_TRIALS, 3))
+        trials[open_] += 1
+    return out, trials
 
 
 def _biased_chance(block: Block, walkers: dict[str, np.ndarray], open_: np.ndarray, pick: np.ndarray, kernel: Kernel) -> np.ndarray:
     """Acceptance of candidates under the second-order rule, over the envelope of its three values."""
     top = max(1 / kernel.p, 1.0, 1 / kernel.q)
     v, t = block.nbr[pick], walkers["prev"][open_]
-    of = block.find(t)
-    close = np.zeros(len(v), dtype=bool)
-    for i, o in enumerate(of.tolist()):
-        if o >= 0:
-            a, b = block.begin[o], block.begin[o + 1]
-            k = a + np.searchsorted(block.nbr[a:b], v[i])
-            close[i] = k < b and block.nbr[k] == v[i]
     first = walkers["steps"][open_] <= 1
-    return np.where(first, 1.0, np.where(v == t, 1 / kernel.p, np.where(close, 1.0, 1 / kernel.q)) / top)
+    return np.where(first, 1.0, np.where(v == t, 1 / kernel.p, np.where(block.linked(t, v), 1.0, 1 / kernel.q)) / top)
 
 
 def start_walkers(nodes: np.ndarray, round_: int) -> dict[str, np.ndarray]:
@@ -265,19 +306,57 @@ def _take(w: dict[str, np.ndarray], mask: np.ndarray) -> dict[str, np.ndarray]:
 
 
 class Counts:
-    """How often each (walk, node) was met here: the local frequency lists of a part."""
+    """How often each (walk, node) was met here: the local frequency lists of a part.
+
+    A row a walk holds the nodes of its visits here; a visit is counted by
+    comparing the row, for all walks at once.  A walk comes once a call.
+    """
 
     def __init__(self) -> None:
-        self.n: dict[tuple[int, int], int] = {}
+        self.names = np.empty(0, np.int64)
+        self.seen = np.empty((0, 8), np.int64)
+        self.fill = np.empty(0, np.int64)
+
+    def _rows(self, walks: np.ndarray) -> np.ndarray:
+        names = np.union1d(self.names, walks)
+        if len(names) > len(self.names):
+            old = np.searchsorted(names, self.names)
+            seen, fill = np.full((len(names), self.seen.shape[1]), -1, np.int64), np.zeros(len(names), np.int64)
+            seen[old], fill[old] = self.seen, self.fill
+            self.names, self.seen, self.fill = names, seen, fill
+        return np.searchsorted(self.names, walks)
 
     def add(self, walks: np.ndarray, nodes: np.ndarray) -> np.ndarray:
         """Counts before this visit."""
-        n, out = self.n, np.empty(len(walks))
-        for i, key in enumerate(zip(walks.tolist(), nodes.tolist())):
-            seen = n.get(key, 0)
-            out[i] = seen
-            n[key] = seen + 1
-        return out
+        if not len(walks):
+            return np.empty(0)
+        row = self._rows(walks)
+        at = self.fill[row]
+        if at.max() >= self.seen.shape[1]:
+            self.seen = np.pad(self.seen, ((0, 0), (0, self.seen.shape[1])), constant_values=-1)
+        used = int(at.max())
+        before = ((self.seen[row, :used] == nodes[:, None]) & (np.arange(used) < at[:, None])).sum(1).astype(float)
+        self.seen[row, at] = nodes
+        self.fill[row] = at + 1
+        return before
+
+    def load(self, walks: np.ndarray, nodes: np.ndarray, times: np.ndarray) -> None:
+        walks, nodes = np.repeat(walks, times), np.repeat(nodes, times)
+        order = np.argsort(walks, kind="stable")
+        walks, nodes = walks[order], nodes[order]
+        if len(walks):
+            row = self._rows(np.unique(walks))
+            begin = np.flatnonzero(np.concatenate([[True], walks[1:] != walks[:-1]]))
+            size = np.diff(np.append(begin, len(walks)))
+            self.seen = np.pad(self.seen, ((0, 0), (0, max(0, int(size.max()) - self.seen.shape[1]))), constant_values=-1)
+            self.seen[np.repeat(row, size), np.arange(len(walks)) - np.repeat(begin, size)] = nodes
+            self.fill[row] = size
+
+    def rows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(walk, node, times) of everything met."""
+        held = np.arange(self.seen.shape[1]) < self.fill[:, None]
+        pairs, times = np.unique(np.stack([np.broadcast_to(self.names[:, None], held.shape)[held], self.seen[held]]), axis=1, return_counts=True)
+        return pairs[0], pairs[1], times
 
 
 def advance(block: Block, w: dict[str, np.ndarray], counts: Counts, kernel: Kernel, stop: Stop, seed: int, rng: str) -> tuple[list[tuple[np.ndarray, ...]], dict[str, np.ndarray], dict[str, np.ndarray]]:
@@ -316,7 +395,7 @@ def advance(block: Block, w: dict[str, np.ndarray], counts: Counts, kernel: Kern
 
 def local_walks(table: pd.DataFrame, sources: np.ndarray, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "portable") -> pd.DataFrame:
     """One round on the driver: (round, walk_id, step, node)."""
-    block = Block.of(table)
+    block = Block.of(table, kernel.name == "biased2")
     counts, w = Counts(), start_walkers(np.asarray(sources), round_)
     counts.add(w["walk_id"], w["node"])
     first = (w["walk_id"], w["steps"], w["node"])
@@ -329,26 +408,117 @@ def local_walks(table: pd.DataFrame, sources: np.ndarray, kernel: Kernel, stop:
 _OUT = "kind int, part int, round int, walk_id long, steps long, node long, H double, L double, EH double, EL double, EHL double, EH2 double, EL2 double, prev long, trials long"
 
 
-def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "native", max_supersteps: int = 500) -> DataFrame:
+def placed_edges(edges: DataFrame, assign: DataFrame, kernel: Kernel) -> DataFrame:
+    """(home, u, v, hi, p_accept): each part's edges; for the second-order rule also, without ``hi``, the links among a node's neighbours."""
+    own = edges.join(assign.withColumnRenamed("node", "u"), "u").select(F.col("part").alias("home"), "u", "v", F.col("hi").cast("long").alias("hi"), "p_accept")
+    if kernel.name != "biased2":
+        return own
+    sides = edges.where("u < v").select(F.col("u").alias("src"), F.col("v").alias("dst"), F.lit(1.0).alias("w"))
+    corner = G.triangles(sides)
+    turns = F.explode(F.array(*[F.struct(F.col(x).alias("node"), F.col(y).alias("u"), F.col(z).alias("v")) for x, y, z in (("n1", "n2", "n3"), ("n2", "n1", "n3"), ("n3", "n1", "n2"))]))
+    met = corner.select(turns.alias("t")).select("t.*").join(assign, "node").select(F.col("part").alias("home"), "u", "v").distinct()
+    both = met.unionByName(met.select("home", F.col("v").alias("u"), F.col("u").alias("v")))
+    return own.unionByName(both.select("home", "u", "v", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("double").alias("p_accept")))
+
+
+def _path_r2(path: list[int], window: int | None) -> float:
+    """R^2 of entropy and length over the prefixes of a path, all recomputed."""
+    counts: dict[int, int] = {}
+    mass, h = 0.0, []
+    for i, v in enumerate(path, 1):
+        n = counts.get(v, 0)
+        counts[v] = n + 1
+        mass += (n + 1) * math.log2(n + 1) - (n * math.log2(n) if n else 0.0)
+        h.append(math.log2(i) - mass / i)
+    y = np.array(h[-window:] if window else h)
+    x = np.arange(len(path) - len(y) + 1, len(path) + 1, dtype=float)
+    x, y = x - x.mean(), y - y.mean()
+    vx, vy = (x * x).mean(), (y * y).mean()
+    return float((x * y).mean() ** 2 / (vx * vy)) if vx > 1e-12 and vy > 1e-12 else 0.0
+
+
+def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "native") -> DataFrame:
+    """The baseline's walker: it carries its path, and every stop is decided from the whole of it.
+
+    (round, walk_id, step, node, sent): ``sent`` is the bytes of the message that
+    brought the walker to the node, 24 + 8 a node of the path, 0 inside a part.
+    """
+    placed = placed_edges(edges, assign, kernel).transform(durable)
+    schema = "kind int, round int, walk_id long, step int, node long, sent long, trials long, path array<bigint>"
+    names = [c.split()[0] for c in schema.split(", ")]
+
+    def done(path: list[int]) -> bool:
+        if stop.kind == "fixed" or len(path) >= stop.max_length:
+            return len(path) >= stop.max_length
+        return len(path) >= stop.min_length and _path_r2(path, stop.window) < stop.mu
+
+    def superstep(key: tuple, came: pd.DataFrame, table: pd.DataFrame) -> pd.DataFrame:
+        block = Block.of(table, kernel.name == "biased2")
+        paths = {w: list(p) for w, p in zip(came["walk_id"].tolist(), came["path"])}
+        trials = dict(zip(came["walk_id"].tolist(), came["trials"].tolist()))
+        out = [(0, round_, w, len(p), p[-1], 24 + 8 * len(p) if len(p) > 1 else 0, trials[w], None) for w, p in paths.items()]
+        live = [w for w, p in paths.items() if not done(p)]
+        while live:
+            here = np.array([paths[w][-1] for w in live])
+            at = block.find(here)
+            live = [w for w, k in zip(live, at) if k >= 0]  # without out-edges a walk ends
+            at = at[at >= 0]
+            if not live:
+                break
+            walkers = {"walk_id": np.array(live), "steps": np.array([len(paths[w]) for w in live]), "round": np.full(len(live), round_), "prev": np.array([paths[w][-2] if len(paths[w]) > 1 else -1 for w in live])}
+            nxt, tried = draw_hop(block, at, walkers, kernel, seed, rng)
+            stay = block.find(nxt) >= 0
+            still = []
+            for w, v, t, inside in zip(live, nxt.tolist(), tried.tolist(), stay.tolist()):
+                paths[w].append(v)
+                trials[w] += t
+                if not inside:
+                    out.append((1, round_, w, len(paths[w]), v, 0, trials[w], paths[w]))
+                    continue
+                out.append((0, round_, w, len(paths[w]), v, 0, trials[w], None))
+                if not done(paths[w]):
+                    still.append(w)
+            live = still
+        return pd.DataFrame(out, columns=names)
+
+    state = sources.join(assign, "node").select("part", F.col("node").alias("walk_id"), F.array("node").alias("path"), F.lit(0).cast("long").alias("trials"))
+    hops = []
+    while True:
+        moved = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, schema).transform(durable)
+        hops.append(moved.where("kind = 0").select("round", "walk_id", "step", "node", "sent", "trials"))
+        state = moved.where("kind = 1").join(assign, "node").select("part", "walk_id", "path", "trials")
+        if not state.limit(1).count():
+            break
+    result = hops[0]
+    for more in hops[1:]:
+        result = result.unionByName(more)
+    return result
+
+
+def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "native") -> DataFrame:
     """One round of walks by parts: (round, walk_id, step, node, trials).
 
     ``edges`` is the kernel's table, ``assign`` (node, part).  A superstep hands
     walkers to the part of their node; each part advances its own in lockstep.
     Rows of a superstep are one checkpointed frame: hops (kind 0), walkers that
     leave (1), counts that stay (2).  A node without out-edges belongs to its
-    assigned part all the same and ends walks there.
+    assigned part all the same and ends walks there.  Under the second-order rule
+    a part also holds which neighbours of its nodes are linked, from the triangles.
+    Every walker advances in every superstep, so there are at most as many as a
+    walk has hops.
     """
-    spark = edges.sparkSession
-    placed = edges.join(assign.withColumnRenamed("node", "u"), "u").select(F.col("part").alias("home"), "u", "v", "hi", "p_accept").transform(durable)
+    if stop.window is not None:
+        raise ValueError("a trailing window needs the whole path: use fullpath_round")
+    placed = placed_edges(edges, assign, kernel).transform(durable)
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
     begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", F.lit(round_).alias("round"), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
 
     def superstep(key: tuple, state: pd.DataFrame, table: pd.DataFrame) -> pd.DataFrame:
         part = int(key[0])
-        block = Block.of(table)
+        block = Block.of(table, kernel.name == "biased2")
         counts = Counts()
         kept = state[state["kind"] == 2]
-        counts.n = {(w, v): int(n) for w, v, n in zip(kept["walk_id"].tolist(), kept["node"].tolist(), kept["steps"].tolist())}
+        counts.load(*(kept[c].to_numpy(np.int64) for c in ("walk_id", "node", "steps")))
         came = state[state["kind"] == 1]
         w = {c: came[c].to_numpy(copy=True) for c in WALKER}
         out: list[pd.DataFrame] = []
@@ -371,16 +541,15 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
             for walk, step, node in hops:
                 emit(0, round=round_, walk_id=walk, steps=step, node=node)
             emit(1, **left)
-        if counts.n:
-            keys = list(counts.n)
-            emit(2, round=round_, walk_id=[k[0] for k in keys], node=[k[1] for k in keys], steps=list(counts.n.values()))
+        walk, node, times = counts.rows()
+        emit(2, round=round_, walk_id=walk, node=node, steps=times)
         names = [c.split()[0] for c in _OUT.split(", ")]
         if not out:
             return pd.DataFrame(columns=names)
         return pd.concat(out, ignore_index=True).reindex(columns=names).fillna(0)
 
     state, hops = begin, []
-    for _ in range(max_supersteps):
+    while True:
         done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
         moving = done.where("kind = 1").drop("part").join(assign, "node")
@@ -400,7 +569,7 @@ def parts_for(edges: DataFrame, edges_a_part: int = 5_000_000) -> int:
     return max(1, -(-edges.count() // edges_a_part))
 
 
-def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False) -> tuple[DataFrame, list[float]]:
+def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False, measure: str = "incremental") -> tuple[DataFrame, list[float]]:
     """All rounds until the corpus's divergence settles (or ``fixed_rounds``); the corpus and the divergences.
 
     One scalar a round reaches the driver.
@@ -410,7 +579,8 @@ def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel()
     total = deg.agg(F.sum("deg")).first()[0] or 1
     counted, corpus, trace = None, None, []
     for r in range(1, (fixed_rounds or max_rounds) + 1):
-        steps = burst_round(table, assign, assign.select("node"), kernel, stop, r, seed, rng)
+        walk = fullpath_round if measure == "fullpath" else burst_round
+        steps = walk(table, assign, assign.select("node"), kernel, stop, r, seed, rng)
         corpus = steps if corpus is None else corpus.unionByName(steps)
         new = steps.groupBy("node").agg(F.count("*").alias("ocn"))
         counted = (new if counted is None else counted.unionByName(new).groupBy("node").agg(F.sum("ocn").alias("ocn"))).transform(durable)

@@ -75,12 +75,11 @@ add(
     f"""
 WITH words AS (SELECT doc_id, string_split_regex(text, '\\s+') AS ws FROM documents),
 held AS (SELECT DISTINCT doc_id, unnest(list_transform(range(1, len(ws) - 3), lambda i: md5(array_to_string(ws[i:i+4], ' ')))) AS g FROM words WHERE len(ws) >= 5),
-rare AS (SELECT g FROM held GROUP BY g HAVING count(*) BETWEEN 2 AND 50), live AS (SELECT held.* FROM held JOIN rare USING (g)),
 size AS (SELECT doc_id, count(*) AS n FROM held GROUP BY doc_id),
-both_ AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS common FROM live x JOIN live y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY 1, 2)
+both_ AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS common FROM held x JOIN held y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY 1, 2)
 SELECT {S.DOCUMENT}*{S.UNIT} + a AS src, {S.DOCUMENT}*{S.UNIT} + b AS dst, round(common::DOUBLE / (p.n + q.n - common), 6) AS w
 FROM both_ JOIN size p ON p.doc_id = a JOIN size q ON q.doc_id = b""",
-)(lambda spark, d: S.document_pairs(spark, d))
+)(lambda spark, d: S.all_document_pairs(spark, d))
 add("graph_doc_edges_all")(lambda spark, d: S.all_document_pairs(spark, d))
 
 add("synthetic_degree10", f"WITH raw AS (SELECT i AS a, (i + j*j + j) % 1000 AS b FROM range(1000) t(i), range(1, 6) u(j)) SELECT least(a,b)::BIGINT AS src, greatest(a,b)::BIGINT AS dst, count(*)::DOUBLE AS w FROM raw WHERE a <> b GROUP BY 1, 2")(
@@ -187,10 +186,7 @@ add("walk_uniform_fixed", walk_sql("knn", "1", "edges2", 10) + STEPS_OUT)(lambda
 add("walk_weighted_fixed", walk_sql("cop2", "w", "edges2", 8) + STEPS_OUT)(lambda spark, d: walk(spark, d, "cop2", W.Kernel("uniform", weighted=True), 8))
 add("walk_hybrid_weighted", walk_sql("cop2", QUANT, "hyb", 8, hybrid_sql(True)) + STEPS_OUT)(lambda spark, d: walk(spark, d, "cop2", W.Kernel("hybrid", weighted=True), 8))
 add("walk_hybrid_plus", walk_sql("knn", QUANT, "hyb", 8, hybrid_sql(plus=True)) + STEPS_OUT)(lambda spark, d: walk(spark, d, "knn", W.Kernel("hybrid_plus"), 8))
-_SAMPLE = f"SELECT node FROM (SELECT DISTINCT u AS node FROM edges2) WHERE {draw_sql(SEED, 'node')} < {(1 << 32) // 10}"
-add("walk_hybrid_direct", walk_sql("tri", QUANT, "hyb", 10, hybrid_sql(), sources=_SAMPLE) + STEPS_OUT)(
-    lambda spark, d: (lambda e: W.step_walks(e, all_nodes(e).where(draw_column(SEED, F.col("node")) < (1 << 32) // 10), W.Kernel("hybrid"), 10, seed=SEED))(graph(spark, d, "tri"))
-)
+add("walk_hybrid_direct", walk_sql("tri", QUANT, "hyb", 10, hybrid_sql()) + STEPS_OUT)(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
 add("walk_hybrid_direct_all")(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
 add(
     "walk_directed",
@@ -238,8 +234,66 @@ SELECT s.round::INTEGER AS round, s.walk_id, s.step::INTEGER AS step, s.node FRO
 
 add("walk_info_calibrated", info_sql(0.85))(lambda spark, d: burst(spark, d, "knn", W.Kernel("hybrid"), W.Stop.calibrated()))
 add("walk_info_literal", info_sql(0.995))(lambda spark, d: burst(spark, d, "knn", W.Kernel("hybrid"), W.Stop.literal()))
-add("walk_hybrid_reject")(lambda spark, d: burst(spark, d, "knn", W.Kernel("hybrid", "accept"), W.Stop.fixed(8)))
-add("walk_biased2_reject")(lambda spark, d: burst(spark, d, "knn", W.Kernel("biased2", "accept", p=0.5, q=2.0), W.Stop.fixed(8), m=1))
+def reject_sql(name: str, length: int, chance: str, *more: str) -> str:
+    """Trial by trial: a row a candidate, accepted ones move on, refused ones stay and try again."""
+    draw = lambda salt: draw_sql(SEED, "w.round", "w.walk_id", "w.step", "w.trial", str(salt))
+    return f"""WITH RECURSIVE {prep(name, *more)}, slots AS (
+  SELECT u, v, p_accept, row_number() OVER (PARTITION BY u ORDER BY v) - 1 AS i, count(*) OVER (PARTITION BY u) AS deg FROM {"hyb" if more else "(SELECT u, v, 1.0::DOUBLE AS p_accept FROM edges2)"}
+), tries AS (
+  SELECT 1 AS round, node AS walk_id, 1 AS step, 0 AS trial, node, NULL::BIGINT AS prev FROM deg
+  UNION ALL
+  SELECT round, walk_id, CASE WHEN fine THEN step + 1 ELSE step END, CASE WHEN fine THEN 0 ELSE trial + 1 END, CASE WHEN fine THEN v ELSE node END, CASE WHEN fine THEN node ELSE prev END FROM (
+    SELECT w.*, s.v, {draw(2)} / 4294967296.0::DOUBLE < {chance} AS fine FROM tries w JOIN slots s ON s.u = w.node AND s.i = ({draw(1)} * s.deg) >> 32 LEFT JOIN edges2 b ON b.u = w.prev AND b.v = s.v WHERE w.step < {length})
+) SELECT round::INTEGER AS round, walk_id, step::INTEGER AS step, node FROM tries WHERE trial = 0"""
+
+
+add("walk_hybrid_reject", reject_sql("knn", 8, "s.p_accept", hybrid_sql()))(lambda spark, d: burst(spark, d, "knn", W.Kernel("hybrid", "accept"), W.Stop.fixed(8)))
+add("walk_biased2_reject", reject_sql("knn", 8, "CASE WHEN w.step = 1 THEN 1 WHEN s.v = w.prev THEN 1.0::DOUBLE WHEN b.v IS NOT NULL THEN 0.5 ELSE 0.25 END"))(
+    lambda spark, d: burst(spark, d, "knn", W.Kernel("biased2", "accept", p=0.5, q=2.0), W.Stop.fixed(8), m=3)
+)
+add("walk_biased2_burst", biased_sql(8) + STEPS_OUT)(lambda spark, d: burst(spark, d, "knn", W.Kernel("biased2", p=0.5, q=2.0), W.Stop.fixed(8), m=4))
+
+
+def fullpath(spark: SparkSession, d: str, m: int = 2) -> DataFrame:
+    edges = graph(spark, d, "knn").transform(durable)
+    nodes = all_nodes(edges)
+    return W.fullpath_round(W.kernel_edges(edges, W.Kernel("hybrid")), P.hash_partition(nodes, m), nodes, W.Kernel("hybrid"), W.Stop.calibrated(), 1, SEED, "portable")
+
+
+add("walk_info_fullpath", info_sql(0.85))(lambda spark, d: fullpath(spark, d).select("round", "walk_id", "step", "node"))
+add("walk_info_parts", info_sql(0.85))(lambda spark, d: burst(spark, d, "knn", W.Kernel("hybrid"), W.Stop.calibrated(), m=2))
+add(
+    "walk_fullpath_bytes",
+    info_sql(0.85).replace("SELECT s.round::INTEGER AS round, s.walk_id, s.step::INTEGER AS step, s.node FROM", ", kept AS (SELECT s.walk_id, s.step, s.node FROM")
+    + "), hop AS (SELECT step, node % 2 AS part, lag(node % 2) OVER (PARTITION BY walk_id ORDER BY step) AS from_part FROM kept) SELECT count(*) AS crossings, sum(24 + 8 * step)::BIGINT AS bytes_fullpath, 80 * count(*) AS bytes_incremental FROM hop WHERE part <> from_part",
+)(lambda spark, d: fullpath(spark, d).where("sent > 0").agg(F.count("*").alias("crossings"), F.sum("sent").alias("bytes_fullpath"), (80 * F.count("*")).alias("bytes_incremental")))
+
+
+def info_uniform_sql(mu: float) -> str:
+    return info_sql(mu).replace(cdf_sql(QUANT, "hyb"), cdf_sql("1", "edges2")).replace(f", {hybrid_sql()}", "")
+
+
+add("walk_info_uniform", info_uniform_sql(0.85))(lambda spark, d: burst(spark, d, "knn", W.Kernel("uniform"), W.Stop.calibrated(), m=2))
+
+
+def recursive_walk(spark: SparkSession, d: str, length: int = 8) -> DataFrame:
+    """The recursive engine: the same draws in a recursive SQL query, for small graphs."""
+    edges = graph(spark, d, "knn")
+    table_ = W.kernel_edges(edges, W.Kernel("uniform"))
+    total = W.Window.partitionBy("u")
+    table_.select("u", "v", "q", "hi", F.max("hi").over(total).alias("total")).transform(durable).createOrReplaceTempView("recursive_cdf")
+    draw = f"conv(substr(md5(concat_ws(':', '{SEED}', '1', w.walk_id, w.step, '0', '0')), 1, 8), 16, 10)"
+    x = f"shiftright(CAST({draw} AS BIGINT) * c.total, 32)"
+    return spark.sql(
+        f"""WITH RECURSIVE steps(walk_id, step, node) MAX RECURSION LEVEL {length + 1} AS (
+  SELECT DISTINCT u, 1, u FROM recursive_cdf
+  UNION ALL
+  SELECT w.walk_id, w.step + 1, c.v FROM steps w JOIN recursive_cdf c ON c.u = w.node WHERE w.step < {length} AND {x} >= c.hi - c.q AND {x} < c.hi
+) SELECT 1 AS round, walk_id, step, node FROM steps"""
+    )
+
+
+add("walk_recursive", walk_sql("knn", "1", "edges2", 8) + STEPS_OUT)(recursive_walk)
 add("walk_profile", info_sql(0.85).replace("SELECT s.round::INTEGER AS round, s.walk_id, s.step::INTEGER AS step, s.node FROM", ", kept AS (SELECT s.walk_id, count(*) AS length FROM") + " GROUP BY s.walk_id) SELECT round(avg(length), 6) AS mean_length, max(length) AS max_length, 1 AS rounds, count(*) AS walks, round(1 - avg(length) / 80, 6) AS length_cut, round(1 - 1 / 10.0::DOUBLE, 6) AS round_cut FROM kept")(
     lambda spark, d: W.walk_profile(burst(spark, d, "knn", W.Kernel("hybrid"), W.Stop.calibrated())).select(F.round("mean_length", 6).alias("mean_length"), "max_length", "rounds", "walks", F.round("length_cut", 6).alias("length_cut"), F.round("round_cut", 6).alias("round_cut"))
 )
@@ -260,9 +314,9 @@ add("walk_entropy_prefix", _MEASURED + "SELECT walk_id, step::INTEGER AS step, r
 add("walk_r2_incremental", _MEASURED + "SELECT walk_id, step::INTEGER AS step, round(r2, 5) AS r2 FROM measured")(lambda spark, d: M.prefix_measures(natural(spark, d)).select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2")))
 add(
     "walk_r2_prefix",
-    _MEASURED + ", pairs AS (SELECT p.walk_id, p.step, regr_r2(q.entropy, q.step) AS r FROM measured p JOIN measured q ON q.walk_id = p.walk_id AND q.step <= p.step WHERE p.step <= 30 GROUP BY 1, 2) SELECT walk_id, step::INTEGER AS step, round(r, 5) AS r2 FROM pairs WHERE step >= 3 AND r IS NOT NULL",
+    _MEASURED + ", pairs AS (SELECT p.walk_id, p.step, regr_r2(q.entropy, q.step) AS r FROM measured p JOIN measured q ON q.walk_id = p.walk_id AND q.step <= p.step GROUP BY 1, 2) SELECT walk_id, step::INTEGER AS step, round(r, 5) AS r2 FROM pairs WHERE step >= 3 AND r IS NOT NULL",
 )(
-    lambda spark, d: M.prefix_measures(natural(spark, d)).where("step >= 3 and step <= 30").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2"))
+    lambda spark, d: W.fullpath_regression(natural(spark, d)).where("step >= 3 and r2 is not null").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2"))
 )
 add("walk_r2_prefix_all")(lambda spark, d: W.fullpath_r2(natural(spark, d)).where("step >= 3").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2")))
 add("walk_r2_as_printed", f"SELECT count(*) AS prefixes, 0.0::DOUBLE AS largest FROM events")(lambda spark, d: M.prefix_measures(natural(spark, d)).agg(F.count("*").alias("prefixes"), F.max("r2_as_printed").alias("largest")))
@@ -317,24 +371,52 @@ add("partition_balance_term", with_(prep("tri", _ASSIGN, "sizes AS (SELECT part,
     lambda spark, d: (lambda sizes: reduce(DataFrame.unionByName, [P.balance_term(sizes, g).select(F.lit(g).alias("gamma"), "part", "size", F.round("tau", 6).alias("tau")) for g in (1.0, 1.5, 2.0, 4.0)]))(P.hash_partition(all_nodes(graph(spark, d, "tri")), 4).groupBy("part").agg(F.count("*").alias("size")))
 )
 add("stream_order_random", with_(prep("geo")) + f"SELECT node, row_number() OVER (ORDER BY {draw_sql(SEED, 'node')}, node) - 1 AS pos FROM deg")(lambda spark, d: P.stream_order(graph(spark, d, "geo"), "random", SEED))
-for _kind in ("bfs", "bfs_degree", "dfs", "dfs_degree"):
-    add(f"stream_order_{_kind}")(lambda spark, d, k=_kind: P.stream_order(graph(spark, d, "geo"), k))
-add("stream_order_bfs_levels")(lambda spark, d: P.bfs_levels(G.both_directions(graph(spark, d, "geo"))))
+_TREES = """reach AS (SELECT node AS a, node AS b FROM deg UNION SELECT r.a, e.v FROM reach r JOIN edges2 e ON e.u = r.b),
+root AS (SELECT a AS node, arg_min(b, [-deg, b]) AS root FROM reach JOIN deg ON deg.node = b GROUP BY a),
+down AS (
+  SELECT DISTINCT root AS node, root, NULL::BIGINT AS prev, 0 AS level, []::BIGINT[] AS path FROM root
+  UNION ALL
+  SELECT e.v, d.root, d.node, d.level + 1, d.path || [KEY, e.v] FROM down d JOIN edges2 e ON e.u = d.node AND e.v IS DISTINCT FROM d.prev JOIN deg g ON g.node = e.v
+)"""
+
+
+def order_sql(kind: str) -> str:
+    """Orders of a forest: a node's place follows from the path that leads to it."""
+    trees = _TREES.replace("KEY", "-g.deg" if kind.endswith("degree") else "0")
+    level = "level, " if kind.startswith("bfs") else ""
+    return f"WITH RECURSIVE {prep('geo')}, {trees} SELECT down.node, row_number() OVER (ORDER BY -g.deg, down.root, {level}path) - 1 AS pos FROM down JOIN deg g ON g.node = down.root"
 
 
-def place_sql(name: str, m: int, value: str, order: str) -> str:
-    """A placement by a recursive query over stream positions: state is the list of parts so far."""
-    score = " UNION ALL ".join(f"SELECT {p} AS p, {value.replace('#', str(p))} AS val" for p in range(m))
-    return f"""WITH RECURSIVE {prep(name, CM)}, e2cm AS (SELECT src AS u, dst AS v, w, cm FROM ecm UNION ALL SELECT dst, src, w, cm FROM ecm),
-stream AS (SELECT node, row_number() OVER (ORDER BY {order}) AS pos FROM deg),
-near AS (SELECT s.pos, list(t.pos) AS ps, list(1.0::DOUBLE) AS x1, list(e.cm) AS x2 FROM e2cm e JOIN stream s ON s.node = e.u JOIN stream t ON t.node = e.v WHERE t.pos < s.pos GROUP BY s.pos),
+for _kind in ("bfs", "bfs_degree", "dfs", "dfs_degree"):
+    add(f"stream_order_{_kind}", order_sql(_kind))(lambda spark, d, k=_kind: P.stream_order(graph(spark, d, "geo"), k))
+add("stream_order_bfs_levels", f"WITH RECURSIVE {prep('geo')}, {_TREES.replace('KEY', '0')} SELECT node, level::INTEGER AS level FROM down")(lambda spark, d: P.bfs_levels(G.both_directions(graph(spark, d, "geo"))))
+
+
+def place_sql(name: str, value: str, segments: int = 1, order: str | None = None, m: int = 4) -> str:
+    """A placement by a recursive query over stream positions: the state of a segment is the list of its parts so far."""
+    first = "len(list_filter(n.ps, lambda q: st.parts[q] = #))"
+    second = "list_sum(list_transform(list_zip(n.ps, n.cms), lambda z: CASE WHEN st.parts[z[1]] = # THEN z[2] ELSE 0 END))"
+    size = "len(list_filter(st.parts, lambda y: y = #))"
+    value = value.replace("SCORE1", f"coalesce({first}, 0)").replace("SCORE2", f"coalesce({second}, 0)").replace("SIZE", f"{size}::DOUBLE").replace("ALL", "len(st.parts)").replace("TOTAL", "st.per").replace("EDGES", "st.edges")
+    choices = ", ".join("{'v': -round(" + value.replace("#", str(p)) + ", 9), 's': " + size.replace("#", str(p)) + f", 'p': {p}}}" for p in range(m))
+    head = f"WITH RECURSIVE {prep(name, CM)}" + (f", {order}" if order else "")
+    ranked = "ranked" if order else f"(SELECT node, row_number() OVER (ORDER BY {draw_sql(SEED, 'node')}, node) - 1 AS pos FROM deg)"
+    return f"""{head}, e2cm AS (SELECT src AS u, dst AS v, w, cm FROM ecm UNION ALL SELECT dst, src, w, cm FROM ecm),
+cut AS MATERIALIZED (SELECT node, pos, floor(pos * {segments} / (SELECT count(*) FROM deg))::INTEGER AS seg FROM {ranked}),
+stream AS MATERIALIZED (SELECT node, seg, row_number() OVER (PARTITION BY seg ORDER BY pos) AS pos FROM cut),
+near AS MATERIALIZED (SELECT s.seg, s.pos, list(t.pos) AS ps, list(e.cm) AS cms FROM e2cm e JOIN stream s ON s.node = e.u JOIN stream t ON t.node = e.v AND t.seg = s.seg WHERE t.pos < s.pos GROUP BY s.seg, s.pos),
 state AS (
-  SELECT 0::BIGINT AS pos, []::INTEGER[] AS parts
+  SELECT seg, 0::BIGINT AS pos, []::INTEGER[] AS parts, max(pos) AS last, ceil((SELECT count(*) FROM deg) / {segments}.0::DOUBLE) AS per, (SELECT count(*) FROM edges)::DOUBLE AS edges FROM stream GROUP BY seg
   UNION ALL
-  SELECT st.pos + 1, list_append(st.parts, (SELECT p FROM ({score}) ORDER BY round(val, 9) DESC, len(list_filter(st.parts, lambda y: y = p)), p LIMIT 1))
-  FROM state st LEFT JOIN near n ON n.pos = st.pos + 1 WHERE st.pos < (SELECT max(pos) FROM stream)
+  SELECT st.seg, st.pos + 1, list_append(st.parts, (list_sort([{choices}])[1]).p::INTEGER), st.last, st.per, st.edges
+  FROM state st LEFT JOIN near n ON n.seg = st.seg AND n.pos = st.pos + 1 WHERE st.pos < st.last
 )
-SELECT s.node, f.parts[s.pos] AS part FROM stream s, (SELECT parts FROM state ORDER BY pos DESC LIMIT 1) f"""
+SELECT s.node, f.parts[s.pos] AS part FROM stream s JOIN state f ON f.seg = s.seg AND f.pos = f.last"""
+
+
+PROXIMITY = "(SCORE1 + SCORE2) * CASE WHEN ALL = 0 THEN 1 ELSE 1 - SIZE * 4 / (2.0::DOUBLE * ALL) END"
+LDG = "SCORE1 * (1 - SIZE / greatest(1, TOTAL / 4))"
+FENNEL = "CASE WHEN SIZE >= 1.1::DOUBLE * greatest(1, TOTAL / 4) THEN '-inf'::DOUBLE ELSE SCORE1 - EDGES * 2 / pow(TOTAL, 1.5::DOUBLE) * 1.5::DOUBLE * sqrt(SIZE) END"
 
 
 def proximity(spark: SparkSession, d: str, name: str, score: P.Score, segments: int = 1) -> DataFrame:
@@ -343,18 +425,20 @@ def proximity(spark: SparkSession, d: str, name: str, score: P.Score, segments:
     return P.streamed_partition(edges, 4, order, score, segments)
 
 
-add("partition_proximity")(lambda spark, d: proximity(spark, d, "knn", P.proximity_score(2.0)))
-add("partition_proximity_seg")(lambda spark, d: proximity(spark, d, "knn", P.proximity_score(2.0), 4))
-add("partition_proximity_dfs_degree")(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4))
-add("partition_proximity_seg_bfs_degree")(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4, order="bfs_degree", segments=4))
-add("partition_ldg")(lambda spark, d: proximity(spark, d, "knn", P.ldg_score()))
+add("partition_proximity", place_sql("knn", PROXIMITY))(lambda spark, d: proximity(spark, d, "knn", P.proximity_score(2.0)))
+add("partition_proximity_seg", place_sql("knn", PROXIMITY, 4))(lambda spark, d: proximity(spark, d, "knn", P.proximity_score(2.0), 4))
+_RANKED = lambda kind: _TREES.replace("KEY", "-g.deg") + f", ranked AS (SELECT down.node, row_number() OVER (ORDER BY -g.deg, down.root, {'level, ' if kind == 'bfs' else ''}path) - 1 AS pos FROM down JOIN deg g ON g.node = down.root)"
+add("partition_proximity_dfs_degree", place_sql("geo", PROXIMITY, 1, _RANKED("dfs")))(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4))
+add("partition_proximity_seg_bfs_degree", place_sql("geo", PROXIMITY, 4, _RANKED("bfs")))(lambda spark, d: P.proximity_partition(G.common_neighbours(graph(spark, d, "geo")), 4, order="bfs_degree", segments=4))
+add("partition_proximity_aligned")(lambda spark, d: (lambda e: P.streamed_partition(e, 4, P.stream_order(e, "random", SEED), P.proximity_score(2.0), 4, align=True))(G.common_neighbours(graph(spark, d, "knn")).transform(durable)))
+add("partition_ldg", place_sql("knn", LDG))(lambda spark, d: proximity(spark, d, "knn", P.ldg_score()))
 def fennel(spark: SparkSession, d: str, name: str) -> DataFrame:
     edges = graph(spark, d, name).transform(durable)
     edges_cm = G.common_neighbours(edges)
     return P.streamed_partition(edges_cm, 4, P.stream_order(edges_cm, "random", SEED), P.fennel_score(n_edges=edges.count()))
 
 
-add("partition_fennel")(lambda spark, d: fennel(spark, d, "knn"))
+add("partition_fennel", place_sql("knn", FENNEL))(lambda spark, d: fennel(spark, d, "knn"))
 add("partition_multilevel")(lambda spark, d: P.multilevel_partition(graph(spark, d, "knn"), 4))
 add(
     "partition_quality",
