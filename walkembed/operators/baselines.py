@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -32,8 +34,88 @@ def gnn_embed(edges: DataFrame, dims: int = 32, fan_out: int = 5, layers: int =
         near = sample_neighbours(edges2, fan_out, seed + layer)
         mean = near.join(x.withColumnRenamed("node", "v"), "v").groupBy(F.col("u").alias("node"), "i").agg(F.avg("x").alias("m"))
         x = x.join(mean, ["node", "i"]).select("node", "i", ((F.col("x") + F.col("m")) / 2).alias("x"))
-    packed = x.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("phi"))
-    return packed.select("node", F.round(F.sqrt(F.aggregate("phi", F.lit(0.0), lambda a, v: a + v * v)), 6).alias("norm"))
+    return x.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("phi"))
+
+
+def _aggregate(x: np.ndarray, w1: np.ndarray, w2: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Two mean-aggregating layers over (n, 1 + fan_out, 2 d) inputs: a node's own row first, then its neighbours'."""
+    z = x @ w1
+    h = np.maximum(z, 0)
+    joined = np.concatenate([h[:, 0], h[:, 1:].mean(1)], axis=1)
+    return z, joined, joined @ w2
+
+
+def _backward(x: np.ndarray, z: np.ndarray, joined: np.ndarray, g: np.ndarray, w2: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    back = g @ w2.T
+    d = back.shape[1] // 2
+    spread = np.concatenate([back[:, None, :d], np.repeat(back[:, None, d:] / (x.shape[1] - 1), x.shape[1] - 1, axis=1)], axis=1) * (z > 0)
+    return np.einsum("nki,nkj->ij", x, spread), joined.T @ g
+
+
+def train_gnn(edges: DataFrame, dims: int = 32, fan_out: int = 5, epochs: int = 20, rate: float = 0.05, seed: int = 42, timings: dict | None = None) -> DataFrame:
+    """(node, phi): a two-layer mean aggregator over sampled neighbours, trained without labels.
+
+    Ends of an edge are pulled together, ends of a random pair apart (logistic
+    loss).  Sampling is joins; a node's bag (its own and its neighbours' features
+    and neighbourhood means) is one row, so an epoch is one pass over the edges
+    that sums gradients of two small matrices a partition.
+    """
+    edges2 = G.both_directions(edges)
+    nodes = edges2.select(F.col("u").alias("node")).distinct()
+    began = time.time()
+    features = nodes.select("node", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: draw_column(seed, F.col("node"), k) / F.lit(2.0**32) - 0.5).alias("x"))
+    average = lambda rows: F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda k: F.aggregate(rows, F.lit(0.0), lambda s, r: s + F.get(r, k)) / F.size(rows))
+    near = sample_neighbours(edges2, fan_out, seed)
+    around = near.join(features.select(F.col("node").alias("v"), "x"), "v").groupBy(F.col("u").alias("node")).agg(F.collect_list("x").alias("xs"))
+    row = features.join(around, "node").select("node", F.concat("x", average(F.col("xs"))).alias("row")).transform(durable)
+    second = sample_neighbours(edges2, fan_out, seed + 1).join(row.select(F.col("node").alias("v"), F.col("row").alias("r")), "v").groupBy(F.col("u").alias("node")).agg(F.collect_list("r").alias("rs"))
+    bags = row.join(second, "node").select("node", F.flatten(F.concat(F.array("row"), F.transform(F.sequence(F.lit(0), F.lit(fan_out - 1)), lambda k: F.get("rs", F.pmod(k, F.size("rs")))))).alias("bag")).transform(durable)
+    # the other end of a random pair: the far end of the edge that follows by hash
+    noise = edges.select("src", "dst", draw_column(seed, F.col("src"), F.col("dst")).alias("h"))
+    other = noise.select(F.col("dst").alias("far"), F.lead("src").over(Window.partitionBy(F.pmod("h", F.lit(64))).orderBy("h", "src", "dst")).alias("rand"), "src", "dst")
+    bag = lambda c, name: bags.select(F.col("node").alias(c), F.col("bag").alias(name))
+    examples = other.select("src", "dst", F.coalesce("rand", "src").alias("rand")).join(bag("src", "a"), "src").join(bag("dst", "b"), "dst").join(bag("rand", "c"), "rand").select("a", "b", "c").transform(durable)
+    if timings is not None:
+        timings["sampling"] = time.time() - began
+    began = time.time()
+    rng = np.random.default_rng(seed)
+    w1, w2 = rng.normal(size=(2 * dims, dims)) / np.sqrt(2 * dims), rng.normal(size=(2 * dims, dims)) / np.sqrt(2 * dims)
+    shape = (-1, 1 + fan_out, 2 * dims)
+    context = edges.sparkSession.sparkContext
+    for _ in range(epochs):
+        weights = context.broadcast((w1, w2))
+
+        def gradients(frames):
+            m1, m2 = weights.value
+            total, g1, g2 = 0, np.zeros_like(m1), np.zeros_like(m2)
+            for f in frames:
+                if not len(f):
+                    continue
+                x = [np.stack(f[c]).reshape(shape) for c in "abc"]
+                (za, ja, a), (zb, jb, b), (zc, jc, c) = (_aggregate(v, m1, m2) for v in x)
+                pull = 1 / (1 + np.exp(np.clip((a * b).sum(1), -30, 30)))[:, None]
+                push = 1 / (1 + np.exp(-np.clip((a * c).sum(1), -30, 30)))[:, None]
+                for v, z, j, g in ((x[0], za, ja, pull * b - push * c), (x[1], zb, jb, pull * a), (x[2], zc, jc, -push * a)):
+                    d1, d2 = _backward(v, z, j, g, m2)
+                    g1, g2 = g1 + d1, g2 + d2
+                total += len(f)
+            yield pd.DataFrame({"n": [total], "g": [np.concatenate([g1.ravel(), g2.ravel()])]})
+
+        parts = examples.mapInPandas(gradients, "n long, g array<double>").collect()  # a row a partition, two small matrices
+        total = max(1, sum(p["n"] for p in parts))
+        step = np.sum([p["g"] for p in parts], axis=0) / total
+        w1, w2 = w1 + rate * 20 * step[: w1.size].reshape(w1.shape), w2 + rate * 20 * step[w1.size :].reshape(w2.shape)
+        weights.unpersist()
+    final = context.broadcast((w1, w2))
+
+    def apply(frames):
+        for f in frames:
+            out = _aggregate(np.stack(f["bag"]).reshape(shape), *final.value)[2] if len(f) else np.empty((0, dims))
+            yield pd.DataFrame({"node": f["node"], "phi": list(out)})
+
+    if timings is not None:
+        timings["training"] = time.time() - began
+    return bags.mapInPandas(apply, "node long, phi array<double>")
 
 
 def relational_embed(typed: DataFrame, dims: int = 32, buckets: int = 2, epochs: int = 3, rate: float = 0.1, seed: int = 5) -> DataFrame:
@@ -77,7 +159,7 @@ def relational_embed(typed: DataFrame, dims: int = 32, buckets: int = 2, epochs:
         parts = edges.groupBy("i", "j").cogroup(dealt.groupBy("i", "j")).applyInPandas(run, "node long, phi array<double>")
         spread = parts.select("node", F.posexplode("phi").alias("k", "x")).groupBy("node", "k").agg(F.avg("x").alias("x"))
         phi = spread.groupBy("node").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "x"))), lambda s: s["x"]).alias("phi")).transform(durable)
-    return phi.select("node", F.round(F.sqrt(F.aggregate("phi", F.lit(0.0), lambda a, v: a + v * v)), 6).alias("norm"))
+    return phi.select("node", "phi")
 
 
 def word2vec(steps: DataFrame, dims: int = 32, window: int = 5) -> DataFrame:
@@ -102,3 +184,14 @@ def logistic_f1(vectors: DataFrame, labels: DataFrame, ratio: float, seed: int =
     out = model.transform(rows.where("not train"))
     per = out.select(F.explode(F.array_distinct(F.array("label", "prediction"))).alias("k"), "label", "prediction").select(F.col("k").alias("label"), (F.col("label") == F.col("k")).cast("int").alias("y_true"), (F.col("prediction") == F.col("k")).cast("int").alias("y_pred"))
     return f1_scores(per).select(F.lit(ratio).alias("ratio"), "micro_f1", "macro_f1")
+
+
+def nearest_class(vectors: DataFrame, labels: DataFrame, ratio: float, seed: int = 42) -> DataFrame:
+    """(ratio, micro_f1, macro_f1) of the nearest class centroid; classes without a known node are never predicted."""
+    rows = vectors.join(labels, "node").withColumn("train", draw_column(seed, F.col("node")) < F.lit(int(ratio * (1 << 32))))
+    centre = rows.where("train").select("label", F.posexplode("phi").alias("i", "x")).groupBy("label", "i").agg(F.avg("x").alias("c")).groupBy(F.col("label").alias("predicted")).agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "c"))), lambda s: s["c"]).alias("centre"))
+    score = F.aggregate(F.zip_with("phi", "centre", lambda a, b: a * b), F.lit(0.0), lambda s, x: s + x)
+    met = rows.where("not train").crossJoin(F.broadcast(centre))  # one row a class
+    best = met.groupBy("node", "label").agg(F.max_by("predicted", F.struct(score.alias("s"), -F.col("predicted"))).alias("predicted"))
+    per = best.select(F.explode(F.array_distinct(F.array("label", "predicted"))).alias("k"), "label", "predicted").select(F.col("k").alias("label"), (F.col("label") == F.col("k")).cast("int").alias("y_true"), (F.col("predicted") == F.col("k")).cast("int").alias("y_pred"))
+    return f1_scores(per).select(F.lit(ratio).alias("ratio"), F.round("micro_f1", 6).alias("micro_f1"), F.round("macro_f1", 6).alias("macro_f1"))

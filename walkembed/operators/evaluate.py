@@ -10,6 +10,20 @@ from pyspark.sql import functions as F
 from ..functions.rng import draw_column
 
 
+def balanced_negatives(held: DataFrame, edges: DataFrame, nodes: DataFrame, seed: int = 42) -> DataFrame:
+    """(src, dst): as many non-edges as ``held`` has edges, or all that four draws an edge give if they are fewer."""
+    wanted = held.count()
+    drawn = negative_edges(edges, nodes, 4, seed)
+    return drawn.orderBy(draw_column(seed, F.col("src"), F.col("dst")), "src", "dst").limit(wanted)
+
+
+def score_pairs(held: DataFrame, negatives: DataFrame, vectors: DataFrame) -> DataFrame:
+    """(score, y): inner products of the ends' vectors (node, phi)."""
+    pairs = held.select("src", "dst", F.lit(1).alias("y")).unionByName(negatives.select("src", "dst", F.lit(0).alias("y")))
+    met = pairs.join(vectors.select(F.col("node").alias("src"), F.col("phi").alias("a")), "src").join(vectors.select(F.col("node").alias("dst"), F.col("phi").alias("b")), "dst")
+    return met.select(F.aggregate(F.zip_with("a", "b", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x).alias("score"), "y")
+
+
 def split_edges(edges: DataFrame, share: float = 0.5, seed: int = 42) -> DataFrame:
     """edges + held (boolean): a hash of each edge decides."""
     return edges.withColumn("held", draw_column(seed, F.col("src"), F.col("dst")) < F.lit(int(share * (1 << 32))))
@@ -18,10 +32,15 @@ def split_edges(edges: DataFrame, share: float = 0.5, seed: int = 42) -> DataFra
 def negative_edges(edges: DataFrame, nodes: DataFrame, draws: int = 4, seed: int = 42) -> DataFrame:
     """(src, dst) pairs that are no edges: hash draws for each held edge, less the edges and repeats.
 
-    Nodes are numbered by blocks of their ids, so a draw is an equi-join.
+    Nodes are numbered in the order of their ids, inside blocks of ids and then
+    over the blocks, so no task sees all nodes and a draw is an equi-join.
     """
     n = nodes.count()
-    numbered = nodes.select("node", (F.row_number().over(Window.orderBy("node")) - 1).cast("long").alias("i"))
+    blocked = nodes.select("node", F.floor(F.col("node") / 65_536).alias("block"))
+    sizes = blocked.groupBy("block").agg(F.count("*").alias("s"))
+    before = sizes.select("block", (F.sum("s").over(Window.orderBy("block")) - F.col("s")).alias("before"))
+    inside = F.row_number().over(Window.partitionBy("block").orderBy("node")) - 1
+    numbered = blocked.withColumn("inside", inside).join(before, "block").select("node", (F.col("before") + F.col("inside")).cast("long").alias("i"))
     tried = edges.select("src", "dst", F.explode(F.sequence(F.lit(1), F.lit(draws))).alias("k"))
     at = lambda salt: F.shiftright(draw_column(seed, F.col("src"), F.col("dst"), F.col("k"), F.lit(salt)) * F.lit(n), 32)
     ends = tried.select(at(1).alias("i"), at(2).alias("j"))

@@ -14,6 +14,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+NOISE_BLOCK = 65_536
 MODES = ("pairwise", "window_shared", "cross_window", "multi_window")
 
 
@@ -36,7 +37,30 @@ def build_vocab(steps: DataFrame) -> DataFrame:
 def noise_table(vocab: DataFrame, power: float = 0.75) -> DataFrame:
     """(node, rank, q, hi): integer noise weights and their running sum by rank."""
     q = F.floor(F.pow(F.col("ocn").cast("double"), F.lit(power)) * 1024).cast("long") + 1
-    return vocab.select("node", "rank", q.alias("q")).withColumn("hi", F.sum("q").over(Window.orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)))
+    blocks = vocab.select("node", "rank", q.alias("q"), F.floor(F.col("rank") / NOISE_BLOCK).alias("block"))
+    # running sums inside blocks of ranks, then over the blocks: no task sees all nodes
+    sums = blocks.groupBy("block").agg(F.sum("q").alias("s"))
+    before = sums.select("block", (F.sum("s").over(Window.orderBy("block")) - F.col("s")).alias("before"))
+    inside = F.sum("q").over(Window.partitionBy("block").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0))
+    return blocks.withColumn("inside", inside).join(before, "block").select("node", "rank", "q", (F.col("before") + F.col("inside")).alias("hi"))
+
+
+def draw_noise(noise: DataFrame, asked: DataFrame) -> DataFrame:
+    """``asked`` (with a number ``x`` below the weights' total) + negative: the node whose running sums hold x.
+
+    A node is listed under every bucket of numbers that it reaches, so an equi-join
+    by bucket leaves a few candidates; buckets are as wide as the mean weight.
+    """
+    total, n = noise.agg(F.coalesce(F.max("hi"), F.lit(1)), F.count("*")).first()
+    width = max(1, total // max(1, n))
+    spans = noise.select("node", (F.col("hi") - F.col("q")).alias("lo"), "hi").withColumn("bucket", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
+    met = asked.withColumn("bucket", F.floor(F.col("x") / width)).join(spans, "bucket").where("x >= lo and x < hi")
+    return met.select(*asked.columns, F.col("node").alias("negative"))
+
+
+def param_count(vocab: DataFrame, dims: int) -> DataFrame:
+    """One row: the numbers that both matrices hold."""
+    return vocab.agg((2 * F.count("*") * dims).alias("params"))
 
 
 def dot(a: str, b: str) -> F.Column:
@@ -136,6 +160,47 @@ class Shard:
         self.pairs += len(rows)
         return error.shape
 
+    def _buffered(self, walks: list[np.ndarray]) -> None:
+        """Some walks in lockstep over local buffers, written back when they end.
+
+        The walks' own vectors are loaded once and reused by every window; the
+        negatives of all steps are drawn at once, another row each step.  A target
+        is used in one step only, so it is updated in place.
+        """
+        nodes = np.unique(np.concatenate(walks))
+        local = [np.searchsorted(nodes, w) for w in walks]
+        contexts = self.phi_in[nodes]
+        longest = max(map(len, walks))
+        drawn = self.noise(longest, self.negatives)
+        names, place = np.unique(drawn, return_inverse=True)
+        place = place.reshape(drawn.shape)
+        before = self.phi_out[names]
+        noise = before.copy()
+        count = np.zeros(len(nodes), dtype=np.int64)
+        for i in range(longest):
+            parts = [(c, w[i]) for w, own in zip(walks, local) if i < len(w) and len(c := self._contexts(own, i))]
+            if not parts:
+                continue
+            rows = np.concatenate([c for c, _ in parts])
+            owner = np.repeat(np.arange(len(parts)), [len(c) for c, _ in parts])
+            goal = np.array([v for _, v in parts])
+            c, o = contexts[rows], np.concatenate([self.phi_out[goal], noise[place[i]]])
+            columns = np.concatenate([goal, drawn[i]])
+            label = np.zeros((len(rows), len(columns)))
+            label[np.arange(len(rows)), owner] = 1
+            error = label - _sigmoid(c @ o.T)
+            error[(columns[None, :] == goal[owner][:, None]) & (label == 0)] = 0
+            error *= self.rate
+            np.add.at(contexts, rows, error @ o)
+            move = error.T @ c
+            np.add.at(self.phi_out, goal, move[: len(goal)])
+            np.add.at(noise, place[i], move[len(goal) :])
+            np.add.at(count, rows, 1)
+            self.pairs += len(rows)
+        self.phi_in[nodes] = contexts
+        self.phi_out[names] += noise - before
+        self.updates[nodes] += count
+
     def train(self, walks: list[np.ndarray], mode: str, n_windows: int = 2) -> None:
         if mode == "pairwise":
             for walk in walks:
@@ -161,9 +226,7 @@ class Shard:
                     noise = self.noise(self.negatives)
                     group = [(k, i)]
                     for v in noise.tolist():
-                        group += [w for w in index.get(v, ())[:2] if w not in done and w != (k, i)]
-                        if len(group) > n_windows:
-                            break
+                        group += [w for w in index.get(v, ()) if w not in done and w != (k, i)][: max(0, 1 + n_windows - len(group))]
                     done.update(group)
                     parts = [(self._contexts(walks[a], b), walks[a][b]) for a, b in dict.fromkeys(group)]
                     parts = [p for p in parts if len(p[0])]
@@ -171,14 +234,7 @@ class Shard:
                         self.batch([p[0] for p in parts], [p[1] for p in parts], noise)
         elif mode == "multi_window":
             for lo in range(0, len(walks), n_windows):
-                group = walks[lo : lo + n_windows]
-                longest = max(map(len, group))
-                buffer = self.noise(longest, self.negatives)  # drawn once for the walks, another row each step
-                for i in range(longest):
-                    parts = [(self._contexts(w, i), w[i]) for w in group if i < len(w)]
-                    parts = [p for p in parts if len(p[0])]
-                    if parts:
-                        self.batch([p[0] for p in parts], [p[1] for p in parts], buffer[i])
+                self._buffered(walks[lo : lo + n_windows])
         else:
             raise ValueError(f"unknown mode {mode!r}")
 

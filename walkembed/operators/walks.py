@@ -109,7 +109,8 @@ def kernel_edges(edges: DataFrame, kernel: Kernel, directed: bool = False) -> Da
 def step_walks(edges: DataFrame, sources: DataFrame, kernel: Kernel = Kernel("uniform"), length: int = 10, rounds: int = 1, seed: int = 42, directed: bool = False, checkpoint_every: int = 0) -> DataFrame:
     """(round, walk_id, step, node) of fixed-length walks from ``sources`` (node), in column expressions."""
     table = kernel_edges(edges, kernel, directed)
-    adj = G.adjacency(table.select("u", "v", "hi", "q"), "hi", "q").select("node", "nbr", F.col("hi").alias("cdf"), "q")
+    # every hop joins the adjacency: it is made once
+    adj = G.adjacency(table.select("u", "v", "hi", "q"), "hi", "q").select("node", "nbr", F.col("hi").alias("cdf"), "q").transform(durable)
     now = sources.select(F.col("node").alias("walk_id"), F.col("node").alias("node"), F.explode(F.sequence(F.lit(1), F.lit(rounds))).alias("round"))
     now = now.withColumn("path", F.array("node")).withColumn("before", F.lit(None).cast("array<bigint>"))
     for hop in range(1, length):

@@ -445,3 +445,6 @@ add(
     with_(prep("tri", _ASSIGN, "placed AS (SELECT a.part AS ps, b.part AS pd FROM edges e JOIN assign a ON a.node = e.src JOIN assign b ON b.node = e.dst)", "ends AS (SELECT ps AS part FROM placed UNION ALL SELECT pd FROM placed)"))
     + "SELECT count(*) AS edges, count(*) FILTER (WHERE ps <> pd) AS cut, round(count(*) FILTER (WHERE ps <> pd) / count(*)::DOUBLE, 6) AS cut_share, round((SELECT max(n) * 4.0::DOUBLE / sum(n) FROM (SELECT count(*) AS n FROM assign GROUP BY part)), 6) AS node_imbalance, round((SELECT max(n) * 4.0::DOUBLE / sum(n) FROM (SELECT count(*) AS n FROM ends GROUP BY part)), 6) AS edge_imbalance FROM placed",
 )(lambda spark, d: (lambda e: P.partition_quality(e, P.hash_partition(all_nodes(e), 4), 4).select("edges", "cut", *[F.round(c, 6).alias(c) for c in ("cut_share", "node_imbalance", "edge_imbalance")]))(graph(spark, d, "tri")))
+
+#: streamed placement answers like the batch placement of the same segments
+STREAMED_SQL = place_sql("knn", PROXIMITY, 4)

@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.durable import durable
 from ..functions.rng import draw_column, draw_sql
 from ..operators import baselines as B
 from ..operators import evaluate as E
@@ -16,7 +17,7 @@ from ..operators import walks as W
 from ..sources.tables import table
 from ..streaming import streams
 from . import pipelines
-from .graph_queries import SEED, _UNI, all_nodes, graph, prep, uniform_corpus, walk_sql, with_
+from .graph_queries import SEED, STREAMED_SQL, _UNI, all_nodes, graph, prep, uniform_corpus, walk_sql, with_
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -55,11 +56,11 @@ add("noise_distribution", f"{_UNI}, {_NOISE} SELECT node, rank, q, hi FROM table
 
 
 def negative_samples(spark: SparkSession, d: str, k: int = 5) -> DataFrame:
-    """K noise nodes for each vocabulary node, by range join on the running sums."""
-    noise = L.noise_table(L.build_vocab(uniform_corpus(spark, d)[1]))
+    """K noise nodes for each vocabulary node, by the running sums."""
+    noise = L.noise_table(L.build_vocab(uniform_corpus(spark, d)[1])).transform(durable)
     total = noise.agg(F.sum("q").alias("total"))
     asked = noise.select(F.col("node").alias("target")).crossJoin(total).withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(k)))).withColumn("x", F.shiftright(draw_column(SEED, F.col("target"), F.col("k")) * F.col("total"), 32))
-    return asked.join(noise.select("node", (F.col("hi") - F.col("q")).alias("lo"), "hi"), F.expr("x >= lo and x < hi")).select("target", "k", F.col("node").alias("negative"))
+    return L.draw_noise(noise, asked.select("target", "k", "x")).select("target", "k", "negative")
 
 
 add("negative_samples", f"{_UNI}, {_NOISE}, asked AS (SELECT node AS target, k::INTEGER AS k, ({draw_sql(SEED, 'node', 'k')} * total) >> 32 AS x FROM table_, range(1, 6) r(k)) SELECT target, k, n.node AS negative FROM asked JOIN table_ n ON x >= n.hi - n.q AND x < n.hi")(negative_samples)
@@ -231,8 +232,13 @@ add("message_size_table", "SELECT l::INTEGER AS length, 80::BIGINT AS incrementa
 
 for _profile in ("info", "fullpath", "routine"):
     add(f"embed_{_profile}")(lambda spark, d, p=_profile: pipelines.embed(graph(spark, d, "knn"), p).select("node", "rank", "n_updates"))
-add("relational_embed")(lambda spark, d: B.relational_embed(pipelines.typed_edges(graph(spark, d, "geo")), dims=16))
-add("gnn_embed")(lambda spark, d: B.gnn_embed(graph(spark, d, "knn"), dims=16))
+def norms(vectors: DataFrame) -> DataFrame:
+    return vectors.select("node", F.size("phi").alias("dims"), F.round(F.sqrt(L.dot("phi", "phi")), 6).alias("norm"))
+
+
+add("relational_embed")(lambda spark, d: norms(B.relational_embed(pipelines.typed_edges(graph(spark, d, "geo")), dims=16)))
+add("gnn_embed")(lambda spark, d: norms(B.train_gnn(graph(spark, d, "knn"), dims=16)))
+add("gnn_smooth_embed")(lambda spark, d: norms(B.gnn_embed(graph(spark, d, "knn"), dims=16)))
 add("mllib_word2vec")(lambda spark, d: B.word2vec(corpus(spark, d), dims=16))
 _PICK = draw_sql(SEED, "u", "v")
 add("gnn_neighbour_sample", with_(prep("knn"), f"r AS (SELECT u, v, row_number() OVER (PARTITION BY u ORDER BY {_PICK}, v) AS k FROM edges2)") + "SELECT u, v FROM r WHERE k <= 5")(lambda spark, d: B.sample_neighbours(G.both_directions(graph(spark, d, "knn")), 5, SEED))
@@ -262,4 +268,4 @@ add(
 # --- streaming ----------------------------------------------------------------
 
 QUERIES |= streams.QUERIES
-ORACLES |= streams.ORACLES
+ORACLES |= streams.ORACLES | {"stream_node_partition": STREAMED_SQL}

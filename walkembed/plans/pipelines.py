@@ -8,6 +8,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators import baselines as B
 from ..operators import evaluate as E
 from ..operators import graph as G
 from ..operators import learner as L
@@ -32,18 +33,18 @@ class Phases:
         return sum(self.seconds.values())
 
 
-#: profile -> (partitioner, kernel, stop, fixed rounds, learner mode, synchronisation)
+#: profile -> (partitioner, kernel, stop, fixed rounds, learner mode, synchronisation, measure)
 PROFILES = {
-    "info": ("proximity", W.Kernel("hybrid"), W.Stop.calibrated(), None, "multi_window", "hotness"),
-    "fullpath": ("edge_balanced", W.Kernel("hybrid", "accept"), W.Stop.calibrated(), None, "window_shared", "full"),
-    "routine": ("edge_balanced", W.Kernel("biased2", p=0.5, q=2.0), W.Stop.fixed(80), 10, "window_shared", "full"),
+    "info": ("proximity", W.Kernel("hybrid"), W.Stop.calibrated(), None, "multi_window", "hotness", "incremental"),
+    "fullpath": ("edge_balanced", W.Kernel("hybrid", "accept"), W.Stop.calibrated(), None, "window_shared", "full", "fullpath"),
+    "routine": ("edge_balanced", W.Kernel("biased2", p=0.5, q=2.0), W.Stop.fixed(80), 10, "window_shared", "full", "incremental"),
 }
 
 
 def corpus(edges: DataFrame, profile: str = "info", m: int = 2, max_rounds: int = 10, phases: Phases | None = None, **swap) -> tuple[DataFrame, DataFrame]:
     """(steps, assign) of a profile; ``swap`` replaces single components for ablations."""
     phases = phases or Phases()
-    placing, kernel, stop, rounds, _, _ = PROFILES[profile]
+    placing, kernel, stop, rounds, _, _, measure = PROFILES[profile]
     placing, kernel, stop = swap.get("placing", placing), swap.get("kernel", kernel), swap.get("stop", stop)
     edges = phases.time("prepare", G.common_neighbours(edges))
     if placing == "proximity":
@@ -52,11 +53,9 @@ def corpus(edges: DataFrame, profile: str = "info", m: int = 2, max_rounds: int
         assign = phases.time("partition", P.edge_balanced_partition(edges, m))
     else:
         assign = phases.time("partition", P.hash_partition(G.both_directions(edges).select(F.col("u").alias("node")).distinct(), m))
-    if kernel.name == "biased2":
-        m = 1  # the second-order rule asks for the neighbours of the node before
-        assign = assign.withColumn("part", F.lit(0))
+    rounds = swap.get("rounds", rounds)
     began = time.time()
-    steps, _ = W.sample_corpus(edges, assign, kernel, stop, max_rounds=min(max_rounds, rounds or max_rounds), fixed_rounds=None if rounds is None else min(rounds, max_rounds))
+    steps, _ = W.sample_corpus(edges, assign, kernel, stop, max_rounds=min(max_rounds, rounds or max_rounds), fixed_rounds=None if rounds is None else min(rounds, max_rounds), measure=swap.get("measure", measure))
     phases.seconds["walk"] = time.time() - began
     return steps.select("round", "walk_id", "step", "node"), assign
 
@@ -66,7 +65,7 @@ def embed(edges: DataFrame, profile: str = "info", dims: int = 64, m: int = 2, m
     phases = phases or Phases()
     steps, _ = corpus(edges, profile, m, max_rounds, phases, **swap)
     mode, sync = swap.get("mode", PROFILES[profile][4]), swap.get("sync", PROFILES[profile][5])
-    return phases.time("train", L.train(steps, mode, dims=dims, window=window, shards=m, n_windows=n_windows, sync=sync))
+    return phases.time("train", L.train(steps, mode, dims=dims, window=window, shards=m, n_windows=n_windows, sync=sync, epochs=swap.get("epochs", 1), rate=swap.get("rate", 0.05)))
 
 
 def typed_edges(edges: DataFrame) -> DataFrame:
@@ -76,15 +75,30 @@ def typed_edges(edges: DataFrame) -> DataFrame:
 
 
 def link_prediction(edges: DataFrame, profile: str = "info", dims: int = 64, max_rounds: int = 5, seed: int = 42, **swap) -> DataFrame:
-    """(profile, n_pos, n_neg, auc): half of the edges held out, scored against as many non-edges by inner products."""
+    """(profile, n_pos, n_neg, auc): half of the edges held out, scored against as many non-edges by inner products.
+
+    Profiles are those of ``PROFILES`` and the baselines ``relational`` and ``gnn``.
+    """
     split = E.split_edges(edges, 0.5, seed).checkpoint()
-    vectors = embed(split.where("not held").select("src", "dst", "w"), profile, dims, max_rounds=max_rounds, **swap).select("node", "phi")
-    held = split.where("held").select("src", "dst", "w")
-    nodes = vectors.select("node")
-    negatives = E.negative_edges(edges, nodes, draws=1, seed=seed)
-    pairs = held.select("src", "dst", F.lit(1).alias("y")).unionByName(negatives.select("src", "dst", F.lit(0).alias("y")))
-    met = pairs.join(vectors.select(F.col("node").alias("src"), F.col("phi").alias("a")), "src").join(vectors.select(F.col("node").alias("dst"), F.col("phi").alias("b")), "dst")
-    return E.auc(met.select(L.dot("a", "b").alias("score"), "y")).select(F.lit(profile).alias("profile"), "n_pos", "n_neg", "auc")
+    kept, held = (split.where(c).select("src", "dst", "w") for c in ("not held", "held"))
+    if profile == "relational":
+        vectors = B.relational_embed(typed_edges(kept), dims, epochs=10, seed=seed)
+    elif profile == "gnn":
+        vectors = B.train_gnn(kept, dims, seed=seed)
+    else:
+        vectors = embed(kept, profile, dims, max_rounds=max_rounds, **swap).select("node", "phi")
+    vectors = vectors.checkpoint()
+    # ends without a kept edge have no vector: pairs are drawn among the others
+    known = held.join(vectors.select(F.col("node").alias("src")), "src", "left_semi").join(vectors.select(F.col("node").alias("dst")), "dst", "left_semi")
+    negatives = E.balanced_negatives(known, edges, vectors.select("node"), seed)
+    return E.auc(E.score_pairs(known, negatives, vectors)).select(F.lit(profile).alias("profile"), "n_pos", "n_neg", "auc")
+
+
+def repeated(edges: DataFrame, profile: str, trials: int = 3, **settings) -> DataFrame:
+    """(profile, trials, mean_auc, sd_auc) over splits with seeds of their own."""
+    rows = [link_prediction(edges, profile, seed=42 + t, **settings).first() for t in range(trials)]
+    frame = edges.sparkSession.createDataFrame([(profile, float(r["auc"])) for r in rows], "profile string, auc double")
+    return frame.groupBy("profile").agg(F.count("*").alias("trials"), F.avg("auc").alias("mean_auc"), F.stddev_pop("auc").alias("sd_auc"))
 
 
 def sweep_stop(edges: DataFrame, values: tuple[float, ...] = (0.995, 0.9, 0.85, 0.7, 0.5), m: int = 2) -> list[tuple[float, float]]:

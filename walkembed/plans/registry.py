@@ -8,9 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import walks as W
-from . import graph_queries, learn_queries, relational
+from . import experiment_queries, function_queries, graph_queries, learn_queries, relational
 
-_SOURCES = (graph_queries, learn_queries, relational)
+_SOURCES = (graph_queries, learn_queries, experiment_queries, function_queries, relational)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

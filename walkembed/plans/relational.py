@@ -100,9 +100,9 @@ op("op_sort", "SELECT c_custkey, c_acctbal FROM customer ORDER BY c_acctbal DESC
 op("op_topk", "SELECT l_suppkey, count(*) AS n FROM lineitem GROUP BY l_suppkey ORDER BY n DESC, l_suppkey LIMIT 10")
 op("op_topk_group", "SELECT p_brand, p_partkey FROM (SELECT p_brand, p_partkey, row_number() OVER (PARTITION BY p_brand ORDER BY p_retailprice DESC, p_partkey) AS k FROM part) x WHERE k <= 3")
 op("op_offset", "SELECT o_orderkey FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 10 OFFSET 10")
-_OLD, _NEW = ("SELECT l_partkey, l_suppkey FROM lineitem WHERE l_shipdate < TIMESTAMP '1995-01-01 00:00:00'", "SELECT l_partkey, l_suppkey FROM lineitem WHERE l_shipdate >= TIMESTAMP '1995-01-01 00:00:00'")
+_OLD, _NEW = ("SELECT o_custkey % 20 AS a, l_suppkey % 20 AS b FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_orderdate < TIMESTAMP '1998-01-01 00:00:00' AND l_quantity > 48", "SELECT o_custkey % 20 AS a, l_suppkey % 20 AS b FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_orderdate >= TIMESTAMP '1998-01-01 00:00:00' AND l_quantity < 2")
 for _k, _w in (("union", "UNION"), ("union_all", "UNION ALL"), ("intersect", "INTERSECT"), ("intersect_all", "INTERSECT ALL"), ("except", "EXCEPT"), ("except_all", "EXCEPT ALL")):
-    op(f"op_{_k}", f"SELECT l_partkey, l_suppkey FROM (({_OLD}) {_w} ({_NEW})) x")
+    op(f"op_{_k}", f"SELECT a, b FROM (({_OLD}) {_w} ({_NEW})) x")
 # strings
 op("op_str_url", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) AS host, regexp_extract(url, '/(en|de|fr|es)/', 1) AS lang FROM pages")
 op("op_str_regex", "SELECT page_id, size(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS links FROM pages", "SELECT page_id, len(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))::INTEGER AS links FROM pages")
@@ -126,7 +126,7 @@ op("op_array_sort", f"SELECT user_id, array_join(array_sort(t), ',') AS types FR
 op("op_array_filter", f"SELECT user_id, size(filter(v, y -> y > 50)) AS large, size(v) AS n FROM ({_EV}) x", f"SELECT user_id, len(list_filter(v, lambda y: y > 50))::INTEGER AS large, len(v)::INTEGER AS n FROM ({_EVD}) x")
 op("op_array_aggregate", f"SELECT user_id, round(aggregate(v, CAST(0 AS DOUBLE), (a, y) -> a + y), 4) AS total FROM ({_EV}) x", f"SELECT user_id, round(list_sum(v), 4) AS total FROM ({_EVD}) x")
 op("op_array_dot", "SELECT vec_id, round(aggregate(zip_with(embedding, embedding, (a, b) -> CAST(a AS DOUBLE) * b), CAST(0 AS DOUBLE), (s, y) -> s + y), 6) AS dot FROM embeddings", "SELECT vec_id, round(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[]), 6) AS dot FROM embeddings")
-op("op_array_overlap", "SELECT a.conv_id, size(array_intersect(split(a.text, ' '), split(b.text, ' '))) AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = 0 AND b.turn = 1", "SELECT a.conv_id, len(list_intersect(list_distinct(string_split(a.text, ' ')), string_split(b.text, ' ')))::INTEGER AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = 0 AND b.turn = 1")
+op("op_array_overlap", "SELECT a.conv_id, a.turn, size(array_intersect(split(a.text, ' '), split(b.text, ' '))) AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1", "SELECT a.conv_id, a.turn, len(list_intersect(list_distinct(string_split(a.text, ' ')), string_split(b.text, ' ')))::INTEGER AS shared FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1")
 op("op_array_posexplode", "SELECT label, i, round(avg(x), 6) AS mean FROM (SELECT label, posexplode(embedding) AS (i, x) FROM embeddings) e GROUP BY label, i", "SELECT label, (i - 1)::INTEGER AS i, round(avg(embedding[i]::DOUBLE), 6) AS mean FROM embeddings, range(1, 65) t(i) GROUP BY 1, 2")
 op("op_map_histogram", "SELECT user_id, k, v FROM (SELECT user_id, explode(map_from_entries(collect_list(struct(event_type, n)))) AS (k, v) FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) c GROUP BY user_id) x", "SELECT user_id, event_type AS k, count(*) AS v FROM events GROUP BY 1, 2")
 op("op_json_field", "SELECT event_type, sum(CAST(get_json_object(props, '$.k') AS BIGINT)) AS total FROM events GROUP BY event_type", "SELECT event_type, sum((props->>'$.k')::BIGINT)::BIGINT AS total FROM events GROUP BY event_type")

@@ -6,11 +6,13 @@ returns what it wrote, so it can be held against the batch answer.
 
 from __future__ import annotations
 
-import os
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
+
+from ..functions.durable import ensure_checkpoint_dir
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -27,11 +29,8 @@ def source(spark: SparkSession, sf_dir: str, name: str = "events") -> DataFrame:
 
 def folder(spark: SparkSession) -> str:
     """A fresh folder beside the session's checkpoints."""
-    from tempfile import gettempdir
-
-    context = spark.sparkContext._jsc.sc()
-    base = context.getCheckpointDir().get() if context.getCheckpointDir().isDefined() else os.path.join(gettempdir(), "walkembed-streams")
-    return f"{base}/stream-{uuid.uuid4().hex}"
+    ensure_checkpoint_dir(spark.range(0))
+    return f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/stream-{uuid.uuid4().hex}"
 
 
 def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
@@ -95,35 +94,91 @@ def divergence(spark: SparkSession, d: str) -> DataFrame:
 add("stream_divergence", "WITH c AS (SELECT event_type, count(*) AS n FROM events GROUP BY 1), t AS (SELECT sum(n)::DOUBLE AS s, count(*)::DOUBLE AS k FROM c) SELECT round(sum(log2(s / (k * n)) / k), 6) AS divergence FROM c, t")(divergence)
 
 
-def node_placement(spark: SparkSession, d: str, m: int = 4) -> DataFrame:
-    """Users placed as their events arrive: the part with most of the user's earlier neighbours, balanced.
+class PlaceNodes(StatefulProcessor):
+    """Places the nodes of a segment as they arrive; its state is part sizes and a map from placed nodes to parts."""
 
-    State is keyed by segment (here one): part sizes and the node -> part map.
-    """
-    import pandas as pd
-    from pyspark.sql.streaming.state import GroupStateTimeout
+    def __init__(self, m: int, gamma: float):
+        self.m, self.gamma = m, gamma
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.where = handle.getMapState("where", "node long", "part int")
+        self.sizes = handle.getValueState("sizes", "sizes array<bigint>")
+
+    def handleInputRows(self, key, rows, timerValues):
+        import numpy as np
+        import pandas as pd
 
-    def place(key, frames, state):
-        sizes, where, last = state.get if state.exists else ([0] * m, "{}", -1)
-        import json
+        from ..operators.partition import proximity_score
 
-        sizes, where = list(sizes), {int(k): v for k, v in json.loads(where).items()}
+        score = proximity_score(self.gamma)
+        sizes = np.array(self.sizes.get()[0] if self.sizes.exists() else [0] * self.m, dtype=float)
         out = []
-        for f in frames:
-            for user in f.sort_values(["ts", "event_id"])["user_id"].tolist():
-                if user not in where:
-                    mean = sum(sizes) / m
-                    gain = [(1.0 if where.get(last) == p else 0.0) * (1 - sizes[p] / (2 * mean) if mean else 1.0) for p in range(m)]
-                    p = max(range(m), key=lambda q: (gain[q], -sizes[q], -q))
-                    where[user] = p
-                    sizes[p] += 1
-                    out.append((user, p))
-                last = user
-        state.update((sizes, json.dumps(where), last))
+        for row in pd.concat(list(rows)).sort_values("pos").itertuples():
+            first, second = np.zeros(self.m), np.zeros(self.m)
+            for v, c in zip(row.nbr, row.cm):
+                if self.where.containsKey((int(v),)):
+                    p = self.where.getValue((int(v),))[0]
+                    first[p] += 1
+                    second[p] += c
+            value = np.round(score(first, second, sizes, 0), 9)
+            p = int(np.lexsort((np.arange(self.m), sizes, -value))[0])
+            self.where.updateValue((int(row.node),), (p,))
+            sizes[p] += 1
+            out.append((int(row.node), p))
+        self.sizes.update((sizes.astype(int).tolist(),))
         yield pd.DataFrame(out, columns=["node", "part"])
 
-    stream = source(spark, d).withColumn("seg", F.lit(0)).groupBy("seg").applyInPandasWithState(place, "node long, part int", "sizes array<int>, places string, last long", "append", GroupStateTimeout.NoTimeout)
-    return drained(stream, "append")
+    def close(self) -> None:
+        pass
+
+
+def place_stream(nodes: DataFrame, m: int = 4, gamma: float = 2.0) -> DataFrame:
+    """(node, part) of a stream of (seg, pos, node, nbr, cm), each segment placed on its own.
+
+    Nodes must arrive in the order of their positions, in whatever batches.
+    """
+    return nodes.groupBy("seg").transformWithStateInPandas(PlaceNodes(m, gamma), "node long, part int", "Append", "None")
+
+
+def node_placement(spark: SparkSession, d: str, segments: int = 4) -> DataFrame:
+    """The neighbour graph's nodes as a stream in random order, in two files that come one after the other."""
+    from ..operators import graph as G
+    from ..operators import partition as P
+    from ..plans.graph_queries import SEED, graph
+
+    edges = G.common_neighbours(graph(spark, d, "knn"))
+    adj = G.adjacency(G.both_directions(edges.select("src", "dst", F.col("cm").alias("w"))), "w").withColumnRenamed("w", "cm")
+    order = P.stream_order(edges, "random", SEED)
+    n = order.count()
+    rows = adj.join(order, "node").select(F.floor(F.col("pos") * segments / F.lit(n)).cast("int").alias("seg"), "pos", "node", "nbr", F.transform("cm", lambda c: c.cast("int")).alias("cm"))
+    where = folder(spark)
+    for late in (False, True):  # each segment's nodes of even tens first would break their order: split by position
+        rows.where((F.col("pos") * segments % F.lit(n) >= n // 2) == late).coalesce(1).write.mode("append").parquet(where)
+    provider = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(provider)
+    spark.conf.set(provider, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        stream = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(where)
+        return drained(place_stream(stream), "append")
+    finally:
+        spark.conf.set(provider, before)
+
+
+def late_drop(spark: SparkSession, d: str) -> DataFrame:
+    """(day, n): days closed by the watermark; early events that come again when their days are long closed are dropped.
+
+    A batch drops by the watermark that the batch before began with, so one more
+    batch lies between the events and their repeats.
+    """
+    events = spark.read.parquet(f"{d}/events.parquet").select("event_id", "ts")
+    where = folder(spark)
+    last = events.agg(F.max("ts")).first()[0]
+    for part in (events, events.where(F.col("ts") == F.lit(last).cast("timestamp_ntz")), events.where(F.col("ts") < F.lit("2024-01-20").cast("timestamp_ntz"))):
+        part.coalesce(1).write.mode("append").parquet(where)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(where).withColumn("ts", F.col("ts").cast("timestamp"))
+    days = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count("*").alias("n"))
+    return drained(days, "append").select(F.date_format("window.start", _ISO).alias("day"), "n")
 
 
+add("stream_late_drop", "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS day, count(*) AS n FROM events GROUP BY 1 HAVING max(date_trunc('day', ts)) + INTERVAL '1 day' <= (SELECT max(ts) FROM events) - INTERVAL '1 hour'")(late_drop)
 add("stream_node_partition")(node_placement)
