@@ -120,6 +120,12 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
 
+def _bounded(moves: np.ndarray, longest: float = 0.25) -> np.ndarray:
+    """Moves no longer than ``longest``: the sums of wide batches would overshoot, and grow without end."""
+    length = np.sqrt((moves * moves).sum(1, keepdims=True))
+    return moves * np.minimum(1.0, longest / np.maximum(length, longest))
+
+
 class Shard:
     """Replica matrices of a shard and its training steps; ids are ranks."""
 
@@ -191,8 +197,8 @@ class Shard:
             error = label - _sigmoid(c @ o.T)
             error[(columns[None, :] == goal[owner][:, None]) & (label == 0)] = 0
             error *= self.rate
-            np.add.at(contexts, rows, error @ o)
-            move = error.T @ c
+            np.add.at(contexts, rows, _bounded(error @ o))
+            move = _bounded(error.T @ c)
             np.add.at(self.phi_out, goal, move[: len(goal)])
             np.add.at(noise, place[i], move[len(goal) :])
             np.add.at(count, rows, 1)

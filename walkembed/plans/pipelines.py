@@ -60,7 +60,7 @@ def corpus(edges: DataFrame, profile: str = "info", m: int = 2, max_rounds: int
     return steps.select("round", "walk_id", "step", "node"), assign
 
 
-def embed(edges: DataFrame, profile: str = "info", dims: int = 64, m: int = 2, max_rounds: int = 10, window: int = 10, n_windows: int = 16, phases: Phases | None = None, **swap) -> DataFrame:
+def embed(edges: DataFrame, profile: str = "info", dims: int = 64, m: int = 2, max_rounds: int = 10, window: int = 10, n_windows: int = 2, phases: Phases | None = None, **swap) -> DataFrame:
     """(node, rank, phi, n_updates): partition, sample, train."""
     phases = phases or Phases()
     steps, _ = corpus(edges, profile, m, max_rounds, phases, **swap)
