@@ -560,3 +560,22 @@ def test_pieces_meet_in_salted_groups_and_large_cells(spark, monkeypatch):
     frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
     got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.near_duplicates(frame).collect()}
     assert got == brute_components(rows)
+
+
+def test_link_counts_equal_brute_force(spark, monkeypatch):
+    rng = np.random.default_rng(21)
+    base = [f"w{k}" for k in range(80)]
+    rows = []
+    for n in range(50):
+        words = list(base)
+        for p in rng.choice(80, 1 + n % 4, replace=False):
+            words[p] = f"x{rng.integers(1000)}"
+        rows += [(n, " ".join(words))] * (1 + (n % 10 == 0))
+    rows += [(100, "alone in the world of texts"), (101, None), (None, " ".join(base)), (102, "a b"), (103, "A  b")]
+    sets = [shingles(t) if i is not None else frozenset() for i, t in rows]
+    want = sorted((i if i is not None else -1, sum(1 for j, y in enumerate(sets) if j != k and x and y and 100 * len(x & y) >= 80 * len(x | y))) for k, ((i, _), x) in enumerate(zip(rows, sets)))
+    for part in (None, 6):
+        if part:
+            monkeypatch.setattr(ngram_join, "_CELL_ROWS", part)
+        got = sorted((r["doc_id"] if r["doc_id"] is not None else -1, r["n_links"]) for r in ngram_join.link_counts(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+        assert got == want

@@ -386,9 +386,11 @@ class _Postings:
         return np.bincount(self.rows[spots], minlength=self.n)
 
 
-def _group_links(rep: np.ndarray, n: np.ndarray, component: np.ndarray, cell: np.ndarray, side: np.ndarray | None, toks: list[np.ndarray], rare: list[int], pre: list[list[np.ndarray]], threshold: int) -> Iterator[tuple[int, int]]:
+def _group_links(rep: np.ndarray, n: np.ndarray, component: np.ndarray, cell: np.ndarray, side: np.ndarray | None, toks: list[np.ndarray], rare: list[int], pre: list[list[np.ndarray]], threshold: int, every: bool = False) -> Iterator[tuple[int, int]]:
     """Links that join different components inside a group; with ``side``, only between its two sides.
 
+    ``every`` gives all links, also those inside a component.
+
     Candidates of a set meet it in the prefixes of all three orders, keep the
     length bound and are not in its component yet.  The largest component of each
     cell needs no turn of its own: every pair has a member outside it.
@@ -401,33 +403,33 @@ def _group_links(rep: np.ndarray, n: np.ndarray, component: np.ndarray, cell: np
     for j, (c, _) in enumerate(names.tolist()):
         largest[c] = max(largest.get(c, (0, 0)), (int(many[j]), j))
     where = where.ravel()
-    turn = [k for k in range(len(rep)) if side is not None or largest[int(cell[k])][1] != where[k]]
+    turn = [k for k in range(len(rep)) if every or side is not None or largest[int(cell[k])][1] != where[k]]
     if side is not None:  # the side with fewer sets takes the turns
         fewer = int(side.sum() * 2 <= len(side))
         turn = [k for k in turn if side[k] == fewer]
     done = np.zeros(len(rep), dtype=bool)
     for k in turn:
-        fits = (orders[0].meets(k) > 0) & (component != component[k]) & ~done
+        done[k] |= side is None
+        fits = (orders[0].meets(k) > 0) & (every | (component != component[k])) & ~done
         fits &= 100 * np.minimum(n, n[k]) >= threshold * np.maximum(n, n[k])
         if side is not None:
             fits &= side != side[k]
         if fits.any():
             for order in orders[1:]:
                 fits &= order.meets(k) > 0
-        done[k] = side is None
         found = np.flatnonzero(fits)
         if not len(found):
             continue
         overlap = whole.meets(k)[found]
         for other in found[100 * overlap >= threshold * (n[k] + n[found] - overlap)].tolist():
             a, b = int(component[k]), int(component[other])
-            if merger.find(a) != merger.find(b):
+            if every or merger.find(a) != merger.find(b):
                 merger.join(a, b)
                 yield int(rep[k]), int(rep[other])
 
 
-def _cross_links(near: DataFrame, component: DataFrame, threshold: int) -> DataFrame:
-    """Links between classes of different components, enough to join all that are linked.
+def _cross_links(near: DataFrame, component: DataFrame, threshold: int, every: bool = False) -> DataFrame:
+    """Links between classes of different components, enough to join all that are linked; all of them with ``every``.
 
     Components whose classes share n-grams of the rarest-first prefix, directly or
     through others, form a cell; a pair can only link inside one.  Small cells are
@@ -490,7 +492,7 @@ def _cross_links(near: DataFrame, component: DataFrame, threshold: int) -> DataF
         for seed in _SEEDS[:2]:
             hashes = [mix64(t ^ seed) for t in toks]
             pre.append([np.partition(h, k - 1)[:k] if k < len(h) else h for h, k in zip(hashes, room)])
-        links = list(_group_links(column("cls"), n, column("component"), column("cell"), side, toks, room, pre, threshold))
+        links = list(_group_links(column("cls"), n, column("component"), column("cell"), side, toks, room, pre, threshold, every))
         return pa.table({"a": pa.array([x for x, _ in links], pa.int64()), "b": pa.array([y for _, y in links], pa.int64())})
 
     return grouped.groupBy("bucket", "at").applyInArrow(join, "a long, b long")
@@ -518,13 +520,8 @@ def distinct_documents(docs: DataFrame, width: int = WIDTH, threshold: int = THR
     return rest.select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
-def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD, carry: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, n_shingles, class_id, component_id, group), a row for each input row.
-
-    ``class_id`` is the smallest id with exactly the same set, ``component_id``
-    the smallest id reachable by links.  Components of repeated ids may share it;
-    ``group`` names the component, and is null where there is nothing to link.
-    """
+def _candidates(docs: DataFrame, width: int, threshold: int, carry: tuple[str, ...] = ()) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The profile of every row, the classes of equal sets, and the classes that can have a partner with their shared n-grams."""
     if not 0 < threshold <= 100:
         raise ValueError("threshold is a percentage above 0")
     spark = docs.sparkSession
@@ -544,6 +541,18 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
     release_shuffles(spark)
     blocks = checkpointed(_set_blocks(docs, live, left, width, seed))
     near = checkpointed(_survivors(blocks, _rarities(blocks, ranges(tokens)), threshold))
+    return profile, classes, near
+
+
+def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD, carry: tuple[str, ...] = ()) -> DataFrame:
+    """(doc_id, n_shingles, class_id, component_id, group), a row for each input row.
+
+    ``class_id`` is the smallest id with exactly the same set, ``component_id``
+    the smallest id reachable by links.  Components of repeated ids may share it;
+    ``group`` names the component, and is null where there is nothing to link.
+    """
+    spark = docs.sparkSession
+    profile, classes, near = _candidates(docs, width, threshold, carry)
     first = _pivot_round(near, "k1", threshold)
     second = _pivot_round(first.where("cls is not null"), "k2", threshold)
     links = first.unionByName(second).where("a is not null").select("a", "b")
@@ -558,3 +567,21 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, threshold: int = THRESH
     out = profile.join(named, "f1", "left")
     own = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
     return out.select("doc_id", *carry, "n_shingles", F.when(own, F.col("rep")).otherwise(F.col("doc_id")).alias("class_id"), F.when(own, F.col("component")).otherwise(F.col("doc_id")).alias("component_id"), F.when(own, F.col("group")).alias("group"))
+
+
+def link_counts(docs: DataFrame, width: int = WIDTH, threshold: int = THRESHOLD) -> DataFrame:
+    """(doc_id, n_links), a row for each input row: how many other rows link with it, exactly.
+
+    Every candidate pair of classes is verified, so a family of n texts near the
+    threshold costs n * n / 2 checks; copies cost nothing.  Rows without a group
+    have no links.
+    """
+    profile, classes, near = _candidates(docs, width, threshold)
+    none = docs.sparkSession.createDataFrame([], "vertex long, component long")
+    links = checkpointed(_cross_links(near, none, threshold, every=True).where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    own = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
+    rows = profile.where(own).groupBy("f1").agg(F.count("*").alias("rows"))
+    sides = links.unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    others = sides.join(rows.withColumnRenamed("f1", "b"), "b").groupBy(F.col("a").alias("f1")).agg(F.sum("rows").alias("others"))
+    counted = rows.join(others, "f1", "left").select("f1", (F.col("rows") - 1 + F.coalesce("others", F.lit(0))).alias("links"))
+    return profile.join(counted, "f1", "left").select("doc_id", F.when(own, F.col("links")).otherwise(F.lit(0)).cast("long").alias("n_links"))
