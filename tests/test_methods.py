@@ -429,3 +429,14 @@ def test_link_prediction_of_every_system(spark):
     for system in ("info", "relational", "gnn"):
         row = pipelines.link_prediction(e, system, 8, **({"max_rounds": 3, "m": 2, "epochs": 12, "rate": 0.1} if system == "info" else {})).first()
         assert row["n_pos"] == row["n_neg"] and row["auc"] > 0.6, system
+
+
+def test_rounds_of_a_wave_are_those_of_single_rounds(spark):
+    kernel, stop = W.Kernel("hybrid"), W.Stop("entropy_r2", 0.85, 3, 20)
+    e = edges(spark, ring(20))
+    nodes = G.both_directions(e).select("u").distinct().withColumnRenamed("u", "node")
+    table, assign = W.kernel_edges(e, kernel), P.hash_partition(nodes, 2)
+    key = lambda f: sorted(tuple(int(x) for x in r) for r in f.select("round", "walk_id", "step", "node").collect())
+    for walk in (W.burst_round, W.fullpath_round):
+        wave = walk(table, assign, nodes, kernel, stop, (1, 2, 3))
+        assert key(wave) == sorted(sum((key(walk(table, assign, nodes, kernel, stop, r)) for r in (1, 2, 3)), []))

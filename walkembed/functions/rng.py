@@ -35,12 +35,13 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def draw_many(kind: str, seed: int, round_: int, walks: np.ndarray, steps: np.ndarray, trial: np.ndarray | int = 0, salt: int = 0) -> np.ndarray:
+def draw_many(kind: str, seed: int, round_: np.ndarray | int, walks: np.ndarray, steps: np.ndarray, trial: np.ndarray | int = 0, salt: int = 0) -> np.ndarray:
     """Draws in [0, 2^32) for arrays of walks and steps."""
     if kind == "portable":
         trials = np.broadcast_to(np.asarray(trial), walks.shape).tolist()
-        return np.array([draw_python(seed, round_, w, s, t, salt) for w, s, t in zip(walks.tolist(), steps.tolist(), trials)], dtype=np.int64)
+        rounds = np.broadcast_to(np.asarray(round_), walks.shape).tolist()
+        return np.array([draw_python(seed, int(r), w, s, t, salt) for r, w, s, t in zip(rounds, walks.tolist(), steps.tolist(), trials)], dtype=np.int64)
     x = _mix(walks.astype(np.uint64) + np.uint64((seed * 0x9E3779B97F4A7C15) & (2**64 - 1)))
     x = _mix(x ^ (steps.astype(np.uint64) * np.uint64(0xD1B54A32D192ED03)) ^ (np.asarray(trial, dtype=np.int64).astype(np.uint64) * np.uint64(0x8CB92BA72F3D8DD7)))
-    x = _mix(x + np.uint64((round_ * 1_000_003 + salt * 7_919) & (2**64 - 1)))
+    x = _mix(x + (np.asarray(round_, dtype=np.int64) * 1_000_003 + salt * 7_919).astype(np.uint64))
     return (x >> np.uint64(32)).astype(np.int64)

@@ -262,7 +262,6 @@ def train(steps: DataFrame, mode: str = "multi_window", dims: int = 64, window:
     n = vocab.count()
     spark = steps.sparkSession
     noise = noise_table(vocab).orderBy("rank").select("hi").toPandas()["hi"].to_numpy() if n else np.array([1])
-    blocks = vocab.groupBy("ocn").agg(F.collect_list("rank").alias("ranks")).select("ranks").toPandas()["ranks"].tolist() if sync == "hotness" else []
     walks = steps.join(vocab.select("node", "rank"), "node").groupBy("round", "walk_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("step", "rank"))), lambda x: x["rank"]).alias("walk"))
     walks = walks.withColumn("shard", F.pmod(F.col("walk_id"), F.lit(shards)).cast("int")).withColumn("period", F.pmod(F.xxhash64("walk_id", "round"), F.lit(periods)).cast("int")).checkpoint()
     start = spark.sparkContext.broadcast((noise, n))
@@ -282,12 +281,13 @@ def train(steps: DataFrame, mode: str = "multi_window", dims: int = 64, window:
         task.train([np.array(w) for w in left.sort_values(["round", "walk_id"])["walk"]] if len(left) else [], mode, n_windows)
         return pd.DataFrame({"shard": [shard], "a": [task.phi_in.tobytes()], "b": [task.phi_out.tobytes()], "k": [(count + task.updates).tobytes()]})
 
-    rng = np.random.default_rng(seed)
-    for _ in range(epochs):
+    for epoch in range(epochs):
         for period in range(periods):
             part = walks.where(F.col("period") == period).select("shard", "round", "walk_id", "walk")
             state = part.groupBy("shard").cogroup(state.groupBy("shard")).applyInPandas(run, "shard int, a binary, b binary, k binary").checkpoint()
-            picked = np.arange(n) if sync == "full" else np.array([int(rng.choice(b)) for b in blocks], dtype=np.int64)
+            # one node of every block of equal counts: as many numbers as there are different counts
+            nodes = sync_nodes(vocab, epoch * periods + period, seed).join(vocab.select("node", "rank"), "node").select("rank")
+            picked = np.arange(n) if sync == "full" else np.array([r["rank"] for r in nodes.collect()] if shards > 1 else [], dtype=np.int64)
             if shards > 1 and len(picked):
                 state = _synchronise(state, picked, n, dims).checkpoint()
     return _merged(state, vocab, n, dims)
@@ -333,10 +333,12 @@ def _merged(state: DataFrame, vocab: DataFrame, n: int, dims: int) -> DataFrame:
 
 def merge_replicas(replicas: DataFrame) -> DataFrame:
     """(key, phi, n_updates): means of the replicas weighted by their updates (plus one)."""
-    spread = replicas.select("key", "n_updates", F.posexplode("phi").alias("i", "x"))
     weight = F.col("n_updates") + 1
-    each = spread.groupBy("key", "i").agg((F.sum(F.col("x") * weight) / F.sum(weight)).alias("x"), F.sum("n_updates").alias("n_updates"))
-    return each.groupBy("key").agg(F.transform(F.array_sort(F.collect_list(F.struct("i", "x"))), lambda s: s["x"]).alias("phi"), F.first("n_updates").alias("n_updates"))
+    held = replicas.select("key", "n_updates", F.struct("phi", weight.cast("double").alias("k")).alias("r")).groupBy("key").agg(F.collect_list("r").alias("rs"), F.sum("n_updates").alias("n_updates"))
+    zero = F.transform(F.element_at("rs", 1)["phi"], lambda x: F.lit(0.0))
+    total = F.aggregate("rs", zero, lambda s, r: F.zip_with(s, r["phi"], lambda a, x: a + x * r["k"]))
+    mass = F.aggregate("rs", F.lit(0.0), lambda s, r: s + r["k"])
+    return held.select("key", F.transform(total, lambda x: x / mass).alias("phi"), "n_updates")
 
 
 def hotness_blocks(vocab: DataFrame) -> DataFrame:

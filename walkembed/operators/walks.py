@@ -246,26 +246,25 @@ def draw_hop(block: Block, at: np.ndarray, walkers: dict[str, np.ndarray], kerne
     An ``accept`` walker that was refused ``MAX_TRIALS`` times takes one draw from
     the same law, so the limit changes no probability.
     """
-    walk, steps = walkers["walk_id"], walkers["steps"]
-    round_ = int(walkers["round"][0]) if len(walk) else 1
+    walk, steps, round_ = walkers["walk_id"], walkers["steps"], walkers["round"]
     if kernel.method != "accept":
         return _drawn(block, at, walkers, kernel, draw_many(rng, seed, round_, walk, steps)), np.ones(len(at), dtype=np.int64)
     begin, end = block.begin[at], block.begin[at + 1]
     out, trials = np.full(len(at), -1, dtype=np.int64), np.zeros(len(at), dtype=np.int64)
     open_, t = np.arange(len(at)), 0
     while len(open_) and t < MAX_TRIALS:
-        pick = begin[open_] + (draw_many(rng, seed, round_, walk[open_], steps[open_], t, 1) * (end - begin)[open_] >> 32)
+        pick = begin[open_] + (draw_many(rng, seed, round_[open_], walk[open_], steps[open_], t, 1) * (end - begin)[open_] >> 32)
         chance = block.accept[pick]
         if kernel.name == "biased2":
             chance = _biased_chance(block, walkers, open_, pick, kernel)
-        height = draw_many(rng, seed, round_, walk[open_], steps[open_], t, 2) / 2.0**32
+        height = draw_many(rng, seed, round_[open_], walk[open_], steps[open_], t, 2) / 2.0**32
         trials[open_] += 1
         fine = height < chance
         out[open_[fine]] = block.nbr[pick[fine]]
         open_, t = open_[~fine], t + 1
     if len(open_):
         some = {c: x[open_] for c, x in walkers.items()}
-        out[open_] = _drawn(block, at[open_], some, kernel, draw_many(rng, seed, round_, walk[open_], steps[open_], MAX_TRIALS, 3))
+        out[open_] = _drawn(block, at[open_], some, kernel, draw_many(rng, seed, round_[open_], walk[open_], steps[open_], MAX_TRIALS, 3))
         trials[open_] += 1
     return out, trials
 
@@ -281,10 +280,18 @@ def _biased_chance(block: Block, walkers: dict[str, np.ndarray], open_: np.ndarr
 def start_walkers(nodes: np.ndarray, round_: int) -> dict[str, np.ndarray]:
     n = len(nodes)
     w = {c: np.zeros(n) for c in WALKER}
-    w |= {"round": np.full(n, round_), "walk_id": nodes.astype(np.int64), "steps": np.ones(n, dtype=np.int64), "node": nodes.astype(np.int64), "L": np.ones(n), "EL": np.ones(n), "EL2": np.ones(n), "prev": np.full(n, -1, dtype=np.int64), "trials": np.zeros(n, dtype=np.int64)}
+    w |= {"round": np.full(n, round_, dtype=np.int64), "walk_id": nodes.astype(np.int64), "steps": np.ones(n, dtype=np.int64), "node": nodes.astype(np.int64), "L": np.ones(n), "EL": np.ones(n), "EL2": np.ones(n), "prev": np.full(n, -1, dtype=np.int64), "trials": np.zeros(n, dtype=np.int64)}
     return w
 
 
+ROUND_BITS = 10
+
+
+def walk_key(walks: np.ndarray, rounds: np.ndarray) -> np.ndarray:
+    """One number for a walk of a round: rounds of a wave advance together."""
+    return (walks.astype(np.int64) << ROUND_BITS) + rounds.astype(np.int64)
+
+
 def measure_many(w: dict[str, np.ndarray], n_before: np.ndarray) -> None:
     """Appends a node seen ``n_before`` times: entropy and the five running means, in place."""
     h = entropy_step_many(w["H"], w["L"], n_before)
@@ -363,7 +370,7 @@ class Counts:
 def advance(block: Block, w: dict[str, np.ndarray], counts: Counts, kernel: Kernel, stop: Stop, seed: int, rng: str) -> tuple[list[tuple[np.ndarray, ...]], dict[str, np.ndarray], dict[str, np.ndarray]]:
     """Advances walkers that stand in this part until they stop or leave.
 
-    Returns hops as (walk, step, node), walkers that left, and walkers that stopped.
+    Returns hops as (walk, step, node, round), walkers that left, and walkers that stopped.
     """
     hops, left, over = [], [], []
     while len(w["node"]):
@@ -384,8 +391,8 @@ def advance(block: Block, w: dict[str, np.ndarray], counts: Counts, kernel: Kern
             w = _take(w, here)
         if not len(w["node"]):
             break
-        measure_many(w, counts.add(w["walk_id"], w["node"]))
-        hops.append((w["walk_id"], w["steps"], w["node"]))
+        measure_many(w, counts.add(walk_key(w["walk_id"], w["round"]), w["node"]))
+        hops.append((w["walk_id"], w["steps"], w["node"], w["round"]))
         done = finished(w, stop)
         if done.any():
             over.append(_take(w, done))
@@ -398,8 +405,8 @@ def local_walks(table: pd.DataFrame, sources: np.ndarray, kernel: Kernel, stop:
     """One round on the driver: (round, walk_id, step, node)."""
     block = Block.of(table, kernel.name == "biased2")
     counts, w = Counts(), start_walkers(np.asarray(sources), round_)
-    counts.add(w["walk_id"], w["node"])
-    first = (w["walk_id"], w["steps"], w["node"])
+    counts.add(walk_key(w["walk_id"], w["round"]), w["node"])
+    first = (w["walk_id"], w["steps"], w["node"], w["round"])
     sinks = block.find(w["node"]) < 0
     hops, _, _ = advance(block, _take(w, ~sinks), counts, kernel, stop, seed, rng)
     walk, step, node = (np.concatenate([h[i] for h in [first, *hops]]) for i in range(3))
@@ -422,6 +429,11 @@ def placed_edges(edges: DataFrame, assign: DataFrame, kernel: Kernel) -> DataFra
     return own.unionByName(both.select("home", "u", "v", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("double").alias("p_accept")))
 
 
+def each_round(rounds: int | tuple[int, ...]) -> Column:
+    """A row for each round of a wave."""
+    return F.explode(F.array(*[F.lit(r) for r in ((rounds,) if isinstance(rounds, int) else rounds)])).alias("round")
+
+
 def _path_r2(path: list[int], window: int | None) -> float:
     """R^2 of entropy and length over the prefixes of a path, all recomputed."""
     counts: dict[int, int] = {}
@@ -438,7 +450,7 @@ def _path_r2(path: list[int], window: int | None) -> float:
     return float((x * y).mean() ** 2 / (vx * vy)) if vx > 1e-12 and vy > 1e-12 else 0.0
 
 
-def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "native") -> DataFrame:
+def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int | tuple[int, ...] = 1, seed: int = 42, rng: str = "native") -> DataFrame:
     """The baseline's walker: it carries its path, and every stop is decided from the whole of it.
 
     (round, walk_id, step, node, sent): ``sent`` is the bytes of the message that
@@ -455,9 +467,10 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
 
     def superstep(key: tuple, came: pd.DataFrame, table: pd.DataFrame) -> pd.DataFrame:
         block = Block.of(table, kernel.name == "biased2")
-        paths = {w: list(p) for w, p in zip(came["walk_id"].tolist(), came["path"])}
-        trials = dict(zip(came["walk_id"].tolist(), came["trials"].tolist()))
-        out = [(0, round_, w, len(p), p[-1], 24 + 8 * len(p) if len(p) > 1 else 0, trials[w], None) for w, p in paths.items()]
+        names_ = list(zip(came["round"].tolist(), came["walk_id"].tolist()))
+        paths = {w: list(p) for w, p in zip(names_, came["path"])}
+        trials = dict(zip(names_, came["trials"].tolist()))
+        out = [(0, *w, len(p), p[-1], 24 + 8 * len(p) if len(p) > 1 else 0, trials[w], None) for w, p in paths.items()]
         live = [w for w, p in paths.items() if not done(p)]
         while live:
             here = np.array([paths[w][-1] for w in live])
@@ -466,7 +479,7 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
             at = at[at >= 0]
             if not live:
                 break
-            walkers = {"walk_id": np.array(live), "steps": np.array([len(paths[w]) for w in live]), "round": np.full(len(live), round_), "prev": np.array([paths[w][-2] if len(paths[w]) > 1 else -1 for w in live])}
+            walkers = {"walk_id": np.array([w for _, w in live]), "steps": np.array([len(paths[w]) for w in live]), "round": np.array([r for r, _ in live]), "prev": np.array([paths[w][-2] if len(paths[w]) > 1 else -1 for w in live])}
             nxt, tried = draw_hop(block, at, walkers, kernel, seed, rng)
             stay = block.find(nxt) >= 0
             still = []
@@ -474,20 +487,20 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
                 paths[w].append(v)
                 trials[w] += t
                 if not inside:
-                    out.append((1, round_, w, len(paths[w]), v, 0, trials[w], paths[w]))
+                    out.append((1, *w, len(paths[w]), v, 0, trials[w], paths[w]))
                     continue
-                out.append((0, round_, w, len(paths[w]), v, 0, trials[w], None))
+                out.append((0, *w, len(paths[w]), v, 0, trials[w], None))
                 if not done(paths[w]):
                     still.append(w)
             live = still
         return pd.DataFrame(out, columns=names)
 
-    state = sources.join(assign, "node").select("part", F.col("node").alias("walk_id"), F.array("node").alias("path"), F.lit(0).cast("long").alias("trials"))
+    state = sources.join(assign, "node").select("part", each_round(round_), F.col("node").alias("walk_id"), F.array("node").alias("path"), F.lit(0).cast("long").alias("trials"))
     hops = []
     while True:
         moved = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, schema).transform(durable)
         hops.append(moved.where("kind = 0").select("round", "walk_id", "step", "node", "sent", "trials"))
-        state = moved.where("kind = 1").join(assign, "node").select("part", "walk_id", "path", "trials")
+        state = moved.where("kind = 1").join(assign, "node").select("part", "round", "walk_id", "path", "trials")
         if not state.limit(1).count():
             break
     result = hops[0]
@@ -496,8 +509,8 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
     return result
 
 
-def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int = 1, seed: int = 42, rng: str = "native") -> DataFrame:
-    """One round of walks by parts: (round, walk_id, step, node, trials).
+def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int | tuple[int, ...] = 1, seed: int = 42, rng: str = "native") -> DataFrame:
+    """A round of walks by parts, or several rounds at once: (round, walk_id, step, node, trials).
 
     ``edges`` is the kernel's table, ``assign`` (node, part).  A superstep hands
     walkers to the part of their node; each part advances its own in lockstep.
@@ -512,14 +525,14 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
         raise ValueError("a trailing window needs the whole path: use fullpath_round")
     placed = placed_edges(edges, assign, kernel).transform(durable)
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
-    begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", F.lit(round_).alias("round"), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
+    begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", each_round(round_), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
 
     def superstep(key: tuple, state: pd.DataFrame, table: pd.DataFrame) -> pd.DataFrame:
         part = int(key[0])
         block = Block.of(table, kernel.name == "biased2")
         counts = Counts()
         kept = state[state["kind"] == 2]
-        counts.load(*(kept[c].to_numpy(np.int64) for c in ("walk_id", "node", "steps")))
+        counts.load(walk_key(kept["walk_id"].to_numpy(), kept["round"].to_numpy()), *(kept[c].to_numpy(np.int64) for c in ("node", "steps")))
         came = state[state["kind"] == 1]
         w = {c: came[c].to_numpy(copy=True) for c in WALKER}
         out: list[pd.DataFrame] = []
@@ -532,18 +545,18 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
 
         if len(came):
             fresh = w["L"] == 0
-            n_before = counts.add(w["walk_id"], w["node"])
+            n_before = counts.add(walk_key(w["walk_id"], w["round"]), w["node"])
             measure_many(w, n_before)  # the first node of a walk, or the visit that made a walker cross
             w["H"] = np.where(fresh, 0.0, w["H"])
             arrived = dict(walk_id=w["walk_id"], steps=w["steps"], node=w["node"])
-            emit(0, round=round_, **arrived, trials=w["trials"])
+            emit(0, round=w["round"], **arrived, trials=w["trials"])
             alive = ~finished(w, stop) & (block.find(w["node"]) >= 0)
             hops, left, _ = advance(block, _take(w, alive), counts, kernel, stop, seed, rng)
-            for walk, step, node in hops:
-                emit(0, round=round_, walk_id=walk, steps=step, node=node)
+            for walk, step, node, turn in hops:
+                emit(0, round=turn, walk_id=walk, steps=step, node=node)
             emit(1, **left)
         walk, node, times = counts.rows()
-        emit(2, round=round_, walk_id=walk, node=node, steps=times)
+        emit(2, round=walk & ((1 << ROUND_BITS) - 1), walk_id=walk >> ROUND_BITS, node=node, steps=times)
         names = [c.split()[0] for c in _OUT.split(", ")]
         if not out:
             return pd.DataFrame(columns=names)
@@ -554,11 +567,11 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
         done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
         moving = done.where("kind = 1").drop("part").join(assign, "node")
-        live = moving.select("walk_id").distinct()
+        live = moving.select("round", "walk_id").distinct()
         if not live.limit(1).count():
             break
         # counts of stopped walks are dropped
-        state = moving.select(*done.columns).unionByName(done.where("kind = 2").join(live, "walk_id", "left_semi").select(*done.columns))
+        state = moving.select(*done.columns).unionByName(done.where("kind = 2").join(live, ["round", "walk_id"], "left_semi").select(*done.columns))
     result = hops[0]
     for more in hops[1:]:
         result = result.unionByName(more)
@@ -570,26 +583,32 @@ def parts_for(edges: DataFrame, edges_a_part: int = 5_000_000) -> int:
     return max(1, -(-edges.count() // edges_a_part))
 
 
-def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False, measure: str = "incremental") -> tuple[DataFrame, list[float]]:
+def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False, measure: str = "incremental", wave: int = 5) -> tuple[DataFrame, list[float]]:
     """All rounds until the corpus's divergence settles (or ``fixed_rounds``); the corpus and the divergences.
 
-    One scalar a round reaches the driver.
+    Rounds don't depend on one another, so ``wave`` of them walk at once; those
+    behind the round that settles are left out.  A scalar a round reaches the driver.
     """
     table = kernel_edges(edges, kernel, directed).transform(durable)
-    deg = table.groupBy(F.col("u").alias("node")).agg(F.count("*").alias("deg"))
+    deg = table.groupBy(F.col("u").alias("node")).agg(F.count("*").alias("deg")).transform(durable)
     total = deg.agg(F.sum("deg")).first()[0] or 1
+    last = fixed_rounds or max_rounds
     counted, corpus, trace = None, None, []
-    for r in range(1, (fixed_rounds or max_rounds) + 1):
-        walk = fullpath_round if measure == "fullpath" else burst_round
-        steps = walk(table, assign, assign.select("node"), kernel, stop, r, seed, rng)
+    walk = fullpath_round if measure == "fullpath" else burst_round
+    for begin in range(1, last + 1, wave):
+        rounds = tuple(range(begin, min(begin + wave, last + 1)))
+        steps = walk(table, assign, assign.select("node"), kernel, stop, rounds, seed, rng)
+        per_round = steps.groupBy("round", "node").agg(F.count("*").alias("ocn")).transform(durable)
+        for r in rounds:
+            new = per_round.where(F.col("round") == r).select("node", "ocn")
+            counted = (new if counted is None else counted.unionByName(new).groupBy("node").agg(F.sum("ocn").alias("ocn"))).transform(durable)
+            all_ocn = counted.agg(F.sum("ocn")).first()[0]
+            p = F.col("deg") / F.lit(float(total))
+            trace.append(float(deg.join(counted, "node").agg(F.sum(p * F.log2(p * F.lit(float(all_ocn or 1)) / F.col("ocn")))).first()[0] or 0.0))
+            if fixed_rounds is None and r > 1 and abs(trace[-1] - trace[-2]) <= delta:
+                steps = steps.where(F.col("round") <= r)
+                return (steps if corpus is None else corpus.unionByName(steps)), trace
         corpus = steps if corpus is None else corpus.unionByName(steps)
-        new = steps.groupBy("node").agg(F.count("*").alias("ocn"))
-        counted = (new if counted is None else counted.unionByName(new).groupBy("node").agg(F.sum("ocn").alias("ocn"))).transform(durable)
-        all_ocn = counted.agg(F.sum("ocn")).first()[0]
-        p = F.col("deg") / F.lit(float(total))
-        trace.append(float(deg.join(counted, "node").agg(F.sum(p * F.log2(p * F.lit(float(all_ocn)) / F.col("ocn")))).first()[0] or 0.0))
-        if fixed_rounds is None and r > 1 and abs(trace[-1] - trace[-2]) <= delta:
-            break
     return corpus, trace
 
 

@@ -303,7 +303,7 @@ def learned(spark: SparkSession, d: str, kernel: W.Kernel, stop: W.Stop, mode: s
     nodes = all_nodes(kept).transform(durable)
     table = W.kernel_edges(kept, kernel).transform(durable)
     assign = P.hash_partition(nodes, W.parts_for(kept))
-    steps = union([W.burst_round(table, assign, nodes, kernel, stop, r, SEED) for r in range(1, rounds + 1)]).select("round", "walk_id", "step", "node").transform(durable)
+    steps = W.burst_round(table, assign, nodes, kernel, stop, tuple(range(1, rounds + 1)), SEED).select("round", "walk_id", "step", "node").transform(durable)
     vectors = L.train(steps, mode, **{"dims": 32, "shards": 2, "epochs": 3, **settings}).select("node", "phi").transform(durable)
     known = held.join(nodes.withColumnRenamed("node", "src"), "src", "left_semi").join(nodes.withColumnRenamed("node", "dst"), "dst", "left_semi")
     return vectors, known, E.balanced_negatives(known, split, nodes, SEED)
@@ -353,10 +353,19 @@ def learned_classes(spark: SparkSession, d: str) -> DataFrame:
     from ..sources.tables import table
 
     edges = graph(spark, d, "knn").transform(durable)
-    steps = union([W.burst_round(W.kernel_edges(edges, KERNELS["hybrid"]).transform(durable), P.hash_partition(all_nodes(edges), W.parts_for(edges)), all_nodes(edges), KERNELS["hybrid"], W.Stop.calibrated(), r, SEED) for r in (1, 2, 3)])
+    steps = W.burst_round(W.kernel_edges(edges, KERNELS["hybrid"]), P.hash_partition(all_nodes(edges), W.parts_for(edges)), all_nodes(edges), KERNELS["hybrid"], W.Stop.calibrated(), (1, 2, 3), SEED)
     vectors = L.train(steps.select("round", "walk_id", "step", "node").transform(durable), dims=32, shards=2, epochs=3).select("node", "phi").transform(durable)
     labels = table(spark, d, "embeddings").select((F.col("vec_id") + 10 * 10**12).alias("node"), "label")
     return union([nearest_class(vectors, labels, r, SEED) for r in RATIOS])
 
 
 add("nodeclass_learned")(learned_classes)
+
+
+def sync_periods(spark: SparkSession, d: str) -> DataFrame:
+    """(period, ocn, node): what three periods synchronise, another draw of every block each."""
+    vocab = L.build_vocab(uniform_corpus(spark, d)[1]).transform(durable)
+    return union([L.sync_nodes(vocab, p).select(F.lit(p).alias("period"), "ocn", "node") for p in (1, 2, 3)])
+
+
+add("hotness_sync_periods", f"{_UNI}, {_VOCAB} SELECT p::INTEGER AS period, ocn, arg_min(node, {draw_sql(SEED, 'p', 'node')} * 100000 + rank % 100000) AS node FROM vocab, range(1, 4) t(p) GROUP BY p, ocn")(sync_periods)
