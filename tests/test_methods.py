@@ -440,3 +440,12 @@ def test_rounds_of_a_wave_are_those_of_single_rounds(spark):
     for walk in (W.burst_round, W.fullpath_round):
         wave = walk(table, assign, nodes, kernel, stop, (1, 2, 3))
         assert key(wave) == sorted(sum((key(walk(table, assign, nodes, kernel, stop, r)) for r in (1, 2, 3)), []))
+
+
+def test_replicas_of_a_part_change_nothing(spark):
+    e = edges(spark, ring(20))
+    nodes = G.both_directions(e).select("u").distinct().withColumnRenamed("u", "node")
+    for kernel in (W.Kernel("hybrid"), W.Kernel("biased2", "accept", p=0.5, q=2.0)):
+        table = W.kernel_edges(e, kernel)
+        key = lambda m, r: sorted(tuple(int(x) for x in row) for row in W.burst_round(table, P.hash_partition(nodes, m), nodes, kernel, W.Stop.fixed(6), (1, 2), replicas=r).select("round", "walk_id", "step", "node").collect())
+        assert key(1, 1) == key(1, 3) == key(2, 2)

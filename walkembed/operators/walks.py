@@ -25,6 +25,7 @@ from __future__ import annotations
 import math
 from collections.abc import Callable
 from dataclasses import dataclass
+from functools import partial
 
 import numpy as np
 import pandas as pd
@@ -419,7 +420,7 @@ _OUT = "kind int, part int, round int, walk_id long, steps long, node long, H do
 def placed_edges(edges: DataFrame, assign: DataFrame, kernel: Kernel) -> DataFrame:
     """(home, u, v, hi, p_accept): each part's edges; for the second-order rule also, without ``hi``, the links among a node's neighbours."""
     own = edges.join(assign.withColumnRenamed("node", "u"), "u").select(F.col("part").alias("home"), "u", "v", F.col("hi").cast("long").alias("hi"), "p_accept")
-    if kernel.name != "biased2":
+    if kernel.name != "biased2" or assign.select("part").distinct().limit(2).count() < 2:  # one part holds every link itself
         return own
     sides = edges.where("u < v").select(F.col("u").alias("src"), F.col("v").alias("dst"), F.lit(1.0).alias("w"))
     corner = G.triangles(sides)
@@ -509,9 +510,12 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
     return result
 
 
-def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int | tuple[int, ...] = 1, seed: int = 42, rng: str = "native") -> DataFrame:
+def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel: Kernel, stop: Stop, round_: int | tuple[int, ...] = 1, seed: int = 42, rng: str = "native", replicas: int = 1) -> DataFrame:
     """A round of walks by parts, or several rounds at once: (round, walk_id, step, node, trials).
 
+    A part whose edges leave room in a task may have several ``replicas``, which
+    share its walks: nothing crosses between them.
+
     ``edges`` is the kernel's table, ``assign`` (node, part).  A superstep hands
     walkers to the part of their node; each part advances its own in lockstep.
     Rows of a superstep are one checkpointed frame: hops (kind 0), walkers that
@@ -523,7 +527,9 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     """
     if stop.window is not None:
         raise ValueError("a trailing window needs the whole path: use fullpath_round")
-    placed = placed_edges(edges, assign, kernel).transform(durable)
+    copies = F.explode(F.sequence(F.lit(0), F.lit(replicas - 1)))
+    placed = placed_edges(edges, assign, kernel).withColumn("copy", copies).withColumn("home", F.col("home") * replicas + F.col("copy")).drop("copy").transform(durable)
+    shared = lambda frame: frame.withColumn("part", (F.col("part") * replicas + F.pmod(F.xxhash64("round", "walk_id"), F.lit(replicas))).cast("int"))
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
     begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", each_round(round_), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
 
@@ -562,11 +568,11 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
             return pd.DataFrame(columns=names)
         return pd.concat(out, ignore_index=True).reindex(columns=names).fillna(0)
 
-    state, hops = begin, []
+    state, hops = shared(begin), []
     while True:
         done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
-        moving = done.where("kind = 1").drop("part").join(assign, "node")
+        moving = shared(done.where("kind = 1").drop("part").join(assign, "node"))
         live = moving.select("round", "walk_id").distinct()
         if not live.limit(1).count():
             break
@@ -583,7 +589,7 @@ def parts_for(edges: DataFrame, edges_a_part: int = 5_000_000) -> int:
     return max(1, -(-edges.count() // edges_a_part))
 
 
-def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False, measure: str = "incremental", wave: int = 5) -> tuple[DataFrame, list[float]]:
+def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel(), stop: Stop = Stop.calibrated(), delta: float = 0.001, max_rounds: int = 10, fixed_rounds: int | None = None, seed: int = 42, rng: str = "native", directed: bool = False, measure: str = "incremental", wave: int = 5, replicas: int = 1) -> tuple[DataFrame, list[float]]:
     """All rounds until the corpus's divergence settles (or ``fixed_rounds``); the corpus and the divergences.
 
     Rounds don't depend on one another, so ``wave`` of them walk at once; those
@@ -594,7 +600,7 @@ def sample_corpus(edges: DataFrame, assign: DataFrame, kernel: Kernel = Kernel()
     total = deg.agg(F.sum("deg")).first()[0] or 1
     last = fixed_rounds or max_rounds
     counted, corpus, trace = None, None, []
-    walk = fullpath_round if measure == "fullpath" else burst_round
+    walk = fullpath_round if measure == "fullpath" else partial(burst_round, replicas=replicas)
     for begin in range(1, last + 1, wave):
         rounds = tuple(range(begin, min(begin + wave, last + 1)))
         steps = walk(table, assign, assign.select("node"), kernel, stop, rounds, seed, rng)
