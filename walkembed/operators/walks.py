@@ -572,10 +572,11 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     while True:
         done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
-        moving = shared(done.where("kind = 1").drop("part").join(assign, "node"))
-        live = moving.select("round", "walk_id").distinct()
-        if not live.limit(1).count():
+        left = done.where("kind = 1")
+        if not left.limit(1).count():
             break
+        moving = shared(left.drop("part").join(assign, "node"))
+        live = left.select("round", "walk_id").distinct()
         # counts of stopped walks are dropped
         state = moving.select(*done.columns).unionByName(done.where("kind = 2").join(live, ["round", "walk_id"], "left_semi").select(*done.columns))
     result = hops[0]

@@ -80,7 +80,7 @@ both_ AS (SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS common FROM held x JO
 SELECT {S.DOCUMENT}*{S.UNIT} + a AS src, {S.DOCUMENT}*{S.UNIT} + b AS dst, round(common::DOUBLE / (p.n + q.n - common), 6) AS w
 FROM both_ JOIN size p ON p.doc_id = a JOIN size q ON q.doc_id = b""",
 )(lambda spark, d: S.all_document_pairs(spark, d))
-add("graph_doc_edges_all")(lambda spark, d: S.all_document_pairs(spark, d))
+add("graph_doc_edges_all", ORACLES["graph_doc_edges"])(lambda spark, d: S.all_document_pairs(spark, d))
 
 add("synthetic_degree10", f"WITH raw AS (SELECT i AS a, (i + j*j + j) % 1000 AS b FROM range(1000) t(i), range(1, 6) u(j)) SELECT least(a,b)::BIGINT AS src, greatest(a,b)::BIGINT AS dst, count(*)::DOUBLE AS w FROM raw WHERE a <> b GROUP BY 1, 2")(
     lambda spark, d: G.normalize_edges(S.synthetic_pairs(spark, 1000))
@@ -187,7 +187,7 @@ add("walk_weighted_fixed", walk_sql("cop2", "w", "edges2", 8) + STEPS_OUT)(lambd
 add("walk_hybrid_weighted", walk_sql("cop2", QUANT, "hyb", 8, hybrid_sql(True)) + STEPS_OUT)(lambda spark, d: walk(spark, d, "cop2", W.Kernel("hybrid", weighted=True), 8))
 add("walk_hybrid_plus", walk_sql("knn", QUANT, "hyb", 8, hybrid_sql(plus=True)) + STEPS_OUT)(lambda spark, d: walk(spark, d, "knn", W.Kernel("hybrid_plus"), 8))
 add("walk_hybrid_direct", walk_sql("tri", QUANT, "hyb", 10, hybrid_sql()) + STEPS_OUT)(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
-add("walk_hybrid_direct_all")(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
+add("walk_hybrid_direct_all", ORACLES["walk_hybrid_direct"])(lambda spark, d: walk(spark, d, "tri", W.Kernel("hybrid"), 10))
 add(
     "walk_directed",
     f"WITH RECURSIVE edges AS ({edges_sql('usr_directed')}), edges2 AS (SELECT src AS u, dst AS v, w FROM edges), {cdf_sql('w', 'edges2')}, sources AS (SELECT DISTINCT src AS node FROM edges), steps AS (SELECT 1 AS round, node AS walk_id, 1 AS step, node FROM sources UNION ALL SELECT w.round, w.walk_id, w.step + 1, c.v FROM steps w JOIN cdf c ON c.u = w.node WHERE w.step < 8 AND ({draw_sql(SEED, 'w.round', 'w.walk_id', 'w.step', '0', '0')} * c.total) >> 32 >= c.hi - c.q AND ({draw_sql(SEED, 'w.round', 'w.walk_id', 'w.step', '0', '0')} * c.total) >> 32 < c.hi)"
@@ -318,7 +318,7 @@ add(
 )(
     lambda spark, d: W.fullpath_regression(natural(spark, d)).where("step >= 3 and r2 is not null").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2"))
 )
-add("walk_r2_prefix_all")(lambda spark, d: W.fullpath_r2(natural(spark, d)).where("step >= 3").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2")))
+add("walk_r2_prefix_all", _MEASURED + " SELECT p.walk_id, p.step::INTEGER AS step, round(CASE WHEN var_pop(q.entropy) > 1e-12 THEN regr_r2(q.entropy, q.step) ELSE 0 END, 5) AS r2 FROM measured p JOIN measured q ON q.walk_id = p.walk_id AND q.step <= p.step WHERE p.step >= 3 GROUP BY 1, 2")(lambda spark, d: W.fullpath_r2(natural(spark, d)).where("step >= 3").select("walk_id", F.col("step").cast("int").alias("step"), F.round("r2", 5).alias("r2")))
 add("walk_r2_as_printed", f"SELECT count(*) AS prefixes, 0.0::DOUBLE AS largest FROM events")(lambda spark, d: M.prefix_measures(natural(spark, d)).agg(F.count("*").alias("prefixes"), F.max("r2_as_printed").alias("largest")))
 add("walk_fullpath_equals_incremental", "SELECT 0::BIGINT AS different, count(*) AS total FROM events")(
     lambda spark, d: (lambda s: M.prefix_measures(s).select("walk_id", "step", F.col("entropy").alias("x")).join(W.fullpath_measures(s), ["walk_id", "step"]).agg(F.sum((F.abs(F.col("x") - F.col("entropy")) > 1e-9).cast("long")).alias("different"), F.count("*").alias("total")))(natural(spark, d))

@@ -84,7 +84,7 @@ add(
     with_(prep("knn"), _PHI, "s AS (SELECT a.node AS context, b.node AS target, list_dot_product(a.phi, b.phi) AS s FROM phi a, phi b)", "z AS (SELECT context, ln(sum(exp(s))) AS z FROM s GROUP BY 1)", "pairs AS (SELECT dst AS target, src AS context FROM edges)")
     + "SELECT count(*) AS pairs, round(sum(s.s - z.z), 4) AS loglik FROM pairs JOIN s USING (context, target) JOIN z USING (context)",
 )(lambda spark, d: L.softmax_loglik_blocked(graph(spark, d, "knn").select(F.col("dst").alias("target"), F.col("src").alias("context")), phi(spark, d)).select("pairs", F.round("loglik", 4).alias("loglik")))
-add("softmax_loglik_all")(lambda spark, d: L.softmax_loglik_blocked(graph(spark, d, "knn").select(F.col("dst").alias("target"), F.col("src").alias("context")), phi(spark, d)).select("pairs", F.round("loglik", 4).alias("loglik")))
+add("softmax_loglik_all", ORACLES["softmax_loglik"])(lambda spark, d: L.softmax_loglik_blocked(graph(spark, d, "knn").select(F.col("dst").alias("target"), F.col("src").alias("context")), phi(spark, d)).select("pairs", F.round("loglik", 4).alias("loglik")))
 
 
 def gradient_step(spark: SparkSession, d: str, rate: float = 0.05) -> DataFrame:
