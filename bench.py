@@ -37,18 +37,18 @@ def main() -> None:
         began = time.time()
         out = run()
         queries[name] = round(time.time() - began, 3)
+        print(name, queries[name], file=sys.stderr)
         return out
 
     edges = timed("graph_tri", lambda: durable(Q.graph(spark, sf_dir, "tri")))
     cm = timed("common_neighbours", lambda: durable(G.common_neighbours(edges)))
     nodes = durable(Q.all_nodes(edges))
-    hybrid, flat_kernel, second = W.Kernel("hybrid"), W.Kernel("uniform"), W.Kernel("biased2", "accept", p=0.5, q=2.0)
+    hybrid, second = W.Kernel("hybrid"), W.Kernel("uniform")
     table = timed("hybrid_table", lambda: durable(W.kernel_edges(cm, hybrid)))
     flat = durable(W.kernel_edges(edges, second))
-    # the graph fits a task, so every core has a copy and walks cross nothing
-    one, cores = P.hash_partition(nodes, 1), int(cpus)
-    info = timed("walk_info_round", lambda: durable(W.burst_round(table, one, nodes, hybrid, W.Stop.calibrated(), replicas=cores)))
-    timed("walk_routine_round", lambda: durable(W.burst_round(flat, one, nodes, second, W.Stop.fixed(80), replicas=cores)))
+    one = P.hash_partition(nodes, 1)  # the graph fits a task
+    info = timed("walk_info_round", lambda: durable(W.burst_round(table, one, nodes, hybrid, W.Stop.calibrated())))
+    timed("walk_routine_round", lambda: durable(W.burst_round(flat, one, nodes, second, W.Stop.fixed(80))))
     notes["routine_over_info"] = round(queries["walk_routine_round"] / queries["walk_info_round"], 3)
     notes["mean_length_info"] = round(W.walk_profile(info).first()["mean_length"], 3)
     geo = durable(G.common_neighbours(Q.graph(spark, sf_dir, "geo")))
@@ -58,7 +58,7 @@ def main() -> None:
     notes["cut_proximity"] = round(P.partition_quality(geo, placed, 4).first()["cut_share"], 4)
     notes["cut_edge_balanced"] = round(P.partition_quality(geo, routine, 4).first()["cut_share"], 4)
     knn = durable(Q.graph(spark, sf_dir, "knn"))
-    corpus = durable(W.burst_round(W.kernel_edges(knn, flat_kernel), P.hash_partition(Q.all_nodes(knn), 1), Q.all_nodes(knn), flat_kernel, W.Stop.fixed(28), (1, 2, 3, 4)).select("round", "walk_id", "step", "node"))
+    corpus = durable(W.burst_round(W.kernel_edges(knn, second), P.hash_partition(Q.all_nodes(knn), 1), Q.all_nodes(knn), second, W.Stop.fixed(20), (1, 2)).select("round", "walk_id", "step", "node"))
     tokens = corpus.count()
     for mode, n in (("window_shared", 1), ("multi_window", 2), ("multi_window", 16)):
         name = f"train_{mode}" + (f"_{n}" if mode == "multi_window" else "")
