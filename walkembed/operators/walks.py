@@ -174,7 +174,8 @@ class Block:
 
     ``names`` and ``pairs`` are what the second-order rule asks for: which ids are
     linked, among the part's own edges and those between neighbours of its nodes
-    (rows without a running sum).
+    (rows without a running sum).  ``ends`` and ``homes`` say which part holds a
+    neighbour.
     """
 
     nodes: np.ndarray
@@ -184,6 +185,8 @@ class Block:
     accept: np.ndarray
     names: np.ndarray
     pairs: np.ndarray
+    ends: np.ndarray
+    homes: np.ndarray
 
     @staticmethod
     def of(frame: pd.DataFrame, second_order: bool = False) -> "Block":
@@ -195,7 +198,14 @@ class Block:
         own = frame[frame["hi"].notna()] if frame["hi"].hasnans else frame
         f = own.sort_values(["u", "v"], kind="stable")
         nodes, begin = np.unique(f["u"].to_numpy(np.int64), return_index=True)
-        return Block(nodes, np.append(begin, len(f)), f["v"].to_numpy(np.int64), f["hi"].to_numpy(np.int64), f["p_accept"].to_numpy(), names, pairs)
+        nbr = f["v"].to_numpy(np.int64)
+        ends, first = np.unique(nbr, return_index=True)
+        homes = f["to_part"].to_numpy(np.int64)[first] if "to_part" in f else np.zeros(len(ends), np.int64)
+        return Block(nodes, np.append(begin, len(f)), nbr, f["hi"].to_numpy(np.int64), f["p_accept"].to_numpy(), names, pairs, ends, homes)
+
+    def home(self, ids: np.ndarray) -> np.ndarray:
+        """The parts of neighbours."""
+        return self.homes[np.searchsorted(self.ends, ids)]
 
     def linked(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """Whether the edges (a, b) exist."""
@@ -286,6 +296,7 @@ def start_walkers(nodes: np.ndarray, round_: int) -> dict[str, np.ndarray]:
 
 
 ROUND_BITS = 10
+PRUNE_EVERY = 8  # supersteps between two clearings of the counts of walks that have stopped
 
 
 def walk_key(walks: np.ndarray, rounds: np.ndarray) -> np.ndarray:
@@ -364,8 +375,11 @@ class Counts:
     def rows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(walk, node, times) of everything met."""
         held = np.arange(self.seen.shape[1]) < self.fill[:, None]
-        pairs, times = np.unique(np.stack([np.broadcast_to(self.names[:, None], held.shape)[held], self.seen[held]]), axis=1, return_counts=True)
-        return pairs[0], pairs[1], times
+        walks, nodes = np.broadcast_to(self.names[:, None], held.shape)[held], self.seen[held]
+        order = np.lexsort((nodes, walks))
+        walks, nodes = walks[order], nodes[order]
+        begin = np.flatnonzero(np.concatenate([[True], (walks[1:] != walks[:-1]) | (nodes[1:] != nodes[:-1])])) if len(walks) else np.empty(0, np.int64)
+        return walks[begin], nodes[begin], np.diff(np.append(begin, len(walks)))
 
 
 def advance(block: Block, w: dict[str, np.ndarray], counts: Counts, kernel: Kernel, stop: Stop, seed: int, rng: str) -> tuple[list[tuple[np.ndarray, ...]], dict[str, np.ndarray], dict[str, np.ndarray]]:
@@ -418,8 +432,13 @@ _OUT = "kind int, part int, round int, walk_id long, steps long, node long, H do
 
 
 def placed_edges(edges: DataFrame, assign: DataFrame, kernel: Kernel) -> DataFrame:
-    """(home, u, v, hi, p_accept): each part's edges; for the second-order rule also, without ``hi``, the links among a node's neighbours."""
-    own = edges.join(assign.withColumnRenamed("node", "u"), "u").select(F.col("part").alias("home"), "u", "v", F.col("hi").cast("long").alias("hi"), "p_accept")
+    """(home, u, v, hi, p_accept, to_part): each part's edges; for the second-order rule also, without ``hi``, the links among a node's neighbours.
+
+    ``to_part`` holds v, so that a walker knows where it goes; an unplaced v stands with u.
+    """
+    where_v = assign.select(F.col("node").alias("v"), F.col("part").alias("to_part"))
+    own = edges.join(assign.withColumnRenamed("node", "u"), "u").join(where_v, "v", "left")
+    own = own.select(F.col("part").alias("home"), "u", "v", F.col("hi").cast("long").alias("hi"), "p_accept", F.coalesce("to_part", "part").cast("long").alias("to_part"))
     if kernel.name != "biased2" or assign.select("part").distinct().limit(2).count() < 2:  # one part holds every link itself
         return own
     sides = edges.where("u < v").select(F.col("u").alias("src"), F.col("v").alias("dst"), F.lit(1.0).alias("w"))
@@ -427,7 +446,12 @@ def placed_edges(edges: DataFrame, assign: DataFrame, kernel: Kernel) -> DataFra
     turns = F.explode(F.array(*[F.struct(F.col(x).alias("node"), F.col(y).alias("u"), F.col(z).alias("v")) for x, y, z in (("n1", "n2", "n3"), ("n2", "n1", "n3"), ("n3", "n1", "n2"))]))
     met = corner.select(turns.alias("t")).select("t.*").join(assign, "node").select(F.col("part").alias("home"), "u", "v").distinct()
     both = met.unionByName(met.select("home", F.col("v").alias("u"), F.col("u").alias("v")))
-    return own.unionByName(both.select("home", "u", "v", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("double").alias("p_accept")))
+    return own.unionByName(both.select("home", "u", "v", F.lit(None).cast("long").alias("hi"), F.lit(None).cast("double").alias("p_accept"), F.lit(None).cast("long").alias("to_part")))
+
+
+def _settled(placed: DataFrame) -> DataFrame:
+    """Parts written once, by ``home``: supersteps exchange walkers alone."""
+    return placed.repartition(int(placed.sparkSession.conf.get("spark.sql.shuffle.partitions")), "home").transform(durable)
 
 
 def each_round(rounds: int | tuple[int, ...]) -> Column:
@@ -457,8 +481,8 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
     (round, walk_id, step, node, sent): ``sent`` is the bytes of the message that
     brought the walker to the node, 24 + 8 a node of the path, 0 inside a part.
     """
-    placed = placed_edges(edges, assign, kernel).transform(durable)
-    schema = "kind int, round int, walk_id long, step int, node long, sent long, trials long, path array<bigint>"
+    placed = _settled(placed_edges(edges, assign, kernel))
+    schema = "kind int, part int, round int, walk_id long, step int, node long, sent long, trials long, path array<bigint>"
     names = [c.split()[0] for c in schema.split(", ")]
 
     def done(path: list[int]) -> bool:
@@ -471,7 +495,7 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
         names_ = list(zip(came["round"].tolist(), came["walk_id"].tolist()))
         paths = {w: list(p) for w, p in zip(names_, came["path"])}
         trials = dict(zip(names_, came["trials"].tolist()))
-        out = [(0, *w, len(p), p[-1], 24 + 8 * len(p) if len(p) > 1 else 0, trials[w], None) for w, p in paths.items()]
+        out = [(0, 0, *w, len(p), p[-1], 24 + 8 * len(p) if len(p) > 1 else 0, trials[w], None) for w, p in paths.items()]
         live = [w for w, p in paths.items() if not done(p)]
         while live:
             here = np.array([paths[w][-1] for w in live])
@@ -484,13 +508,13 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
             nxt, tried = draw_hop(block, at, walkers, kernel, seed, rng)
             stay = block.find(nxt) >= 0
             still = []
-            for w, v, t, inside in zip(live, nxt.tolist(), tried.tolist(), stay.tolist()):
+            for w, v, t, inside, home in zip(live, nxt.tolist(), tried.tolist(), stay.tolist(), block.home(nxt).tolist()):
                 paths[w].append(v)
                 trials[w] += t
                 if not inside:
-                    out.append((1, *w, len(paths[w]), v, 0, trials[w], paths[w]))
+                    out.append((1, home, *w, len(paths[w]), v, 0, trials[w], paths[w]))
                     continue
-                out.append((0, *w, len(paths[w]), v, 0, trials[w], None))
+                out.append((0, 0, *w, len(paths[w]), v, 0, trials[w], None))
                 if not done(paths[w]):
                     still.append(w)
             live = still
@@ -501,8 +525,8 @@ def fullpath_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kern
     while True:
         moved = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, schema).transform(durable)
         hops.append(moved.where("kind = 0").select("round", "walk_id", "step", "node", "sent", "trials"))
-        state = moved.where("kind = 1").join(assign, "node").select("part", "round", "walk_id", "path", "trials")
-        if not state.limit(1).count():
+        state = moved.where("kind = 1").select("part", "round", "walk_id", "path", "trials")
+        if state.isEmpty():
             break
     result = hops[0]
     for more in hops[1:]:
@@ -523,12 +547,13 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
     assigned part all the same and ends walks there.  Under the second-order rule
     a part also holds which neighbours of its nodes are linked, from the triangles.
     Every walker advances in every superstep, so there are at most as many as a
-    walk has hops.
+    walk has hops.  A superstep is one exchange of walkers and counts: edges are
+    written by part once and name the part of their far end.
     """
     if stop.window is not None:
         raise ValueError("a trailing window needs the whole path: use fullpath_round")
     copies = F.explode(F.sequence(F.lit(0), F.lit(replicas - 1)))
-    placed = placed_edges(edges, assign, kernel).withColumn("copy", copies).withColumn("home", F.col("home") * replicas + F.col("copy")).drop("copy").transform(durable)
+    placed = placed_edges(edges, assign, kernel).withColumn("copy", copies).withColumn("home", F.col("home") * replicas + F.col("copy")).drop("copy").transform(_settled)
     shared = lambda frame: frame.withColumn("part", (F.col("part") * replicas + F.pmod(F.xxhash64("round", "walk_id"), F.lit(replicas))).cast("int"))
     nothing = [F.lit(0.0).alias(c) for c in ("H", "L", "EH", "EL", "EHL", "EH2", "EL2")]
     begin = sources.join(assign, "node").select(F.lit(1).alias("kind"), "part", each_round(round_), F.col("node").alias("walk_id"), F.lit(1).cast("long").alias("steps"), "node", *nothing, F.lit(-1).cast("long").alias("prev"), F.lit(0).cast("long").alias("trials"))
@@ -543,10 +568,10 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
         w = {c: came[c].to_numpy(copy=True) for c in WALKER}
         out: list[pd.DataFrame] = []
 
-        def emit(kind: int, **columns) -> None:
+        def emit(kind: int, at: int | np.ndarray = part, **columns) -> None:
             frame = pd.DataFrame(columns)
             if len(frame):
-                frame["kind"], frame["part"] = kind, part
+                frame["kind"], frame["part"] = kind, at
                 out.append(frame)
 
         if len(came):
@@ -560,7 +585,7 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
             hops, left, _ = advance(block, _take(w, alive), counts, kernel, stop, seed, rng)
             for walk, step, node, turn in hops:
                 emit(0, round=turn, walk_id=walk, steps=step, node=node)
-            emit(1, **left)
+            emit(1, block.home(left["node"]) if len(left["node"]) else part, **left)
         walk, node, times = counts.rows()
         emit(2, round=walk & ((1 << ROUND_BITS) - 1), walk_id=walk >> ROUND_BITS, node=node, steps=times)
         names = [c.split()[0] for c in _OUT.split(", ")]
@@ -573,12 +598,12 @@ def burst_round(edges: DataFrame, assign: DataFrame, sources: DataFrame, kernel:
         done = state.groupBy("part").cogroup(placed.groupBy("home")).applyInPandas(superstep, _OUT).transform(durable)
         hops.append(done.where("kind = 0").select("round", "walk_id", F.col("steps").cast("int").alias("step"), "node", "trials"))
         left = done.where("kind = 1")
-        if not left.limit(1).count():
+        if left.isEmpty():
             break
-        moving = shared(left.drop("part").join(assign, "node"))
-        live = left.select("round", "walk_id").distinct()
-        # counts of stopped walks are dropped
-        state = moving.select(*done.columns).unionByName(done.where("kind = 2").join(live, ["round", "walk_id"], "left_semi").select(*done.columns))
+        stayed = done.where("kind = 2")
+        if len(hops) % PRUNE_EVERY == 0:  # counts of stopped walks go
+            stayed = stayed.join(left.select("round", "walk_id").distinct(), ["round", "walk_id"], "left_semi").select(*done.columns)
+        state = shared(left).unionByName(stayed)
     result = hops[0]
     for more in hops[1:]:
         result = result.unionByName(more)

@@ -55,7 +55,7 @@ def corpus(edges: DataFrame, profile: str = "info", m: int = 2, max_rounds: int
         assign = phases.time("partition", P.hash_partition(G.both_directions(edges).select(F.col("u").alias("node")).distinct(), m))
     rounds = swap.get("rounds", rounds)
     began = time.time()
-    steps, _ = W.sample_corpus(edges, assign, kernel, stop, max_rounds=min(max_rounds, rounds or max_rounds), fixed_rounds=None if rounds is None else min(rounds, max_rounds), measure=swap.get("measure", measure))
+    steps, _ = W.sample_corpus(edges, assign, kernel, stop, max_rounds=min(max_rounds, rounds or max_rounds), fixed_rounds=None if rounds is None else min(rounds, max_rounds), measure=swap.get("measure", measure), wave=5 if rounds is None else min(rounds, 10))
     phases.seconds["walk"] = time.time() - began
     return steps.select("round", "walk_id", "step", "node"), assign
 
