@@ -457,3 +457,16 @@ def test_approximate_distinct_counts_stay_near(spark, tmp_path):
     # with the default sketch these keys came out 10.07 % low
     spark.range(1_200_000).selectExpr("id as l_partkey").write.parquet(str(tmp_path / "lineitem.parquet"))
     assert tuple(relational.QUERIES["op_agg_approx_distinct"](spark, str(tmp_path)).first()) == (True, 1_200_000)
+
+
+def test_noise_of_large_corpora_is_drawn(spark, monkeypatch):
+    from walkembed.functions.rng import draw_python
+    from walkembed.plans import learn_queries as Q
+
+    # weights of 2^27 * 3 each: their total leaves 31 bits, as that of 110,000 nodes does
+    noise = [(n, n, 3 << 27, (n + 1) * (3 << 27)) for n in range(10)]
+    monkeypatch.setattr(Q, "uniform_corpus", lambda *_: (None, None))
+    monkeypatch.setattr(Q.L, "build_vocab", lambda _: None)
+    monkeypatch.setattr(Q.L, "noise_table", lambda _: spark.createDataFrame(noise, "node long, rank long, q long, hi long"))
+    rows = Q.negative_samples(spark, "").collect()
+    assert sorted(map(tuple, rows)) == [(n, k, (draw_python(Q.SEED, n, k) * (30 << 27) >> 32) // (3 << 27)) for n in range(10) for k in range(1, 6)]
