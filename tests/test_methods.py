@@ -470,3 +470,13 @@ def test_noise_of_large_corpora_is_drawn(spark, monkeypatch):
     monkeypatch.setattr(Q.L, "noise_table", lambda _: spark.createDataFrame(noise, "node long, rank long, q long, hi long"))
     rows = Q.negative_samples(spark, "").collect()
     assert sorted(map(tuple, rows)) == [(n, k, (draw_python(Q.SEED, n, k) * (30 << 27) >> 32) // (3 << 27)) for n in range(10) for k in range(1, 6)]
+
+
+def test_walks_from_hubs_carry_no_neighbours(spark):
+    star = edges(spark, [(0, i) for i in range(1, 40)] + [(1, 2)])
+    kernel, nodes = W.Kernel("hybrid"), G.both_directions(star).select("u").distinct().withColumnRenamed("u", "node")
+    steps = W.step_walks(star, nodes, kernel, 6)
+    local = W.local_walks(W.kernel_edges(star, kernel).toPandas(), np.arange(40), kernel, W.Stop.fixed(6))
+    key = lambda rows: sorted(tuple(int(x) for x in r) for r in rows)
+    assert key(steps.select("walk_id", "step", "node").collect()) == key(local[["walk_id", "step", "node"]].to_numpy())
+    assert "nbr" not in steps._jdf.queryExecution().optimizedPlan().toString()
