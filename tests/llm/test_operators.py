@@ -280,6 +280,22 @@ def test_forest_isolates_outliers():
     assert forest.score(np.array([[9.0, 9, 9]]))[0] > np.quantile(forest.score(x), 0.99)
 
 
+def test_forest_and_cut_use_every_labelled_row(spark):
+    rng = np.random.default_rng(0)
+    x = rng.normal(size=(6000, 8)).round(3)
+    y = np.arange(6000) % 2
+    frame = spark.createDataFrame([(int(k), *map(float, row)) for k, row in zip(y, x)], "label int, " + ", ".join(f"{c} double" for c in quality_rules.SHAPES)).repartition(5)
+    forest = quality_rules.fit(frame)
+    want = quality_rules.grow(x)
+    assert forest.sample == 6000 and np.array_equal(forest.cut, want.cut) and np.array_equal(forest.depth, want.depth)
+    scores = want.score(x)
+    low = np.sort(scores[y == 1])[2993]
+    higher = scores[(y == 0) & (scores > low)]
+    assert forest.threshold == pytest.approx((low + np.quantile(higher, 0.25)) / 2 if len(higher) else low + 0.05, abs=1e-12)
+    rows = spark.createDataFrame([(float(v),) for v in scores], "s double")
+    assert [quality_rules.ranked(rows, k, 100) for k in (0, 777, 5999)] == np.sort(scores)[[0, 777, 5999]].tolist()
+
+
 def test_secrets_equal_plain_patterns(docs, awkward):
     for frame in (docs, awkward):
         texts = {r["doc_id"]: r["text"] or "" for r in frame.collect()}

@@ -1,19 +1,20 @@
 """Quality rules: statistics of each text, two fixed rules, and an isolation forest.
 
 The forest isolates texts by random splits of their rule statistics; short path
-lengths mean anomalies.  It is grown on a bounded sample of labelled rows, and
-the cut on its score is calibrated on the same labels so that at most
-``max_good_loss`` of the good rows are rejected.
+lengths mean anomalies.  Every tree is grown over all labelled rows that pass the
+fixed rules, a level of all trees in one pass: tasks send the counts and ranges of
+nodes, never rows.  The cut on its score is calibrated on the same rows by exact
+order statistics, so that at most ``max_good_loss`` of the good rows are rejected.
 
 Defined results: null and empty texts have zero words and fail the first rule;
 repeated rows score alike; null ids are returned; with fewer than ``min_good_rows``
 good labelled rows that pass the fixed rules a cut cannot be calibrated and only the
-fixed rules decide; extra columns are ignored.
+fixed rules decide; of repeated labelled ids the smallest statistics and label serve; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,11 +22,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runtime import labelled_sample
+from .runtime import checkpointed
 from .textkernel import Words, find_words, mix64, text_slices, windows
 from .workers import take_over
 
-MAX_TRAIN_ROWS, MIN_GOOD_ROWS = 2000, 20
+MIN_GOOD_ROWS = 20
+TREES, LEVELS, ROWS_A_TASK = 100, 8, 32_768
 MIN_WORDS, REPEAT_SHARE, WINDOW = 20, 30, 8
 _SYMBOL = np.zeros(256, dtype=np.int32)
 _SYMBOL[list(b"#*$%&|<>")] = 1
@@ -37,6 +39,7 @@ _DIGIT = np.zeros(256, dtype=np.int32)
 _DIGIT[ord("0") : ord("9") + 1] = 1
 _BREAK = np.uint64(0xD6E8FEB86659FD93)
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+SHAPES = tuple(f"shape{k}" for k in range(8))
 
 
 def _running(table: np.ndarray, raw: np.ndarray) -> np.ndarray:
@@ -136,72 +139,191 @@ def _expected(n: int) -> float:
     return 0.0 if n < 2 else 1.0 if n == 2 else 2 * (np.log(n - 1) + 0.5772156649) - 2 * (n - 1) / n
 
 
-def grow(x: np.ndarray, trees: int = 100, sample: int = 256, seed: int = 5) -> Forest:
+def _descend(feature: np.ndarray, cut: np.ndarray, x: np.ndarray, level: int) -> np.ndarray:
+    """The place of each row in one tree's ``level``, below zero if a leaf holds it before; children of k are 2k + 1 and 2k + 2."""
+    node, rows = np.zeros(len(x), dtype=np.int64), np.arange(len(x))
+    for _ in range(level):
+        f = feature[node]
+        node = np.where(f >= 0, 2 * node + 1 + (x[rows, np.maximum(f, 0)] >= cut[node]), node)
+    return node - (2**level - 1)
+
+
+@dataclass
+class Ranges:
+    """The rows of every node of a level: their number, and the least and largest value of each feature."""
+
+    count: np.ndarray
+    low: np.ndarray
+    high: np.ndarray
+
+    @staticmethod
+    def none(trees: int, level: int, width: int) -> "Ranges":
+        shape = (trees, 2**level, width)
+        return Ranges(np.zeros(shape[:2], np.int64), np.full(shape, np.inf), np.full(shape, -np.inf))
+
+    def add(self, feature: np.ndarray, cut: np.ndarray, x: np.ndarray, level: int) -> None:
+        for t in range(len(feature)):
+            place = _descend(feature[t], cut[t], x, level)
+            live = np.flatnonzero(place >= 0)
+            if not len(live):
+                continue
+            order = live[np.argsort(place[live], kind="stable")]
+            ids, first, n = np.unique(place[order], return_index=True, return_counts=True)
+            self.count[t, ids] += n
+            self.low[t, ids] = np.minimum(self.low[t, ids], np.minimum.reduceat(x[order], first))
+            self.high[t, ids] = np.maximum(self.high[t, ids], np.maximum.reduceat(x[order], first))
+
+
+def grow_levels(measure: Callable[[np.ndarray, np.ndarray, int], Ranges], n_rows: int, trees: int = TREES, levels: int = LEVELS, seed: int = 5) -> Forest:
+    """A forest from passes over the rows: ``measure(feature, cut, level)`` gives the ranges of that level's nodes."""
     rng = np.random.default_rng(seed)
-    sample = min(sample, len(x))
-    limit = int(np.ceil(np.log2(max(sample, 2))))
-    size = 2 ** (limit + 1)
+    size = 2 ** (levels + 1) - 1
     feature = np.full((trees, size), -1, dtype=np.int64)
-    cut, left, depth = np.zeros((trees, size)), np.zeros((trees, size), dtype=np.int64), np.zeros((trees, size))
-    for t in range(trees):
-        todo, free = [(0, x[rng.choice(len(x), sample, replace=False)], 0)], 1
-        while todo:
-            node, rows, level = todo.pop()
-            spread = np.flatnonzero(rows.min(0) < rows.max(0)) if len(rows) > 1 else []
-            if level >= limit or not len(spread):
-                depth[t, node] = level + _expected(len(rows))
+    cut, depth = np.zeros((trees, size)), np.zeros((trees, size))
+    left = np.tile(2 * np.arange(size) + 1, (trees, 1))
+    for level in range(levels + 1):
+        found = measure(feature, cut, level)
+        for t, k in zip(*np.nonzero(found.count)):
+            node, low, high = k + 2**level - 1, found.low[t, k], found.high[t, k]
+            spread = np.flatnonzero(low < high)
+            if level == levels or not len(spread):
+                depth[t, node] = level + _expected(int(found.count[t, k]))
                 continue
             f = rng.choice(spread)
-            lo, hi = rows[:, f].min(), rows[:, f].max()
-            feature[t, node], left[t, node] = f, free
-            cut[t, node] = lo + (hi - lo) * (1 - rng.random())
-            side = rows[:, f] >= cut[t, node]
-            todo += [(free, rows[~side], level + 1), (free + 1, rows[side], level + 1)]
-            free += 2
-    return Forest(feature, cut, left, depth, sample)
+            feature[t, node], cut[t, node] = f, low[f] + (high[f] - low[f]) * (1 - rng.random())
+    return Forest(feature, cut, left, depth, n_rows)
+
+
+def grow(x: np.ndarray, trees: int = TREES, levels: int = LEVELS, seed: int = 5) -> Forest:
+    """A forest over rows in memory."""
+
+    def measure(feature: np.ndarray, cut: np.ndarray, level: int) -> Ranges:
+        found = Ranges.none(trees, level, x.shape[1])
+        found.add(feature, cut, x, level)
+        return found
+
+    return grow_levels(measure, len(x), trees, levels, seed)
+
+
+def _matrix(batch: pa.RecordBatch) -> np.ndarray:
+    return np.stack([batch.column(c).to_numpy(zero_copy_only=False) for c in SHAPES], axis=1).reshape(-1, len(SHAPES))
+
+
+def grow_frame(rows: DataFrame, n_rows: int, trees: int = TREES, levels: int = LEVELS, seed: int = 5) -> Forest:
+    """The same forest over a frame with the columns ``SHAPES``."""
+    context = rows.sparkSession.sparkContext
+
+    def measure(feature: np.ndarray, cut: np.ndarray, level: int) -> Ranges:
+        shared = context.broadcast((feature, cut))
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            own = Ranges.none(trees, level, len(SHAPES))
+            for batch in batches:
+                own.add(*shared.value, _matrix(batch), level)
+            t, k = np.nonzero(own.count)
+            columns = [pa.array(t * 2**level + k), pa.array(own.count[t, k]), *(pa.array(np.ascontiguousarray(a[t, k, f])) for a in (own.low, own.high) for f in range(len(SHAPES)))]
+            yield pa.RecordBatch.from_arrays(columns, names)
+
+        ends = [f"{e}{f}" for e in ("low", "high") for f in range(len(SHAPES))]
+        names = ["node", "n", *ends]
+        parts = rows.select(*SHAPES).mapInArrow(run, ", ".join(f"{c} {'long' if c in ('node', 'n') else 'double'}" for c in names))
+        merged = parts.groupBy("node").agg(F.sum("n").alias("n"), *((F.min if c.startswith("low") else F.max)(c).alias(c) for c in ends)).toArrow()
+        shared.unpersist()
+        found = Ranges.none(trees, level, len(SHAPES))
+        t, k = np.divmod(merged.column("node").to_numpy(), 2**level)
+        found.count[t, k] = merged.column("n").to_numpy()
+        for f in range(len(SHAPES)):
+            found.low[t, k, f], found.high[t, k, f] = merged.column(f"low{f}").to_numpy(), merged.column(f"high{f}").to_numpy()
+        return found
+
+    return grow_levels(measure, n_rows, trees, levels, seed)
 
 
 def base_failed(counts: np.ndarray) -> np.ndarray:
     return (counts[:, 0] < MIN_WORDS) | (100 * counts[:, 4] > REPEAT_SHARE * counts[:, 0])
 
 
-def fit(texts: list[str], labels: list[int], max_good_loss: float = 0.002, min_good_rows: int = MIN_GOOD_ROWS) -> Forest | None:
-    """A forest with its cut: the one that rejects most bad rows at an accepted loss of good ones."""
-    if not texts:
-        return None
-    parts = [text_statistics(raw, offsets) for _, _, raw, offsets in text_slices(pa.array(texts, pa.large_string()))]
-    counts, x = (np.concatenate([p[k] for p in parts]) for k in (0, 1))
-    y = np.array(labels)
-    fair = ~base_failed(counts)
-    good = fair & (y == 1)
-    if good.sum() < min_good_rows:
+def ranked(scores: DataFrame, place: int, few: int = 65_536) -> float:
+    """The value of ``s`` at ``place`` (from 0) of all rows in ascending order: ranges narrow until few rows are left."""
+    while True:
+        n, low, high = scores.agg(F.count("*"), F.min("s"), F.max("s")).first()
+        if low == high:
+            return low
+        if n <= few:
+            return float(np.sort(scores.select("s").toArrow().column("s").to_numpy())[place])
+        bucket = F.floor((F.col("s") - low) / (high - low) * 1024)
+        for row in scores.groupBy(bucket.alias("b")).agg(F.count("*").alias("n"), F.min("s").alias("low"), F.max("s").alias("high")).orderBy("b").collect():
+            if place < row["n"]:
+                break
+            place -= row["n"]
+        scores = scores.where(F.col("s").between(row["low"], row["high"]))
+
+
+def fit(rows: DataFrame, max_good_loss: float = 0.002, min_good_rows: int = MIN_GOOD_ROWS) -> Forest | None:
+    """A forest over all rows (label, ``SHAPES``) with its cut: the one that rejects most bad rows at an accepted loss of good ones."""
+    counted = rows.agg(F.count("*"), F.sum((F.col("label") == 1).cast("long"))).first()
+    if (counted[1] or 0) < min_good_rows:
         return None
-    forest = grow(x[fair])  # anomalies must be among the rows that are split
-    scores = forest.score(x)
+    # tasks by rows, not by partitions of the exchange before: each sends up to a row a node
+    rows = rows.coalesce(1 + counted[0] // ROWS_A_TASK)
+    forest = grow_frame(rows, counted[0])
+    shared = rows.sparkSession.sparkContext.broadcast(forest)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("label"), pa.array(shared.value.score(_matrix(batch)), pa.float64())], ["label", "s"])
+
+    scores = checkpointed(rows.select("label", *SHAPES).mapInArrow(run, "label int, s double"))
     # above every accepted good score, with the margin that a new good text of the same kind may need
-    kept, bad = np.sort(scores[good]), scores[fair & (y == 0)]
-    low = kept[max(0, int(np.ceil(len(kept) * (1 - max_good_loss))) - 1)]
-    higher = bad[bad > low]
-    forest.threshold = float((low + np.quantile(higher, 0.25)) / 2 if len(higher) else low + 0.05)
+    low = ranked(scores.where("label = 1"), max(0, int(np.ceil(counted[1] * (1 - max_good_loss))) - 1))
+    higher = scores.where((F.col("label") == 0) & (F.col("s") > low))
+    n = higher.count()
+    if not n:
+        forest.threshold = low + 0.05
+        return forest
+    at = (n - 1) * 0.25
+    below = ranked(higher, int(at))
+    quarter = below if at == int(at) else below + (ranked(higher, int(at) + 1) - below) * (at - int(at))
+    forest.threshold = float((low + quarter) / 2)
     return forest
 
 
-def screen(docs: DataFrame, labels: DataFrame, max_train_rows: int = MAX_TRAIN_ROWS, max_good_loss: float = 0.002) -> DataFrame:
-    """(doc_id, the base counts, base_failed, kept, anomaly) of every document."""
-    forest = fit(*labelled_sample(docs, labels, "quality", max_train_rows), max_good_loss)
-    shared = docs.sparkSession.sparkContext.broadcast(forest)
+def measured(docs: DataFrame) -> DataFrame:
+    """(doc_id, the base counts, base_failed, ``SHAPES``) of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         take_over("rules")
-        own = shared.value
         for batch in batches:
             parts = [text_statistics(raw, offsets) for _, _, raw, offsets in text_slices(batch.column("text"))]
             counts = np.concatenate([p[0] for p in parts]) if parts else np.zeros((0, 5), np.int64)
             x = np.concatenate([p[1] for p in parts]) if parts else np.zeros((0, 8))
-            failed = base_failed(counts)
-            anomaly = own.score(x) if own is not None else np.zeros(len(x))
+            columns = [batch.column("doc_id"), *(pa.array(np.ascontiguousarray(counts[:, k]), pa.int64()) for k in range(5)), pa.array(base_failed(counts), pa.bool_()), *(pa.array(np.ascontiguousarray(x[:, k]), pa.float64()) for k in range(8))]
+            yield pa.RecordBatch.from_arrays(columns, ["doc_id", *COUNTS, "base_failed", *SHAPES])
+
+    schema = "doc_id long, " + ", ".join(f"{c} long" for c in COUNTS) + ", base_failed boolean, " + ", ".join(f"{c} double" for c in SHAPES)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+
+
+def training_rows(stats: DataFrame, labels: DataFrame) -> DataFrame:
+    """(label, ``SHAPES``) of every labelled document that passes the fixed rules, one row an id."""
+    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).where(F.col("doc_id").isNotNull() & F.col("label").isin(0, 1)).groupBy("doc_id").agg(F.min("label").alias("label"))
+    fair = stats.where(~F.col("base_failed")).groupBy("doc_id").agg(F.min(F.struct(*SHAPES)).alias("x"))
+    return fair.join(marks, "doc_id").select("label", "x.*")
+
+
+def screen(docs: DataFrame, labels: DataFrame, max_good_loss: float = 0.002) -> DataFrame:
+    """(doc_id, the base counts, base_failed, kept, anomaly) of every document."""
+    stats = checkpointed(measured(docs))
+    forest = fit(checkpointed(training_rows(stats, labels)), max_good_loss)
+    shared = docs.sparkSession.sparkContext.broadcast(forest)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = shared.value
+        for batch in batches:
+            anomaly = own.score(_matrix(batch)) if own is not None else np.zeros(len(batch))
+            failed = batch.column("base_failed").to_numpy(zero_copy_only=False)
             kept = ~failed & (anomaly <= own.threshold if own is not None else True)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(np.ascontiguousarray(counts[:, k]), pa.int64()) for k in range(5)), pa.array(failed, pa.bool_()), pa.array(kept, pa.bool_()), pa.array(anomaly, pa.float64())], ["doc_id", *COUNTS, "base_failed", "kept", "anomaly"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("doc_id", *COUNTS, "base_failed")), pa.array(kept, pa.bool_()), pa.array(anomaly, pa.float64())], ["doc_id", *COUNTS, "base_failed", "kept", "anomaly"])
 
     schema = "doc_id long, " + ", ".join(f"{c} long" for c in COUNTS) + ", base_failed boolean, kept boolean, anomaly double"
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+    return stats.mapInArrow(run, schema)
