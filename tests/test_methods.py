@@ -480,3 +480,29 @@ def test_walks_from_hubs_carry_no_neighbours(spark):
     key = lambda rows: sorted(tuple(int(x) for x in r) for r in rows)
     assert key(steps.select("walk_id", "step", "node").collect()) == key(local[["walk_id", "step", "node"]].to_numpy())
     assert "nbr" not in steps._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_common_neighbours_of_dense_and_sparse_graphs_equal_brute_force(spark):
+    rng = np.random.default_rng(3)
+    for n, m in ((70, 1500), (300, 900)):
+        pairs = sorted({(min(a, b), max(a, b)) for a, b in rng.integers(0, n, (m, 2)).tolist() if a != b} | {(0, k) for k in range(1, 60)})
+        near = {v: {b if a == v else a for a, b in pairs if v in (a, b)} for v in range(n)}
+        rows = G.common_neighbours(edges(spark, pairs)).collect()
+        assert sorted((r["src"], r["dst"], r["cm"]) for r in rows) == [(a, b, len(near[a] & near[b])) for a, b in pairs]
+        corners = sorted(tuple(sorted(r)) for r in G.triangles(edges(spark, pairs)).collect())
+        assert corners == [(a, b, c) for a, b in pairs for c in sorted(near[a] & near[b]) if c > b]
+
+
+def test_open_wedges_stay_in_their_tasks(spark):
+    star = edges(spark, [(a, 1000 + b) for a in range(300) for b in range(a % 7, 60, 7)])
+    plan = G.triangles(star)
+    assert plan.count() == 0
+    text = plan._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in text and " lo#" in text and "hi#" in text
+    words = G.edge_filter(star)
+    a, b = np.arange(300).repeat(60), np.tile(1000 + np.arange(60), 300)
+    at, code = G._edge_code(a, b)
+    said = words[(at & np.uint64(len(words) - 1)).astype(int)] & G._mask(code) == G._mask(code)
+    linked = (b - 1000 - a % 7) % 7 == 0
+    linked &= b - 1000 >= a % 7
+    assert said[linked].all() and said[~linked].mean() < 0.05
