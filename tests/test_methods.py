@@ -506,3 +506,86 @@ def test_open_wedges_stay_in_their_tasks(spark):
     linked = (b - 1000 - a % 7) % 7 == 0
     linked &= b - 1000 >= a % 7
     assert said[linked].all() and said[~linked].mean() < 0.05
+
+
+@pytest.mark.parametrize("kernel", [W.Kernel("hybrid"), W.Kernel("hybrid", "accept"), W.Kernel("biased2", p=0.5, q=2.0)])
+@pytest.mark.parametrize("stop", [W.Stop.fixed(7), W.Stop("entropy_r2", 0.8, 3, 30)])
+def test_shared_walks_are_those_of_parts(spark, monkeypatch, kernel, stop):
+    """A graph that fits a task is walked without supersteps: the same hops, and the same messages of the baseline."""
+    monkeypatch.setattr(W, "SHARED_HOPS", 90)  # a few walkers at a time
+    monkeypatch.setattr(W, "CANDIDATES", 10)
+    e = edges(spark, ring(20))
+    nodes = G.both_directions(e).select("u").distinct().withColumnRenamed("u", "node")
+    table, assign = W.kernel_edges(e, kernel).cache(), P.hash_partition(nodes, 3).cache()
+    key = lambda f, *c: sorted(tuple(int(x) for x in r) for r in f.select("round", "walk_id", "step", "node", *c).collect())
+    for rng in ("portable", "native"):
+        want = key(W.burst_round(table, assign, nodes, kernel, stop, (1, 2), rng=rng))
+        with monkeypatch.context() as without:
+            without.setattr(W, "burst_round", None)
+            assert key(W.corpus_round(table, assign, nodes, kernel, stop, (1, 2), rng=rng)) == want
+    full = W.fullpath_round(table, assign, nodes, kernel, stop, (1, 2))
+    assert key(W.shared_round(table, assign, nodes, kernel, stop, (1, 2), measure="fullpath"), "sent", "trials") == key(full, "sent", "trials")
+    monkeypatch.setattr(W, "SHARED_ROWS", 10)  # larger graphs go on by parts
+    assert not W.fits_a_task(table)
+
+
+def test_shared_walks_end_at_sinks(spark):
+    kernel, stop = W.Kernel("uniform"), W.Stop.fixed(6)
+    e = edges(spark, [(1, 2), (2, 3), (1, 4), (4, 2)])
+    nodes = spark.createDataFrame([(i,) for i in range(1, 5)], "node long")
+    table, assign = W.kernel_edges(e, kernel, directed=True), P.hash_partition(nodes, 2)
+    key = lambda f: sorted(tuple(int(x) for x in r) for r in f.select("walk_id", "step", "node").collect())
+    assert key(W.shared_round(table, assign, nodes, kernel, stop)) == key(W.burst_round(table, assign, nodes, kernel, stop))
+    assert key(W.shared_round(table, assign, nodes, kernel, stop, measure="fullpath")) == key(W.fullpath_round(table, assign, nodes, kernel, stop))
+
+
+def test_divergences_of_a_wave_are_those_of_its_rounds(spark):
+    e = edges(spark, ring(20))
+    nodes = G.both_directions(e).select("u").distinct().withColumnRenamed("u", "node")
+    steps, trace = W.sample_corpus(e, P.hash_partition(nodes, 2), W.Kernel("uniform"), W.Stop.fixed(4), fixed_rounds=5, wave=3)
+    want = [r["divergence"] for r in M.corpus_divergence(G.degrees(G.both_directions(e)), steps).orderBy("round").collect()]
+    assert np.allclose(trace, want, atol=1e-12) and len(trace) == 5
+
+
+@pytest.mark.parametrize("n_windows", [1, 2, 3])
+def test_lockstep_trains_every_window(n_windows, monkeypatch):
+    """Walks of all lengths in lockstep: each window counts once, and a lone walk moves as window by window."""
+    rng = np.random.default_rng(5)
+    walks = [rng.integers(0, 200, k % 23 + 1) for k in range(150)]
+    s = L.Shard(*L.initial_vectors(200, 8, 1), np.arange(1, 201), 3, 5, 0.05, 1)
+    s.train(walks, "window_shared" if n_windows == 1 else "multi_window", n_windows)
+    want = np.zeros(200, int)
+    for w in walks:
+        for i in range(len(w)):
+            for j in range(max(0, i - 3), min(len(w), i + 4)):
+                want[w[j]] += i != j
+    assert s.updates.tolist() == want.tolist() and s.pairs == want.sum()
+    lone = np.arange(12)
+    a, b = (L.Shard(*L.initial_vectors(40, 8, 1), np.arange(1, 41), 3, 5, 0.05, 1) for _ in range(2))
+    a.phi_out[:] = b.phi_out[:] = rng.normal(size=(40, 8)) * 0.1
+    a._lockstep([lone], 1)
+    for i in range(12):
+        b.batch([b._contexts(lone, i)], [lone[i]], b.noise(1, 5)[0])
+    assert np.allclose(a.phi_in, b.phi_in) and np.allclose(a.phi_out, b.phi_out)
+
+
+def test_one_training_gives_every_number_of_epochs(spark):
+    steps = W.step_walks(edges(spark, two_cliques()), spark.range(16).withColumnRenamed("id", "node"), W.Kernel("uniform"), 6, 2).cache()
+    key = lambda f: sorted((r["rank"], r["n_updates"], tuple(np.round(r["phi"], 9))) for r in f.collect())
+    one, two = L.train_upto(steps, (1, 2), dims=4, window=2)
+    assert key(one) == key(L.train(steps, dims=4, window=2, epochs=1)) and key(two) == key(L.train(steps, dims=4, window=2, epochs=2))
+
+
+@pytest.mark.parametrize("block", [2048, 7])
+def test_nearest_vectors_with_ties_equal_brute_force(spark, tmp_path, block):
+    from walkembed.sources import graphs as S
+
+    rng = np.random.default_rng(2)
+    x = rng.integers(-1, 2, (40, 3)).astype(np.float32)
+    x[(x == 0).all(1)] = 1  # many equal directions
+    spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    y = x.astype(float)
+    s = np.round((y @ y.T) / (np.sqrt((y * y).sum(1))[:, None] * np.sqrt((y * y).sum(1))[None]), 9)
+    want = sorted((i, j) for i in range(40) for j in sorted((j for j in range(40) if j != i), key=lambda j: (-s[i, j], j))[:10])
+    got = S.knn_pairs(spark, str(tmp_path), 10, block)
+    assert sorted((r["a"] % S.UNIT, r["b"] % S.UNIT) for r in got.collect()) == want
