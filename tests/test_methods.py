@@ -576,6 +576,21 @@ def test_one_training_gives_every_number_of_epochs(spark):
     assert key(one) == key(L.train(steps, dims=4, window=2, epochs=1)) and key(two) == key(L.train(steps, dims=4, window=2, epochs=2))
 
 
+@pytest.mark.parametrize("name, corpora", [("auc_curve", 1), ("grid_search", 1), ("auc_ratio", 6)])
+def test_sweeps_walk_each_corpus_once(spark, monkeypatch, name, corpora):
+    """The parted graph is made once a query and each corpus once, whatever is tried on it."""
+    from pyspark.sql import functions as F
+
+    from walkembed.plans import experiment_queries as X
+
+    seen, graph = [], X.graph
+    monkeypatch.setattr(X, "graph", lambda *a: (seen.append("graph"), graph(*a))[1])
+    for engine in ("corpus_round", "burst_round"):
+        monkeypatch.setattr(X.W, engine, lambda table, assign, nodes, *a, **kw: (seen.append("walk"), nodes.select(F.lit(1).alias("round"), F.col("node").alias("walk_id"), F.lit(1).alias("step"), "node"))[1])
+    X.QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert (seen.count("graph"), seen.count("walk")) == (1, corpora)
+
+
 @pytest.mark.parametrize("block", [2048, 7])
 def test_nearest_vectors_with_ties_equal_brute_force(spark, tmp_path, block):
     from walkembed.sources import graphs as S
