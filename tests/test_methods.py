@@ -604,3 +604,19 @@ def test_nearest_vectors_with_ties_equal_brute_force(spark, tmp_path, block):
     want = sorted((i, j) for i in range(40) for j in sorted((j for j in range(40) if j != i), key=lambda j: (-s[i, j], j))[:10])
     got = S.knn_pairs(spark, str(tmp_path), 10, block)
     assert sorted((r["a"] % S.UNIT, r["b"] % S.UNIT) for r in got.collect()) == want
+
+
+def test_trials_run_at_the_same_time_in_their_order(spark, monkeypatch):
+    import threading
+
+    from walkembed.plans import pipelines
+
+    met = threading.Barrier(3, timeout=60)
+
+    def trial(edges, profile, seed, **settings):
+        met.wait()  # passes only when three are under way
+        return spark.createDataFrame([(seed / 100.0,)], "auc double")
+
+    monkeypatch.setattr(pipelines, "link_prediction", trial)
+    row = pipelines.repeated(spark.range(1), "info", 3).first()
+    assert row["trials"] == 3 and abs(row["mean_auc"] - 0.43) < 1e-12 and abs(row["sd_auc"] - math.sqrt(2 / 3) / 100) < 1e-12
