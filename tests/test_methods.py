@@ -229,6 +229,59 @@ def test_document_edges_without_a_bound(spark, tmp_path):
     assert {(r["src"], r["dst"]): r["w"] for r in QUERIES["graph_doc_edges"](spark, str(tmp_path)).collect()} == want
 
 
+def test_document_pairs_are_counted_in_blocks_and_never_exchanged(spark, tmp_path):
+    from walkembed.plans.graph_queries import QUERIES
+    from walkembed.sources import shared_shingles as D
+
+    rng = np.random.default_rng(8)
+    word = lambda k: f"w{k}"
+    texts = [" ".join(map(word, rng.integers(0, 4, int(n)))) for n in rng.integers(3, 60, 150)]
+    texts += ["a\x0bb c\td\n e f g h", "a\x0bb c d e f g h", "  lead and trail a b c ", "b c d e f", None, ""] + ["one text that many rows hold word for word"] * 40
+    ids = [*range(len(texts)), 3, 3, None]  # rows of one id are one set, a row without an id has no pair
+    texts += [texts[5], "no other row has these words here", texts[0]]
+    sets = {}
+    for i, t in zip(ids, texts):
+        w = re.split(r"[\t\n\f\r ]+", t or "")
+        sets.setdefault(i, set()).update(tuple(w[k : k + 5]) for k in range(len(w) - 4))
+    del sets[None]
+    want = {(a, b): round(math.floor(len(x & y) / len(x | y) * 1e6 + 0.5) / 1e6, 6) for a, x in sets.items() for b, y in sets.items() if a < b and x & y}
+    frame = spark.createDataFrame(list(zip(ids, texts)), "doc_id long, text string").repartition(3)
+    for blocks, live in ((1, 10**6), (7, 10**6), (3, 300)):
+        rows = D.shared_shingle_pairs(frame, 5, 0, blocks, live).collect()
+        assert len(rows) == len(want) and {(r["src"], r["dst"]): r["w"] for r in rows} == want
+    frame.write.parquet(str(tmp_path / "documents.parquet"))
+    for name in ("graph_doc_edges", "graph_doc_edges_all"):
+        plan = QUERIES[name](spark, str(tmp_path))._jdf.queryExecution().executedPlan().toString()
+        assert "CartesianProduct" in plan and "Exchange" not in plan
+
+
+def test_cells_of_blocks_equal_brute_force_under_any_bounds(monkeypatch):
+    import pyarrow as pa
+
+    from walkembed.sources import shared_shingles as D
+
+    rng = np.random.default_rng(9)
+    pool = rng.integers(0, 2**63, (90, 2)).astype(np.uint64)
+    pool[1, 0] = pool[0, 0]  # one first word, two keys
+    pool = pool[np.lexsort((pool[:, 1], pool[:, 0]))]
+    share = np.where(np.arange(90) < 10, 0.9, 0.05)
+    held = [np.flatnonzero(rng.random(90) < share) for _ in range(60)] + [np.arange(20)] * 15
+    side = lambda ids: D.Block(*(c[0].as_py() for c in D._block(pa.table({"blk": pa.array([0] * len(ids), pa.int32()), "doc_id": ids, "n": [len(held[i]) + i % 3 for i in ids], "keys": pa.array([pool[held[i]].tobytes() for i in ids], pa.binary())})).columns[1:]))
+    x, y = list(range(0, 75, 2)), list(range(1, 75, 2))
+    for bounds in ({}, {"CELL": 40, "PRODUCTS": 5, "ROWS": 7}):
+        for name, value in bounds.items():
+            monkeypatch.setattr(D, name, value)
+        got = {}
+        for a, b in ((x, x), (y, y), (x, y)):
+            for src, dst, w in D.block_pairs(side(a), side(b), a is b):
+                for p in zip(src.tolist(), dst.tolist(), w.tolist()):
+                    assert p[:2] not in got
+                    got[p[:2]] = p[2]
+        common = {(i, j): len(np.intersect1d(held[i], held[j])) for i in range(75) for j in range(i + 1, 75)}
+        size = [len(h) + i % 3 for i, h in enumerate(held)]
+        assert got == {(i, j): math.floor(c / (size[i] + size[j] - c) * 1e6 + 0.5) / 1e6 for (i, j), c in common.items() if c}
+
+
 def test_whole_prefix_r2_of_every_step(spark):
     rng = np.random.default_rng(3)
     paths = {1: rng.integers(0, 6, 50).tolist(), 2: [9] * 10, 3: list(range(35))}
