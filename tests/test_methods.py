@@ -673,3 +673,18 @@ def test_trials_run_at_the_same_time_in_their_order(spark, monkeypatch):
     monkeypatch.setattr(pipelines, "link_prediction", trial)
     row = pipelines.repeated(spark.range(1), "info", 3).first()
     assert row["trials"] == 3 and abs(row["mean_auc"] - 0.43) < 1e-12 and abs(row["sd_auc"] - math.sqrt(2 / 3) / 100) < 1e-12
+
+
+def test_blocks_count_common_neighbours_without_listing_triangles(spark, monkeypatch):
+    """A graph of many closed wedges and too many nodes for one matrix of bits: neighbours meet by blocks."""
+    rng = np.random.default_rng(3)
+    pairs = [(10 * a + 1, 10 * b + 1) for a in range(150) for b in range(a + 1, 150) if rng.random() < (0.7 if a // 50 == b // 50 else 0.1)]
+    want = {(r["src"], r["dst"]): r["cm"] for r in G.common_neighbours(edges(spark, pairs), "intersect").collect()}
+    monkeypatch.setattr(G, "DENSE_NODES", 0)
+    monkeypatch.setattr(G, "BLOCK_BYTES", 64 * 150 // 8)
+    monkeypatch.setattr(G, "triangles", lambda e: pytest.fail("lists triangles"))
+    rows = G.common_neighbours(edges(spark, pairs)).collect()
+    assert len(rows) == len(want) and {(r["src"], r["dst"]): r["cm"] for r in rows} == want and {r["w"] for r in rows} == {1.0}
+    both = {(r["u"], r["v"]): (r["cm"], r["du"], r["dv"], r["p_accept"]) for r in G.hybrid_edges(edges(spark, pairs)).collect()}
+    old = G.hybrid_weight(G.common_neighbours(edges(spark, pairs), "intersect")).collect()
+    assert both == {(r["u"], r["v"]): (r["cm"], r["du"], r["dv"], r["p_accept"]) for r in old}
