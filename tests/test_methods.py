@@ -690,39 +690,6 @@ def test_blocks_count_common_neighbours_without_listing_triangles(spark, monkeyp
     assert both == {(r["u"], r["v"]): (r["cm"], r["du"], r["dv"], r["p_accept"]) for r in old}
 
 
-@pytest.mark.parametrize("n_windows", [1, 2])
-def test_steps_of_many_nodes_move_vectors_as_their_windows_do(n_windows):
-    """Several windows of a walk at once: the sum of what each window alone asks for, with its own negatives."""
-    rng = np.random.default_rng(5)
-    n, d, window, negatives, steps = 300, 8, 3, 4, 4
-    walks = [rng.integers(0, n, k) for k in (9, 6, 1, 4)]
-    a, b = rng.normal(size=(n, d)), rng.normal(size=(n, d))
-    shard = L.Shard(a.copy(), b.copy(), np.cumsum(np.arange(1, n + 1)), window, negatives, 1e-4, 1)
-    drawn = []
-    shard.noise = lambda *shape: drawn.append(rng.integers(0, n, shape)) or drawn[-1]
-    x, y = a.astype(np.float32), b.astype(np.float32)
-    shard._lane_chunks(walks, n_windows, steps, x, y)
-    for chunk, noise in enumerate(drawn):
-        da, db = np.zeros_like(a), np.zeros_like(b)
-        for g in range(len(walks) // n_windows):
-            group = walks[g * n_windows : (g + 1) * n_windows]
-            for t in range(noise.shape[1]):
-                i = chunk * steps + t
-                live = [k for k, w in enumerate(group) if i < len(w) and len(w) > 1]
-                for k in live:
-                    goal = group[k][i]
-                    near = [group[k][j] for j in range(max(0, i - window), min(len(group[k]), i + window + 1)) if j != i]
-                    others = [group[m][i] for m in live if m != k] + noise[g, t].tolist()
-                    for c in near:
-                        for o, label in [(goal, 1)] + [(v, 0) for v in others if v != goal]:
-                            e = 1e-4 * (label - 1 / (1 + np.exp(-a[c] @ b[o])))
-                            da[c] += e * b[o]
-                            db[o] += e * a[c]
-        a, b = a + da, b + db
-    assert np.abs(x - a).max() < 1e-5 and np.abs(y - b).max() < 1e-5
-    assert shard.pairs == shard.updates.sum() == sum(len([j for j in range(max(0, i - 3), min(len(w), i + 4)) if j != i]) for w in walks for i in range(len(w)))
-
-
 def test_draws_of_negatives_equal_a_search():
     for weights in (np.ones(7), np.array([1, 10**6, 1, 1, 1, 1, 1, 1, 1, 1, 1, 5]), np.random.default_rng(2).integers(1, 50, 4000), np.array([3])):
         hi = np.cumsum(weights).astype(np.int64)
@@ -731,14 +698,19 @@ def test_draws_of_negatives_equal_a_search():
         assert (shard.noise(300, 5) == np.searchsorted(hi, x, side="right")).all()
 
 
-def test_many_nodes_train_several_windows_of_a_walk_at_once(monkeypatch):
-    """A large shard takes steps of several windows, and its vectors tell neighbours on a ring from strangers."""
+@pytest.mark.parametrize("mode", ["window_shared", "multi_window"])
+def test_many_nodes_train_in_single_precision_as_in_double(monkeypatch, mode):
     rng = np.random.default_rng(4)
-    n = 4000
-    walks = [(s + np.cumsum(rng.integers(-3, 4, 40))) % n for s in rng.permutation(n)]
-    a, b = L.initial_vectors(n, 16, 7)
-    shard = L.Shard(a, b, np.cumsum(np.full(n, 1000)), 5, 5, 0.05, 7)
-    monkeypatch.setattr(shard, "_lane_steps", lambda *x: pytest.fail("one window of a walk at a time"))
-    shard.train(walks * 3, "window_shared")
-    near, far = (np.einsum("nd,nd->n", a, np.roll(a, k, axis=0)) for k in (1, n // 2))
-    assert np.isfinite(a).all() and (near > far).mean() > 0.9
+    n = 3000
+    walks = [(s + np.cumsum(rng.integers(-3, 4, 30))) % n for s in rng.permutation(n)[:600]]
+    found, kinds, steps = [], [], L.Shard._lane_steps
+    monkeypatch.setattr(L.Shard, "_lane_steps", lambda self, w, k, a, b: kinds.append(a.dtype) or steps(self, w, k, a, b))
+    for double in (False, True):
+        shard = L.Shard(*L.initial_vectors(n, 16, 7), np.cumsum(np.full(n, 1000)), 5, 5, 0.05, 7)
+        if double:
+            monkeypatch.setattr(L.np, "float32", np.float64)
+        shard.train(walks, mode)
+        found.append((shard.phi_in, shard.phi_out, shard.updates, shard.pairs))
+    assert kinds[0] == np.dtype("float32") and kinds[-1] == np.dtype("float64")
+    assert np.abs(found[0][0] - found[1][0]).max() < 1e-3 and np.abs(found[0][1] - found[1][1]).max() < 1e-3
+    assert (found[0][2] == found[1][2]).all() and found[0][3] == found[1][3]
